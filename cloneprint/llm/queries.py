@@ -6,15 +6,26 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import minhash_dedup
+from . import minhash_dedup, packing, token_ids
 from .common import read_table
+from .encode import public_path
 
 
 def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_dedup.near_duplicates(read_table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_ids.round_trip(read_table(spark, sf_dir, "documents", "doc_id", "text"), public_path(), end=2)
+
+
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read_table(spark, sf_dir, "documents", "doc_id", "text"), public_path(), window=1024, end=0)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op4_token_ids": op4_token_ids,
     "op7_minhash_dedup": op7_minhash_dedup,
+    "op10_packing": op10_packing,
 }
 ORACLE: dict[str, str] = {}
