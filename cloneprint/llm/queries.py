@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import minhash_dedup, packing, token_ids
+from . import decontaminate, language_id, minhash_dedup, packing, quality, substring_dedup, token_ids
 from .common import read_table
 from .encode import public_path
 
@@ -23,9 +23,29 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(read_table(spark, sf_dir, "documents", "doc_id", "text"), public_path(), window=1024, end=0)
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.identify(read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
+
+
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(read_table(spark, sf_dir, "documents", "doc_id", "text"), read_table(spark, sf_dir, "labels", "doc_id", "quality"))
+
+
+def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(read_table(spark, sf_dir, "documents", "doc_id", "text"), read_table(spark, sf_dir, "benchmark"))
+
+
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.dedup_units(read_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_language_id": op2_language_id,
+    "op3_decontamination": op3_decontamination,
     "op4_token_ids": op4_token_ids,
     "op7_minhash_dedup": op7_minhash_dedup,
+    "op8_substring_dedup": op8_substring_dedup,
+    "op9_quality": op9_quality,
     "op10_packing": op10_packing,
 }
 ORACLE: dict[str, str] = {}

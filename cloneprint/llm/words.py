@@ -13,6 +13,9 @@ SHINGLE = 5
 _rng = np.random.default_rng(20240607)
 _BLANK = np.zeros(256, dtype=bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
+#: also every ASCII mark: words of letters, digits and non-ASCII characters only
+MARKS = np.ones(256, dtype=bool)
+MARKS[48:58] = MARKS[65:91] = MARKS[97:123] = MARKS[128:] = False
 _VALUE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _VALUE[65:91] = _VALUE[97:123]
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -39,8 +42,8 @@ def mix(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> np.uint64(31))
 
 
-def _piece_words(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    blank = _BLANK[raw]
+def _piece_words(raw: np.ndarray, gap: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    blank = gap[raw]
     edge = np.flatnonzero(blank[1:] != blank[:-1]) + 1
     edge = np.concatenate(([0] * (not blank[0]), edge, [len(raw)] * (not blank[-1]))).astype(np.int64)
     start, end = edge[0::2], edge[1::2]
@@ -52,7 +55,7 @@ def _piece_words(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return mix(hashed), start, end
 
 
-def word_hashes(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def word_hashes(text: bytes, gap: np.ndarray = _BLANK) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Hash, start and end byte of each word."""
     if not text:
         return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
@@ -60,12 +63,12 @@ def word_hashes(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     while at < len(raw):
         to = min(len(raw), at + PIECE)
         while to < len(raw):  # a word never straddles two pieces
-            gaps = np.flatnonzero(_BLANK[raw[at:to]])
+            gaps = np.flatnonzero(gap[raw[at:to]])
             if len(gaps):
                 to = at + int(gaps[-1]) + 1
                 break
             to = min(len(raw), to + PIECE)
-        h, s, e = _piece_words(raw[at:to])
+        h, s, e = _piece_words(raw[at:to], gap)
         parts.append((h, s + at, e + at))
         at = to
     if len(parts) == 1:
