@@ -34,8 +34,9 @@ _CLASS[[44, 46]], _CLASS[128:192], _CLASS[192:] = 4, 8, 5
 _CLASS[[9, 11, 12, 13, 32]], _CLASS[10] = 6, 7
 
 
-def _odds(part: float, whole: float) -> float:
-    return float(np.log((part + 0.5) / (max(whole - part, 0) + 0.5)))
+def _odds(part: float, whole: float, usual: float, weight: float) -> float:
+    """Log-odds of a share, as if ``weight`` more had been seen with the ``usual`` share: short texts stay near it."""
+    return float(np.log((part + weight * usual) / (max(whole - part, 0) + weight * (1 - usual))))
 
 
 def statistics(text: bytes | None) -> list[float]:
@@ -50,12 +51,14 @@ def statistics(text: bytes | None) -> list[float]:
     pairs = len(np.unique(hashed[:-1] * np.uint64(3) + hashed[1:])) if words > 1 else 0
     lines = text.split(b"\n") if text else []
     full = [x for x in lines if x]
-    visible = max(1, chars - blank - newline)
+    visible = chars - blank - newline
+    often_most = int(often.max()) if words else 0
     return [
         np.log1p(words), np.log1p(chars), np.log1p(len(lines)),
-        _odds(upper, visible), _odds(lower, visible), _odds(digit, visible), _odds(stops, visible), _odds(other, visible), _odds(wide, visible), _odds(blank, max(1, chars)),
-        np.log1p(float((end - start).mean()) if words else 0.0), _odds(other, max(1, words)), _odds(len(distinct), max(1, words)), _odds(pairs, max(1, words - 1)),
-        _odds(int(often.max()) if words else 0, max(1, words)), np.log1p(words / max(1, len(full))), _odds(len(full) - len(set(full)), max(1, len(full))),
+        _odds(upper, visible, 0.02, 40), _odds(lower, visible, 0.93, 40), _odds(digit, visible, 0.002, 40), _odds(stops, visible, 0.02, 40),
+        _odds(other, visible, 0.002, 40), _odds(wide, visible, 0.03, 40), _odds(blank, chars, 0.15, 40),
+        np.log((int((end - start).sum()) + 6.0 * 10) / (words + 10)), _odds(other, words, 0.01, 20), _odds(len(distinct), words, 0.8, 20), _odds(pairs, words - 1, 0.98, 20),
+        _odds(often_most, words, 0.1, 20), np.log((words + 10.0) / (len(full) + 1)), _odds(len(full) - len(set(full)), len(full), 0.02, 4),
     ]
 
 
