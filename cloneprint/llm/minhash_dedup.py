@@ -32,8 +32,15 @@ BANDS = REGISTERS // ROWS
 SIGMAS = 5.0  # an estimate this many standard deviations under the threshold is still confirmed
 
 
+_LENDER = np.random.default_rng(9).random((REGISTERS, REGISTERS)).astype(np.float32)
+
+
 def registers(shingles: np.ndarray) -> np.ndarray:
-    """Sorted distinct 64-bit shingles to 256 16-bit registers; 0 is an empty one."""
+    """Sorted distinct 64-bit shingles to 256 16-bit registers.
+
+    An empty register borrows the value of the filled one that comes first in an order of its own, so that
+    any two sets agree on each register with about their Jaccard similarity, however small they are.
+    """
     out = np.zeros(REGISTERS, ">u2")
     if not len(shingles):
         return out
@@ -43,18 +50,20 @@ def registers(shingles: np.ndarray) -> np.ndarray:
     bits = np.frexp(np.maximum(low, 1).astype(np.float64))[1].astype(np.int64)
     zeros = np.clip(56 - bits, 0, 55)
     mantissa = ((low << zeros.astype(np.uint64)) >> np.uint64(55 - MANTISSA)) & np.uint64((1 << MANTISSA) - 1)
-    out[bucket[first]] = (zeros << MANTISSA) + mantissa.astype(np.int64) + 1
+    filled = bucket[first]
+    out[filled] = (zeros << MANTISSA) + mantissa.astype(np.int64) + 1
+    if len(filled) < REGISTERS:
+        empty = np.flatnonzero(out == 0)
+        out[empty] = out[filled[_LENDER[empty][:, filled].argmin(axis=1)]]
     return out
 
 
-def estimate(a: np.ndarray, b: np.ndarray, n: float, m: float) -> tuple[float, float]:
-    """Jaccard estimate of two register rows, less expected chance matches, and its standard deviation at 0.75."""
-    used = int(((a > 0) | (b > 0)).sum())
-    if not used:
-        return 0.0, 1.0
-    ratio = max(n, m) / max(1.0, min(n, m))
-    chance = 0.169919487159739 * 2.0 ** (8 - MANTISSA) * 4 * ratio / (1 + ratio) ** 2 * used / REGISTERS
-    return (int(((a == b) & (a > 0)).sum()) - chance) / used, (0.1875 / used) ** 0.5
+def estimate(a: np.ndarray, b: np.ndarray, n: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Jaccard estimates of register rows, corrected for chance matches, and their standard deviation at 0.75."""
+    ratio = np.maximum(n, m) / np.maximum(1.0, np.minimum(n, m))
+    chance = 0.169919487159739 * 2.0**-MANTISSA * 4 * ratio / (1 + ratio) ** 2
+    own = REGISTERS * (1 - np.exp(-np.minimum(n, m) / REGISTERS))  # registers with a value of their own
+    return ((a == b).mean(axis=1) - chance) / (1 - chance), np.sqrt(0.1875 / np.maximum(1.0, own))
 
 
 def _sketches(batches):
@@ -78,14 +87,11 @@ def _sets(batches):
 def _promising(percent: int):
     def run(batches):
         for batch in batches:
-            a, b, n, m, x, y = (batch.column(k).to_pylist() for k in range(6))
-            keep, est = [], []
-            for k in range(len(a)):
-                got, sd = estimate(np.frombuffer(x[k], ">u2"), np.frombuffer(y[k], ">u2"), n[k], m[k])
-                est.append(got)
-                keep.append(got >= percent / 100 - SIGMAS * sd)
-            out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(est, pa.float64())], ["a", "b", "est"])
-            yield out.filter(pa.array(keep, pa.bool_()))
+            n, m = (batch.column(k).to_numpy(zero_copy_only=False).astype(float) for k in (2, 3))
+            x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), ">u2").reshape(-1, REGISTERS) for k in (4, 5))
+            est, sd = estimate(x, y, n, m)
+            out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(est)], ["a", "b", "est"])
+            yield out.filter(pa.array(est >= percent / 100 - SIGMAS * sd))
 
     return run
 
@@ -119,7 +125,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     def bands() -> DataFrame:
         slot = F.explode(F.sequence(F.lit(0), F.lit(BANDS - 1))).alias("band")
         cut = F.expr(f"substring(regs, band * {2 * ROWS} + 1, {2 * ROWS})")
-        return reps.select("rep", "regs", slot).select("rep", F.col("band"), cut.alias("cut")).where(F.col("cut") != F.lit(b"\0" * 2 * ROWS)).select("rep", F.xxhash64("band", "cut").alias("key"))
+        return reps.select("rep", "regs", slot).select("rep", F.xxhash64("band", cut).alias("key"))
 
     leaders = scratch.keep(
         bands().groupBy("key").agg(F.min_by("rep", F.xxhash64("rep", "key")).alias("leader"), F.count("*").alias("size")).where("size > 1"), "leaders"
