@@ -2,55 +2,28 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.store import Store
 
-def scratch_root(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``.
-
-    Only a local session may lack the setting; it then gets a folder of its own.
-    """
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    root = getattr(scratch_root, "local", None)
-    if root is None:
-        root = scratch_root.local = "file://" + tempfile.mkdtemp(prefix="cloneprint-")
-    return root
-
-
-class Scratch:
-    """Tables written once to the shared folder and read again.
-
-    A written table cuts the lineage, survives lost executors, and gives later
-    joins plain scans as inputs, so adaptive execution may split their hot keys.
-    """
-
-    def __init__(self, spark: SparkSession, tag: str):
-        self.spark, self.base = spark, f"{scratch_root(spark)}/{tag}-{uuid.uuid4().hex}"
 
-    def path(self, name: str) -> str:
-        return f"{self.base}/{name}"
+class Scratch(Store):
+    """A store whose tables are compressed more, and which can bound the rows of an Arrow batch while it writes wide rows."""
 
-    def keep(self, df: DataFrame, name: str) -> DataFrame:
-        df.write.option("compression", "zstd").parquet(self.path(name))
+    def keep(self, df: DataFrame, name: str, batch: int | None = None) -> DataFrame:
+        key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+        before = self.spark.conf.get(key)
+        if batch:
+            self.spark.conf.set(key, str(batch))
+        try:
+            df.write.option("compression", "zstd").parquet(self.path(name))
+        finally:
+            self.spark.conf.set(key, before)
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
-    def drop(self, *names: str) -> None:
-        """Removes tables that no later result reads."""
-        jvm = self.spark.sparkContext._jvm
-        for name in names:
-            at = jvm.org.apache.hadoop.fs.Path(self.path(name))
-            at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-
 
 def read_table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")

@@ -203,7 +203,7 @@ def near_duplicates(vectors: DataFrame, cosine: float = COSINE, codes: int = COD
         links = found if links is None else links.unionByName(found)
     if links is None:
         links = spark.createDataFrame([], "a long, b long, links long")
-    links = scratch.keep(links, "links")
+    links = scratch.keep(links, "links", batch=64)
     label = connected_components(links.where("a <> b").select("a", "b"), scratch).withColumnRenamed("node", "rep").withColumnRenamed("label", "root")
     counts = scratch.keep(links.groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links")), "counts")
     per_class = classes.select("h", "label", "v", "rep", "n").join(counts, "rep", "left").join(label, "rep", "left")

@@ -5,9 +5,9 @@ by eight hash bits, and keeps the smallest remaining value as a leading-zero cou
 mantissa bits. Runs of five registers are band keys. In each bucket every member is paired with
 one leader (drawn by hash, so that bands differ), the pair's registers give a
 collision-corrected Jaccard estimate, and what may reach the threshold is confirmed on the
-full shingle sets. Members of buckets that still lie in different components are then paired
-across those components, so no link that a band shows is lost, yet a group of copies
-never expands to all its pairs.
+full shingle sets. Members of a bucket that still lie in different components are then compared across
+those components: block by block against large components, where a member is done with its first link, and block by block within the
+bucket for the rest. So no link that a band shows is lost, yet a group of copies never expands to all its pairs.
 
 Equal shingle sets are one class from the start: they have Jaccard 1, and only the class's
 smallest id is compared further.
@@ -29,7 +29,8 @@ from . import common, words
 
 REGISTERS, MANTISSA, ROWS = 256, 10, 5
 BANDS = REGISTERS // ROWS
-SIGMAS = 5.0  # an estimate this many standard deviations under the threshold is still confirmed
+LARGE, BLOCK, BLOCK_BYTES = 32, 256, 1 << 20  # members of a large component; rows and bytes of a block
+SIGMAS = 4.0  # an estimate this many standard deviations under the threshold is still confirmed
 
 
 _LENDER = np.random.default_rng(9).random((REGISTERS, REGISTERS)).astype(np.float32)
@@ -134,8 +135,8 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     pairs = member.where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).distinct()
     sized = _with_registers(scratch.keep(pairs, "pairs"), reps, percent)
     likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely")
-    scratch.drop("pairs")
-    sets = scratch.keep(_shingle_sets(base, likely), "sets")
+    wanted = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).union(member.where("size > 2").select("rep"))
+    sets = scratch.keep(_shingle_sets(base, wanted), "sets")
 
     # first each member with its likeliest leader, then what that leaves in different components
     best = likely.groupBy("a").agg(F.max_by("b", F.struct("est", "b")).alias("b"))
@@ -145,21 +146,18 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     more = scratch.keep(_confirm(rest, sets, percent), "links2")
     links = links.unionByName(more)
     label = common.connected_components(links, scratch, "c2")
-    scratch.drop("best")
+    scratch.drop("best", "rest", "pairs")
 
     # members of one bucket in different components, neither the bucket's leader: not compared yet
-    mine = scratch.keep(
-        member.where("size > 2").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "leader", F.coalesce("label", "rep").alias("label")), "mine"
-    )
-    split = scratch.keep(mine.where("rep <> leader").groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key"), "split")
-    open_ = scratch.keep(mine.where("rep <> leader").join(split, "key").select("key", "rep", "label"), "open")
-    x, y = open_.select("key", F.col("rep").alias("a"), F.col("label").alias("la")), open_.select("key", F.col("rep").alias("b"), F.col("label").alias("lb"))
-    across = x.join(y, "key").where("la < lb").select("a", "b").distinct()
-    across = scratch.keep(_once(across), "across")
-    late = scratch.keep(_with_registers(across, reps, percent).mapInArrow(_promising(percent), "a long, b long, est double").select("a", "b"), "late")
-    last = scratch.keep(_confirm(late, scratch.keep(_shingle_sets(base, late), "sets2"), percent), "links3")
-    label = common.connected_components(links.unionByName(last), scratch, "c3")
-    scratch.drop("members", "mine", "split", "open", "across", "sets", "sets2", "rest", "likely", "late", "leaders")
+    mine = member.where("size > 2 and rep <> leader").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
+    mine = scratch.keep(mine, "mine")
+    split = scratch.keep(mine.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key"), "split")
+    open_ = scratch.keep(mine.join(split, "key").select("key", "rep", "label"), "open")
+    large = scratch.keep(open_.select("rep", "label").distinct().groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= LARGE).select("label"), "large")
+    late = scratch.keep(_against_large(open_, large, reps, sets, percent, scratch), "links3", batch=32)
+    late = late.unionByName(scratch.keep(_among_small(open_, large, reps, sets, likely, percent, scratch), "links4"))
+    label = common.connected_components(links.unionByName(late), scratch, "c3")
+    scratch.drop("members", "mine", "split", "open", "large", "sets", "likely", "leaders", "inside", "outside", "small", "near")
 
     by_set = classes.select("n", "fx", "fy", "rep")
     by_rep = label.withColumnRenamed("node", "rep")
@@ -181,11 +179,121 @@ def _with_registers(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFram
     return pairs.join(one, "a").join(two, "b").where(fits).select("a", "b", "n", "m", "x", "y")
 
 
-def _shingle_sets(base: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Full shingle sets of the documents in ``pairs``."""
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    found = base.join(ids, "doc_id", "left_semi").mapInArrow(_sets, "id long, items binary")
-    return found
+def _shingle_sets(base: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Full shingle sets of the documents in ``wanted``; sorted and merged whatever the size, as texts are the larger side."""
+    return base.join(wanted.distinct().hint("merge"), "doc_id", "left_semi").mapInArrow(_sets, "id long, items binary")
+
+
+_BLOCK = "key long, first long, ids binary, labels binary, sizes binary, regs binary, items binary"
+
+
+def _blocks(batches):
+    """Rows (key, id, label, n, regs, items) to blocks of one key."""
+    held: dict[int, list] = {}
+    names = [c.split()[0] for c in _BLOCK.split(", ")]
+
+    def out(key):
+        rows = held.pop(key)
+        ids, labels, sizes = (np.array([r[k] for r in rows], "<i8").tobytes() for k in range(3))
+        columns = [key, rows[0][0], ids, labels, sizes, b"".join(r[3] for r in rows), b"".join(r[4] or b"" for r in rows)]
+        kinds = [pa.int64(), pa.int64()] + [pa.binary()] * 5
+        return pa.RecordBatch.from_arrays([pa.array([c], t) for c, t in zip(columns, kinds, strict=True)], names)
+
+    total, size = 0, {}
+    for batch in batches:
+        for key, *row in zip(*(batch.column(k).to_pylist() for k in range(6)), strict=True):
+            held.setdefault(key, []).append(row)
+            more = 600 + len(row[4] or b"")
+            size[key], total = size.get(key, 0) + more, total + more
+            if len(held[key]) >= BLOCK or size[key] >= BLOCK_BYTES:
+                total -= size.pop(key)
+                yield out(key)
+            elif total > 64 * BLOCK_BYTES:
+                for k in list(held):
+                    yield out(k)
+                total, size = 0, {}
+    for k in list(held):
+        yield out(k)
+
+
+def _unpacked(row: dict, side: str):
+    ids, labels, sizes = (np.frombuffer(row[f"{side}_{c}"], "<i8") for c in ("ids", "labels", "sizes"))
+    return ids, labels, sizes, np.frombuffer(row[f"{side}_regs"], ">u2").reshape(-1, REGISTERS)
+
+
+def _reaches_large(percent: int):
+    """Blocks of outsiders (p) and of a component's members (q): each outsider's first confirmed link."""
+
+    def run(batches):
+        for batch in batches:
+            a, b = [], []
+            for row in batch.to_pylist():
+                (p, _, n, x), (q, _, m, y) = _unpacked(row, "p"), _unpacked(row, "q")
+                p_at, q_at = np.concatenate(([0], np.cumsum(n))), np.concatenate(([0], np.cumsum(m)))
+                one, two = np.frombuffer(row["p_items"], np.uint64), np.frombuffer(row["q_items"], np.uint64)
+                for i in range(len(p)):
+                    est, sd = estimate(x[i], y, np.full(len(m), float(n[i])), m.astype(float))
+                    fits = (np.minimum(n[i], m) * 100 >= np.maximum(n[i], m) * percent) & (est >= percent / 100 - SIGMAS * sd)
+                    for j in sorted(np.flatnonzero(fits).tolist(), key=lambda j: -est[j]):
+                        shared = len(np.intersect1d(one[p_at[i] : p_at[i + 1]], two[q_at[j] : q_at[j + 1]], assume_unique=True))
+                        if 100 * shared >= percent * (n[i] + m[j] - shared):
+                            a.append(int(p[i]))
+                            b.append(int(q[j]))
+                            break
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    return run
+
+
+def _promising_blocks(percent: int):
+    """Two blocks of a bucket, or one with itself: pairs of different components that may reach the threshold."""
+
+    def run(batches):
+        for batch in batches:
+            a, b = [], []
+            for row in batch.to_pylist():
+                (p, k, n, x), (q, c, m, y) = _unpacked(row, "p"), _unpacked(row, "q")
+                for i in range(len(p)):
+                    est, sd = estimate(x[i], y, np.full(len(m), float(n[i])), m.astype(float))
+                    fits = (c != k[i]) & (np.minimum(n[i], m) * 100 >= np.maximum(n[i], m) * percent) & (est >= percent / 100 - SIGMAS * sd)
+                    if row["p_first"] == row["q_first"]:
+                        fits &= q > p[i]
+                    hit = np.flatnonzero(fits)
+                    a += [int(p[i])] * len(hit)
+                    b += q[hit].tolist()
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    return run
+
+
+def _side(blocks: DataFrame, name: str) -> DataFrame:
+    return blocks.select("key", *[F.col(c.split()[0]).alias(f"{name}_{c.split()[0]}") for c in _BLOCK.split(", ")[1:]])
+
+
+def _against_large(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: DataFrame, percent: int, scratch: common.Scratch) -> DataFrame:
+    """Links from large components to others that share a bucket with them; sets travel in blocks, and pairs are never listed."""
+    inside = open_.join(large, "label", "left_semi").select(F.col("label").alias("key"), "rep", "label").distinct()
+    there = open_.join(large, "label", "left_semi").select("key", F.col("label").alias("of")).distinct()
+    outside = open_.join(there, "key").where("label <> of").select(F.col("of").alias("key"), "rep", "label").distinct()
+    whole = reps.join(sets.withColumnRenamed("id", "rep"), "rep")
+    tables = []
+    for name, rows in (("inside", inside), ("outside", outside)):
+        full = rows.join(whole, "rep").select("key", "rep", "label", "n", "regs", "items")
+        tables.append(scratch.keep(full.mapInArrow(_blocks, _BLOCK), name))
+    pairs = _side(tables[1], "p").join(_side(tables[0], "q"), "key").drop("key")
+    return pairs.mapInArrow(_reaches_large(percent), "a long, b long")
+
+
+def _among_small(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: DataFrame, likely: DataFrame, percent: int, scratch: common.Scratch) -> DataFrame:
+    """Links between small components that share a bucket: registers are compared in blocks, what may reach the threshold is confirmed."""
+    rest = open_.join(large, "label", "left_anti")
+    split = rest.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key")
+    full = rest.join(split, "key", "left_semi").join(reps, "rep").select("key", "rep", "label", "n", "regs", F.lit(None).cast("binary").alias("items"))
+    blocks = scratch.keep(full.repartition("key").sortWithinPartitions("key", "rep").mapInArrow(_blocks, _BLOCK), "small")
+    pairs = _side(blocks, "p").join(_side(blocks, "q"), "key").where("p_first <= q_first").drop("key", "p_items", "q_items")
+    near = _once(pairs.mapInArrow(_promising_blocks(percent), "a long, b long"))
+    near = scratch.keep(near.join(_once(likely), ["a", "b"], "left_anti"), "near", batch=32)
+    return _confirm(near, sets, percent)
 
 
 def _confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
