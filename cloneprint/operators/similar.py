@@ -16,7 +16,9 @@ K, THRESHOLD = 3, 0.7
 
 def shingled(units: DataFrame, id_col: str, text: str, k: int = K) -> DataFrame:
     """(id, set, set_key) of units with at least k words; the set is sorted."""
-    found = units.select(F.col(id_col).alias("id"), F.array_sort(T.shingles(T.words(F.col(text)), k)).alias("set")).where(F.size("set") > 0)
+    # words in a projection of their own, else each run would extract them again
+    split = units.select(F.col(id_col).alias("id"), T.words(F.col(text)).alias("w"))
+    found = split.select("id", F.array_sort(T.shingles(F.col("w"), k)).alias("set")).where(F.size("set") > 0)
     return found.withColumn("set_key", F.md5(F.array_join("set", "|")))
 
 
@@ -53,8 +55,10 @@ def prefix_join(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
 def minhash_join(sets: DataFrame, threshold: float = THRESHOLD, bands: int = 24, rows: int = 4) -> DataFrame:
     """Pairs that share a band of ``rows`` minima, verified; misses a pair at 0.7 about once in 700."""
-    minima = F.transform(F.sequence(F.lit(0), F.lit(bands * rows - 1)), lambda k: F.array_min(F.transform("set", lambda g: F.xxhash64(g, k))))
-    keys = sets.select("rep", minima.alias("m")).select("rep", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: F.xxhash64(k, F.slice("m", k * rows + 1, rows)))).alias("band", "key"))
+    each = sets.select("rep", F.explode("set").alias("g")).select("rep", F.xxhash64("g").alias("g"))
+    minima = each.groupBy("rep").agg(*[F.min(F.xxhash64("g", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)])
+    key = F.array(*[F.xxhash64(F.lit(b), *[f"m{b * rows + r}" for r in range(rows)]) for b in range(bands)])
+    keys = minima.select("rep", F.posexplode(key).alias("band", "key"))
     a, b = keys.select("band", "key", F.col("rep").alias("a")), keys.select("band", "key", F.col("rep").alias("b"))
     return _verified(a.join(b, ["band", "key"]).where("a < b").select("a", "b").distinct(), sets, threshold)
 
