@@ -46,8 +46,10 @@ def labels(text: Column, level: str = "exact") -> Column:
 
 def shingles(word_array: Column, k: int) -> Column:
     """Distinct runs of k words; empty if there are fewer."""
-    runs = F.transform(F.sequence(F.lit(1), F.size(word_array) - (k - 1)), lambda i: F.array_join(F.slice(word_array, i, k), " "))
-    return F.when(F.size(word_array) >= k, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+    runs = word_array
+    for shift in range(1, k):  # the array beside itself, shifted; what overhangs is null
+        runs = F.zip_with(runs, F.slice(word_array, shift + 1, 1 << 30), lambda a, b: F.concat(a, F.lit(" "), b))
+    return F.array_distinct(F.filter(runs, lambda r: r.isNotNull()))
 
 
 def declared_name(text: Column, least: int = 4) -> Column:
