@@ -29,7 +29,7 @@ from . import common, words
 
 REGISTERS, MANTISSA, ROWS = 256, 10, 5
 BANDS = REGISTERS // ROWS
-LARGE, BLOCK, BLOCK_BYTES = 32, 256, 1 << 20  # members of a large component; rows and bytes of a block
+LARGE, BLOCK, BLOCK_BYTES = 32, 256, 1 << 19  # members of a large component; rows and bytes of a block
 SIGMAS = 4.0  # an estimate this many standard deviations under the threshold is still confirmed
 
 
@@ -116,7 +116,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     spark = docs.sparkSession
     scratch = common.Scratch(spark, "minhash")
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    sketch = scratch.keep(base.mapInArrow(_sketches, "doc_id long, n long, fx long, fy long, regs binary"), "sketch")
+    sketch = scratch.keep(base.mapInArrow(_sketches, "doc_id long, n long, fx long, fy long, regs binary"), "sketch", batch=2000)
 
     # classes of equal sets
     full = sketch.where("n > 0 and doc_id is not null")
@@ -134,16 +134,16 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     member = scratch.keep(bands().join(leaders, "key").select("key", "rep", "leader", "size"), "members")
     pairs = member.where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).distinct()
     sized = _with_registers(scratch.keep(pairs, "pairs"), reps, percent)
-    likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely")
+    likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely", batch=4000)
     wanted = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).union(member.where("size > 2").select("rep"))
-    sets = scratch.keep(_shingle_sets(base, wanted), "sets")
+    sets = scratch.keep(_shingle_sets(base, wanted), "sets", batch=2000)
 
     # first each member with its likeliest leader, then what that leaves in different components
     best = likely.groupBy("a").agg(F.max_by("b", F.struct("est", "b")).alias("b"))
-    links = scratch.keep(_confirm(scratch.keep(_once(best), "best"), sets, percent), "links1")
+    links = scratch.keep(_confirm(scratch.keep(_once(best), "best"), sets, percent), "links1", batch=256)
     label = common.connected_components(links, scratch, "c1")
     rest = scratch.keep(_apart(likely.select("a", "b"), label), "rest")
-    more = scratch.keep(_confirm(rest, sets, percent), "links2")
+    more = scratch.keep(_confirm(rest, sets, percent), "links2", batch=256)
     links = links.unionByName(more)
     label = common.connected_components(links, scratch, "c2")
     scratch.drop("best", "rest", "pairs")
@@ -153,9 +153,9 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     mine = scratch.keep(mine, "mine")
     split = scratch.keep(mine.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key"), "split")
     open_ = scratch.keep(mine.join(split, "key").select("key", "rep", "label"), "open")
-    large = scratch.keep(open_.select("rep", "label").distinct().groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= LARGE).select("label"), "large")
-    late = scratch.keep(_against_large(open_, large, reps, sets, percent, scratch), "links3", batch=32)
-    late = late.unionByName(scratch.keep(_among_small(open_, large, reps, sets, likely, percent, scratch), "links4"))
+    large = scratch.keep(open_.select("rep", "label").distinct().groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= LARGE), "large")
+    late = scratch.keep(_against_large(open_, large, reps, sets, percent, scratch), "links3", batch=8)
+    late = late.unionByName(scratch.keep(_among_small(open_, large, reps, sets, likely, percent, scratch), "links4", batch=256))
     label = common.connected_components(links.unionByName(late), scratch, "c3")
     scratch.drop("members", "mine", "split", "open", "large", "sets", "likely", "leaders", "inside", "outside", "small", "near")
 
@@ -208,7 +208,7 @@ def _blocks(batches):
             if len(held[key]) >= BLOCK or size[key] >= BLOCK_BYTES:
                 total -= size.pop(key)
                 yield out(key)
-            elif total > 64 * BLOCK_BYTES:
+            elif total > 32 * BLOCK_BYTES:
                 for k in list(held):
                     yield out(k)
                 total, size = 0, {}
@@ -273,13 +273,15 @@ def _side(blocks: DataFrame, name: str) -> DataFrame:
 def _against_large(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: DataFrame, percent: int, scratch: common.Scratch) -> DataFrame:
     """Links from large components to others that share a bucket with them; sets travel in blocks, and pairs are never listed."""
     inside = open_.join(large, "label", "left_semi").select(F.col("label").alias("key"), "rep", "label").distinct()
-    there = open_.join(large, "label", "left_semi").select("key", F.col("label").alias("of")).distinct()
-    outside = open_.join(there, "key").where("label <> of").select(F.col("of").alias("key"), "rep", "label").distinct()
+    there = open_.join(large, "label").select("key", F.col("label").alias("of"), F.col("size").alias("of_size")).distinct()
+    # of two large components the smaller is the outsider
+    sized = open_.join(large, "label", "left").select("key", "rep", "label", F.coalesce("size", F.lit(0)).alias("size"))
+    outside = sized.join(there, "key").where("struct(size, label) < struct(of_size, of)").select(F.col("of").alias("key"), "rep", "label").distinct()
     whole = reps.join(sets.withColumnRenamed("id", "rep"), "rep")
     tables = []
     for name, rows in (("inside", inside), ("outside", outside)):
         full = rows.join(whole, "rep").select("key", "rep", "label", "n", "regs", "items")
-        tables.append(scratch.keep(full.mapInArrow(_blocks, _BLOCK), name))
+        tables.append(scratch.keep(full.mapInArrow(_blocks, _BLOCK), name, batch=256))
     pairs = _side(tables[1], "p").join(_side(tables[0], "q"), "key").drop("key")
     return pairs.mapInArrow(_reaches_large(percent), "a long, b long")
 
@@ -289,10 +291,10 @@ def _among_small(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: Data
     rest = open_.join(large, "label", "left_anti")
     split = rest.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key")
     full = rest.join(split, "key", "left_semi").join(reps, "rep").select("key", "rep", "label", "n", "regs", F.lit(None).cast("binary").alias("items"))
-    blocks = scratch.keep(full.repartition("key").sortWithinPartitions("key", "rep").mapInArrow(_blocks, _BLOCK), "small")
+    blocks = scratch.keep(full.repartition("key").sortWithinPartitions("key", "rep").mapInArrow(_blocks, _BLOCK), "small", batch=1000)
     pairs = _side(blocks, "p").join(_side(blocks, "q"), "key").where("p_first <= q_first").drop("key", "p_items", "q_items")
     near = _once(pairs.mapInArrow(_promising_blocks(percent), "a long, b long"))
-    near = scratch.keep(near.join(_once(likely), ["a", "b"], "left_anti"), "near", batch=32)
+    near = scratch.keep(near.join(_once(likely), ["a", "b"], "left_anti"), "near", batch=64)
     return _confirm(near, sets, percent)
 
 
