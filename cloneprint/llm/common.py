@@ -58,12 +58,13 @@ def local_forest(batches):
     yield flush()
 
 
-def connected_components(edges: DataFrame, scratch: Scratch, name: str = "cc") -> DataFrame:
+def connected_components(edges: DataFrame, scratch: Scratch, name: str = "cc", rounds: int | None = None) -> DataFrame:
     """(a, b) long edges to (node, label): the smallest id reachable, for every id with an edge.
 
     Each partition first shrinks to a forest; then rounds of smallest-neighbour labels
     with pointer jumping run until a round changes nothing. Hot nodes are harmless: minima
-    are combined before the shuffle, and joins read written tables, so hot keys split.
+    are combined before the shuffle, and joins read written tables, so hot keys split. With ``rounds``, equal labels
+    still mean one component, but one component may keep several labels.
     """
     spark = edges.sparkSession
     star = scratch.keep(edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).mapInArrow(local_forest, "a long, b long"), f"{name}-e")
@@ -79,7 +80,7 @@ def connected_components(edges: DataFrame, scratch: Scratch, name: str = "cc") -
         lower = scratch.keep(labels.unionByName(up).unionByName(down).groupBy("node").agg(F.min("label").alias("label")), f"{name}-{step}m")
         jump = lower.select(F.col("node").alias("label"), F.col("label").alias("to"))
         new = scratch.keep(lower.join(jump, "label", "left").select("node", F.coalesce("to", "label").alias("label")), f"{name}-{step}")
-        changed = new.join(labels.withColumnRenamed("label", "old"), "node").where("label <> old").limit(1).count()
+        changed = step != rounds and new.join(labels.withColumnRenamed("label", "old"), "node").where("label <> old").limit(1).count()
         scratch.drop(f"{name}-{step - 1}", f"{name}-{step}m")
         labels = new
         if not changed:

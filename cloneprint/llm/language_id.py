@@ -306,7 +306,8 @@ def train(texts: list[str], langs: list[str]) -> Model:
     tables = np.zeros(counts.shape, np.float32)
     for order in range(len(ORDERS)):
         share = (counts[order] + 0.5) / (counts[order].sum(axis=0) + 0.5 * TABLE)
-        tables[order] = np.log(share / share.mean(axis=1, keepdims=True)).clip(-4, 4) / len(ORDERS)
+        if names:
+            tables[order] = np.log(share / share.mean(axis=1, keepdims=True)).clip(-4, 4) / len(ORDERS)
     return Model(names, tables, seen > 0.001 * np.maximum(1, seen.sum(axis=0)))
 
 

@@ -29,6 +29,7 @@ from . import common, words
 
 REGISTERS, MANTISSA, ROWS = 256, 10, 5
 BANDS = REGISTERS // ROWS
+SMALL, LEADERS = 8, 6  # a small bucket's members; leaders that a member of larger ones is compared with first
 LARGE, BLOCK, BLOCK_BYTES = 32, 256, 1 << 19  # members of a large component; rows and bytes of a block
 SIGMAS = 4.0  # an estimate this many standard deviations under the threshold is still confirmed
 
@@ -132,7 +133,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
         bands().groupBy("key").agg(F.min_by("rep", F.xxhash64("rep", "key")).alias("leader"), F.count("*").alias("size")).where("size > 1"), "leaders"
     )
     member = scratch.keep(bands().join(leaders, "key").select("key", "rep", "leader", "size"), "members")
-    pairs = member.where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).distinct()
+    # buckets beyond SMALL give each member a few of their leaders, which only hastens what the blocks below make complete
+    few = F.slice(F.array_sort(F.collect_set(F.struct(F.xxhash64("rep", "leader").alias("h"), "leader"))), 1, LEADERS)
+    from_large = member.where(F.col("size") > SMALL).where("rep <> leader").groupBy("rep").agg(few.alias("few")).select(F.col("rep").alias("a"), F.explode("few.leader").alias("b"))
+    pairs = member.where(F.col("size") <= SMALL).where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).union(from_large).distinct()
     sized = _with_registers(scratch.keep(pairs, "pairs"), reps, percent)
     likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely", batch=4000)
     wanted = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).union(member.where("size > 2").select("rep"))
@@ -141,15 +145,16 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     # first each member with its likeliest leader, then what that leaves in different components
     best = likely.groupBy("a").agg(F.max_by("b", F.struct("est", "b")).alias("b"))
     links = scratch.keep(_confirm(scratch.keep(_once(best), "best"), sets, percent), "links1", batch=256)
-    label = common.connected_components(links, scratch, "c1")
+    label = common.connected_components(links, scratch, "c1", rounds=1)  # only saves comparisons, so need not be complete
     rest = scratch.keep(_apart(likely.select("a", "b"), label), "rest")
     more = scratch.keep(_confirm(rest, sets, percent), "links2", batch=256)
     links = links.unionByName(more)
     label = common.connected_components(links, scratch, "c2")
     scratch.drop("best", "rest", "pairs")
 
-    # members of one bucket in different components, neither the bucket's leader: not compared yet
-    mine = member.where("size > 2 and rep <> leader").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
+    # members of one bucket in different components that were not compared yet: in a small bucket all but its leader
+    unsettled = (F.col("size") > SMALL) | ((F.col("size") > 2) & (F.col("rep") != F.col("leader")))
+    mine = member.where(unsettled).join(label.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
     mine = scratch.keep(mine, "mine")
     split = scratch.keep(mine.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key"), "split")
     open_ = scratch.keep(mine.join(split, "key").select("key", "rep", "label"), "open")
