@@ -236,6 +236,11 @@ def function_ratio(spark, d):
     return B.function_ratio(_subject_prints(spark, d), _component_prints(spark, d))
 
 
+def function_ratio_similar(spark, d):
+    subject = _sentences(spark, d).select(F.col("doc_id").alias("subject"), F.col("sentence").alias("text"))
+    return B.function_ratio_similar(subject, _items(spark, d).select(F.col("item_id").alias("component"), F.col("sentence").alias("text")))
+
+
 def theta_sweep(spark, d):
     return B.theta_sweep(_subject_prints(spark, d, 0), _component_prints(spark, d, 0), list(THETAS)).groupBy("theta").agg(F.count("*").alias("n_pairs"))
 
@@ -409,7 +414,7 @@ QUERIES = {
     "refine_percentile": percentile, "refine_central_half": central_half, "refine_cutoff_calibration": cutoff,
     "refine_merge_group": merge_group, "refine_origin_mono": _origin("mono"), "refine_origin_shuffled": _origin("shuffled"), "refine_origin_flip": origin_flip, "refine_missing_source": missing_source,
     "detect_match": match, "detect_flagship": flagship, "detect_no_self": no_self, "detect_versions": versions, "detect_outdated": outdated, "detect_false_positives": false_positives, "detect_reuse_reason": reason, "detect_top_evidence": top_evidence,
-    "base_function_ratio": function_ratio, "base_theta_sweep": theta_sweep, "base_function_db": function_db, "base_file_hash": file_hash, "base_path": file_path, "base_manifest": manifest,
+    "base_function_ratio": function_ratio, "base_function_ratio_similar": function_ratio_similar, "base_theta_sweep": theta_sweep, "base_function_db": function_db, "base_file_hash": file_hash, "base_path": file_path, "base_manifest": manifest,
     "truth_contains": _truth, "truth_path": truth_path, "truth_phrase": truth_phrase, "truth_licence": truth_licence, "truth_author": truth_author, "truth_union": truth_union,
     "rq1_accuracy": accuracy, "rq1_ablation": ablation, "rq2_size_profile": size_profile, "rq3_prevalence": prevalence, "rq3_correlation": correlation, "rq3_improvement": improvement,
     "rq3_improvement_trade": improvement_trade, "rq3_means_trade": means_trade, "rq3_correlation_trade": correlation_trade, "rq3_prevalence_trade": prevalence_trade, "stat_sample_size": stat_sample_size, "stat_sample": stat_sample,
@@ -448,6 +453,7 @@ _AUTHOR = r"authors as (select distinct doc_id, unnest(regexp_extract_all(text,
 _NW = lambda x: f"list_filter(string_split(lower(regexp_replace(regexp_replace({x}, '([a-z0-9])([A-Z])', '\\1 \\2', 'g'), '[^A-Za-z0-9]+', ' ', 'g')), ' '), lambda w: w <> '')"
 _CX = Q.complexity("line")
 _PARTS = "list_filter(string_split_regex(regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1), '[/.]'), lambda p: p <> '')"
+_SHAPE = "case when regexp_matches(t, '^[0-9]+$') then 'NUM' when regexp_matches(t, '^[A-Z]') then 'CAP' when regexp_matches(t, '^\\w') then 'WORD' else t end"
 
 ORACLE = {
     "extract_calls": f"with recursive {Q.LINES}, {Q.CALLS} select doc_id as class_id, caller, callee, n from calls",
@@ -455,6 +461,7 @@ ORACLE = {
     "extract_linked": f"{_X}, {Q.LINKED} select doc_id as class_id, fn, linked from linked",
     "extract_print_additive": f"{_X}, {Q.LINKED} select doc_id as class_id, {Q.mod('sum(cast(linked as hugeint) + ' + Q.h(chr(39) + 'FUNCTION' + chr(39)) + ') + ' + Q.h(chr(39) + 'CLASS' + chr(39)))} as print from linked l where not exists (select 1 from kept k where k.doc_id = l.doc_id and k.callee = l.fn) group by doc_id",
     "extract_print_mixed": f"{_L}, {_MIXED} select * from mixed",
+    "extract_print_shape": f"{_L} select doc_id as class_id, pos, {Q.bag('line').replace('md5(t)', 'md5(' + _SHAPE + ')')} as print from lines",
     "extract_collisions": f"{_L}, {_MIXED}, bags as (select doc_id as class_id, {Q.mod('sum(own)')} as print from (select doc_id, {Q.bag('lower(line)')} as own from lines) group by doc_id) select b.print, count(*) as n_classes, count(distinct m.print) as n_mixed from bags b join mixed m using (class_id) group by b.print having count(distinct m.print) > 1",
     "refine_complexity": f"{_L} select doc_id, pos, round({_CX}, 6) as value from lines",
     "refine_complexity_linear": f"{_L} select doc_id, pos, round({Q.complexity('line', 'linear')}, 6) as value from lines",
@@ -486,6 +493,11 @@ ORACLE = {
     "detect_reuse_reason": f"{_S}, {_SP(MIN_CHARS)} select subject, component, share, case when share >= 1 then 'whole copy' else 'partial copy' end as reason from (select subject, component, round(count(distinct print) / any_value(size), 6) as share from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component)",
     "detect_top_evidence": f"{_S}, {_FLAG} select subject, component, n_evidence from flag qualify row_number() over (partition by subject order by n_evidence desc, component) <= 1",
     "base_function_ratio": f"{_S}, {_SP(MIN_CHARS)} select subject, component, count(*) as shared, round(count(*) / any_value(size), 6) as ratio from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component having round(count(*) / any_value(size), 6) >= 0.15",
+    "base_function_ratio_similar": rf"""{_S}, sw as (select doc_id as subject, regexp_extract_all(s, '{Q.WORD}') as w from sents where length(s) > {MIN_CHARS}), cw as (select item_id as component, regexp_extract_all(s, '{Q.WORD}') as w from b_sents where length(s) > {MIN_CHARS}),
+sg as materialized (select distinct subject, {Q.grams('w')} as g from sw where len(w) >= 3), cg as materialized (select distinct component, {Q.grams('w')} as g from cw where len(w) >= 3),
+sp as (select g, unnest(g) as x from (select distinct g from sg)), cp as (select g, unnest(g) as x from (select distinct g from cg)),
+near as (select sp.g as a, cp.g as b from sp join cp using (x) group by sp.g, cp.g having round(count(*) / (len(sp.g) + len(cp.g) - count(*)), 6) >= 0.7)
+select subject, component, count(*) as shared, round(count(*) / any_value(size), 6) as ratio from (select distinct subject, component, cg.g from sg join near on a = sg.g join cg on cg.g = b) join (select component, count(*) as size from cg group by all) using (component) group by subject, component having round(count(*) / any_value(size), 6) >= 0.15""",
     "base_theta_sweep": f"{_S}, {_SP(0)}, r as (select subject, component, round(count(*) / any_value(size), 6) as ratio from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component) select theta, count(*) as n_pairs from r join (select cast(unnest({list(THETAS)}) as double) as theta) on ratio >= theta group by theta",
     "base_function_db": f"{_S}, p as (select source as group_id, {Q.bag('s')} as print from sents where length(s) > {MIN_CHARS}) select print, count(distinct group_id) as n_groups, min(group_id) as group_id from p group by print",
     "base_file_hash": f"with f as (select distinct source, {Q.NORMAL('text')} as hash from documents where text <> '') select distinct a.source as subject, b.source as component from f a join f b using (hash) where a.source < b.source",

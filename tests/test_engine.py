@@ -266,3 +266,28 @@ def test_plans(spark):
     assert not explain.uses_python(df)
     assert all("n_chars" not in c and "lang" not in c for c in explain.read_columns(df))
     assert "CartesianProduct" not in explain.operators(df)
+
+
+def test_index_store(spark, tmp_path):
+    from cloneprint.sources import index_store as I
+
+    index = spark.createDataFrame([(1, "g", "2020", [("a", 1)])], "print long, group_id string, first_at string, av array<struct<artifact_id:string,version:int>>")
+    I.write_index(index, str(tmp_path / "i"), N.DetectConfig())
+    assert I.load_index(spark, str(tmp_path / "i"), N.DetectConfig()).count() == 1
+    with pytest.raises(ValueError):
+        I.load_index(spark, str(tmp_path / "i"), N.DetectConfig(loop_scope="all"))
+
+
+def test_late_rows_are_dropped(spark, tmp_path):
+    kind = "ts timestamp, k string, value double"
+    for k, rows in enumerate([[("2024-01-01 10:00:00", 1.0)], [("2024-01-01 15:00:00", 2.0)], [("2024-01-01 10:01:00", 4.0), ("2024-01-01 15:01:00", 8.0)]]):
+        spark.createDataFrame([(t, "a", v) for t, v in rows], "ts string, k string, value double").select(F.col("ts").cast("timestamp"), "k", "value").coalesce(1).write.parquet(str(tmp_path / "in" / f"d={k}"))
+        # files are taken by time of change
+        import os
+        import time
+
+        for f in (tmp_path / "in" / f"d={k}").iterdir():
+            os.utime(f, (time.time() - 100 + k, time.time() - 100 + k))
+    stream = spark.readStream.schema(kind).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
+    rows = X.latest(X.changes(X.windowed(stream, "ts", "1 hour", F.window("ts", "1 hour"), "k"), "late"), "start", "k")
+    assert sorted(r["total"] for r in rows.collect()) == [1.0, 10.0]
