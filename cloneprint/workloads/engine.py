@@ -199,7 +199,7 @@ def flagship(spark, d):
 
 
 def _doc_evidence(spark, d):
-    index = R.build_index(_features(spark, d).where(F.lit(True)))
+    index = R.build_index(_features(spark, d))
     subject = E.additive_print(_lines(spark, d).where(F.length("line") > 100), "line", F.col("source").alias("subject"), F.col("doc_id").alias("class_id"))
     return N.match(subject, index, exclude_self=True)
 
@@ -287,13 +287,11 @@ def truth_phrase(spark, d):
 
 def truth_licence(spark, d):
     docs = table(spark, d, "documents", F.col("doc_id").alias("subject"), F.col("text").alias("subject_text"))
-    items = table(spark, d, "benchmark", F.col("item_id").alias("component"), F.col("text").alias("component_text"))
     # the licensed side is the document that first holds the passage, its copies are the subjects
     pairs = _truth(spark, d)
     first = pairs.groupBy("component").agg(F.min("subject").alias("origin"))
     held = pairs.join(first, "component").where("subject <> origin").join(docs, "subject")
     origin = docs.select(F.col("subject").alias("origin"), F.col("subject_text").alias("component_text"))
-    del items
     return G.licence_evidence(held.join(origin, "origin"))
 
 
@@ -422,7 +420,7 @@ QUERIES = {
 
 _L, _S = f"with {Q.LINES}", f"with {Q.LINES}, {Q.SENTENCES}, {Q.B_SENTENCES}"
 _X = f"with recursive {Q.LINES}, {Q.CALLS}, {Q.ACYCLIC}"
-_MIXED = f"""node as (select doc_id, {Q.h("'FUNCTION:' || cast(" + Q.mod("coalesce(list_sum(list_transform(list_filter(string_split_regex(lower(line), '" + Q.END + "'), lambda s: trim(s) <> ''), lambda s: cast(" + Q.h("'STATEMENT:' || cast(" + Q.bag("s").replace("lambda t", "lambda t") + " as varchar)") + " as hugeint))), 0)") + " as varchar)")} as node from lines),
+_MIXED = f"""node as (select doc_id, {Q.h("'FUNCTION:' || cast(" + Q.mod("coalesce(list_sum(list_transform(list_filter(string_split_regex(lower(line), '" + Q.END + "'), lambda s: trim(s) <> ''), lambda s: cast(" + Q.h("'STATEMENT:' || cast(" + Q.bag("s") + " as varchar)") + " as hugeint))), 0)") + " as varchar)")} as node from lines),
 mixed as (select doc_id as class_id, {Q.h("'CLASS:' || cast(" + Q.mod("sum(node)") + " as varchar)")} as print from node group by doc_id)"""
 _REL = lambda how: (
     "released as (select d.doc_id, d.source as group_id, d.source || ':' || d.lang as artifact_id, e.ts as released_at from documents d join events e on e.event_id = d.doc_id)" if how == "mono" else "released as (select d.doc_id, d.source as group_id, d.source || ':' || d.lang as artifact_id, o.o_orderdate as released_at from documents d join orders o on o.o_orderkey = d.doc_id)"
@@ -439,8 +437,8 @@ _DOC = f"{_FEAT('mono')}, origin as ({_ORIGIN.format('feats')}), subj as (select
 _VER = f"{_DOC}, sup as (select e.subject, e.group_id, f.artifact_id, f.doc_id as version, count(distinct e.print) as n_support from ev e join feats f on f.print = e.print and f.group_id = e.group_id group by all), vers as (select subject, group_id, artifact_id, version, n_support from sup qualify n_support = max(n_support) over (partition by subject, group_id))"
 _PRF = lambda key, src: f"select {key}, count(t.subject) as tp, count(*) - count(t.subject) as fp, any_value(z.n) - count(t.subject) as fn, round(count(t.subject) / count(*), 6) as precision, round(count(t.subject) / any_value(z.n), 6) as recall, round(2 * count(t.subject) / (count(*) + any_value(z.n)), 6) as f1 from {src} p left join truth t on t.subject = p.subject and t.component = p.component cross join (select count(*) as n from truth) z group by {key}"
 _GRID = " union all ".join(
-    f"select * from (select 'class print' as method, 'length > {n}' as setting, subject, component from rr where n = {n}) union all select 'function ratio', 'length > {n}, theta {t:.2f}', subject, component from rr where n = {n} and ratio >= {t}" for n in LENGTHS for t in THETAS
-).replace("union all select * from (select 'class print'", "union all select * from (select 'class print'")
+    f"select 'class print' as method, 'length > {n}' as setting, subject, component from rr where n = {n} union all select 'function ratio', 'length > {n}, theta {t:.2f}', subject, component from rr where n = {n} and ratio >= {t}" for n in LENGTHS for t in THETAS
+)
 _GRID = f"grid as (select distinct * from ({_GRID}))"
 _RR = f"sl as (select doc_id as subject, {Q.bag('s')} as print, length(s) as k from sents), cl as (select item_id as component, {Q.bag('s')} as print, length(s) as k from b_sents), ns as (select unnest({list(LENGTHS)}) as n), sd as (select distinct n, subject, print from sl join ns on k > n), cd as (select distinct n, component, print from cl join ns on k > n), rr as (select sd.n, subject, component, round(count(*) / any_value(z.size), 6) as ratio from sd join cd on cd.n = sd.n and cd.print = sd.print join (select n as zn, component as zc, count(*) as size from cd group by all) z on z.zn = sd.n and z.zc = component group by sd.n, subject, component)"
 _LINEPAIR = f"select distinct l.doc_id as subject, b.item_id as component from lines l join b_lines b on {Q.bag('lower(l.line)')} = {Q.bag('lower(b.line)')}"
