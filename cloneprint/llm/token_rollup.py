@@ -11,12 +11,14 @@ they occur; an empty batch is stored as such; groups whose documents and tokens
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import Scratch
 
 KEYS = ("source", "lang", "tokenizer")
+#: marks that a recount of low-quality texts leaves out
+MARKS = "#$%&*!|"
 #: versions of counting, as patterns of one token
 TOKENIZERS = {"blank-1": r"[^\x20\x09-\x0D]+", "split-1": r"[A-Za-z0-9]+|[^A-Za-z0-9\x20\x09-\x0D]"}
 
@@ -80,10 +82,9 @@ class Rollup:
                 self.fs.delete(self._path(f"{self.folder}/batch={i}"), True)
 
 
-def counts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """doc_id, source, lang and an array of (tokenizer, tokens) per document."""
-    one = [F.struct(F.lit(name).alias("tokenizer"), F.coalesce(F.regexp_count(F.col(text).cast("string"), F.lit(p)), F.lit(0)).cast("long").alias("tokens")) for name, p in TOKENIZERS.items()]
-    return docs.select("doc_id", "source", "lang", F.array(*one).alias("counts"))
+def counts(text: Column) -> Column:
+    """Array of (tokenizer, tokens) of a text."""
+    return F.array(*[F.struct(F.lit(name).alias("tokenizer"), F.coalesce(F.regexp_count(text, F.lit(p)), F.lit(0)).cast("long").alias("tokens")) for name, p in TOKENIZERS.items()])
 
 
 def changes(counted: DataFrame, sign: int) -> DataFrame:
@@ -96,14 +97,16 @@ def replay(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """All documents inserted; low-quality ones recounted without marks; toxic ones deleted; each batch sent twice."""
     spark, scratch = docs.sparkSession, Scratch(docs.sparkSession, "rollup")
     flags = labels.groupBy("doc_id").agg(F.max(F.col("toxic") == 1).alias("toxic"), F.max(F.col("quality") == 0).alias("low"))
-    old = scratch.keep(counts(docs).join(flags, "doc_id", "left"), "old")
-    bare = docs.join(flags.where("low"), "doc_id", "left_semi").withColumn("text", F.regexp_replace("text", r"[#$%&*!|]", ""))
-    new = scratch.keep(counts(bare).join(flags, "doc_id", "left"), "new")
+    # both counts in the one pass that reads texts: joining first would move every text
+    text = F.col("text").cast("string")
+    counted = docs.select("doc_id", "source", "lang", counts(text).alias("old"), counts(F.translate(text, MARKS, "")).alias("new"))
+    known = scratch.keep(counted.join(flags, "doc_id", "left"), "known")
+    old, new = (known.select("source", "lang", "toxic", "low", F.col(c).alias("counts")) for c in ("old", "new"))
     rollup = Rollup(spark, scratch.path("totals"))
     batches = {
         "0001-insert": changes(old, 1),
-        "0002-revise": changes(old.where("low"), -1).unionByName(changes(new, 1)),
-        "0003-delete": changes(old.where("toxic and not low"), -1).unionByName(changes(new.where("toxic"), -1)),
+        "0002-revise": changes(old.where("low"), -1).unionByName(changes(new.where("low"), 1)),
+        "0003-delete": changes(old.where("toxic and not low"), -1).unionByName(changes(new.where("toxic and low"), -1)),
     }
     for _ in range(2):
         for name, batch in batches.items():
