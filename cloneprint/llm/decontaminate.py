@@ -1,19 +1,22 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment of words.
+"""Benchmark decontamination: word-pair seeds, then Smith-Waterman alignment of words.
 
-Two passes over the corpus, neither with a shuffle of text. The first counts in how many documents each three-word run of a test
-item occurs. Of each item the rarer half of its runs (by that count, ties included) become seeds. The second pass finds
-windows of a document that hold two seeds of one item, and aligns the window with the item word by word; the score is the
-alignment's, over that of a full match. So edited or reordered copies are found as well as exact ones.
+One pass over the corpus without a shuffle of text. All word pairs of a test item are seeds, however frequent they are in the corpus: a
+count of documents would hold the leaks themselves. A stretch of a document is aligned with an item, word by word, if it holds as many of the item's
+pairs as an alignment at the cut must have (``needed``); the score is the alignment's, over that of a full match. So edited or
+reordered copies are found as well as exact ones: every copy at the cut whose words were changed or dropped, and those with words
+put in, unless these split about four in five of the item's pairs.
 
 Items reach the executors in slices of at most ``SLICE_CHARS`` characters; a larger benchmark takes more passes.
 
-Defined cases: null texts and items, and those without a word, match nothing. Items of under three words are sought whole. Repeated rows give
-repeated pairs; items with equal text are each reported. Words are runs of letters and digits, lower-cased in ASCII. Empty tables give no rows;
-other columns are ignored.
+Defined cases: null texts and items, and those without a word, match nothing. Items of under three words are sought whole, and longer ones need two
+pairs. Repeated rows give repeated pairs; items with equal text are each reported. Words are runs of letters and digits, lower-cased in ASCII. Empty
+tables give no rows; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -21,66 +24,80 @@ from pyspark.sql import functions as F
 
 from . import words
 
-SEED_WORDS, CUT, SLICE_CHARS = 3, 0.4, 16_000_000
+SEED_WORDS, CUT, SLICE_CHARS = 2, 0.4, 16_000_000
 MATCH, MISMATCH, GAP = 2, -1, -1
 
 
+def needed(n: int, cut: float) -> int:
+    """How many pairs of an item of n words an alignment at the cut holds at least.
+
+    With p pairs in r runs of matches between changed or dropped words, the score is at most 2p + r + 1, and p + 2r - 1 <= n.
+    """
+    return max(2 if n > SEED_WORDS else 1, math.ceil(((2 * cut - 0.5) * n - 1.5) / 1.5 - 1e-9))
+
+
 class Seeds:
-    """Sorted n-grams of a slice's items, each with the items that hold it."""
+    """Sorted n-grams of a slice's items, each with the items that hold it and how often."""
 
-    def __init__(self, items: list[tuple[int, bytes]]):
+    def __init__(self, items: list[tuple[int, bytes]], cut: float = CUT):
         self.items = [(i, words.word_hashes(t, words.MARKS)[0]) for i, t in items]
-        runs: dict[int, list[np.ndarray]] = {}
-        owner: dict[int, list[np.ndarray]] = {}
+        self.reach = np.array([len(w) + len(w) // 2 for _, w in self.items], np.int64)
+        self.need = np.array([needed(len(w), cut) for _, w in self.items], np.int64)
+        runs: dict[int, list[tuple[np.ndarray, ...]]] = {}
         for k, (_, w) in enumerate(self.items):
             n = min(SEED_WORDS, len(w))
             if n:
-                g = np.unique(words.ngrams(w, n))
-                runs.setdefault(n, []).append(g)
-                owner.setdefault(n, []).append(np.full(len(g), k))
-        self.by_size = {}
-        for n in runs:
-            g, o = np.concatenate(runs[n]), np.concatenate(owner[n])
+                g, times = np.unique(words.ngrams(w, n), return_counts=True)
+                runs.setdefault(n, []).append((g, np.full(len(g), k), times))
+        self.by_size, self.maybe = {}, {}
+        for n, found in runs.items():
+            g, owner, times = (np.concatenate(x) for x in zip(*found, strict=True))
             order = np.argsort(g, kind="stable")
-            self.by_size[n] = (g[order], o[order])
-        self._filter()
-
-    def _filter(self) -> None:
-        self.maybe = {}
-        for n, (g, _) in self.by_size.items():
+            self.by_size[n] = (g[order], owner[order], times[order])
             bits = np.zeros(1 << 20, bool)
             bits[(g >> np.uint64(44)).astype(np.int64)] = True
             self.maybe[n] = bits
 
     def hits(self, hashed: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
         """Word positions where a run of the slice starts, and its first place in the sorted runs."""
-        g, _ = self.by_size[n]
+        g = self.by_size[n][0]
         grams = words.ngrams(hashed, n)
         at = np.flatnonzero(self.maybe[n][(grams >> np.uint64(44)).astype(np.int64)])
         place = np.searchsorted(g, grams[at])
         real = (place < len(g)) & (g[np.minimum(place, len(g) - 1)] == grams[at])
         return at[real], place[real]
 
-    def rarest(self, counts: dict[tuple[int, int], int]) -> Seeds:
-        """Only each item's runs whose document count is at most the item's median."""
-        out = object.__new__(Seeds)
-        out.items, out.by_size = self.items, {}
-        for n, (g, o) in self.by_size.items():
-            first = np.searchsorted(g, g)
-            df = np.array([counts.get((n, int(p)), 0) for p in first])
-            median = np.array([np.median(df[o == k]) if (o == k).any() else 0 for k in range(len(self.items))]) if len(self.items) < 2000 else _medians(df, o, len(self.items))
-            keep = df <= median[o]
-            out.by_size[n] = (g[keep], o[keep])
-        out._filter()
-        return out
-
-
-def _medians(values: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
-    order = np.lexsort((values, owner))
-    begin = np.searchsorted(owner[order], np.arange(n))
-    size = np.searchsorted(owner[order], np.arange(n), "right") - begin
-    pick = np.minimum(begin + size // 2, len(values) - 1)
-    return np.where(size > 0, values[order][pick], 0)
+    def stretches(self, hashed: np.ndarray, n: int) -> list[tuple[int, int, int]]:
+        """(item number, first and last position) of hits close together that hold enough of an item's runs."""
+        g, owner, times = self.by_size[n]
+        at, place = self.hits(hashed, n)
+        if not len(at):
+            return []
+        many = np.searchsorted(g, g[place], "right") - place
+        each = np.repeat(place, many) + np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many)
+        at, item = np.repeat(at, many), owner[each]
+        order = np.lexsort((at, item))
+        at, item, each = at[order], item[order], each[order]
+        # only where hits stand dense enough, counting repeats; then each run counts as often as the item holds it
+        key = item * (len(hashed) + 4 * int(self.reach.max()) + 1) + at
+        upto = np.concatenate(([0], np.cumsum(times[each])))
+        to = np.searchsorted(key, key + 2 * self.reach[item], "right")
+        dense = np.flatnonzero(upto[to] - upto[:-1] >= self.need[item])
+        step = np.zeros(len(at) + 1, np.int64)
+        np.add.at(step, dense, 1)
+        np.add.at(step, to[dense], -1)
+        live = np.cumsum(step[:-1]) > 0
+        at, item, each = at[live], item[live], each[live]
+        if not len(at):
+            return []
+        head = np.concatenate(([True], (item[1:] != item[:-1]) | (at[1:] - at[:-1] > self.reach[item[1:]])))
+        group = np.cumsum(head) - 1
+        once = np.unique(group * len(g) + each)
+        held = np.bincount(once // len(g), times[once % len(g)], int(group[-1]) + 1)
+        first = np.flatnonzero(head)
+        last = np.append(first[1:], len(at)) - 1
+        enough = held >= self.need[item[first]]
+        return list(zip(item[first][enough].tolist(), at[first][enough].tolist(), at[last][enough].tolist(), strict=True))
 
 
 def align(item: np.ndarray, window: np.ndarray) -> tuple[float, int, int]:
@@ -107,48 +124,17 @@ def align(item: np.ndarray, window: np.ndarray) -> tuple[float, int, int]:
     return best[0] / (MATCH * len(item)), best[1], best[2]
 
 
-def _counted(handle):
-    def run(batches):
-        seeds: Seeds = handle.value
-        for batch in batches:
-            totals: dict[tuple[int, int], int] = {}
-            for text in words.text_bytes(batch.column(0)):
-                hashed = words.word_hashes(text or b"", words.MARKS)[0]
-                for n in seeds.by_size:
-                    for p in np.unique(seeds.hits(hashed, n)[1]).tolist():
-                        totals[n, p] = totals.get((n, p), 0) + 1
-            rows = [(n, p, c) for (n, p), c in totals.items()]
-            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(3)], ["n", "place", "docs"])
-
-    return run
-
-
 def matches(text: bytes | None, seeds: Seeds, cut: float) -> list[tuple[int, float, int, int]]:
     """(item number, score, start byte, end byte) of the best alignment of each item found in a whole text."""
     hashed, start, end = words.word_hashes(text or b"", words.MARKS)
     best: dict[int, tuple[float, int, int]] = {}
-    for n, (g, owner) in seeds.by_size.items():
-        at, place = seeds.hits(hashed, n)
-        found: dict[int, list[tuple[int, int]]] = {}
-        for a, p in zip(at.tolist(), place.tolist(), strict=True):
-            q = p
-            while q < len(g) and g[q] == g[p]:
-                found.setdefault(int(owner[q]), []).append((a, p))
-                q += 1
-        for k, spots in found.items():
-            item = seeds.items[k][1]
-            reach = len(item) + len(item) // 2
-            need = 2 if len(item) > SEED_WORDS else 1
-            group: list[tuple[int, int]] = []
-            for spot in [*spots, (1 << 62, -1)]:
-                if group and spot[0] - group[-1][0] > reach:
-                    if len({p for _, p in group}) >= need:
-                        lo, hi = max(0, group[0][0] - reach), group[-1][0] + reach
-                        score, a, b = align(item, hashed[lo:hi])
-                        if score >= cut and score > best.get(k, (0.0,))[0]:
-                            best[k] = (score, int(start[lo + a]), int(end[lo + b - 1]))
-                    group = []
-                group.append(spot)
+    for n in seeds.by_size:
+        for k, first, last in seeds.stretches(hashed, n):
+            reach = int(seeds.reach[k])
+            lo, hi = max(0, first - reach), last + SEED_WORDS + reach
+            score, a, b = align(seeds.items[k][1], hashed[lo:hi])
+            if score >= cut and score > best.get(k, (0.0,))[0]:
+                best[k] = (score, int(start[lo + a]), int(end[lo + b - 1]))
     return [(k, *v) for k, v in best.items()]
 
 
@@ -174,10 +160,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, cut: float = CUT) -> Dat
     slices, out = max(1, -(-chars // SLICE_CHARS)), None
     for k in range(slices):  # one slice unless the benchmark is very large
         part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k).orderBy("item_id", "text").collect()
-        seeds = Seeds([(r["item_id"], r["text"].encode()) for r in part])
-        handle = spark.sparkContext.broadcast(seeds)
-        counts = base.select("text").mapInArrow(_counted(handle), "n long, place long, docs long").groupBy("n", "place").agg(F.sum("docs").alias("docs")).collect()  # at most a row a run of the slice
-        rare = spark.sparkContext.broadcast(seeds.rarest({(r["n"], r["place"]): r["docs"] for r in counts}))
-        found = base.mapInArrow(_aligned(rare, cut), "doc_id long, item_id long, score double, start long, end long")
+        seeds = spark.sparkContext.broadcast(Seeds([(r["item_id"], r["text"].encode()) for r in part], cut))
+        found = base.mapInArrow(_aligned(seeds, cut), "doc_id long, item_id long, score double, start long, end long")
         out = found if out is None else out.unionByName(found)
     return out

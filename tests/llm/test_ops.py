@@ -245,6 +245,21 @@ def test_decontamination(spark):
     assert D.contaminated(empty(df), bench).count() == D.contaminated(df, empty(bench)).count() == 0
 
 
+@pytest.mark.parametrize("every", [3, 4, 5, 6])
+@pytest.mark.parametrize("others", ["none", "exact copy", "half of the runs"])
+def test_decontamination_edited_copies(spark, every, others):
+    from cloneprint.llm import decontaminate as D
+
+    items = [prose(n) for n in (24, 40, 60)]
+    edited = [" ".join(f"x{k}" if k % every == every - 1 else w for k, w in enumerate(i.split())) for i in items]
+    docs = [f"{prose(80)} {e} {prose(80)}" for e in edited]
+    more = {"none": [], "exact copy": items * 3, "half of the runs": [" ".join(i.split()[:4]) for i in items] * 3}[others]
+    df = spark.createDataFrame(list(enumerate(docs + more + [prose(400)])), "doc_id long, text string")
+    got = D.contaminated(df, spark.createDataFrame(list(enumerate(items)), "item_id long, text string")).collect()
+    assert {(r["doc_id"], r["item_id"]) for r in got if r["doc_id"] < 3} == {(k, k) for k in range(3)}
+    assert all(r["doc_id"] < len(docs) + len(more) for r in got)
+
+
 def test_smith_waterman():
     from cloneprint.llm.decontaminate import GAP, MATCH, MISMATCH, align
 
