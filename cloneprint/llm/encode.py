@@ -208,7 +208,7 @@ class Encoder:
         return self._by_chunks(text)
 
     def _many(self, texts: list[str]) -> list[bytes]:
-        """Texts of bounded length, in groups."""
+        """Texts in groups; one that has no place to cut and is longer than the table's powers goes the other road."""
         raw = [t.encode("utf-8", "surrogatepass") for t in texts]
         out: list[bytes] = []
         at = 0
@@ -217,7 +217,7 @@ class Encoder:
             while to < len(raw) and size + len(raw[to]) <= GROUP:
                 size += len(raw[to])
                 to += 1
-            got = self.table.ids(raw[at:to])
+            got = self.table.ids(raw[at:to]) if size <= 2 * GROUP else [None]
             out += [g if g is not None and not any(x in t for x in self.added) else self._one(t) for g, t in zip(got, texts[at:to], strict=True)]
             at = to
         return out

@@ -134,6 +134,19 @@ def test_token_ids_and_packing(docs, texts):
     assert token_ids.round_trip(empty(docs), path).count() == packing.pack(empty(docs), path).count() == 0
 
 
+def test_token_ids_of_texts_without_a_place_to_cut():
+    from cloneprint.llm import encode
+    from tokenizers import Tokenizer
+
+    path = encode.public_path()
+    lines, solid = prose(600_000).replace(" ", "\n"), "".join(prose(700_000).split())
+    texts = [lines, "a b", solid, prose(200_000) + " " + lines, "  ".join(prose(300_000).split()), " " * (3 << 20), "語" * (1 << 20)]
+    assert all(len(t.encode()) > 2 * encode.GROUP for t in texts if t != "a b")
+    lib = Tokenizer.from_file(path)
+    want = [np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+    assert encode.encoder(path).ids(texts) == want
+
+
 @pytest.mark.parametrize("bits", [1, 5, 16, 17, 31])
 def test_bit_packing(bits, tmp_path):
     from cloneprint.llm import token_ids as T
