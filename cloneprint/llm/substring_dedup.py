@@ -2,9 +2,11 @@
 
 Each line is a unit, normalised to its blank-separated lower-cased words. Passages that documents share are often spliced into
 lines that differ, where whole lines never match; so lines are cut further, at words whose hash is the smallest among its neighbours
-(the same words are cut alike wherever they stand), and the pieces are units too. Digests of all units are grouped globally; the
+(the same words are cut alike wherever they stand), and the pieces are units too. Few or long pieces can leave a passage without enough whole
+ones, so windows of ``WINDOW`` words are the third kind: of each ``PASSAGE - WINDOW + 1`` neighbours the one with the smallest hash, whatever the
+lines. So every passage of ``PASSAGE`` words holds a window that is drawn in all its copies. Digests of all units are grouped globally; the
 occurrence with the smallest (doc_id, position) is kept. Removed are later whole lines of at least ``line_words`` words, and runs of
-later pieces that together hold at least ``run_words`` words. Removed spans are given as byte offsets of the original UTF-8 text.
+words in later pieces or windows, of at least ``run_words`` words. Removed spans are given as byte offsets of the original UTF-8 text.
 
 Defined cases: null and empty texts have no units and stay as they are; a null doc_id takes no part. Rows that repeat a doc_id count as
 one document, so its own rows never remove each other; a unit that repeats within a document is kept once. Ties cannot occur, as positions
@@ -22,6 +24,7 @@ from . import words
 from .common import Scratch
 
 LINE_WORDS, RUN_WORDS, REACH = 10, 25, 4
+WINDOW, PASSAGE = 25, 51
 _SEED = np.uint64(0x2545F4914F6CDD1D)
 
 
@@ -30,13 +33,31 @@ def _sums(values: np.ndarray, start: np.ndarray) -> np.ndarray:
         return np.add.reduceat(values, start) if len(start) else values[:0]
 
 
+def _windows(hashed: np.ndarray) -> tuple[np.ndarray, ...]:
+    """First word, digest and check of the drawn windows."""
+    if len(hashed) < PASSAGE:
+        zero = np.zeros(0, np.int64)
+        return zero, zero.view(np.uint64), zero
+    up, down = words._power_tables(len(hashed) + 1)
+    digests = []
+    for values in (hashed, words.mix(hashed ^ _SEED)):
+        total = np.zeros(len(hashed) + 1, np.uint64)
+        with np.errstate(over="ignore"):
+            np.cumsum(values * up[: len(hashed)], out=total[1:])
+            digests.append(words.mix((total[WINDOW:] - total[:-WINDOW]) * down[: len(hashed) - WINDOW + 1]))
+    span = PASSAGE - WINDOW + 1
+    low = np.lib.stride_tricks.sliding_window_view(digests[0], span).argmin(axis=1)
+    first = np.unique(low + np.arange(len(low)))
+    return first, digests[0][first] ^ _SEED, (digests[1][first] >> np.uint64(33)).astype(np.int64)
+
+
 def units(text: bytes | None) -> tuple[np.ndarray, ...]:
-    """Per unit: kind (0 line, 1 piece), digest, check, first byte, end byte, words. Lines first, each kind in order."""
+    """Per unit: kind (0 line, 1 piece, 2 window), digest, check, first byte, end byte, words, first word. By kind, each in order."""
     hashed, start, end = words.word_hashes(text or b"")
     n = len(hashed)
     if not n:
         zero = np.zeros(0, np.int64)
-        return zero, zero.view(np.uint64), zero, zero, zero, zero
+        return zero, zero.view(np.uint64), zero, zero, zero, zero, zero
     raw = np.frombuffer(text, np.uint8)
     line = np.searchsorted(np.flatnonzero(raw == 10), start)
     head = np.concatenate(([True], line[1:] != line[:-1]))
@@ -56,7 +77,9 @@ def units(text: bytes | None) -> tuple[np.ndarray, ...]:
             digest = words.mix(_sums(hashed * (spread | np.uint64(1)), first) + size.astype(np.uint64))
             check = words.mix(_sums(words.mix(hashed + spread), first)) >> np.uint64(33)
         last = first + size - 1
-        out.append((np.full(len(first), kind), digest, check.astype(np.int64), start[first], end[last], size))
+        out.append((np.full(len(first), kind), digest, check.astype(np.int64), start[first], end[last], size, first))
+    first, digest, check = _windows(hashed)
+    out.append((np.full(len(first), 2), digest, check, start[first], end[first + WINDOW - 1], np.full(len(first), WINDOW), first))
     return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
@@ -67,9 +90,8 @@ def _rows(batches):
         while at < len(texts):  # some texts at a time, by size
             d, h, c, k, held = [], [], [], [], 0
             while at < len(texts) and held < 1 << 22:
-                kind, digest, check, _, _, _ = units(texts[at])
-                lines = int((kind == 0).sum())
-                place = np.concatenate((2 * np.arange(lines), 2 * np.arange(len(kind) - lines) + 1))
+                kind, digest, check, *_ = units(texts[at])
+                place = 3 * (np.arange(len(kind)) - np.searchsorted(kind, kind)) + kind
                 d.append(np.full(len(kind), docs[at], np.int64))
                 h.append(digest.view(np.int64))
                 c.append(check.astype(np.int32))
@@ -81,19 +103,30 @@ def _rows(batches):
 
 def removed_spans(text: bytes, again: list[int], line_words: int, run_words: int) -> list[tuple[int, int]]:
     """Byte spans to cut, given the places of the units that stand earlier elsewhere."""
-    kind, _, _, start, end, size = units(text)
-    lines = int((kind == 0).sum())
-    flag = np.zeros(len(kind), bool)
+    kind, digest, _, start, end, size, word = units(text)
+    begin = np.searchsorted(kind, np.arange(4))
     spot = np.asarray(again, np.int64)
-    spot = spot // 2 + np.where(spot % 2 == 1, lines, 0)
+    spot = spot // 3 + begin[spot % 3]
+    flag = np.zeros(len(kind), bool)
     flag[spot[spot < len(kind)]] = True
+    lines, pieces = int(begin[1]), slice(begin[1], begin[2])
     # whole lines go with the line break before or after them
     gone = [(int(start[k]), int(end[k])) for k in np.flatnonzero(flag[:lines] & (size[:lines] >= line_words))]
-    p_flag, p_start, p_end, p_size = flag[lines:], start[lines:], end[lines:], size[lines:]
-    edge = np.flatnonzero(np.diff(np.concatenate(([0], p_flag.view(np.int8), [0]))))
+    again_word = np.repeat(flag[pieces], size[pieces])
+    drawn = np.arange(begin[2], len(kind))
+    if flag[drawn].any():
+        # windows overlap: the words of a kept one stay, if its later copies stand in the same text
+        first = drawn[~flag[drawn] & np.isin(digest[drawn], digest[drawn][flag[drawn]])]
+        kept_word = np.zeros(len(again_word), bool)
+        for mask, which in ((kept_word, first), (again_word, drawn[flag[drawn]])):
+            for k in word[which].tolist():
+                mask[k : k + WINDOW] = True
+        again_word &= ~kept_word
+    edge = np.flatnonzero(np.diff(np.concatenate(([0], again_word.view(np.int8), [0]))))
+    edge_start, edge_end = words.word_hashes(text)[1:] if len(edge) else (start, end)
     for a, b in zip(edge[0::2].tolist(), edge[1::2].tolist(), strict=True):
-        if p_size[a:b].sum() >= run_words:
-            gone.append((int(p_start[a]), int(p_end[b - 1])))
+        if b - a >= run_words:
+            gone.append((int(edge_start[a]), int(edge_end[b - 1])))
     merged: list[list[int]] = []
     for a, b in sorted(gone):
         if merged and (a <= merged[-1][1] or not text[merged[-1][1] : a].strip()):

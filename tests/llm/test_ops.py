@@ -306,6 +306,28 @@ def test_substring(spark):
     assert S.dedup_units(empty(df)).count() == 0
 
 
+def test_substring_passages_of_51_words(spark):
+    from cloneprint.llm import substring_dedup as S
+
+    passages = [prose(51) for _ in range(600)]
+    docs = [f"{prose(30)} {p} {prose(30)}" for p in passages for _ in range(2)] + [prose(300)]
+    df = spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in S.dedup_units(df).collect()}
+    assert all(not got[2 * k]["removed"] and passages[k] not in got[2 * k + 1]["text"] for k in range(600))
+    assert not got[1200]["removed"]
+    w = [r["text"].split() for r in got.values()]
+    assert all(len(x) <= 86 for x in w[1:1200:2])  # at least 25 of the 111 words
+
+
+def test_substring_periodic_text():
+    from cloneprint.llm import substring_dedup as S
+
+    text = b"la " * 200
+    places = 3 * np.arange(1, int((S.units(text)[0] == 2).sum())) + 2
+    ((a, b),) = S.removed_spans(text, places.tolist(), 10, 25)
+    assert (text[:a] + text[b:]).split() == [b"la"] * 51  # the first window, and what no drawn window reaches
+
+
 def test_embeddings(spark):
     from cloneprint.llm import embedding_dedup as E
 
