@@ -1,17 +1,21 @@
 """Embedding near-dedup with an inverted multi-index.
 
-Vectors are scaled to length 1 and halved; each half has its own codebook, and a pair of codes is a cell of the product grid. The
-codebooks are fitted on at most ``FIT_ROWS`` vectors of a hash-drawn sample. Every vector is stored in its cell; as a query
-it visits cells in the order of the sum of its halves' distances (multi-sequence traversal) and stops where, on the sample, the target
-recall of near neighbours is reached. All pairs found are verified by cosine in double precision.
-
-Equal vectors of one label are one class from the start, with a count. Cells are kept as packs of at most ``PACK`` vectors, and a
-visit is a product of two packs, so a cell that holds most of the data is work for many tasks. A product sends on a
-count per query and a spanning forest of its links, never the pairs.
-
-Defined cases: vectors that are null, empty, zero, or hold null or non-finite components, and those with a null label, link with nothing; so do vectors of
-different lengths. A null vec_id takes no part in links. Rows that repeat a vec_id count as one vector for components, and each as a link of
-the others. Empty tables give no rows; other columns are ignored.
+Vectors are scaled to length 1 and halved; each half has its own codebook, and a pair of codes is a cell of the product grid. Every
+vector lies in its home cell and visits cells in the order of the sum of its halves' distances (multi-sequence traversal), as many as reach the
+target recall. All pairs found are verified by cosine in double precision.
+
+Of two cells one side does the visiting, by a rule on their numbers (``asks``), so a pair of vectors is looked at once and counts for both
+ends. The codebooks are fitted on about ``FIT_ROWS`` vectors, drawn by a hash; the number of visits is the one that finds
+``recall`` of pairs at exactly the threshold, made from the sample by turning its vectors away at random and towards one another. The number of
+codes grows with the table: the choice is the one with the least cost, of copies sent and products taken together (``_cost``).
+
+Equal vectors of one label are one class from the start, with a count. Members of a cell are dealt to chunks of about ``CHUNK``, and every
+chunk of a cell is a group of its own, so a cell that holds most of the data is work for many tasks; a task holds one chunk and a block of
+visitors at a time. It sends on a count per vector and a spanning forest of the links, never the pairs.
+
+Defined cases: vectors that are null, empty, zero, or hold null or non-finite components, and those with a null label or vec_id, link with nothing; so do
+vectors of different lengths, however many lengths there are (a length too rare for the sample has one cell). Rows that repeat a vec_id are each a vector
+that others link with, and are one component. Empty tables give no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,12 +25,17 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import FloatType
 
 from .common import Scratch, connected_components
 
-COSINE, CODES, PACK, FIT_ROWS, RECALL, SPARE = 0.93, 16, 512, 4_000, 0.995, 3
+COSINE, RECALL, FIT_ROWS, CHUNK, BLOCK = 0.93, 0.99, 10_000, 512, 1024
+CODES = (4, 8, 16, 32, 64, 128, 256, 512)  # codes a half may have
+#: seconds of one copy of a kilobyte through a shuffle, and of one multiplication
+COPY_SECONDS, PRODUCT_SECONDS = 5e-5, 2.5e-10
 
 
 def _kmeans(x: np.ndarray, k: int, rounds: int = 12) -> np.ndarray:
@@ -58,6 +67,11 @@ def multi_sequence(a: np.ndarray, b: np.ndarray, n: int) -> list[tuple[int, int]
     return out
 
 
+def asks(one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Whether members of cell ``one`` visit cell ``two`` rather than the other way; each cell asks about half of the others."""
+    return (one < two) ^ ((one + two) % 2 == 1)
+
+
 @dataclass
 class MultiIndex:
     left: np.ndarray
@@ -65,20 +79,26 @@ class MultiIndex:
     visits: int = 1
 
     @classmethod
-    def fit(cls, x: np.ndarray, label: np.ndarray, codes: int, cosine: float, recall: float) -> MultiIndex:
+    def fit(cls, x: np.ndarray, codes: int, cosine: float, recall: float) -> MultiIndex:
+        """Codebooks of a sample of unit vectors, and the visits that find ``recall`` of its pairs at the threshold."""
         half = x.shape[1] // 2
         index = cls(_kmeans(x[:, :half], codes), _kmeans(x[:, half:], codes))
-        home = index.home(x)
+        rng = np.random.default_rng(5)
         ranks = []
-        for at in range(0, len(x), 512):  # at which visit each near neighbour of the sample turns up
-            part = x[at : at + 512]
-            i, j = np.nonzero((part @ x.T >= cosine) & (label[at : at + 512, None] == label))
-            away = i + at != j
-            order = index.order(part)
-            ranks.append(np.argmax(order[i[away]] == home[j[away], None], axis=1) + 1)
-        ranks = np.concatenate(ranks) if ranks else np.zeros(0, int)
-        reach = int(np.quantile(ranks, recall, method="higher")) if len(ranks) else 1
-        index.visits = min(len(index.left) * len(index.right), SPARE * reach + SPARE)
+        for towards in (rng.normal(size=x.shape), x[rng.permutation(len(x))]):
+            away = towards - (towards * x).sum(axis=1, keepdims=True) * x
+            size = np.sqrt((away * away).sum(axis=1, keepdims=True))
+            fine = size[:, 0] > 1e-9
+            near = cosine * x[fine] + np.sqrt(1 - cosine**2) * away[fine] / size[fine]
+            one, two = index.home(x[fine]), index.home(near)
+            swap = asks(two, one)
+            for at in range(0, len(near), BLOCK):
+                part, turn = slice(at, at + BLOCK), swap[at : at + BLOCK, None]
+                order = index.order(np.where(turn, near[part], x[fine][part]))
+                goal = np.where(turn[:, 0], one[part], two[part])
+                ranks.append(np.argmax(order == goal[:, None], axis=1) + 1)
+        ranks = np.concatenate(ranks) if ranks else np.ones(1, int)
+        index.visits = int(np.quantile(ranks, recall, method="higher")) if len(ranks) else 1
         return index
 
     def home(self, x: np.ndarray) -> np.ndarray:
@@ -86,128 +106,242 @@ class MultiIndex:
         return _distances(x[:, :half], self.left).argmin(axis=1) * len(self.right) + _distances(x[:, half:], self.right).argmin(axis=1)
 
     def order(self, x: np.ndarray, n: int | None = None) -> np.ndarray:
-        """Cells in the order each vector visits them."""
-        half, n = x.shape[1] // 2, n or len(self.left) * len(self.right)
-        a, b = _distances(x[:, :half], self.left), _distances(x[:, half:], self.right)
-        return np.array([[i * len(self.right) + j for i, j in multi_sequence(p, q, n)] for p, q in zip(a, b, strict=True)]).reshape(len(x), -1)
-
+        """The first n cells that each vector visits: ``multi_sequence`` of many vectors at once.
 
-def _unit(values: list[list[float]]) -> np.ndarray:
-    x = np.array(values, np.float64)
+        The n-th cell in order lies at ranks (i, j) with (i + 1)(j + 1) <= n, so only these sums are taken.
+        """
+        half, every = x.shape[1] // 2, len(self.left) * len(self.right)
+        n = min(n or every, every)
+        a, b = _distances(x[:, :half], self.left), _distances(x[:, half:], self.right)
+        p, q = np.argsort(a, axis=1, kind="stable")[:, :n], np.argsort(b, axis=1, kind="stable")[:, :n]
+        i, j = (k.ravel() for k in np.indices((p.shape[1], q.shape[1])))
+        some = (i + 1) * (j + 1) <= n
+        i, j = i[some], j[some]
+        total = np.take_along_axis(a, p, 1)[:, i] + np.take_along_axis(b, q, 1)[:, j]
+        # as the nearest codes of both halves, the home cell is first whatever sums are equal
+        first = np.argsort(total, axis=1, kind="stable")[:, :n]
+        return np.take_along_axis(p, i[first], 1) * len(self.right) + np.take_along_axis(q, j[first], 1)
+
+
+def _cost(index: MultiIndex, dims: int, n: float, squares: float) -> float:
+    """Seconds for n vectors in labels whose sizes have the given sum of squares."""
+    cells = len(index.left) * len(index.right)
+    looks = (index.visits + 1) / 2
+    return n * looks * dims / 256 * COPY_SECONDS + squares / cells * looks * dims * PRODUCT_SECONDS
+
+
+def choose(x: np.ndarray, n: float, squares: float, cosine: float, recall: float) -> MultiIndex | None:
+    """The index of least cost for a sample ``x`` of n vectors; none for a sample too small for the smallest codebooks."""
+    best, cost = None, 0.0
+    for codes in CODES:
+        if len(x) < 16 * codes or x.shape[1] < 2:
+            break
+        index = MultiIndex.fit(x, codes, cosine, recall)
+        seconds = _cost(index, x.shape[1], n, squares)
+        if best is not None and seconds >= cost:
+            break
+        best, cost = index, seconds
+    return best
+
+
+def _unit(x: np.ndarray) -> np.ndarray:
+    """Rows scaled to length 1; first by their largest component, so that squares neither vanish nor overflow."""
+    x = x.astype(np.float64)
+    x /= np.abs(x).max(axis=1, keepdims=True)
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
-def _packs(handle, dims: int, visiting: bool):
-    """Rows (rep, n, label, v) of a partition to packs by (label, cell): ids, counts, vectors."""
+def _packed(kind: str):
+    """Rows (vec_id, embedding, label): the vector's bytes, null if it links with nothing."""
 
     def run(batches):
-        index: MultiIndex = handle.value
-        held: dict[tuple[int, int], list] = {}
-        size = 0
+        for batch in batches:
+            lists = batch.column(1)
+            size = pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+            flat = lists.flatten()
+            v = flat.to_numpy(zero_copy_only=False).astype(kind)
+            end = np.cumsum(size)
+            start = end - size
+            bad, some = (np.concatenate(([0], np.cumsum(m))) for m in (~np.isfinite(v), v != 0))
+            fine = (size > 0) & (bad[end] == bad[start]) & (some[end] > some[start])
+            fine &= ~(np.asarray(batch.column(0).is_null()) | np.asarray(batch.column(2).is_null()))
+            offsets = np.concatenate(([0], end)).astype(np.int32) * np.int32(v.itemsize)
+            mask = pa.py_buffer(np.packbits(fine, bitorder="little").tobytes())
+            x = pa.Array.from_buffers(pa.binary(), len(size), [mask, pa.py_buffer(offsets.tobytes()), pa.py_buffer((v + v.dtype.type(0)).tobytes())])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), x], ["vec_id", "label", "x"])
+
+    return run
 
-        def pack(key):
-            rows = held.pop(key)
-            ids, n, x = (np.concatenate([r[k] for r in rows]) for k in range(3))
-            return (*key, int(ids.min()), ids.astype("<i8").tobytes(), n.astype("<i8").tobytes(), x.astype("<f8").tobytes())
 
-        def out(rows):
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
-            kinds = (pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["label", "cell", "first", "ids", "counts", "vectors"])
+def _matrix(column, kind: str, dims: int) -> np.ndarray:
+    """A binary column of vectors of one length as unit rows."""
+    return _unit(np.frombuffer(b"".join(column.to_pylist()), kind).reshape(-1, dims))
 
+
+def _spread(handle, kind: str, homes_only: bool):
+    """Rows (dims, label, id, n, x): a row for the home cell and each visit (``home``: the vector's own cell)."""
+
+    def run(batches):
+        indexes: dict[int, MultiIndex] = handle.value
         for batch in batches:
-            for at in range(0, batch.num_rows, 2048):
-                part = batch.slice(at, 2048)
-                ids, n, label = (part.column(k).to_numpy(zero_copy_only=False) for k in range(3))
-                x = _unit(part.column(3).to_pylist())
-                cells = index.order(x, index.visits) if visiting else index.home(x)[:, None]
-                key = (label.astype(np.int64)[:, None] * (1 << 20) + cells).ravel()
-                row = np.repeat(np.arange(len(ids)), cells.shape[1])
-                order = np.argsort(key, kind="stable")
-                cut = np.flatnonzero(np.diff(key[order])) + 1
-                for group in np.split(order, cut):
-                    who, k = row[group], (int(label[row[group[0]]]), int(key[group[0]] & ((1 << 20) - 1)))
-                    for s in range(0, len(who), PACK):
-                        w = who[s : s + PACK]
-                        held.setdefault(k, []).append((ids[w], n[w], x[w]))
-                        size += len(w)
-                        if sum(len(r[0]) for r in held[k]) >= PACK:
-                            size -= sum(len(r[0]) for r in held[k])
-                            yield out([pack(k)])
-                if size > 100_000:
-                    yield out([pack(k) for k in list(held)])
-                    size = 0
-        yield out([pack(k) for k in list(held)])
+            every = batch.column(0).to_numpy()
+            for dims in np.unique(every).tolist():
+                rows = np.flatnonzero(every == dims)
+                index = indexes.get(dims)
+                for at in range(0, len(rows), 4 * BLOCK):
+                    part = batch.take(pa.array(rows[at : at + 4 * BLOCK]))
+                    row = np.arange(part.num_rows)
+                    if index is None:
+                        home = cell = np.zeros(len(row), np.int64)
+                    else:
+                        order = index.order(_matrix(part.column(4), kind, dims), 1 if homes_only else index.visits)
+                        goes = asks(order[:, :1], order)
+                        goes[:, 0] = True
+                        row, column = np.nonzero(goes)
+                        home, cell = order[row, 0], order[row, column]
+                    sent = part.take(pa.array(row))
+                    arrays = [pa.array(home.astype(np.int32)), pa.array(cell.astype(np.int32))]
+                    yield pa.RecordBatch.from_arrays([*sent.columns[: 2 if homes_only else 5], *arrays], [*sent.schema.names[: 2 if homes_only else 5], "home", "cell"])
 
     return run
 
 
-def _product(dims: int, cosine: float):
-    """Query pack times cell pack: per query how many it found, and a forest of the links."""
+def _linked(q: tuple, h: tuple, cosine: float, same: bool):
+    """Links of two groups (id, n, unit rows), or of one with itself: rows of id, root in a spanning forest, links found."""
+    near = q[2] @ h[2].T >= cosine
+    if same:
+        near = np.triu(near, 1)
+    i, j = np.nonzero(near)
+    if not len(i):
+        return None
+    found, back = near @ h[1], near.T @ q[1]
+    node = np.concatenate((q[0], h[0]))
+    if same:
+        node, found, j = q[0], found + back, j
+    else:
+        found, j = np.concatenate((found, back)), j + len(q[0])
+    root = node.copy()
+    while True:  # smallest id reachable inside the group, spread until it settles
+        was = root.copy()
+        np.minimum.at(root, j, root[i])
+        np.minimum.at(root, i, root[j])
+        if (root == was).all():
+            break
+    hit = found > 0
+    return node[hit], root[hit], found[hit]
+
+
+def _compare(kind: str, cosine: float):
+    """Rows (dims, label, cell, chunk, visitor, id, n, x) in this order: the members of a chunk, then its visitors."""
 
     def run(batches):
+        key, members, visitors, waiting = None, [], [], 0
+        out: list[tuple] = []
+
+        def joined(parts):
+            return tuple(np.concatenate(c) for c in zip(*parts, strict=True))
+
+        def settle(last: bool):
+            nonlocal members, visitors, waiting
+            if len(members) > 1:
+                members = [joined(members)]
+            if members and visitors:
+                out.append(_linked(joined(visitors), members[0], cosine, False))
+            visitors, waiting = [], 0
+            if last and members:
+                out.append(_linked(members[0], members[0], cosine, True))
+
+        def sent():
+            rows = [r for r in out if r is not None]
+            out.clear()
+            if rows:
+                return pa.RecordBatch.from_arrays([pa.array(c) for c in joined(rows)], ["a", "b", "links"])
+
         for batch in batches:
-            cols = [batch.column(k).to_pylist() for k in range(5)]
-            for q_ids, q_x, c_ids, c_n, c_x in zip(*cols, strict=True):
-                q, c, n = np.frombuffer(q_ids, "<i8"), np.frombuffer(c_ids, "<i8"), np.frombuffer(c_n, "<i8")
-                near = np.frombuffer(q_x, "<f8").reshape(-1, dims) @ np.frombuffer(c_x, "<f8").reshape(-1, dims).T >= cosine
-                near &= q[:, None] != c
-                links = near @ n
-                # smallest id reachable inside this product, spread until it settles
-                big = np.int64(1 << 62)
-                a, b = q.copy(), c.copy()
-                i, j = np.nonzero(near)
-                while len(i):
-                    was = a.copy(), b.copy()
-                    np.minimum.at(b, j, a[i])
-                    np.minimum.at(a, i, b[j])
-                    if (a == was[0]).all() and (b == was[1]).all():
-                        break
-                hit = links > 0
-                seen = near.any(axis=0)
-                root = np.concatenate((np.where(hit, a, big)[hit], b[seen]))
-                node = np.concatenate((q[hit], c[seen]))
-                count = np.concatenate((links[hit], np.zeros(int(seen.sum()), np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(root), pa.array(count)], ["a", "b", "links"])
+            columns = [batch.column(k).to_numpy() for k in range(7)]
+            keys = np.stack([c.astype(np.int64) for c in columns[:5]])
+            cuts = np.concatenate(([0], np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(axis=0)) + 1, [batch.num_rows]))
+            for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                now = tuple(keys[:4, a].tolist())
+                if now != key:
+                    settle(True)
+                    key, members = now, []
+                visiting = bool(keys[4, a])
+                for s in range(a, b, BLOCK):
+                    e = min(b, s + BLOCK)
+                    part = (columns[5][s:e], columns[6][s:e], _matrix(batch.column(7).slice(s, e - s), kind, now[0]))
+                    (visitors if visiting else members).append(part)
+                    waiting += (e - s) * visiting
+                    if waiting >= BLOCK:
+                        settle(False)
+            if (rows := sent()) is not None:
+                yield rows
+        settle(True)
+        if (rows := sent()) is not None:
+            yield rows
 
     return run
 
 
-def near_duplicates(vectors: DataFrame, cosine: float = COSINE, codes: int = CODES, recall: float = RECALL) -> DataFrame:
+def _indexes(classes: DataFrame, kind: str, cosine: float, recall: float) -> dict[int, MultiIndex]:
+    """An index per vector length that the sample holds enough of."""
+    sizes = classes.groupBy("dims", "label").agg(F.count("*").alias("m")).groupBy("dims").agg(F.sum("m").alias("n"), F.sum(F.col("m").cast("double") * F.col("m")).alias("squares"))
+    total = classes.count()
+    if not total:
+        return {}
+    share = F.pmod(F.xxhash64("x"), F.lit(1 << 40)) < int((1 << 40) * min(1.0, FIT_ROWS / total))
+    drawn = classes.where(share).select("dims", "x").limit(2 * FIT_ROWS).collect()  # about FIT_ROWS by the share; the limit is a guard
+    held: dict[int, list[bytes]] = {}
+    for r in drawn:
+        held.setdefault(r["dims"], []).append(bytes(r["x"]))
+    wanted = [d for d, rows in held.items() if len(rows) >= 16 * CODES[0]]  # at most FIT_ROWS / 64 lengths
+    out = {}
+    for r in sizes.where(F.col("dims").isin(wanted)).collect() if wanted else ():
+        x = _unit(np.frombuffer(b"".join(sorted(held[r["dims"]])), kind).reshape(-1, r["dims"]))
+        if (index := choose(x, r["n"], r["squares"], cosine, recall)) is not None:
+            out[r["dims"]] = index
+    return out
+
+
+def near_duplicates(vectors: DataFrame, cosine: float = COSINE, recall: float = RECALL, chunk: int = CHUNK) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row; columns vec_id, embedding, label are read."""
     spark = vectors.sparkSession
     scratch = Scratch(spark, "embedding")
-    base = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"), F.col("label").cast("int").alias("label"))
-    fine = F.expr("v is not null and size(v) > 0 and forall(v, e -> e is not null and not isnan(e) and abs(e) < double('Infinity')) and exists(v, e -> e <> 0)")
-    known = base.withColumn("v", F.when(fine & F.col("label").isNotNull() & F.col("vec_id").isNotNull(), F.col("v")))
-    # a class of equal vectors; scaled by the largest component, so that squares neither vanish nor overflow
-    scaled = F.expr("transform(v, e -> e / array_max(transform(v, x -> abs(x))))")
-    known = known.withColumn("v", scaled).withColumn("h", F.xxhash64("v", "label"))
-    classes = scratch.keep(known.where("v is not null").groupBy("h", "label", "v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n")), "classes")
-    whole = scratch.keep(known.select("vec_id", F.when(F.col("v").isNotNull(), F.col("h")).alias("h"), "label", "v"), "whole")
-    sizes = [r[0] for r in classes.select(F.size("v")).distinct().limit(1000).collect()]
-    links = None
-    for dims in sorted(sizes):  # almost always one; vectors of different lengths are never compared
-        mine = classes.where(F.size("v") == dims).select("rep", "n", "label", "v")
-        drawn = mine.select("label", "v", "rep").orderBy(F.xxhash64("rep")).limit(FIT_ROWS).toPandas().sort_values("rep")
-        index = MultiIndex.fit(_unit(drawn["v"].tolist()), drawn["label"].to_numpy(), codes, cosine, recall)
-        handle = spark.sparkContext.broadcast(index)
-        kinds = "label int, cell int, first long, ids binary, counts binary, vectors binary"
-        cells = scratch.keep(mine.mapInArrow(_packs(handle, dims, False), kinds), f"cells{dims}")
-        asks = scratch.keep(mine.mapInArrow(_packs(handle, dims, True), kinds), f"asks{dims}")
-        # a pack pair a row; each cell pack is a key of its own, so that a large cell's work spreads
-        keys = cells.select("label", "cell", F.col("first").alias("pack"))
-        sent = asks.select("label", "cell", "ids", "vectors").join(keys, ["label", "cell"])
-        pairs = sent.join(cells.select("label", "cell", F.col("first").alias("pack"), F.col("ids").alias("c_ids"), "counts", F.col("vectors").alias("c_x")), ["label", "cell", "pack"])
-        found = pairs.select("ids", "vectors", "c_ids", "counts", "c_x").mapInArrow(_product(dims, cosine), "a long, b long, links long")
-        links = found if links is None else links.unionByName(found)
-    if links is None:
-        links = spark.createDataFrame([], "a long, b long, links long")
-    links = scratch.keep(links, "links", batch=64)
-    label = connected_components(links.where("a <> b").select("a", "b"), scratch).withColumnRenamed("node", "rep").withColumnRenamed("label", "root")
-    counts = scratch.keep(links.groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links")), "counts")
-    per_class = classes.select("h", "label", "v", "rep", "n").join(counts, "rep", "left").join(label, "rep", "left")
-    per_class = scratch.keep(per_class.select("h", F.col("label").alias("l"), F.col("v").alias("w"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("root", "rep").alias("root")), "per_class")
-    out = whole.join(per_class, (whole["h"] == per_class["h"]) & (F.col("label") == F.col("l")) & (F.col("v") == F.col("w")), "left")
-    component = F.coalesce("root", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))
+    narrow = isinstance(vectors.schema["embedding"].dataType.elementType, FloatType)
+    kind = "<f4" if narrow else "<f8"
+    base = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast(f"array<{'float' if narrow else 'double'}>").alias("v"), F.col("label").cast("int").alias("label"))
+    whole = scratch.keep(base.mapInArrow(_packed(kind), "vec_id long, label int, x binary").withColumn("d", F.unhex(F.md5("x"))), "whole", batch=2000)
+    # a class of equal vectors; ids may repeat, so classes get numbers of their own when they are written
+    same = whole.where("x is not null").groupBy("label", "x").agg(F.min("vec_id").alias("first"), F.count("*").alias("n"))
+    width = np.dtype(kind).itemsize
+    classes = scratch.keep(same.select(F.monotonically_increasing_id().alias("id"), "label", "first", "n", F.unhex(F.md5("x")).alias("d"), "x", F.floor(F.octet_length("x") / width).cast("int").alias("dims")), "classes")
+    handle = spark.sparkContext.broadcast(_indexes(classes, kind, cosine, recall))  # bounded by the codebooks' largest size
+
+    rows = classes.select("dims", "label", "id", "n", "x")
+    cells = rows.mapInArrow(_spread(handle, kind, True), "dims int, label int, home int, cell int").groupBy("dims", "label", "cell").agg(F.count("*").alias("m"))
+    large = scratch.keep(cells.where(F.col("m") > chunk).select("dims", "label", "cell", F.ceil(F.col("m") / chunk).cast("int").alias("chunks")), "large")
+    sent = rows.mapInArrow(_spread(handle, kind, False), "dims int, label int, id long, n long, x binary, home int, cell int").join(large, ["dims", "label", "cell"], "left")
+    # members go to one chunk and visit those chunks of their cell that do not visit theirs; visitors go to all chunks
+    mine, to = F.pmod(F.xxhash64("id"), F.col("chunks")).cast("int"), F.sequence(F.lit(0), F.col("chunks") - 1)
+    inside = F.transform(F.filter(to, lambda k: (k == mine) | ((mine < k) != ((mine + k) % 2 == 1))), lambda k: F.struct(k.alias("chunk"), (k != mine).alias("visitor")))
+    across = F.transform(to, lambda k: F.struct(k.alias("chunk"), F.lit(True).alias("visitor")))
+    one = F.array(F.struct(F.lit(0).alias("chunk"), (F.col("home") != F.col("cell")).alias("visitor")))
+    place = F.when(F.col("chunks").isNull(), one).when(F.col("home") == F.col("cell"), inside).otherwise(across)
+    dealt = sent.select("dims", "label", "cell", "id", "n", "x", F.explode(place).alias("p")).select("dims", "label", "cell", "p.chunk", "p.visitor", "id", "n", "x")
+    key = ("dims", "label", "cell", "chunk")
+    dealt = dealt.repartition(*key).sortWithinPartitions(*key, "visitor").withColumn("visitor", F.col("visitor").cast("int"))
+    links = scratch.keep(dealt.mapInArrow(_compare(kind, cosine), "a long, b long, links long"), "links", batch=2000)
+
+    # rows that repeat a vec_id join their classes
+    of = scratch.keep(whole.join(classes.select("id", "label", "d", "first", "n"), ["label", "d"], "left").select("vec_id", "id", "first", "n"), "of")
+    again = of.where("id is not null").groupBy("vec_id").agg(F.min("id").alias("a"), F.max("id").alias("z")).where("a < z").select("vec_id", "a")
+    again = of.join(again, "vec_id").where("id <> a").select("a", F.col("id").alias("b")).distinct()
+    label = connected_components(links.where("a <> b").select("a", "b").unionByName(again), scratch)
+    root = classes.select(F.col("id").alias("node"), "first").join(label, "node").groupBy("label").agg(F.min("first").alias("root"))
+    root = label.join(root, "label").select(F.col("node").alias("id"), "root")
+    counts = links.groupBy(F.col("a").alias("id")).agg(F.sum("links").alias("links"))
+    known = scratch.keep(root.join(counts, "id", "full"), "known")
+    scratch.drop("whole", "classes", "large", "links")
+    component = F.coalesce("root", "first", "vec_id")
+    n_links = F.coalesce(F.coalesce("links", F.lit(0)) + F.col("n") - 1, F.lit(0)).cast("long")
+    return of.join(known, "id", "left").select("vec_id", n_links.alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))
