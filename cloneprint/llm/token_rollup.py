@@ -11,6 +11,9 @@ they occur; an empty batch is stored as such; groups whose documents and tokens
 
 from __future__ import annotations
 
+from urllib.parse import quote, unquote
+from uuid import uuid4
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -24,7 +27,11 @@ TOKENIZERS = {"blank-1": r"[^\x20\x09-\x0D]+", "split-1": r"[A-Za-z0-9]+|[^A-Za-
 
 
 class Rollup:
-    """Batches under one folder: ``batch=<id>`` holds a batch's sums; ``compacted=<n>`` the sums of the ids it lists."""
+    """Batches under one folder: ``batch=<id>`` holds a batch's sums; ``compacted=<n>`` the sums of the ids it lists.
+
+    The compacted folder with the largest number counts, with those batches that it does not list. A new one has a larger number and is
+    published by one rename before anything that it replaces is deleted, so a crash between any two steps loses nothing and counts nothing twice.
+    """
 
     def __init__(self, spark: SparkSession, folder: str):
         self.spark, self.folder = spark, folder.rstrip("/")
@@ -34,52 +41,72 @@ class Rollup:
     def _path(self, at: str):
         return self._jvm.org.apache.hadoop.fs.Path(at)
 
-    def _names(self) -> list[str]:
+    def _names(self, kind: str) -> list[str]:
         at = self._path(self.folder)
-        return sorted(s.getPath().getName() for s in self.fs.listStatus(at)) if self.fs.exists(at) else []
+        found = (s.getPath().getName() for s in self.fs.listStatus(at)) if self.fs.exists(at) else ()
+        return sorted(n.removeprefix(f"{kind}=") for n in found if n.startswith(f"{kind}="))
+
+    def _compacted(self) -> str | None:
+        return max(self._names("compacted"), default=None, key=int)
+
+    def _folded(self, last: str | None) -> set[str]:
+        """Ids of the batches inside a compacted folder."""
+        return {r["id"] for r in self.spark.read.schema("id string").parquet(f"{self.folder}/compacted={last}/ids").collect()} if last else set()
 
     def committed(self) -> set[str]:
         """Ids of the batches that count."""
-        done = {n.removeprefix("batch=") for n in self._names() if n.startswith("batch=")}
-        last = self._compacted()
-        return done | ({r["id"] for r in self.spark.read.schema("id string").parquet(f"{self.folder}/{last}/ids").collect()} if last else set())
-
-    def _compacted(self) -> str | None:
-        return max((n for n in self._names() if n.startswith("compacted=")), default=None)
+        return {unquote(n) for n in self._names("batch")} | self._folded(self._compacted())
 
     def _publish(self, temp: str, name: str) -> bool:
-        return self.fs.rename(self._path(f"{self.folder}/{temp}"), self._path(f"{self.folder}/{name}"))
+        """A rename is the one step that makes a folder count; a folder that is there stays."""
+        to = self._path(f"{self.folder}/{name}")
+        done = not self.fs.exists(to) and self.fs.rename(self._path(f"{self.folder}/{temp}"), to)
+        if not done:
+            self.fs.delete(self._path(f"{self.folder}/{temp}"), True)
+        return done
 
     def commit(self, batch_id: str, changes: DataFrame) -> bool:
         """Stores a batch of (source, lang, tokenizer, docs, tokens) changes; False if its id is there already."""
         if batch_id in self.committed():
             return False
-        temp = f"_tmp-{batch_id}"
+        temp = f"_tmp-{uuid4().hex}"  # each attempt its own
         sums = changes.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
-        sums.write.mode("overwrite").parquet(f"{self.folder}/{temp}")
-        return self._publish(temp, f"batch={batch_id}")
+        sums.write.parquet(f"{self.folder}/{temp}")
+        return self._publish(temp, f"batch={quote(batch_id, safe='')}")
 
-    def _stored(self) -> DataFrame:
+    def _stored(self, batches: list[str] | None = None) -> DataFrame:
         kind = "source string, lang string, tokenizer string, docs long, tokens long"
         last = self._compacted()
-        inside = self.committed() - {n.removeprefix("batch=") for n in self._names()} if last else set()
-        parts = [f"{self.folder}/{n}" for n in self._names() if n.startswith("batch=") and n.removeprefix("batch=") not in inside]
-        parts += [f"{self.folder}/{last}/sums"] if last else []
+        inside = self._folded(last)
+        parts = [f"{self.folder}/batch={n}" for n in (self._names("batch") if batches is None else batches) if unquote(n) not in inside]
+        parts += [f"{self.folder}/compacted={last}/sums"] if last else []
         return self.spark.read.schema(kind).option("recursiveFileLookup", "true").parquet(*parts) if parts else self.spark.createDataFrame([], kind)
 
-    def totals(self) -> DataFrame:
-        sums = self._stored().groupBy(*KEYS).agg(F.sum("docs").alias("n_docs"), F.sum("tokens").alias("n_tokens"))
+    def totals(self, batches: list[str] | None = None) -> DataFrame:
+        """Sums of all batches, or of the compacted ones and those named."""
+        sums = self._stored(batches).groupBy(*KEYS).agg(F.sum("docs").alias("n_docs"), F.sum("tokens").alias("n_tokens"))
         return sums.where("n_docs <> 0 or n_tokens <> 0")
 
     def compact(self) -> None:
-        """Folds all batches into one; their ids stay known."""
-        ids, n = sorted(self.committed()), len(self._names())
-        temp = "_tmp-compact"
-        self.totals().select(*KEYS, F.col("n_docs").alias("docs"), F.col("n_tokens").alias("tokens")).write.mode("overwrite").parquet(f"{self.folder}/{temp}/sums")
-        self.spark.createDataFrame([(i,) for i in ids], "id string").write.mode("overwrite").parquet(f"{self.folder}/{temp}/ids")
-        if self._publish(temp, f"compacted={n:09d}"):
-            for i in ids:
-                self.fs.delete(self._path(f"{self.folder}/batch={i}"), True)
+        """Folds all batches into one; their ids stay known. One compaction may run at a time, beside any commits."""
+        last, batches = self._compacted(), self._names("batch")
+        ids = sorted({unquote(n) for n in batches} | self._folded(last))
+        temp = f"_tmp-{uuid4().hex}"
+        self.totals(batches).select(*KEYS, F.col("n_docs").alias("docs"), F.col("n_tokens").alias("tokens")).write.parquet(f"{self.folder}/{temp}/sums")
+        self.spark.createDataFrame([(i,) for i in ids], "id string").write.parquet(f"{self.folder}/{temp}/ids")
+        if self._publish(temp, f"compacted={int(last or 0) + 1:09d}"):
+            self._sweep()
+
+    def _sweep(self) -> None:
+        """Deletes what the newest compacted folder replaces."""
+        last = self._compacted()
+        inside = self._folded(last)
+        for n in self._names("compacted"):
+            if n != last:
+                self.fs.delete(self._path(f"{self.folder}/compacted={n}"), True)
+        for n in self._names("batch"):
+            if unquote(n) in inside:
+                self.fs.delete(self._path(f"{self.folder}/batch={n}"), True)
 
 
 def counts(text: Column) -> Column:
@@ -97,9 +124,11 @@ def replay(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """All documents inserted; low-quality ones recounted without marks; toxic ones deleted; each batch sent twice."""
     spark, scratch = docs.sparkSession, Scratch(docs.sparkSession, "rollup")
     flags = labels.groupBy("doc_id").agg(F.max(F.col("toxic") == 1).alias("toxic"), F.max(F.col("quality") == 0).alias("low"))
-    # both counts in the one pass that reads texts: joining first would move every text
+    # both counts in the one pass that reads texts: joining first would move every text; texts without a mark are counted once
     text = F.col("text").cast("string")
-    counted = docs.select("doc_id", "source", "lang", counts(text).alias("old"), counts(F.translate(text, MARKS, "")).alias("new"))
+    counted = docs.select("doc_id", "source", "lang", text.alias("text"), counts(text).alias("old"))
+    marked = F.coalesce(F.length(F.translate("text", MARKS, "")) < F.length("text"), F.lit(False))
+    counted = counted.select("doc_id", "source", "lang", "old", F.when(marked, counts(F.translate("text", MARKS, ""))).otherwise(F.col("old")).alias("new"))
     known = scratch.keep(counted.join(flags, "doc_id", "left"), "known")
     old, new = (known.select("source", "lang", "toxic", "low", F.col(c).alias("counts")) for c in ("old", "new"))
     rollup = Rollup(spark, scratch.path("totals"))
