@@ -9,13 +9,12 @@ full shingle sets. Members of a bucket that still lie in different components ar
 those components: block by block against large components, where a member is done with its first link, and block by block within the
 bucket for the rest. So no link that a band shows is lost, yet a group of copies never expands to all its pairs.
 
-Equal shingle sets are one class from the start: they have Jaccard 1, and only the class's
-smallest id is compared further.
+Equal shingle sets are one class from the start: they have Jaccard 1, and only the class is compared further, under a number of its own.
 
 Defined cases: null or empty texts (or texts without words) have no set and link with nothing;
 rows with a null doc_id do likewise, with a null component. A repeated row is returned as often as it
-occurs. doc_id names a document: if one id comes with several texts, all their sets count, and the id is
-one document. An empty table gives an empty result. Other columns are ignored.
+occurs. doc_id names a document: if one id comes with several texts, each of their sets is compared, and what any of them links
+with is in the id's component. An empty table gives an empty result. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -63,6 +62,7 @@ def registers(shingles: np.ndarray) -> np.ndarray:
 def estimate(a: np.ndarray, b: np.ndarray, n: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Jaccard estimates of register rows, corrected for chance matches, and their standard deviation at 0.75."""
     ratio = np.maximum(n, m) / np.maximum(1.0, np.minimum(n, m))
+    # Fixed value: the published constant of chance matches of two registers, for equal sizes and no mantissa
     chance = 0.169919487159739 * 2.0**-MANTISSA * 4 * ratio / (1 + ratio) ** 2
     own = REGISTERS * (1 - np.exp(-np.minimum(n, m) / REGISTERS))  # registers with a value of their own
     return ((a == b).mean(axis=1) - chance) / (1 - chance), np.sqrt(0.1875 / np.maximum(1.0, own))
@@ -77,13 +77,19 @@ def _sketches(batches):
             x.append(int(s.sum(dtype=np.uint64).view(np.int64)) if len(s) else 0)
             y.append(int(np.bitwise_xor.reduce(words.mix(s)).view(np.int64)) if len(s) else 0)
             regs.append(registers(s).tobytes() if len(s) else None)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(regs, pa.binary())], ["doc_id", "n", "fx", "fy", "regs"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(n, pa.int64()), pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(regs, pa.binary())], ["doc_id", "th", "n", "fx", "fy", "regs"])
 
 
 def _sets(batches):
+    """Rows (id, text), repeated ones side by side, to each class's set once."""
+    last = None
     for batch in batches:
-        packed = [words.shingle_set(t).tobytes() for t in words.text_bytes(batch.column(1))]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], ["id", "items"])
+        ids = batch.column(0).to_pylist()
+        new = [k for k, i in enumerate(ids) if i != (ids[k - 1] if k else last)]
+        last = ids[-1] if ids else last
+        part = batch.take(pa.array(new, pa.int64()))
+        packed = [words.shingle_set(t).tobytes() for t in words.text_bytes(part.column(1))]
+        yield pa.RecordBatch.from_arrays([part.column(0), pa.array(packed, pa.binary())], ["id", "items"])
 
 
 def _promising(percent: int):
@@ -116,12 +122,15 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     """(doc_id, n_shingles, component_id, kept) per row of ``docs``; links at Jaccard >= percent/100."""
     spark = docs.sparkSession
     scratch = common.Scratch(spark, "minhash")
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    sketch = scratch.keep(base.mapInArrow(_sketches, "doc_id long, n long, fx long, fy long, regs binary"), "sketch", batch=2000)
+    text = F.col(text_col).cast("string")
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("th"))
+    sketched = base.mapInArrow(_sketches, "doc_id long, th long, n long, fx long, fy long, regs binary")
+    sketch = scratch.keep(sketched.withColumn("row", F.monotonically_increasing_id()), "sketch", batch=2000)
 
-    # classes of equal sets
+    # classes of equal sets; an id may have several texts, so a class goes by the number of one of its rows
     full = sketch.where("n > 0 and doc_id is not null")
-    classes = scratch.keep(full.groupBy("n", "fx", "fy").agg(F.min("doc_id").alias("rep"), F.first("regs").alias("regs")), "classes")
+    classes = full.groupBy("n", "fx", "fy").agg(F.min(F.struct("doc_id", "th", "row")).alias("o"), F.first("regs").alias("regs"))
+    classes = scratch.keep(classes.select("n", "fx", "fy", F.col("o.doc_id").alias("first"), F.col("o.th").alias("th"), F.col("o.row").alias("rep"), "regs"), "classes")
     reps = classes.select("rep", "n", "regs")
 
     def bands() -> DataFrame:
@@ -139,7 +148,8 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     pairs = member.where(F.col("size") <= SMALL).where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).union(from_large).distinct()
     sized = _with_registers(scratch.keep(pairs, "pairs"), reps, percent)
     likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely", batch=4000)
-    wanted = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).union(member.where("size > 2").select("rep"))
+    wanted = likely.select(F.col("a").alias("rep")).union(likely.select("b")).union(member.where("size > 2").select("rep")).distinct()
+    wanted = classes.select("rep", F.col("first").alias("doc_id"), "th").join(wanted, "rep", "left_semi")
     sets = scratch.keep(_shingle_sets(base, wanted), "sets", batch=2000)
 
     # first each member with its likeliest leader, then what that leaves in different components
@@ -161,14 +171,18 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     large = scratch.keep(open_.select("rep", "label").distinct().groupBy("label").agg(F.count("*").alias("size")).where(F.col("size") >= LARGE), "large")
     late = scratch.keep(_against_large(open_, large, reps, sets, percent, scratch), "links3", batch=8)
     late = late.unionByName(scratch.keep(_among_small(open_, large, reps, sets, likely, percent, scratch), "links4", batch=256))
-    label = common.connected_components(links.unionByName(late), scratch, "c3")
-    scratch.drop("members", "mine", "split", "open", "large", "sets", "likely", "leaders", "inside", "outside", "small", "near")
-
-    by_set = classes.select("n", "fx", "fy", "rep")
-    by_rep = label.withColumnRenamed("node", "rep")
-    whole = sketch.select("doc_id", "n", F.when(F.col("n") > 0, F.col("fx")).alias("fx"), "fy")
-    out = whole.join(by_set, ["n", "fx", "fy"], "left").join(by_rep, "rep", "left")
-    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("label", "rep", "doc_id"))
+    # an id with several texts joins their classes
+    of = sketch.select("doc_id", "n", F.when(F.col("n") > 0, F.col("fx")).alias("fx"), "fy").join(classes.select("n", "fx", "fy", "rep", "first"), ["n", "fx", "fy"], "left")
+    of = scratch.keep(of.select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("rep")).alias("rep"), "first"), "of")
+    several = of.where("rep is not null").groupBy("doc_id").agg(F.min("rep").alias("a"), F.max("rep").alias("z")).where("a < z").select("doc_id", "a")
+    several = of.join(several, "doc_id").where("rep <> a").select("a", F.col("rep").alias("b")).distinct()
+    label = common.connected_components(links.unionByName(late).unionByName(several), scratch, "c3")
+    root = classes.select(F.col("rep").alias("node"), "first").join(label, "node").groupBy("label").agg(F.min("first").alias("root"))
+    root = scratch.keep(label.join(root, "label").select(F.col("node").alias("rep"), "root"), "root")
+    scratch.drop("sketch", "classes", "members", "mine", "split", "open", "large", "sets", "likely", "leaders", "inside", "outside", "small", "near", "links1", "links2", "links3", "links4")
+
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "first", "doc_id"))
+    out = of.join(root, "rep", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
@@ -185,8 +199,11 @@ def _with_registers(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFram
 
 
 def _shingle_sets(base: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Full shingle sets of the documents in ``wanted``; sorted and merged whatever the size, as texts are the larger side."""
-    return base.join(wanted.distinct().hint("merge"), "doc_id", "left_semi").mapInArrow(_sets, "id long, items binary")
+    """Full shingle sets of the classes in ``wanted`` (rep, doc_id, th); sorted and merged whatever the size, as texts are the larger side.
+
+    Where the join splits a hot id, a set may come once from each part; links are made distinct after.
+    """
+    return base.join(wanted.hint("merge"), ["doc_id", "th"]).select("rep", "text").mapInArrow(_sets, "id long, items binary")
 
 
 _BLOCK = "key long, first long, ids binary, labels binary, sizes binary, regs binary, items binary"
@@ -294,9 +311,12 @@ def _against_large(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: Da
 def _among_small(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: DataFrame, likely: DataFrame, percent: int, scratch: common.Scratch) -> DataFrame:
     """Links between small components that share a bucket: registers are compared in blocks, what may reach the threshold is confirmed."""
     rest = open_.join(large, "label", "left_anti")
-    split = rest.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key")
-    full = rest.join(split, "key", "left_semi").join(reps, "rep").select("key", "rep", "label", "n", "regs", F.lit(None).cast("binary").alias("items"))
-    blocks = scratch.keep(full.repartition("key").sortWithinPartitions("key", "rep").mapInArrow(_blocks, _BLOCK), "small", batch=1000)
+    split = rest.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("members")).where("lo < hi")
+    # a large bucket's members are dealt to parts of about a block, so that no task gathers the whole bucket
+    part = F.pmod(F.xxhash64("rep"), F.ceil(F.col("members") / BLOCK)).alias("part")
+    full = rest.join(split, "key").select("key", "rep", "label", part).join(reps, "rep").select("key", "rep", "label", "n", "regs", F.lit(None).cast("binary").alias("items"), "part")
+    blocks = full.repartition("key", "part").sortWithinPartitions("key", "part", "rep").drop("part")
+    blocks = scratch.keep(blocks.mapInArrow(_blocks, _BLOCK), "small", batch=1000)
     pairs = _side(blocks, "p").join(_side(blocks, "q"), "key").where("p_first <= q_first").drop("key", "p_items", "q_items")
     near = _once(pairs.mapInArrow(_promising_blocks(percent), "a long, b long"))
     near = scratch.keep(near.join(_once(likely), ["a", "b"], "left_anti"), "near", batch=64)
