@@ -5,12 +5,13 @@ lines that differ, where whole lines never match; so lines are cut further, at w
 (the same words are cut alike wherever they stand), and the pieces are units too. Few or long pieces can leave a passage without enough whole
 ones, so windows of ``WINDOW`` words are the third kind: of each ``PASSAGE - WINDOW + 1`` neighbours the one with the smallest hash, whatever the
 lines. So every passage of ``PASSAGE`` words holds a window that is drawn in all its copies. Digests of all units are grouped globally; the
-occurrence with the smallest (doc_id, position) is kept. Removed are later whole lines of at least ``line_words`` words, and runs of
+occurrence with the smallest (doc_id, text digest, position) is kept. Removed are later whole lines of at least ``line_words`` words, and runs of
 words in later pieces or windows, of at least ``run_words`` words. Removed spans are given as byte offsets of the original UTF-8 text.
 
-Defined cases: null and empty texts have no units and stay as they are; a null doc_id takes no part. Rows that repeat a doc_id count as
-one document, so its own rows never remove each other; a unit that repeats within a document is kept once. Ties cannot occur, as positions
-differ. Columns of any other name pass through. An empty table gives an empty result.
+Defined cases: null and empty texts have no units and stay as they are; a null doc_id takes no part. Rows that repeat a doc_id and its
+text count as one document, so they never remove each other; a doc_id with several texts is as many documents, ranked by the digests of their
+texts. A unit that repeats within a document is kept once. Ties cannot occur, as positions differ. All other columns pass through, whatever their
+names; one that is named like ``spans_col`` gives way to it. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,9 +20,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
 
 from . import words
-from .common import Scratch
+from .common import Scratch, quoted
 
 LINE_WORDS, RUN_WORDS, REACH = 10, 25, 4
 WINDOW, PASSAGE = 25, 51
@@ -85,20 +87,21 @@ def units(text: bytes | None) -> tuple[np.ndarray, ...]:
 
 def _rows(batches):
     for batch in batches:
-        docs, texts = batch.column(0).to_pylist(), words.text_bytes(batch.column(1))
+        docs, texts, tags = batch.column(0).to_pylist(), words.text_bytes(batch.column(1)), batch.column(2).to_pylist()
         at = 0
         while at < len(texts):  # some texts at a time, by size
-            d, h, c, k, held = [], [], [], [], 0
+            d, g, h, c, k, held = [], [], [], [], [], 0
             while at < len(texts) and held < 1 << 22:
                 kind, digest, check, *_ = units(texts[at])
                 place = 3 * (np.arange(len(kind)) - np.searchsorted(kind, kind)) + kind
                 d.append(np.full(len(kind), docs[at], np.int64))
+                g.append(np.full(len(kind), tags[at], np.int64))
                 h.append(digest.view(np.int64))
                 c.append(check.astype(np.int32))
                 k.append(place.astype(np.int64))
                 held += len(texts[at] or b"")
                 at += 1
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (d, h, c, k)], ["doc_id", "digest", "check", "place"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (d, g, h, c, k)], ["doc_id", "tag", "digest", "check", "place"])
 
 
 def removed_spans(text: bytes, again: list[int], line_words: int, run_words: int) -> list[tuple[int, int]]:
@@ -163,7 +166,7 @@ def _cut(line_words: int, run_words: int):
                     text = b"".join([*keep, text[at:]])
                 new.append(None if text is None else text.decode("utf-8", "replace"))
             kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([*batch.columns[: n - 2], pa.array(new, pa.string()), pa.array(spans, kind)], [*names[: n - 2], "_text", "_removed"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: n - 2], pa.array(new, pa.string()), pa.array(spans, kind)], [*names[: n - 2], "text", "spans"])
 
     return run
 
@@ -171,19 +174,24 @@ def _cut(line_words: int, run_words: int):
 def dedup_units(docs: DataFrame, line_words: int = LINE_WORDS, run_words: int = RUN_WORDS, id_col: str = "doc_id", text_col: str = "text", spans_col: str = "removed") -> DataFrame:
     """``docs`` with shortened texts, and ``spans_col``: array of (start, end) byte offsets cut from the original."""
     scratch = Scratch(docs.sparkSession, "substring")
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id is not null and text <> ''")
+    named = [c for c in docs.columns if c != spans_col]
+    text = docs[quoted(text_col)].cast("string")
+    # a row goes by its id and its text's digest, as an id may have several texts
+    base = docs.select(docs[quoted(id_col)].cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("tag")).where("doc_id is not null and text <> ''")
 
     def found() -> DataFrame:
-        return base.mapInArrow(_rows, "doc_id long, digest long, check int, place long")
+        return base.mapInArrow(_rows, "doc_id long, tag long, digest long, check int, place long")
 
-    first = F.min(F.struct("doc_id", "place"))
-    kept = found().groupBy("digest", "check").agg(first.alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "check", F.col("first.doc_id").alias("at_doc"), F.col("first.place").alias("at"))
-    kept = scratch.keep(kept, "kept")
-    later = found().join(kept, ["digest", "check"]).where("doc_id <> at_doc or place <> at")
-    again = scratch.keep(later.groupBy("doc_id").agg(F.collect_set("place").alias("_again")).withColumnRenamed("doc_id", "_doc"), "again")
+    first = F.min(F.struct("doc_id", "tag", "place"))
+    kept = found().groupBy("digest", "check").agg(first.alias("first"), F.count("*").alias("n")).where("n > 1")
+    kept = scratch.keep(kept.select("digest", "check", F.col("first.doc_id").alias("at_doc"), F.col("first.tag").alias("at_tag"), F.col("first.place").alias("at")), "kept")
+    later = found().join(kept, ["digest", "check"]).where("doc_id <> at_doc or tag <> at_tag or place <> at")
+    again = scratch.keep(later.groupBy("doc_id", "tag").agg(F.collect_set("place").alias("places")), "again")
     scratch.drop("kept")
-    others = [c for c in docs.columns if c != text_col]
-    joined = docs.join(again, docs[id_col] == again["_doc"], "left").select(*[docs[c] for c in others], docs[text_col].cast("string").alias("_text"), "_again")
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in joined.schema.fields[:-2])
-    out = joined.mapInArrow(_cut(line_words, run_words), f"{schema}, _text string, _removed array<struct<start:bigint,end:bigint>>")
-    return out.select(*[F.col("_text").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns], F.col("_removed").alias(spans_col))
+    # the other columns travel in one struct, so that no name can clash
+    others = [F.col(quoted(c)) for c in named if c != text_col]
+    whole = docs.select(F.struct(*others).alias("others"), F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).cast("string").alias("text"))
+    joined = whole.withColumn("tag", F.xxhash64("text")).join(again, ["doc_id", "tag"], "left").select("others", "text", "places")
+    span = StructType([StructField("start", LongType()), StructField("end", LongType())])
+    cut = joined.mapInArrow(_cut(line_words, run_words), StructType([joined.schema["others"], StructField("text", StringType()), StructField("spans", ArrayType(span))]))
+    return cut.select(*[F.col("text").alias(c) if c == text_col else F.col("others")[c].alias(c) for c in named], F.col("spans").alias(spans_col))
