@@ -1,19 +1,23 @@
 """Language identification of mixed text: script ranges, word scores, Viterbi with a switching penalty.
 
-Letters are grouped by script; a word's script leaves only the languages that were seen in it. Each remaining language scores
+Letters are what Unicode calls letters, with the marks that follow them, and are grouped by script; a word's script leaves only the languages that were seen in it. Each remaining language scores
 the word by its letter 1- to 4-grams (hashed tables of log ratios, learned from labelled text). Viterbi over the words of a text
 then finds the best labelling where each switch costs ``PENALTY``; runs of one label are its spans. All texts of a batch
 advance together: each is cut into blocks, a block's best transitions from every state are found in lockstep, and
 blocks are put together by max-plus steps, so long texts cost no more per word than short ones.
 
-The tables are fitted on at most ``FIT_ROWS`` rows, drawn by a hash of their id (the documented bound).
+The tables are fitted on at most ``FIT_ROWS`` rows of at most ``FIT_CHARS`` characters together, drawn by a hash of their id (the documented bounds); a
+row that would exceed the characters is passed over.
 
-Defined cases: a null text, an empty text and one with no letter are ``und`` with score 0; without any labelled row every text is ``und``. Rows with a null
-lang are never learned from. Ties go to the alphabetically first language. Rows come back as often as they occur; other columns are ignored.
+Defined cases: a null text, an empty text and one with no letter (digits, marks, emoji) are ``und`` with score 0; without any labelled row every text
+is ``und``. Rows with a null lang are never learned from, and equal rows are learned from once. Ties go to the alphabetically first language. Rows come
+back as often as they occur; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import sys
+import unicodedata
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-FIT_ROWS = 6_000
+FIT_ROWS, FIT_CHARS = 6_000, 40_000_000
 PENALTY, ORDERS, TABLE, BLOCK = 6.0, (1, 2, 3, 4), 1 << 17, 32
 SLICE = 1 << 20  # characters handled at a time
 # First and last code points of scripts, by public Unicode block.
@@ -33,24 +37,27 @@ SCRIPTS = (
 SCRIPT_NAMES = ("none", *dict.fromkeys(name for name, _, _ in SCRIPTS), "other")
 
 
+_MARK = len(SCRIPT_NAMES)  # belongs to the letter before it
+
+
 def _script_table() -> np.ndarray:
-    table = np.zeros(0x10000, np.uint8)
-    for k in range(0x80, 0x10000):
-        if not 0xD800 <= k < 0xE000 and chr(k).isalpha():
-            table[k] = len(SCRIPT_NAMES) - 1
+    """Per code point: 0 no letter, the number of its script, or ``_MARK``."""
+    named = np.full(sys.maxunicode + 1, len(SCRIPT_NAMES) - 1, np.uint8)
     for name, lo, hi in SCRIPTS:
-        table[lo : hi + 1] = SCRIPT_NAMES.index(name)
-    return table
+        named[lo : hi + 1] = SCRIPT_NAMES.index(name)
+    every = [unicodedata.category(chr(k))[0] for k in range(sys.maxunicode + 1)]
+    kind = np.frombuffer("".join(every).encode(), np.uint8)
+    return np.where(kind == ord("L"), named, np.where(kind == ord("M"), _MARK, 0)).astype(np.uint8)
 
 
 _SCRIPT: list[np.ndarray] = []
 
 
 def scripts(code: np.ndarray) -> np.ndarray:
-    """Script number of each code point; 0 for what is no letter."""
+    """Script number of each code point; 0 for what is no letter, ``_MARK`` for combining marks."""
     if not _SCRIPT:
         _SCRIPT.append(_script_table())
-    return np.where(code < 0x10000, _SCRIPT[0][np.minimum(code, 0xFFFF)], len(SCRIPT_NAMES) - 1 if len(code) else 0).astype(np.uint8)
+    return _SCRIPT[0][code]
 
 
 @dataclass
@@ -65,20 +72,31 @@ class Words:
 
 
 def letters(text: str) -> Words:
-    code = np.frombuffer(text.lower().encode("utf-32-le", "replace"), np.uint32)
+    # a blank before and after, so that a word scores the same wherever its text stands in a batch
+    code = np.frombuffer((text.lower() + " ").encode("utf-32-le", "replace"), np.uint32)
     kind = scripts(code)
     letter = kind > 0
     edge = np.flatnonzero(np.diff(np.concatenate(([0], letter.view(np.int8), [0]))))
     start, end = edge[0::2], edge[1::2]
-    here = np.where(letter, code, 0x20).astype(np.uint64)  # all that is no letter marks a word's edge
+    if (kind == _MARK).any():  # a run of marks alone is no word, and the first letter names the script
+        real = np.flatnonzero(letter & (kind != _MARK))
+        place = np.searchsorted(real, start)
+        first = np.append(real, len(code))[place]
+        word = first < end
+        for a, b in zip(start[~word].tolist(), end[~word].tolist(), strict=True):
+            letter[a:b] = False
+        start, end, first = start[word], end[word], first[word]
+    else:
+        first = start
+    lead = max(ORDERS) - 1
+    here = np.concatenate((np.full(lead, 0x20), np.where(letter, code, 0x20))).astype(np.uint64)  # all that is no letter marks a word's edge
     grams, total = [], np.zeros(len(code), np.uint64)
     for k in range(max(ORDERS)):
-        total = total * np.uint64(0x100000001B3)
-        total[k:] += here[: len(here) - k] * np.uint64(0x9E3779B97F4A7C15) if k else here * np.uint64(0x9E3779B97F4A7C15)
+        total = total * np.uint64(0x100000001B3) + here[lead - k : len(here) - k] * np.uint64(0x9E3779B97F4A7C15)
         if k + 1 in ORDERS:
             h = total ^ (total >> np.uint64(29))
             grams.append(((h * np.uint64(0xBF58476D1CE4E5B9)) >> np.uint64(47)).astype(np.int64))
-    return Words(start, end, kind[start] if len(start) else kind[:0], grams, code)
+    return Words(start, end, kind[first] if len(start) else kind[:0], grams, code)
 
 
 class Model:
@@ -312,9 +330,21 @@ def train(texts: list[str], langs: list[str]) -> Model:
 
 
 def fit(docs: DataFrame, held_out, rows: int = FIT_ROWS) -> Model:
-    known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out)
-    chosen = F.broadcast(known.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows))  # bounded by `rows`
-    got = known.select("doc_id", "lang", "text").join(chosen, "doc_id").select("lang", "text").toPandas().sort_values(["lang", "text"])
+    text = F.col("text").cast("string")
+    known = docs.where(~held_out).select("doc_id", F.col("lang").cast("string").alias("lang"), text.alias("text"), F.xxhash64(text).alias("th")).where("lang is not null and text is not null")
+    n = known.count()
+    small = known.select("doc_id", "lang", "th", F.length("text").alias("size"))
+    if n > 2 * rows:  # by a share first, so that few rows meet in the task that puts them in order
+        small = small.where(F.pmod(F.xxhash64("doc_id", "th"), F.lit(1 << 40)) < int((1 << 40) * min(1.0, 1.5 * rows / n)))
+    drawn, left = [], FIT_CHARS
+    for r in small.distinct().orderBy(F.xxhash64("doc_id", "th"), "doc_id", "th", "lang").limit(rows).collect():  # bounded by `rows`
+        if r["size"] <= left:
+            drawn.append((r["doc_id"], r["lang"], r["th"]))
+            left -= r["size"]
+    if not drawn:
+        return train([], [])
+    chosen = F.broadcast(docs.sparkSession.createDataFrame(drawn, "doc_id long, lang string, th long"))
+    got = known.join(chosen, ["doc_id", "lang", "th"]).groupBy("doc_id", "lang", "th").agg(F.first("text").alias("text")).select("lang", "text").toPandas().sort_values(["lang", "text"])
     return train(got["text"].tolist(), got["lang"].tolist())
 
 
