@@ -8,7 +8,8 @@ their id (the documented bound); everything is scored.
 
 Defined cases: a null text counts as empty; an empty text has the all-zero statistics and is scored like any
 other; null labels are not learned from; if several labels of one id differ, each counts. With one class only, every score is that
-class's share. With no labelled row, every score is 0.5. Rows come back as often as they occur; other columns stay.
+class's share. With no labelled row, every score is 0.5. Rows come back as often as they occur, but equal ones are learned from once. ``score`` keeps the
+columns it is told to, whatever their names; one that is named like its result gives way to it.
 """
 
 from __future__ import annotations
@@ -17,7 +18,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
+from .common import quoted
 from .words import text_bytes, word_hashes
 
 FIT_ROWS = 8_000  # labelled rows that the model is fitted on, at most
@@ -92,8 +95,8 @@ class Discriminant:
 
 def _measure(batches):
     for batch in batches:
-        got = [statistics(t) for t in text_bytes(batch.column(1))]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.list_(pa.float64()))], ["y", "x"])
+        got = [statistics(t) for t in text_bytes(batch.column(2))]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.list_(pa.float64()))], ["doc_id", "y", "x"])
 
 
 def fold(id_col: str | Column, folds: int) -> Column:
@@ -102,11 +105,16 @@ def fold(id_col: str | Column, folds: int) -> Column:
 
 def fit(docs: DataFrame, labels: DataFrame, held_out: Column | None = None, label_col: str = "quality", rows: int = FIT_ROWS) -> Discriminant:
     """Learns from the labelled rows outside ``held_out``, at most ``rows`` of them, drawn by a hash of doc_id."""
-    known = labels.select("doc_id", F.col(label_col).cast("int").alias("y")).where("y in (0, 1) and doc_id is not null")
+    known = labels.select("doc_id", F.col(label_col).cast("int").alias("y")).where("y in (0, 1) and doc_id is not null").distinct()
     if held_out is not None:
         known = known.where(~held_out)
+    n = known.count()
+    if n > 2 * rows:  # by a share first, so that few rows meet in the task that puts them in order
+        known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < int((1 << 40) * min(1.0, 1.5 * rows / n)))
     drawn = F.broadcast(known.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(rows))  # bounded by `rows`
-    got = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(drawn, "doc_id").select("y", "text").mapInArrow(_measure, "y int, x array<double>").toPandas()
+    measured = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(drawn, "doc_id").select("doc_id", "y", "text").mapInArrow(_measure, "doc_id long, y int, x array<double>")
+    # repeated rows count once; an id with many texts cannot exceed the bound
+    got = measured.distinct().orderBy(F.xxhash64("doc_id"), F.xxhash64("x"), "y").limit(rows).select("y", "x").toPandas()
     x = np.array(got["x"].tolist(), float).reshape(-1, len(STATISTICS))
     order = np.lexsort((*x.T, got["y"].to_numpy(int)))  # the same sums whatever order rows arrive in
     return Discriminant(x[order], got["y"].to_numpy(int)[order])
@@ -121,11 +129,11 @@ def _scored(model: Discriminant):
     return run
 
 
-def score(docs: DataFrame, model: Discriminant, keep: list[str]) -> DataFrame:
-    """The columns of ``keep`` with the score of each whole text."""
-    chosen = docs.select(*keep, F.col("text").cast("string").alias("_text"))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[:-1])
-    return chosen.mapInArrow(_scored(model), f"{schema}, score double")
+def score(docs: DataFrame, model: Discriminant, keep: list[str], score_col: str = "score") -> DataFrame:
+    """The columns of ``keep`` with the score of each whole text; they travel in one struct, so that no name can clash."""
+    chosen = docs.select(F.struct(*[F.col(quoted(c)) for c in keep]).alias("kept"), F.col("text").cast("string").alias("text"))
+    scored = chosen.mapInArrow(_scored(model), StructType([chosen.schema["kept"], StructField("score", DoubleType())]))
+    return scored.select(*[F.col("kept")[c].alias(c) for c in keep if c != score_col], F.col("score").alias(score_col))
 
 
 def classify(docs: DataFrame, labels: DataFrame, cut: float = CUT) -> DataFrame:
