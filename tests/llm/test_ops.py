@@ -95,6 +95,30 @@ def test_minhash_chain_and_large_group(spark):
     assert [got[k] for k in range(len(every))] == want
 
 
+def test_minhash_ids_with_several_texts_and_repeats(spark):
+    """Each text of an id is compared; the id joins what its texts link with; repeated rows change nothing."""
+    from cloneprint.llm import minhash_dedup as M
+
+    r = random.Random(3)
+    base = [[f"v{r.randrange(90)}" for _ in range(r.randint(20, 60))] for _ in range(60)]
+    rows = []
+    for k in range(400):
+        w = list(r.choice(base))
+        for _ in range(r.randint(0, 2)):
+            w[r.randrange(len(w))] = f"x{r.randrange(9)}"
+        rows.append((k if k % 5 else k // 5 + 1000 * (k % 2), " ".join(w)))
+    rows += [rows[7]] * 30 + [(3, rows[40][1]), (3, rows[200][1])]
+    sets = [shingles(t) for _, t in rows]
+    links = [(a, b) for a in range(len(rows)) for b in range(a) if rows[a][0] == rows[b][0] or 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b])]
+    root = roots(len(rows), links)
+    low = defaultdict(lambda: 1 << 60)
+    for k, (d, _) in enumerate(rows):
+        low[root[k]] = min(low[root[k]], d)
+    want = {d: low[root[k]] for k, (d, _) in enumerate(rows)}
+    got = M.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    assert len(got) == len(rows) and all(q["component_id"] == want[q["doc_id"]] for q in got)
+
+
 def test_components(spark):
     from cloneprint.llm.common import Scratch, connected_components
 
@@ -204,6 +228,89 @@ def test_quality(spark):
     assert {r["score"] for r in Q.classify(docs, empty(labels)).collect()} == {0.5}
 
 
+def test_quality_scores_are_the_density_differences(spark):
+    """Scores of the operator against plain normal densities with the same shrinkage."""
+    from cloneprint.llm import quality as Q
+
+    r = random.Random(6)
+    rows = [(k, prose(r.randint(1, 80)) + ("!" * r.randint(0, 9) if k % 3 else "."), int(k % 3 == 0)) for k in range(400)]
+    docs = spark.createDataFrame([x[:2] for x in rows] + [rows[5][:2]] * 40, "doc_id long, text string").withColumn("y", F.lit("clash"))
+    labels = spark.createDataFrame([(k, y) for k, _, y in rows], "doc_id long, quality int")
+    fold = {k: zlib.crc32(str(k).encode()) % 4 == 2 for k, _, _ in rows}
+    x = np.array([Q.statistics(t.encode()) for _, t, _ in rows])
+    y, known = np.array([q for _, _, q in rows]), np.array([not fold[k] for k, _, _ in rows])
+    scale = x[known].std(axis=0) + 1e-6
+    z = x / scale
+    pooled = sum(np.cov(z[known & (y == c)].T, bias=True) * (known & (y == c)).sum() for c in (0, 1)) / known.sum()
+    logs = []
+    for c in (0, 1):
+        part = z[known & (y == c)]
+        cov = (1 - Q.SHRINK_POOLED) * np.cov(part.T, bias=True) + Q.SHRINK_POOLED * pooled
+        cov = (1 - Q.SHRINK_DIAGONAL) * cov + Q.SHRINK_DIAGONAL * (np.diag(np.diag(cov)) + 1e-3 * np.eye(len(cov)))
+        gap = z - part.mean(axis=0)
+        logs.append(np.log(len(part) / known.sum()) - 0.5 * np.linalg.slogdet(cov)[1] - 0.5 * np.einsum("ij,jk,ik->i", gap, np.linalg.inv(cov), gap))
+    want = 1 / (1 + np.exp(np.clip(logs[0] - logs[1], -500, 500)))
+    got = Q.classify(docs, labels).collect()
+    assert len(got) == 440 and all(q["score"] == pytest.approx(want[q["doc_id"]], abs=1e-6) for q in got)
+    clash = Q.score(docs.withColumn("score", F.lit("s")).withColumn("kept", F.lit(1)), Q.fit(docs, labels), ["doc_id", "kept", "score"], "other")
+    assert clash.columns == ["doc_id", "kept", "score", "other"] and clash.where("score = 's' and kept = 1").count() == 440
+
+
+def test_language_whole_operator_against_plain(spark):
+    """Word by word in plain Python: letters by category, hashed n-grams, the same tables, plain Viterbi."""
+    import unicodedata
+
+    from cloneprint.llm import language_id as L
+
+    r = random.Random(8)
+    words = {"aa": "the and ing that with for", "bb": "der und ung nicht mit das", "cc": "это как что для его они", "dd": "हिन्दी में है और यह"}
+    langs = list(words)
+    rows = [(k, " ".join(r.choice(words[l].split()) for _ in range(r.randint(1, 90))) + r.choice(["", " 12 ", "!?", " 😀"]), l) for k in range(200) for l in [r.choice(langs)]]
+    rows += [(1000, " ".join(rows[k][1] for k in range(12)), None), (1001, "😀😀 🎉", "aa"), (1002, "٣٤٥ १२३ ①②", "dd"), (1003, "́̀", "bb"), (1004, "𝒜𝒷 𐐀", None), (1005, "...", "aa"), (7, rows[7][1], rows[7][2])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").withColumn("th", F.lit("clash")).withColumn("size", F.lit("clash"))
+    docs = docs.unionByName(docs.where("doc_id = 9")).repartition(4)
+    held = {k: zlib.crc32(str(k).encode()) % 3 == 1 for k, _, _ in rows}
+    known = {(k, t, l) for k, t, l in rows if l and not held[k]}
+    model = L.train([t for _, t, _ in sorted(known)], [l for _, _, l in sorted(known)])
+
+    def plain(text):
+        low, found, at = text.lower(), [], 0
+        kind = [unicodedata.category(c)[0] for c in low]
+        while at < len(low):
+            end = at
+            while end < len(low) and kind[end] in "LM":
+                end += 1
+            if "L" in kind[at:end]:
+                found.append((at, end))
+            at = max(end, at + 1)
+        if not found:
+            return "und", 0.0
+        s = model.word_scores(L.letters(text)).astype(float)
+        assert len(s) == len(found)
+        v, back = s[0].copy(), []
+        for row in s[1:]:
+            best = int(v.argmax())
+            stay = v >= v[best] - L.PENALTY
+            back.append(np.where(stay, np.arange(len(v)), best))
+            v = np.where(stay, v, v[best] - L.PENALTY) + row
+        path = [int(v.argmax())]
+        for b in reversed(back):
+            path.append(int(b[path[-1]]))
+        weight = np.zeros(len(v))
+        for (a, b), k in zip(found, path[::-1], strict=True):
+            weight[k] += b - a
+        return model.langs[int(weight.argmax())], weight.max() / weight.sum()
+
+    got = L.identify(docs).collect()
+    text = {k: t for k, t, _ in rows}
+    assert len(got) == docs.count()
+    for q in got:
+        name, share = plain(text[q["doc_id"]])
+        assert (q["lang_pred"], q["held_out"]) == (name, held[q["doc_id"]]) and q["score"] == pytest.approx(share, abs=1e-6), q
+    und = {q["doc_id"] for q in got if q["lang_pred"] == "und"}
+    assert und == {1001, 1002, 1003, 1005}
+
+
 def test_language(spark):
     from cloneprint.llm import language_id as L
 
@@ -273,6 +380,35 @@ def test_decontamination_edited_copies(spark, every, others):
     assert all(r["doc_id"] < len(docs) + len(more) for r in got)
 
 
+def test_decontamination_search_against_plain(spark):
+    """Every document aligned with every item at every place, without seeds."""
+    from cloneprint.llm import decontaminate as D
+
+    r = random.Random(21)
+    items = [prose(n) for n in (3, 8, 20, 20, 35, 50)]
+    docs = []
+    for k in range(80):
+        w = r.choice(items).split()
+        for _ in range(r.randint(0, max(1, len(w) // 3))):
+            what, p = r.randrange(3), r.randrange(len(w))
+            w[p : p + (what != 1)] = [] if what == 0 and len(w) > 2 else [f"n{r.randrange(99)}"]
+        docs.append(f"{prose(r.randint(0, 30))} {' '.join(w)} {prose(r.randint(0, 30))}" if k % 4 else prose(60))
+    code = lambda t: np.array([hash(x) & 0xFFFFFFFF for x in re.findall(r"[a-z0-9]+", t.lower())], np.uint64)
+    want = {}
+    for d, text in enumerate(docs):
+        for i, item in enumerate(items):
+            score = D.align(code(item), code(text))[0]
+            if score >= D.CUT:
+                want[d, i] = score
+    df = spark.createDataFrame(list(enumerate(docs)) + [(None, docs[1])], "doc_id long, text string").withColumn("item_id", F.lit("clash"))
+    got = {(q["doc_id"], q["item_id"]): q["score"] for q in D.contaminated(df.repartition(3), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")).collect()}
+    found = {k: v for k, v in got.items() if k[0] is not None}
+    assert set(found) <= set(want) and all(v == pytest.approx(want[k]) for k, v in found.items())
+    # what the seeds let go: items of few words, where one pair is not enough, and copies with words put in everywhere
+    long = {k for k in want if len(items[k[1]].split()) >= 8}
+    assert len(long & set(found)) >= 0.97 * len(long) and {i for d, i in got if d is None} == {i for d, i in found if d == 1}
+
+
 def test_smith_waterman():
     from cloneprint.llm.decontaminate import GAP, MATCH, MISMATCH, align
 
@@ -306,6 +442,68 @@ def test_substring(spark):
     assert S.dedup_units(empty(df)).count() == 0
 
 
+def _digests(text):
+    """The units of a text in plain Python: kind, digest, check, first byte, end byte, words, first word."""
+    from cloneprint.llm import substring_dedup as S
+
+    return [c.tolist() for c in S.units(text.encode())]
+
+
+def test_substring_ids_with_several_texts_and_any_columns(spark):
+    from cloneprint.llm import substring_dedup as S
+
+    a, b, c = (prose(20) for _ in range(3))
+    rows = [(1, a + "\n" + b), (2, c + "\n" + a), (2, b + "\n" + prose(12)), (2, c + "\n" + a), (3, c)]
+    names = "doc_id long, text string"
+    df = spark.createDataFrame(rows, names)
+    for k, name in enumerate(("_text", "_again", "tag", "places", "spans", "removed", "others", "a.b", "_removed")):
+        df = df.withColumn(name, F.lit(k))
+    got = S.dedup_units(df).collect()
+    assert S.dedup_units(df).columns == ["doc_id", "text", "_text", "_again", "tag", "places", "spans", "others", "a.b", "_removed", "removed"]
+    left = sorted((r["doc_id"], r["text"]) for r in got)
+    # both rows of id 2 with the text (c, a) lose a and keep c; its other text loses b, not its own second line
+    assert left == sorted([(1, a + "\n" + b), (2, c), (2, c), (2, rows[2][1].split("\n")[1]), (3, "")])
+    assert all((r["_text"], r["tag"], r["a.b"]) == (0, 2, 7) for r in got)
+
+
+def test_substring_whole_operator_against_plain(spark):
+    """Group all units of all documents in a dictionary, keep the first, and cut by the same rule."""
+    from cloneprint.llm import substring_dedup as S
+
+    r = random.Random(12)
+    shared = [prose(n) for n in (11, 15, 26, 40, 55, 80)]
+    docs = ["\n".join(" ".join([prose(r.randint(3, 20)), r.choice(shared)] if r.random() < 0.4 else [r.choice(shared)] if r.random() < 0.4 else [prose(r.randint(5, 30))]) for _ in range(r.randint(1, 6))) for _ in range(150)]
+    first, places = {}, defaultdict(set)
+    per = []
+    for d, text in enumerate(docs):
+        kind, digest, check, *_ = _digests(text)
+        seen = defaultdict(int)
+        row = []
+        for k, h, c in zip(kind, digest, check, strict=True):
+            row.append(((h, c), 3 * seen[k] + k))
+            seen[k] += 1
+        per.append(row)
+    count = defaultdict(int)
+    for d, row in enumerate(per):
+        for key, place in row:
+            count[key] += 1
+            first[key] = min(first.get(key, (d, place)), (d, place))
+    for d, row in enumerate(per):
+        for key, place in row:
+            if count[key] > 1 and first[key] != (d, place):
+                places[d].add(place)
+    got = {q["doc_id"]: q for q in S.dedup_units(spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string").repartition(6)).collect()}
+    removed = 0
+    for d, text in enumerate(docs):
+        want = S.removed_spans(text.encode(), sorted(places[d]), S.LINE_WORDS, S.RUN_WORDS) if places[d] else []
+        assert [(s["start"], s["end"]) for s in got[d]["removed"]] == want
+        removed += len(want)
+    assert removed > 50
+    # no line of ten words or more is left twice
+    lines = [tuple(x.split()) for q in got.values() for x in q["text"].split("\n") if len(x.split()) >= 10]
+    assert len(lines) == len(set(lines))
+
+
 def test_substring_passages_of_51_words(spark):
     from cloneprint.llm import substring_dedup as S
 
@@ -349,6 +547,74 @@ def test_embeddings(spark):
     assert E.near_duplicates(empty(df)).count() == 0
 
 
+def test_embeddings_hot_group_repeats_and_rare_lengths(spark):
+    """Several thousand vectors: a large group of near copies, loose pairs around the threshold, repeated ids, many lengths."""
+    from cloneprint.llm import embedding_dedup as E
+
+    r = np.random.default_rng(5)
+    unit = lambda x: x / np.linalg.norm(x, axis=-1, keepdims=True)
+    near = lambda x, c: c * x + np.sqrt(1 - c * c) * unit((lambda u: u - (u * x).sum(-1, keepdims=True) * x)(r.normal(size=x.shape)))
+    lone = unit(r.normal(size=(2500, 24)))
+    pairs = near(lone[:800], r.uniform(0.9, 0.97, (800, 1)))
+    hot = unit(lone[:1] + r.normal(size=(1500, 24)) * 0.035)
+    x = np.concatenate((lone, pairs, hot)).astype(np.float32)
+    label = np.concatenate((np.arange(2500) % 3, np.arange(800) % 3, np.zeros(1500, int)))
+    rows = [(k, v.tolist(), int(l)) for k, (v, l) in enumerate(zip(x, label, strict=True))]
+    rows += [(5, x[5].tolist(), 2), (5, x[900].tolist(), 0), (7, x[7].tolist(), 1), (7, x[7].tolist(), 1)]
+    rows += [(9000 + 2 * n + k, [1.0] * n if k else [1.0] * (n - 1) + [1.1], 0) for n in range(30, 60) for k in range(2)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").repartition(7)
+    want, links = defaultdict(list), []
+    width = defaultdict(list)
+    for k, (_, v, l) in enumerate(rows):
+        width[len(v), l].append(k)
+    total = [0] * len(rows)
+    for group in width.values():
+        m = unit(np.array([np.array(rows[k][1], np.float32) for k in group], float))
+        i, j = np.nonzero(np.triu(m @ m.T >= 0.93, 1))
+        for a, b in zip(i.tolist(), j.tolist(), strict=True):
+            links.append((group[a], group[b]))
+            total[group[a]] += 1
+            total[group[b]] += 1
+    first = {}
+    for k, (d, _, _) in enumerate(rows):
+        if first.setdefault(d, k) != k:
+            links.append((first[d], k))
+    root = roots(len(rows), links)
+    low = defaultdict(lambda: 1 << 60)
+    for k, (d, _, _) in enumerate(rows):
+        low[root[k]] = min(low[root[k]], d)
+        want[d].append(total[k])
+    got = E.near_duplicates(df, chunk=200).collect()
+    assert len(got) == len(rows) and sum(q["n_links"] for q in got) % 2 == 0
+    seen = defaultdict(list)
+    for q in got:
+        seen[q["vec_id"]].append(q["n_links"])
+    found, there = sum(map(sum, seen.values())), sum(map(sum, want.values()))
+    assert 0.99 * there <= found <= there  # links are verified, so none is false
+    assert sum(sorted(seen[d]) != sorted(want[d]) for d in want) <= 0.01 * len(want)
+    component = {d: low[root[k]] for k, (d, _, _) in enumerate(rows)}
+    assert sum(q["component_id"] != component[q["vec_id"]] for q in got) <= 0.01 * len(got)
+    assert all(sum(seen[d]) == sum(want[d]) for d in seen if d >= 9000)  # lengths without an index are compared whole
+
+
+def test_embedding_index_grows_and_orders_like_the_traversal():
+    from cloneprint.llm import embedding_dedup as E
+
+    r = np.random.default_rng(3)
+    x = r.normal(size=(3000, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    small, big = (E.choose(x, n, n * n / 10, 0.93, 0.99) for n in (1e4, 1e8))
+    assert len(small.left) < len(big.left) and E.choose(x[:20], 20, 400, 0.93, 0.99) is None
+    a, b = E._distances(x[:50, :8], big.left), E._distances(x[:50, 8:], big.right)
+    for n in (1, 7, 40):
+        got = big.order(x[:50], n)
+        for k in range(50):
+            cells = E.multi_sequence(a[k], b[k], n)
+            assert [a[k, i] + b[k, j] for i, j in cells] == pytest.approx([a[k, c // len(big.right)] + b[k, c % len(big.right)] for c in got[k].tolist()])
+    one, two = np.indices((30, 30))
+    assert (E.asks(one, two) ^ E.asks(two, one))[one != two].all() and abs(E.asks(one, two).sum(axis=1) - 15).max() <= 1
+
+
 def test_multi_sequence_order():
     from cloneprint.llm.embedding_dedup import multi_sequence
 
@@ -407,6 +673,80 @@ def test_rollup(spark, tmp_path):
     assert ("b", "x", 1, 7) in total()
 
 
+def test_rollup_compactions_and_crashes(spark, tmp_path):
+    from cloneprint.llm import token_rollup as R
+
+    kind = "source string, lang string, tokenizer string, docs long, tokens long"
+    batch = lambda n: spark.createDataFrame([("a", "x", "t", 1, n)], kind)
+    roll = R.Rollup(spark, str(tmp_path / "roll"))
+    total = lambda: [(r["n_docs"], r["n_tokens"]) for r in roll.totals().collect()]
+    for k in (1, 2, 3):
+        assert roll.commit(str(k), batch(10))
+    roll.compact()
+    assert roll.commit("4", batch(5)) and total() == [(4, 35)]
+    roll.compact()
+    assert total() == [(4, 35)] and not any(roll.commit(str(k), batch(99)) for k in (1, 2, 3, 4))
+    # a crash after the new folder is published: nothing is deleted yet, and all still counts once
+    roll.commit("5/odd id", batch(7))
+    sweep, roll._sweep = roll._sweep, lambda: None
+    roll.compact()
+    assert len(roll._names("compacted")) == 2 and roll._names("batch") and total() == [(5, 42)] and not roll.commit("5/odd id", batch(1))
+    roll._sweep = sweep
+    # a crash before it is published
+    publish, roll._publish = roll._publish, lambda temp, name: False
+    roll.compact()
+    assert not roll.commit("6", batch(1)) and total() == [(5, 42)]
+    roll._publish = publish
+    roll.compact()
+    assert len(roll._names("compacted")) == 1 and not roll._names("batch") and total() == [(5, 42)] and roll.commit("6", batch(1)) and total() == [(6, 43)]
+
+
+def test_rollup_replay_cases(spark):
+    from cloneprint.llm import token_rollup as R
+
+    rows = [(1, "a b! c", "s", "en"), (1, "a b! c", "s", "en"), (2, None, "s", "en"), (3, "", None, None), (4, "!! x #y", "s", None), (5, "x y", "s", "en"), (None, "q q", "s", "en"), (6, "gone now", "t", "en")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string").withColumn("counts", F.lit("clash")).withColumn("low", F.lit(1))
+    flags = [(1, 0, 0), (1, 0, 0), (4, 0, 0), (5, 1, 1), (6, 0, 1), (None, 0, 1), (2, None, None)]
+    labels = spark.createDataFrame(flags, "doc_id long, quality int, toxic int")
+    low, toxic = {d for d, q, _ in flags if q == 0 and d}, {d for d, _, x in flags if x == 1 and d}
+    want = defaultdict(lambda: [0, 0])
+    for d, t, s, l in rows:
+        if d in toxic:
+            continue
+        t = "".join(c for c in t or "" if not (d in low and c in R.MARKS))
+        for name, pattern in R.TOKENIZERS.items():
+            want[s, l, name][0] += 1
+            want[s, l, name][1] += len(re.findall(pattern, t))
+    got = {(r["source"], r["lang"], r["tokenizer"]): [r["n_docs"], r["n_tokens"]] for r in R.replay(docs, labels).collect()}
+    assert got == dict(want)
+    assert R.replay(empty(docs), labels).count() == 0 and R.replay(docs, empty(labels)).groupBy().sum("n_docs").first()[0] == 2 * len(rows)
+
+
+def test_pipeline_cases(spark, tmp_path):
+    """Nulls, empty texts, repeated rows, clashing columns and empty tables through all stages."""
+    import corpus_pipeline as P
+
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    some = docs.orderBy("doc_id").limit(3).collect()
+    more = [(None, some[0]["text"], "en", "s", 5), (90001, None, "en", "s", 0), (90002, "", None, None, 0), (90001, None, "en", "s", 0), (some[1]["doc_id"], some[1]["text"], some[1]["lang"], some[1]["source"], some[1]["n_chars"])]
+    wide = docs.unionByName(spark.createDataFrame(more, docs.schema))
+    for name in ("score", "_text", "spans", "removed", "gone", "tag", "kept", "key", "a.b", "item_id"):
+        wide = wide.withColumn(name, F.lit(name))
+    for table in ("labels", "benchmark"):
+        spark.read.parquet(f"{SF}/{table}.parquet").write.parquet(str(tmp_path / f"{table}.parquet"))
+    at = wide
+    for name, stage in P.STAGES[:-1]:
+        out = stage(spark, at, str(tmp_path))
+        assert out.columns == wide.columns, name
+        out.write.parquet(str(tmp_path / name.replace(" ", "-")))
+        at = spark.read.parquet(str(tmp_path / name.replace(" ", "-")))
+        assert at.where("score <> 'score' or `a.b` <> 'a.b'").count() == 0 and 0 < at.count() <= wide.count()
+        assert stage(spark, empty(wide), str(tmp_path)).count() == 0
+    pieces = P.STAGES[-1][1](spark, at, str(tmp_path))
+    assert pieces.groupBy("sequence_id").sum("length").where("`sum(length)` > 1024").count() == 0
+    assert P.STAGES[-1][1](spark, empty(wide), str(tmp_path)).count() == 0
+
+
 def test_pipeline_small(spark):
     """Stage by stage against plain versions on the smallest tables."""
     import corpus_pipeline as P
