@@ -1,7 +1,8 @@
 """Hashes of labels and order-insensitive sums of them.
 
 ``portable`` takes 60 bits of md5, which any SQL engine repeats; ``fast`` takes 60 bits of xxHash and is
-what to use at scale. Sums are exact decimals, reduced modulo 2**61 - 1.
+what to use at scale. Sums are exact, modulo 2**61 - 1: inside a row they are reduced at each step and so stay in a bigint; over rows the
+upper and lower bits are added apart.
 """
 
 from __future__ import annotations
@@ -27,13 +28,18 @@ def reduced(total: Column) -> Column:
 
 def bag_hash(labels: Column, kind: str = "portable") -> Column:
     """Sum of the labels' hashes: equal for equal bags of labels, in any order."""
-    total = F.aggregate(labels, F.lit(0).cast(_WIDE), lambda acc, x: (acc + own_hash(x, kind).cast(_WIDE)).cast(_WIDE))
-    return reduced(total)
+    return F.aggregate(labels, F.lit(0).cast("bigint"), lambda acc, x: added(acc, own_hash(x, kind)))
+
+
+def added(a: Column, b: Column) -> Column:
+    """Sum of two values below 2**62 together: no step leaves a bigint."""
+    return (a + b) % F.lit(MODULUS)
 
 
 def total(column: Column) -> Column:
-    """The aggregate of ``bag_hash`` over rows."""
-    return reduced(F.sum(column.cast(_WIDE)))
+    """The aggregate of ``bag_hash`` over rows (up to 2**32 of them in a group)."""
+    high, low = F.sum(F.shiftright(column, 31)), F.sum(column.bitwiseAND(F.lit((1 << 31) - 1)))
+    return reduced(high.cast(_WIDE) * F.lit(1 << 31).cast("decimal(10,0)") + low.cast(_WIDE))
 
 
 def node_hash(label: str, children: Column, kind: str = "portable") -> Column:

@@ -9,7 +9,9 @@ TOKEN = r"(\w+|[^\w\s])"
 WORD = r"(\w+)"
 SENTENCE_END = r"[.!?]+\s*"
 #: what whole-file and class comparison ignores in code: comments, quoted text, package header, blanks
-_CODE_NOISE = (r"(?s)/\*.*?\*/", r"//[^\n]*", r'"(?:\\.|[^"\\\n])*"', r"'(?:\\.|[^'\\\n])*'", r"(?m)^\s*package\s+[\w.]+\s*;", r"\s+")
+# one pattern, so that what opens first wins: marks of a comment inside quotes are no comment, and the other way round
+_QUOTED = r"\"{3}[\s\S]*?\"{3}|\"[^\"\\\n]*+(?:\\.[^\"\\\n]*+)*+\"|'[^'\\\n]*+(?:\\.[^'\\\n]*+)*+'"
+_CODE_NOISE = (r"/\*[\s\S]*?\*/|//[^\n]*|" + _QUOTED, r"(?m)^\s*package\s+[\w.]+\s*;", r"\s+")
 
 
 def normalize(text: Column, lang: str = "prose") -> Column:

@@ -19,7 +19,7 @@ def function_ratio(subject: DataFrame, component: DataFrame, theta: float = THET
     return overlap_ratio(subject, component, "component").where(F.col("ratio") >= theta)
 
 
-def function_ratio_similar(subject: DataFrame, component: DataFrame, theta: float = THETA, threshold: float = 0.7) -> DataFrame:
+def function_ratio_similar(subject: DataFrame, component: DataFrame, theta: float = THETA, percent: int = S.PERCENT) -> DataFrame:
     """The ratio with similar functions as matches. Columns: subject or component, text; functions under three words are left out.
 
     Both sides are put in classes of equal shingle sets, and classes are compared once, however many functions they hold.
@@ -28,11 +28,9 @@ def function_ratio_similar(subject: DataFrame, component: DataFrame, theta: floa
     tagged = subject.select(F.col("subject").alias("owner"), F.lit("s").alias("side"), "text").unionByName(component.select(F.col("component").alias("owner"), F.lit("c").alias("side"), "text"))
     tagged = tagged.withColumn("id", F.struct("side", "owner"))
     sets = store.keep(S.shingled(tagged, "id", "text"), "sets")
-    # an id of its own for each class, so that the joins compare numbers
-    groups = store.keep(sets.groupBy("set_key").agg(F.first("set").alias("set")).select(F.xxhash64("set_key").alias("rep"), "set_key", "set"), "classes")
-    pairs = S.prefix_join(groups.select("rep", "set"), threshold).select("a", "b")
-    near = pairs.union(pairs.select("b", "a")).union(groups.select("rep", F.col("rep")))
-    held = sets.join(groups.select("rep", "set_key"), "set_key").select("id.side", "id.owner", "rep").distinct()
+    groups = S.classes(sets, store)
+    near = S.both_ways(S.prefix_join(groups, percent), groups).select(F.col("rep").alias("a"), F.col("other").alias("b"))
+    held = sets.join(groups.select("rep", "set"), "set").select("id.side", "id.owner", "rep").distinct()
     s = held.where("side = 's'").select(F.col("owner").alias("subject"), F.col("rep").alias("a"))
     c = held.where("side = 'c'").select(F.col("owner").alias("component"), F.col("rep").alias("b"))
     size = c.groupBy("component").agg(F.count("*").alias("size"))

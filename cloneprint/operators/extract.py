@@ -71,13 +71,19 @@ def break_cycles(calls: DataFrame, functions: DataFrame, scope: str = "scc") ->
     return out.unionByName(calls.where("caller = callee").select("class_id", "caller", "callee", "n", F.lit("recursive").alias("status")))
 
 
-def link(functions: DataFrame, acyclic: DataFrame, kind: str = "portable") -> DataFrame:
-    """class_id, fn, linked: own hash with callee trees put in at each call, modulo the hash's modulus."""
+def link(functions: DataFrame, acyclic: DataFrame, kind: str = "portable", recursion: str = "site") -> DataFrame:
+    """class_id, fn, linked: own hash with callee trees put in at each call, modulo the hash's modulus.
+
+    Cut calls and calls that leave the class (status ``external``) become placeholders. A recursive function has one at each call of
+    itself (``site``) or one for its body (``body``).
+    """
+    if recursion not in ("site", "body"):
+        raise ValueError(f"no recursion {recursion!r}")
     store = Store(functions.sparkSession, "link")
-    place = lambda label: H.own_hash(F.lit(label), kind).cast("decimal(38,0)")
-    marks = acyclic.where("status <> 'keep'").groupBy("class_id", F.col("caller").alias("fn")).agg(
-        F.sum(F.col("n").cast("decimal(18,0)") * F.when(F.col("status") == "cut", place(EXTERNAL)).otherwise(place(RECURSIVE)).cast("decimal(19,0)")).alias("marks")
-    )
+    own_calls = F.col("status") == "recursive"
+    place = F.when(own_calls, H.own_hash(F.lit(RECURSIVE), kind)).otherwise(H.own_hash(F.lit(EXTERNAL), kind)).cast("decimal(19,0)")
+    times = F.when(own_calls & F.lit(recursion == "body"), F.lit(1)).otherwise(F.col("n")).cast("decimal(18,0)")
+    marks = acyclic.where("status <> 'keep'").groupBy("class_id", F.col("caller").alias("fn")).agg(F.sum(times * place).alias("marks"))
     own = functions.select("class_id", "fn", "own").join(marks, ["class_id", "fn"], "left")
     own = store.keep(own.select("class_id", "fn", H.reduced(F.col("own").cast("decimal(38,0)") + F.coalesce(F.col("marks").cast("decimal(38,0)"), F.lit(0).cast("decimal(38,0)"))).alias("part")), "own")
     edges = store.keep(acyclic.where("status = 'keep'").select("class_id", "caller", F.col("callee").alias("fn"), "n"), "edges")
@@ -117,8 +123,8 @@ def mixed_print(lines: DataFrame, kind: str = "portable") -> DataFrame:
     """class_id, print: hashed again at sentence, function and class level, so that labels cannot change places between them."""
     sentence = F.filter(F.split(F.lower("line"), T.SENTENCE_END), lambda s: F.trim(s) != "")
     nodes = F.transform(sentence, lambda s: H.node_hash(STATEMENT, H.bag_hash(T.tokens(s), kind), kind))
-    body = F.aggregate(nodes, F.lit(0).cast("decimal(38,0)"), lambda acc, x: (acc + x.cast("decimal(38,0)")).cast("decimal(38,0)"))
-    per = lines.select("class_id", H.node_hash(FUNCTION, H.reduced(body), kind).alias("node"))
+    body = F.aggregate(nodes, F.lit(0).cast("bigint"), H.added)
+    per = lines.select("class_id", H.node_hash(FUNCTION, body, kind).alias("node"))
     return per.groupBy("class_id").agg(H.total(F.col("node")).alias("s")).select("class_id", H.node_hash(CLASS, F.col("s"), kind).alias("print"))
 
 

@@ -6,13 +6,18 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def prf(predicted: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:
-    """tp, fp, fn, precision, recall, f1 over distinct (subject, component) pairs; ``by`` columns of ``predicted`` give a row each."""
+def prf(predicted: DataFrame, truth: DataFrame, by: list[str] | None = None, methods: DataFrame | None = None) -> DataFrame:
+    """tp, fp, fn, precision, recall, f1 over distinct (subject, component) pairs; ``by`` columns of ``predicted`` give a row each.
+
+    ``methods`` lists what to give a row even without any prediction; its precision is then null.
+    """
     by = by or []
     pred = predicted.select(*by, "subject", "component").distinct()
     true = truth.select("subject", "component").distinct()
     hit = pred.join(true.withColumn("hit", F.lit(1)), ["subject", "component"], "left")
     found = hit.groupBy(*by).agg(F.count("hit").alias("tp"), (F.count("*") - F.count("hit")).alias("fp"))
+    if methods is not None:
+        found = methods.select(*by).distinct().join(found, by, "left").select(*by, *[F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("tp", "fp")])
     size = true.agg(F.count("*").alias("size"))
     out = found.crossJoin(F.broadcast(size)).withColumn("fn", F.col("size") - F.col("tp"))  # one row
     p, r = F.try_divide("tp", F.col("tp") + F.col("fp")), F.try_divide("tp", "size")
@@ -20,6 +25,21 @@ def prf(predicted: DataFrame, truth: DataFrame, by: list[str] | None = None) ->
     return out.select(*by, "tp", "fp", "fn", F.round(p, 6).alias("precision"), F.round(r, 6).alias("recall"), F.round(f1, 6).alias("f1"))
 
 
+def macro_prf(predicted: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """Means over subjects: precision of those with a prediction, recall and f1 of those with a true component."""
+    by = by or []
+    pred = predicted.select(*by, "subject", "component").distinct()
+    true = truth.select("subject", "component").distinct()
+    size = true.groupBy("subject").agg(F.count("*").alias("n_t"))
+    hit = pred.join(true.withColumn("hit", F.lit(1)), ["subject", "component"], "left").groupBy(*by, "subject").agg(F.count("*").alias("n_p"), F.count("hit").alias("hit"))
+    per = hit.join(size, "subject", "left")
+    # a true subject without a prediction adds nothing to the sums, so only their number is needed
+    sums = per.groupBy(*by).agg(F.avg(F.col("hit") / F.col("n_p")).alias("p"), F.sum(F.try_divide("hit", "n_t")).alias("r"), F.sum(F.when(F.col("n_t") > 0, 2 * F.col("hit") / (F.col("n_p") + F.col("n_t")))).alias("f"))
+    n = size.agg(F.count("*").alias("n"))
+    mean = lambda c: F.round(F.try_divide(F.coalesce(c, F.lit(0.0)), "n"), 6)
+    return sums.crossJoin(F.broadcast(n)).select(*by, F.round("p", 6).alias("precision"), mean("r").alias("recall"), mean("f").alias("f1"))  # one row
+
+
 def improvement_rate(cc: DataFrame, pm: DataFrame, strict: bool = False) -> DataFrame:
     """Per subject with cloned components: n_cc, n_pm, n_new, n_both, ir (percent), dr (percent, null without declared ones).
 

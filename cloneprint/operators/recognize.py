@@ -12,23 +12,30 @@ from pyspark.sql import Window
 
 @dataclass(frozen=True)
 class DetectConfig:
-    """Everything that changes a print; its digest is stored with an index, and both sides must agree."""
+    """How ``detect`` makes prints, refines the reference side and decides. Both sides must share what changes a print or the index."""
 
-    granularity: str = "sentence"
     skeleton: str = "exact"
     hash_kind: str = "portable"
+    variant: str = "additive"  # or "mixed", which hashes by level and does not link
+    linking: bool = True
+    recursion: str = "site"
+    loop_scope: str = "scc"
+    roots: str = "entry"
     complexity_variant: str = "log"
-    complexity_cut: float = 60.0
-    min_unit_chars: int | None = None
+    complexity_cut: float | None = 60.0
+    min_unit_chars: int | None = None  # for prose, in place of the complexity cut
+    structural: bool = True
+    tests: bool = True
     central_cut: float | None = 0.5
-    roots: str = "entry"
-    loop_scope: str = "scc"
+    origin: bool = True
     min_evidence: int = 1
     exclude_self: bool = False
     level: str = "group"
 
     def digest(self) -> str:
-        return sha256(repr(sorted(asdict(self).items())).encode()).hexdigest()[:16]
+        """Of all that an index depends on; what only the decision uses is left out."""
+        made = {k: v for k, v in asdict(self).items() if k not in ("min_evidence", "exclude_self", "level")}
+        return sha256(repr(sorted(made.items())).encode()).hexdigest()[:16]
 
 
 def match(subject_prints: DataFrame, index: DataFrame, exclude_self: bool = False, verdict_only: bool = False) -> DataFrame:
@@ -64,13 +71,21 @@ def outdated_copies(candidates: DataFrame, releases: DataFrame) -> DataFrame:
     return have.join(newest, "artifact_id").select("subject", "group_id", "artifact_id", "copied_at", "newest_at", F.datediff("newest_at", "copied_at").alias("days_behind")).where("newest_at > copied_at")
 
 
-def reuse_reason(evidence: DataFrame, component_sizes: DataFrame, stripped: DataFrame) -> DataFrame:
-    """subject, component, share, reason: licence stripped, whole copy, or partial copy. component_sizes: component, size."""
+def reuse_reason(evidence: DataFrame, component_sizes: DataFrame, stripped: DataFrame, unpublished: DataFrame | None = None) -> DataFrame:
+    """subject, component, share, reason: licence stripped, origin off the repository, whole copy, or partial copy.
+
+    component_sizes: component, size. stripped: subject, component. unpublished: components whose source nobody released.
+    """
     got = evidence.groupBy("subject", "component").agg(F.count_distinct("print").alias("n"))
     share = got.join(component_sizes, "component").withColumn("share", F.round(F.col("n") / F.col("size"), 6))
     flag = stripped.select("subject", "component").distinct().withColumn("stripped", F.lit(True))
-    reason = F.when(F.coalesce("stripped", F.lit(False)), "licence stripped").when(F.col("share") >= 1, "whole copy").otherwise("partial copy")
-    return share.join(flag, ["subject", "component"], "left").select("subject", "component", "share", reason.alias("reason"))
+    share = share.join(flag, ["subject", "component"], "left")
+    off = F.lit(False)
+    if unpublished is not None:
+        share = share.join(unpublished.select("component").distinct().withColumn("off", F.lit(True)), "component", "left")
+        off = F.coalesce("off", F.lit(False))
+    reason = F.when(F.coalesce("stripped", F.lit(False)), "licence stripped").when(off, "off repository").when(F.col("share") >= 1, "whole copy").otherwise("partial copy")
+    return share.select("subject", "component", "share", reason.alias("reason"))
 
 
 def explain_false_positives(evidence: DataFrame, texts: DataFrame) -> DataFrame:

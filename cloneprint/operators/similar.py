@@ -1,72 +1,103 @@
 """Similar functions: exact set-similarity joins by inverted index or prefix filter, and MinHash bands.
 
 All work on classes of equal shingle sets: copies are one class with a member count, and links are between classes. So a
-unit that stands thousands of times never expands to its pairs.
+unit that stands thousands of times never expands to its pairs. Shingles are 64-bit hashes, and classes have numbers of their own, so what the joins
+move is narrow whatever the units' ids are. Thresholds are in percent and compared as integers.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..plans.store import Store
 
-K, THRESHOLD = 3, 0.7
+K, PERCENT = 3, 70
 
 
 def shingled(units: DataFrame, id_col: str, text: str, k: int = K) -> DataFrame:
-    """(id, set, set_key) of units with at least k words; the set is sorted."""
+    """(id, set) of units with at least k words; the set is sorted."""
     # words in a projection of their own, else each run would extract them again
     split = units.select(F.col(id_col).alias("id"), T.words(F.col(text)).alias("w"))
-    found = split.select("id", F.array_sort(T.shingles(F.col("w"), k)).alias("set")).where(F.size("set") > 0)
-    return found.withColumn("set_key", F.md5(F.array_join("set", "|")))
+    return split.select("id", F.array_sort(F.array_distinct(F.transform(T.shingles(F.col("w"), k), lambda g: F.xxhash64(g)))).alias("set")).where(F.size("set") > 0)
 
 
-def classes(sets: DataFrame) -> DataFrame:
-    """(rep, n_members, set): rep is the smallest id with that set."""
-    return sets.groupBy("set_key").agg(F.min("id").alias("rep"), F.count("*").alias("n_members"), F.first("set").alias("set")).drop("set_key")
+def classes(sets: DataFrame, store: Store) -> DataFrame:
+    """(rep, first, n_members, set), written: rep is the class's number, first its smallest id."""
+    grouped = sets.groupBy("set").agg(F.min("id").alias("first"), F.count("*").alias("n_members"))
+    return store.keep(grouped.select(F.monotonically_increasing_id().alias("rep"), "first", "n_members", "set"), "classes")
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+def similar(shared: Column, n: Column, m: Column, percent: int) -> Column:
+    return shared * 100 >= (n + m - shared) * percent
+
+
+def _sim(shared: Column, n: Column, m: Column) -> Column:
+    return F.round(shared / (n + m - shared), 6)
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     a, b = sets.select(F.col("rep").alias("a"), F.col("set").alias("x")), sets.select(F.col("rep").alias("b"), F.col("set").alias("y"))
-    both = pairs.join(a, "a").join(b, "b").withColumn("shared", F.size(F.array_intersect("x", "y")))
-    return both.withColumn("sim", F.round(F.col("shared") / (F.size("x") + F.size("y") - F.col("shared")), 6)).where(F.col("sim") >= threshold).select("a", "b", "sim")
+    both = pairs.join(a, "a").join(b, "b").select("a", "b", F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("shared"))
+    return both.where(similar(F.col("shared"), F.col("n"), F.col("m"), percent)).select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
 
 
-def index_join(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """(a, b, sim): counts shared shingles through an inverted index. Exact; costs the square of each shingle's postings."""
+def index_join(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """(a, b, sim) of class numbers: counts shared shingles through an inverted index. Exact; costs the square of each shingle's postings."""
     posting = sets.select(F.col("rep"), F.size("set").alias("n"), F.explode("set").alias("g"))
     a, b = posting.select("g", F.col("rep").alias("a"), F.col("n").alias("na")), posting.select("g", F.col("rep").alias("b"), F.col("n").alias("nb"))
-    shared = a.join(b, "g").where("a < b").groupBy("a", "b", "na", "nb").agg(F.count("*").alias("shared"))
-    return shared.withColumn("sim", F.round(F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared")), 6)).where(F.col("sim") >= threshold).select("a", "b", "sim")
+    fits = F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
+    shared = a.join(b, "g").where("a < b").where(fits).groupBy("a", "b", "na", "nb").agg(F.count("*").alias("shared"))
+    return shared.where(similar(F.col("shared"), F.col("na"), F.col("nb"), percent)).select("a", "b", _sim(F.col("shared"), F.col("na"), F.col("nb")).alias("sim"))
+
 
+def prefix_join(sets: DataFrame, percent: int = PERCENT, lengths: bool = True) -> DataFrame:
+    """The same answer from rare shingles only: two sets above the threshold share one within their rarest n - ceil(t n) + 1.
 
-def prefix_join(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The same answer from rare shingles only: two sets above the threshold share one within their rarest n - ceil(t n) + 1."""
+    A set meets only sets whose size allows the threshold: sizes are cut into ranges a factor of the threshold apart, and a set asks in its own range and the next. So a shingle that
+    is frequent even among the rare ones is dealt over its ranges.
+    """
     each = sets.select("rep", F.size("set").alias("n"), F.explode("set").alias("g"))
     df = each.groupBy("g").agg(F.count("*").alias("df"))
     ranked = each.join(df, "g").groupBy("rep", "n").agg(F.array_sort(F.collect_list(F.struct("df", "g"))).alias("order"))
-    keep = (F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1).cast("int")
+    keep = (F.col("n") - F.ceil(F.col("n") * percent / 100 - 1e-9) + 1).cast("int")
     prefix = ranked.select("rep", "n", F.explode(F.slice("order", F.lit(1), keep)).alias("p")).select("rep", "n", F.col("p.g").alias("g"))
-    a, b = prefix.select("g", F.col("rep").alias("a"), F.col("n").alias("na")), prefix.select("g", F.col("rep").alias("b"), F.col("n").alias("nb"))
-    fits = F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9
-    return _verified(a.join(b, "g").where("a < b").where(fits).select("a", "b").distinct(), sets, threshold)
+    # the size's range: a partner of at least this size lies in the same range or the next
+    level = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100 / percent)) + 1e-9).cast("int") if lengths else F.lit(0)
+    small = prefix.select("g", F.col("rep").alias("a"), F.col("n").alias("na"), F.explode(F.array(level, level + 1)).alias("range"))
+    large = prefix.select("g", F.col("rep").alias("b"), F.col("n").alias("nb"), level.alias("range"))
+    ahead = (F.col("na") < F.col("nb")) | ((F.col("na") == F.col("nb")) & (F.col("a") < F.col("b")))
+    fits = F.col("na") * 100 >= F.col("nb") * percent
+    near = small.join(large, ["g", "range"]).where(ahead & fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return _verified(near, sets, percent)
 
 
-def minhash_join(sets: DataFrame, threshold: float = THRESHOLD, bands: int = 24, rows: int = 4) -> DataFrame:
+def minhash_join(sets: DataFrame, percent: int = PERCENT, bands: int = 24, rows: int = 4) -> DataFrame:
     """Pairs that share a band of ``rows`` minima, verified; misses a pair at 0.7 about once in 700."""
-    each = sets.select("rep", F.explode("set").alias("g")).select("rep", F.xxhash64("g").alias("g"))
+    each = sets.select("rep", F.explode("set").alias("g"))
     minima = each.groupBy("rep").agg(*[F.min(F.xxhash64("g", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)])
     key = F.array(*[F.xxhash64(F.lit(b), *[f"m{b * rows + r}" for r in range(rows)]) for b in range(bands)])
     keys = minima.select("rep", F.posexplode(key).alias("band", "key"))
     a, b = keys.select("band", "key", F.col("rep").alias("a")), keys.select("band", "key", F.col("rep").alias("b"))
-    return _verified(a.join(b, ["band", "key"]).where("a < b").select("a", "b").distinct(), sets, threshold)
+    return _verified(a.join(b, ["band", "key"]).where("a < b").select("a", "b").distinct(), sets, percent)
+
+
+def named(pairs: DataFrame, groups: DataFrame) -> DataFrame:
+    """Pairs of class numbers as pairs of first ids, the smaller one first: a, b, sim."""
+    one, two = groups.select(F.col("rep").alias("a"), F.col("first").alias("x")), groups.select(F.col("rep").alias("b"), F.col("first").alias("y"))
+    return pairs.join(one, "a").join(two, "b").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "sim")
+
+
+def both_ways(pairs: DataFrame, groups: DataFrame) -> DataFrame:
+    """(rep, other) of similar classes in both directions, each class beside itself too."""
+    one = pairs.select(F.col("a").alias("rep"), F.col("b").alias("other"))
+    return one.unionByName(pairs.select(F.col("b").alias("rep"), F.col("a").alias("other"))).unionByName(groups.select("rep", F.col("rep").alias("other")))
 
 
 def unit_links(sets: DataFrame, groups: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(id, rep, n_links): other units similar to each one, copies included."""
-    size = groups.select("rep", "n_members")
-    both = pairs.select(F.col("a").alias("rep"), F.col("b").alias("other")).unionByName(pairs.select(F.col("b").alias("rep"), F.col("a").alias("other")))
-    more = both.join(size.select(F.col("rep").alias("other"), "n_members"), "other").groupBy("rep").agg(F.sum("n_members").alias("linked"))
-    per = groups.select("rep", "n_members", "set").join(more, "rep", "left").select("rep", F.md5(F.array_join("set", "|")).alias("set_key"), (F.col("n_members") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links"))
-    return sets.select("id", "set_key").join(per, "set_key").select("id", "rep", "n_links")
+    """(id, first, n_links): other units similar to each one, copies included."""
+    size = groups.select(F.col("rep").alias("other"), "n_members")
+    linked = both_ways(pairs, groups).join(size, "other").groupBy("rep").agg(F.sum("n_members").alias("linked"))
+    per = groups.join(linked, "rep").select("set", "first", (F.col("linked") - 1).alias("n_links"))
+    return sets.join(per, "set").select("id", "first", "n_links")

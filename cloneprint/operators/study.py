@@ -42,20 +42,36 @@ def partial_copies(files: DataFrame, classes: DataFrame, file: str) -> DataFrame
     return tagged.join(spread, "unit", "left_semi").groupBy(file).agg(F.count("*").alias("n_partial"))
 
 
-def associated_pct(calls: DataFrame, functions: DataFrame) -> DataFrame:
+def associated_pct(calls: DataFrame, functions: DataFrame, scope: str = "class", near: DataFrame | None = None) -> DataFrame:
     """Share of a caller's callees that are cloned where the caller is.
 
-    calls: class_id, caller, callee; functions: class_id, owner, fn, hash (trivial ones left out). A clone counts in a class of another
-    owner. Result per (class_id, caller, other): n_callees, n_cloned, pct.
+    calls: class_id, caller, callee; functions: class_id, owner, fn, hash (trivial ones left out). Clones are functions of equal hash or, with ``near``
+    (hash, other: similar hashes both ways, each beside itself), of similar ones; they count if their owner is another. Where the callees must be cloned
+    is the ``scope``: the class of the caller's clone (``class``), any class of its owner (``project``), or anywhere. Result per (class_id, caller, other): n_callees,
+    n_cloned, pct; ``other`` is that class or owner, and null for anywhere.
     """
     own = functions.select("class_id", "owner", "fn", "hash")
     edge = calls.where("caller <> callee").select("class_id", "caller", "callee").distinct()
     edge = edge.join(own.select("class_id", F.col("fn").alias("caller"), "owner", F.col("hash").alias("caller_hash")), ["class_id", "caller"])
     edge = edge.join(own.select("class_id", F.col("fn").alias("callee"), F.col("hash").alias("callee_hash")), ["class_id", "callee"])
-    spots = functions.select("hash", F.col("class_id").alias("other"), F.col("owner").alias("other_owner")).distinct()
-    beside = edge.join(spots.withColumnRenamed("hash", "caller_hash"), "caller_hash").where("owner <> other_owner")
-    there = spots.select(F.col("hash").alias("callee_hash"), "other").withColumn("hit", F.lit(1))
-    found = beside.join(there, ["callee_hash", "other"], "left")
+    held = functions.select("hash", "class_id", "owner")
+    if near is not None:
+        held = near.join(held.distinct().withColumnRenamed("hash", "other"), "other").select("hash", "class_id", "owner")
+    if scope == "anywhere":
+        # a hash is cloned for an owner if it has another owner: its smallest and largest tell
+        ends = held.groupBy("hash").agg(F.min("owner").alias("lo"), F.max("owner").alias("hi"))
+        end = lambda side: ends.select(F.col("hash").alias(f"{side}_hash"), F.col("lo").alias(f"{side}_lo"), F.col("hi").alias(f"{side}_hi"))
+        cloned = lambda side: (F.col(f"{side}_lo") != F.col("owner")) | (F.col(f"{side}_hi") != F.col("owner"))
+        found = edge.join(end("caller"), "caller_hash").join(end("callee"), "callee_hash").where(cloned("caller"))
+        found = found.withColumns({"other": F.lit(None).cast("string"), "hit": F.when(cloned("callee"), 1)})
+    elif scope in ("class", "project"):
+        place = "class_id" if scope == "class" else "owner"
+        spots = held.select("hash", F.col(place).alias("other"), F.col("owner").alias("other_owner")).distinct()
+        beside = edge.join(spots.withColumnRenamed("hash", "caller_hash"), "caller_hash").where("owner <> other_owner")
+        there = spots.select(F.col("hash").alias("callee_hash"), "other").withColumn("hit", F.lit(1))
+        found = beside.join(there, ["callee_hash", "other"], "left")
+    else:
+        raise ValueError(f"no scope {scope!r}")
     return found.groupBy("class_id", "caller", "other").agg(F.count("*").alias("n_callees"), F.count("hit").alias("n_cloned")).withColumn("pct", F.round(F.col("n_cloned") / F.col("n_callees"), 6))
 
 
@@ -92,6 +108,65 @@ def conjugate_pct(functions: DataFrame, variant: str = "matching") -> DataFrame:
     return out.select("class_a", "class_b", "n_pairs", "n_conj", F.round(F.col("n_conj") / (F.col("n") + F.col("n_b")), 6).alias("pct"))
 
 
+def _similar_pairs(functions: DataFrame, near: DataFrame) -> DataFrame:
+    """Similar hashes of class pairs of different owners: class_a < class_b, ha, hb, how often each has them, and sim."""
+    held = functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c"))
+    a = held.select(F.col("class_id").alias("class_a"), F.col("owner").alias("owner_a"), F.col("hash").alias("ha"), F.col("c").alias("ca"))
+    b = held.select(F.col("class_id").alias("class_b"), F.col("owner").alias("owner_b"), F.col("hash").alias("hb"), F.col("c").alias("cb"))
+    pair = near.select(F.col("hash").alias("ha"), F.col("other").alias("hb"), *[c for c in ("sim",) if c in near.columns])
+    return a.join(pair, "ha").join(b, "hb").where("class_a < class_b and owner_a <> owner_b")
+
+
+def _with_sizes(per: DataFrame, functions: DataFrame) -> DataFrame:
+    sizes = functions.groupBy("class_id").agg(F.count("*").alias("size"))
+    n, m = sizes.select(F.col("class_id").alias("class_a"), F.col("size").alias("n")), sizes.select(F.col("class_id").alias("class_b"), F.col("size").alias("n_b"))
+    out = per.where("n_conj > 0").join(n, "class_a").join(m, "class_b")
+    return out.select("class_a", "class_b", "n_pairs", "n_conj", F.round(F.col("n_conj") / (F.col("n") + F.col("n_b")), 6).alias("pct"))
+
+
+def conjugate_pct_similar(functions: DataFrame, near: DataFrame, variant: str = "functions") -> DataFrame:
+    """The same percentage when clones are similar hashes: near (hash, other, both ways, each beside itself; for ``matching`` also sim).
+
+    Similar hashes are not transitive, so a pair's ends are counted apart: a pair has a partner on both sides if all pairs outnumber those at either end.
+    ``matching`` takes pairs one to one in the order of their similarity, at least half of the best matching; it gathers one class pair at a time.
+    """
+    shared = _similar_pairs(functions, near)
+    if variant == "matching":
+        parts = shared.select("class_a", "class_b", "ha", "hb", "ca", "cb", "sim")
+        per = parts.groupBy("class_a", "class_b").applyInArrow(_greedy, f"class_a {parts.schema['class_a'].dataType.simpleString()}, class_b {parts.schema['class_b'].dataType.simpleString()}, n_pairs long, n_conj long")
+        return _with_sizes(per, functions)
+    by = ("class_a", "class_b")
+    total = shared.groupBy(*by).agg(F.sum(F.col("ca") * F.col("cb")).alias("n_pairs")).where("n_pairs > 1")
+    at_a = shared.groupBy(*by, "ha").agg(F.sum("cb").alias("na"))
+    at_b = shared.groupBy(*by, "hb").agg(F.sum("ca").alias("nb"))
+    conj = shared.join(total, list(by)).join(at_a, [*by, "ha"]).join(at_b, [*by, "hb"]).where("n_pairs - na - nb + 1 >= 1")
+    if variant == "pairs":
+        per = conj.groupBy(*by).agg(F.first("n_pairs").alias("n_pairs"), (2 * F.sum(F.col("ca") * F.col("cb"))).alias("n_conj"))
+    elif variant == "functions":
+        side = lambda h, c: conj.select(*by, "n_pairs", F.lit(h).alias("side"), F.col(h).alias("h"), F.col(c).alias("c")).distinct()
+        per = side("ha", "ca").unionByName(side("hb", "cb")).groupBy(*by).agg(F.first("n_pairs").alias("n_pairs"), F.sum("c").alias("n_conj"))
+    else:
+        raise ValueError(f"no variant {variant!r}")
+    return _with_sizes(per, functions)
+
+
+def _greedy(table):
+    """One-to-one pairs of a class pair, most similar first; equal hashes of a side are as many functions as they count."""
+    import pyarrow as pa
+
+    rows = sorted(table.to_pylist(), key=lambda r: (-r["sim"], r["ha"], r["hb"]))
+    left: dict = {}
+    matched = 0
+    for r in rows:
+        a, b = left.setdefault(("a", r["ha"]), r["ca"]), left.setdefault(("b", r["hb"]), r["cb"])
+        take = min(a, b)
+        left["a", r["ha"]], left["b", r["hb"]] = a - take, b - take
+        matched += take
+    n = sum(r["ca"] * r["cb"] for r in rows)
+    out = {"class_a": table.column("class_a")[:1], "class_b": table.column("class_b")[:1], "n_pairs": pa.array([n], pa.int64()), "n_conj": pa.array([2 * matched if matched > 1 else 0], pa.int64())}
+    return pa.table(out)
+
+
 def overlap_ratio(subject: DataFrame, component: DataFrame, denominator: str = "component") -> DataFrame:
     """Per (subject, component) with a shared print: shared, ratio to the chosen side's distinct prints."""
     s, c = subject.select("subject", "print").distinct(), component.select("component", "print").distinct()

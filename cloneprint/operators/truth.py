@@ -8,9 +8,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 # Phrases that tell of copied code, vendor folders, and platform names.
-PHRASES = ("forked from", "copied from", "modified version of", "based on work of", "part of")
+PHRASES = ("forked from", "copied from", "copy from", "modified version of", "based on the work of", "based on the work done by", "based on work of", "part of")
 VENDOR_FOLDERS = ("shared", "ext", "jre")
-PLATFORMS = ("arm64", "x86", "x64", "amd64", "linux", "windows", "win32", "win64", "macos", "osx", "android", "ios")
+PLATFORMS = ("arm64", "x86", "x64", "amd64", "linux", "windows", "win", "win32", "win64", "darwin", "macos", "osx", "android", "ios")
 LICENCE = r"licen[sc]e|copyright|all rights reserved"
 
 
@@ -23,6 +23,12 @@ def phrase_evidence(classes: DataFrame, key: str, text: str) -> DataFrame:
     return classes.select(key, phrase(F.col(text)).alias("phrase")).where("phrase <> ''")
 
 
+def vendor(host: Column) -> Column:
+    """The label that names a host's owner: the one before the registered domain, or the domain's own if there is none."""
+    parts = F.split(host, "[.]")
+    return F.coalesce(F.try_element_at(parts, F.lit(-3)), F.try_element_at(parts, F.lit(-2)), host)
+
+
 def has_licence(text: Column) -> Column:
     return F.lower(text).rlike(LICENCE)
 
@@ -40,6 +46,11 @@ def path_evidence(files: DataFrame, path: str, group: Column) -> DataFrame:
     return files.withColumns({"in_group": F.contains(F.lower(F.concat(F.col(path), F.lit("/"))), F.lower(folders)), "vendor": vendor})
 
 
+def affiliations(text: Column) -> Column:
+    """Domains of the e-mail addresses in a text."""
+    return F.array_distinct(F.regexp_extract_all(text, F.lit(r"[\w.]+@([\w.]+)"), F.lit(1)))
+
+
 def author_evidence(pairs: DataFrame) -> DataFrame:
     """subject, component whose author lists overlap. pairs: subject, component, subject_authors, component_authors."""
     return pairs.where(F.arrays_overlap("subject_authors", "component_authors")).select("subject", "component").distinct()

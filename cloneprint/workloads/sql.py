@@ -1,5 +1,7 @@
 """Pieces of SQL that the twins of several queries share (DuckDB dialect)."""
 
+import re
+
 WORD, TOKEN, END = r"\w+", r"\w+|[^\w\s]", r"[.!?]+\s*"
 P = str((1 << 61) - 1)
 
@@ -58,28 +60,57 @@ acyclic as (select p.doc_id, p.caller, p.callee, p.n,
  from plain p left join reach r on r.doc_id = p.doc_id and r.a = p.callee and r.b = p.caller
  join ranks x on x.doc_id = p.doc_id and x.fn = p.caller join ranks y on y.doc_id = p.doc_id and y.fn = p.callee
  union all select doc_id, caller, callee, n, 'recursive' from calls where caller = callee)"""
-LINKED = f"""parts as materialized (select f.doc_id, f.pos as fn, {mod(f"f.own + coalesce(m.marks, 0)")} as part from fns f
- left join (select doc_id, caller, sum(cast(n as hugeint) * case when status = 'cut' then {h("'EXTERNAL'")} else {h("'RECURSIVE'")} end) as marks from acyclic where status <> 'keep' group by all) m on m.doc_id = f.doc_id and m.caller = f.pos),
+
+
+def linked(marked: str = "acyclic", recursion: str = "site") -> str:
+    """CTEs that end in ``linked`` (doc_id, fn, linked); calls that are not kept come from ``marked``."""
+    times = "cast(n as hugeint)" if recursion == "site" else "case when status = 'recursive' then cast(1 as hugeint) else n end"
+    return f"""parts as materialized (select f.doc_id, f.pos as fn, {mod("f.own + coalesce(m.marks, 0)")} as part from fns f
+ left join (select doc_id, caller, sum({times} * case when status = 'recursive' then {h("'RECURSIVE'")} else {h("'EXTERNAL'")} end) as marks from {marked} where status <> 'keep' group by all) m on m.doc_id = f.doc_id and m.caller = f.pos),
 kept as materialized (select doc_id, caller, callee, n from acyclic where status = 'keep'),
 paths as (select doc_id, fn as top, fn, cast(1 as hugeint) as k from parts union all select p.doc_id, p.top, e.callee, p.k * e.n from paths p join kept e on e.doc_id = p.doc_id and e.caller = p.fn),
 linked as (select p.doc_id, p.top as fn, {mod('sum(p.k * q.part)')} as linked from paths p join parts q on q.doc_id = p.doc_id and q.fn = p.fn group by all)"""
 
 
+LINKED = linked()
+CLASS_PRINT = mod("sum(cast(linked as hugeint) + " + h("'FUNCTION'") + ") + " + h("'CLASS'"))
+
+
+def detector(pre: str, lines: str, real: str = "true", linking: bool = True) -> str:
+    """CTEs that end in ``<pre>prints`` (doc_id, print) of the units in the CTE ``lines`` (doc_id, pos, line); ``real`` tells functions that are not trivial."""
+    if not linking:
+        text = f"prints as (select doc_id, {mod('sum(cast(own as hugeint) + ' + h(chr(39) + 'FUNCTION' + chr(39)) + ') + ' + h(chr(39) + 'CLASS' + chr(39)))} as print from (select doc_id, {bag('lower(line)')} as own from {lines} where {real}) group by doc_id)"
+    else:
+        first = re.sub(r"\b(fns|calls)\b", r"\g<1>0", CALLS).replace("from lines", f"from {lines}")
+        text = f"""{first}, fns as materialized (select * from fns0 where {real}),
+calls as materialized (select c.* from calls0 c join fns a on a.doc_id = c.doc_id and a.pos = c.caller join fns b on b.doc_id = c.doc_id and b.pos = c.callee), {ACYCLIC},
+marked as (select * from acyclic union all select c.doc_id, c.caller, c.callee, c.n, 'external' from calls0 c join fns a on a.doc_id = c.doc_id and a.pos = c.caller left join fns b on b.doc_id = c.doc_id and b.pos = c.callee where b.pos is null),
+{linked('marked')},
+prints as (select doc_id, {CLASS_PRINT} as print from linked l where not exists (select 1 from kept k where k.doc_id = l.doc_id and k.callee = l.fn) group by doc_id)"""
+    return re.sub(r"\b(fns0?|named|uses|calls0?|plain|reach|degree|ranks|acyclic|marked|parts|kept|paths|linked|prints)\b", rf"{pre}\1", text) if pre else text
+
+
 def grams(w: str, k: int = 3) -> str:
     return f"list_sort(list_distinct(list_transform(range(1, len({w}) - {k} + 2), lambda i: array_to_string({w}[i:i + {k - 1}], ' '))))"
 
 
-SHINGLED = rf"""sets as materialized (select doc_id * 1000 + pos as id, {grams('w')} as g from (select doc_id, pos, regexp_extract_all(lower(line), '{WORD}') as w from lines) where len(w) >= 3),
+def shingled(where: str = "true") -> str:
+    """CTEs that end in ``similar_pairs`` (a, b, c, na, nb): similar classes of lines by their smallest ids; an id is doc_id * 2**32 + pos."""
+    return rf"""sets as materialized (select doc_id * 4294967296::hugeint + pos as id, doc_id, pos, source, {grams('w')} as g from (select *, regexp_extract_all(lower(line), '{WORD}') as w from lines where {where}) where len(w) >= 3),
 groups as materialized (select min(id) as rep, count(*) as n_members, g from sets group by g),
 posting as (select rep, len(g) as n, unnest(g) as x from groups),
 shared as (select a.rep as a, b.rep as b, a.n as na, b.n as nb, count(*) as c from posting a join posting b on a.x = b.x and a.rep < b.rep group by all),
-similar_pairs as (select a, b, round(c / (na + nb - c), 6) as sim from shared where round(c / (na + nb - c), 6) >= 0.7)"""
+similar_pairs as materialized (select a, b, round(c / (na + nb - c), 6) as sim from shared where 10 * c >= 7 * (na + nb - c))"""
+
+
+SHINGLED = shingled()
+PAIR = "cast(a // 4294967296 as bigint) as a_doc, cast(a % 4294967296 as int) as a_pos, cast(b // 4294967296 as bigint) as b_doc, cast(b % 4294967296 as int) as b_pos"
 
 
-def pagerank(edges: str, rounds: int = 20, d: float = 0.85) -> str:
-    """CTEs that end in ``r<rounds>`` (component, node, size, rank) from a CTE ``edges`` (component, src, dst)."""
+def pagerank(edges: str, rounds: int = 20, d: float = 0.85, nodes: str = "") -> str:
+    """CTEs that end in ``r<rounds>`` (component, node, size, rank) from a CTE ``edges`` (component, src, dst), and one of more ``nodes``."""
     out = f"""e as materialized (select component, src, dst, count(*) over (partition by component, src) as o from (select distinct component, src, dst from {edges})),
-nodes as materialized (select component, node, count(*) over (partition by component) as size from (select component, src as node from e union select component, dst from e)),
+nodes as materialized (select component, node, count(*) over (partition by component) as size from (select component, src as node from e union select component, dst from e{f" union select component, node from {nodes}" if nodes else ""})),
 users as materialized (select distinct component, src as node from e),
 r0 as materialized (select component, node, size, 1.0::double / size as rank from nodes)"""
     for k in range(rounds):
