@@ -16,6 +16,8 @@ names; one that is named like ``spans_col`` gives way to it. An empty table give
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,6 +29,7 @@ from .common import Scratch, quoted
 
 LINE_WORDS, RUN_WORDS, REACH = 10, 25, 4
 WINDOW, PASSAGE = 25, 51
+SLICE = 1 << 21  # bytes of texts taken in one pass
 _SEED = np.uint64(0x2545F4914F6CDD1D)
 
 
@@ -35,33 +38,54 @@ def _sums(values: np.ndarray, start: np.ndarray) -> np.ndarray:
         return np.add.reduceat(values, start) if len(start) else values[:0]
 
 
-def _windows(hashed: np.ndarray) -> tuple[np.ndarray, ...]:
-    """First word, digest and check of the drawn windows."""
-    if len(hashed) < PASSAGE:
+def _windows(hashed: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, ...]:
+    """First word, digest and check of the drawn windows; no window reaches over the end of a document."""
+    n = len(hashed)
+    if n < PASSAGE:
         zero = np.zeros(0, np.int64)
         return zero, zero.view(np.uint64), zero
-    up, down = words._power_tables(len(hashed) + 1)
+    up, down = words._power_tables(n + 1)
     digests = []
     for values in (hashed, words.mix(hashed ^ _SEED)):
-        total = np.zeros(len(hashed) + 1, np.uint64)
+        total = np.zeros(n + 1, np.uint64)
         with np.errstate(over="ignore"):
-            np.cumsum(values * up[: len(hashed)], out=total[1:])
-            digests.append(words.mix((total[WINDOW:] - total[:-WINDOW]) * down[: len(hashed) - WINDOW + 1]))
+            np.cumsum(values * up[:n], out=total[1:])
+            digests.append(words.mix((total[WINDOW:] - total[:-WINDOW]) * down[: n - WINDOW + 1]))
     span = PASSAGE - WINDOW + 1
-    low = np.lib.stride_tricks.sliding_window_view(digests[0], span).argmin(axis=1)
-    first = np.unique(low + np.arange(len(low)))
+    whole = np.flatnonzero(doc[: n - PASSAGE + 1] == doc[PASSAGE - 1 :])  # passages inside one document
+    low = np.lib.stride_tricks.sliding_window_view(digests[0], span)[whole].argmin(axis=1)
+    first = np.unique(low + whole)
     return first, digests[0][first] ^ _SEED, (digests[1][first] >> np.uint64(33)).astype(np.int64)
 
 
-def units(text: bytes | None) -> tuple[np.ndarray, ...]:
-    """Per unit: kind (0 line, 1 piece, 2 window), digest, check, first byte, end byte, words, first word. By kind, each in order."""
-    hashed, start, end = words.word_hashes(text or b"")
-    n = len(hashed)
+@dataclass
+class Units:
+    """Units of several texts, by text, then kind (0 line, 1 piece, 2 window), each in order; ``place`` counts them within a text and kind."""
+
+    doc: np.ndarray
+    kind: np.ndarray
+    place: np.ndarray
+    digest: np.ndarray
+    check: np.ndarray
+    size: np.ndarray
+    word: np.ndarray  # first word, counted over all texts
+    start: np.ndarray  # of each word: first byte and end byte in its text
+    end: np.ndarray
+    first: np.ndarray  # each text's first word, and the number of all
+
+
+def units(texts: list[bytes]) -> Units:
+    """All texts in one pass over their joined words, as most are short."""
+    joined = b"\n".join(texts)
+    hashed, start, end = words.word_hashes(joined)
+    n, many = len(hashed), len(texts)
+    begin = np.cumsum([0, *(len(t) + 1 for t in texts)])
+    doc = np.searchsorted(begin, start, "right") - 1
+    word_of = np.searchsorted(doc, np.arange(many + 1))
     if not n:
         zero = np.zeros(0, np.int64)
-        return zero, zero.view(np.uint64), zero, zero, zero, zero, zero
-    raw = np.frombuffer(text, np.uint8)
-    line = np.searchsorted(np.flatnonzero(raw == 10), start)
+        return Units(zero, zero, zero, zero.view(np.uint64), zero, zero, zero, zero, zero, word_of)
+    line = np.searchsorted(np.flatnonzero(np.frombuffer(joined, np.uint8) == 10), start)
     head = np.concatenate(([True], line[1:] != line[:-1]))
     # a piece begins at a local minimum of the hashes of word pairs, which see one word on each side of the cut
     pair = words.mix(hashed ^ _SEED)
@@ -69,67 +93,94 @@ def units(text: bytes | None) -> tuple[np.ndarray, ...]:
     for k in range(1, min(REACH, n - 1) + 1):
         low[k:] &= pair[k:] <= pair[:-k]
         low[:-k] &= pair[:-k] < pair[k:]
-    low[:REACH] = low[n - REACH :] = False
+    inside = np.arange(n) - word_of[doc]
+    low &= (inside >= REACH) & (inside < (word_of[doc + 1] - word_of[doc]) - REACH)  # so that no text sees another
     out = []
     for kind, first in ((0, np.flatnonzero(head)), (1, np.flatnonzero(head | low))):
         size = np.diff(np.append(first, n))
-        place = np.arange(n) - np.repeat(first, size)
+        at = np.arange(n) - np.repeat(first, size)
         with np.errstate(over="ignore"):
-            spread = words.mix(np.uint64(2 * kind + 1) + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+            spread = words.mix(np.uint64(2 * kind + 1) + at.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
             digest = words.mix(_sums(hashed * (spread | np.uint64(1)), first) + size.astype(np.uint64))
             check = words.mix(_sums(words.mix(hashed + spread), first)) >> np.uint64(33)
-        last = first + size - 1
-        out.append((np.full(len(first), kind), digest, check.astype(np.int64), start[first], end[last], size, first))
-    first, digest, check = _windows(hashed)
-    out.append((np.full(len(first), 2), digest, check, start[first], end[first + WINDOW - 1], np.full(len(first), WINDOW), first))
-    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
-
-
-def _rows(batches):
-    for batch in batches:
-        docs, texts, tags = batch.column(0).to_pylist(), words.text_bytes(batch.column(1)), batch.column(2).to_pylist()
-        at = 0
-        while at < len(texts):  # some texts at a time, by size
-            d, g, h, c, k, held = [], [], [], [], [], 0
-            while at < len(texts) and held < 1 << 22:
-                kind, digest, check, *_ = units(texts[at])
-                place = 3 * (np.arange(len(kind)) - np.searchsorted(kind, kind)) + kind
-                d.append(np.full(len(kind), docs[at], np.int64))
-                g.append(np.full(len(kind), tags[at], np.int64))
-                h.append(digest.view(np.int64))
-                c.append(check.astype(np.int32))
-                k.append(place.astype(np.int64))
-                held += len(texts[at] or b"")
-                at += 1
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (d, g, h, c, k)], ["doc_id", "tag", "digest", "check", "place"])
-
-
-def removed_spans(text: bytes, again: list[int], line_words: int, run_words: int) -> list[tuple[int, int]]:
-    """Byte spans to cut, given the places of the units that stand earlier elsewhere."""
-    kind, digest, _, start, end, size, word = units(text)
-    begin = np.searchsorted(kind, np.arange(4))
-    spot = np.asarray(again, np.int64)
-    spot = spot // 3 + begin[spot % 3]
-    flag = np.zeros(len(kind), bool)
-    flag[spot[spot < len(kind)]] = True
-    lines, pieces = int(begin[1]), slice(begin[1], begin[2])
-    # whole lines go with the line break before or after them
-    gone = [(int(start[k]), int(end[k])) for k in np.flatnonzero(flag[:lines] & (size[:lines] >= line_words))]
-    again_word = np.repeat(flag[pieces], size[pieces])
-    drawn = np.arange(begin[2], len(kind))
-    if flag[drawn].any():
-        # windows overlap: the words of a kept one stay, if its later copies stand in the same text
-        first = drawn[~flag[drawn] & np.isin(digest[drawn], digest[drawn][flag[drawn]])]
-        kept_word = np.zeros(len(again_word), bool)
-        for mask, which in ((kept_word, first), (again_word, drawn[flag[drawn]])):
-            for k in word[which].tolist():
-                mask[k : k + WINDOW] = True
-        again_word &= ~kept_word
-    edge = np.flatnonzero(np.diff(np.concatenate(([0], again_word.view(np.int8), [0]))))
-    edge_start, edge_end = words.word_hashes(text)[1:] if len(edge) else (start, end)
-    for a, b in zip(edge[0::2].tolist(), edge[1::2].tolist(), strict=True):
-        if b - a >= run_words:
-            gone.append((int(edge_start[a]), int(edge_end[b - 1])))
+        out.append((np.full(len(first), kind), digest, check.astype(np.int64), size, first))
+    first, digest, check = _windows(hashed, doc)
+    out.append((np.full(len(first), 2), digest, check, np.full(len(first), WINDOW), first))
+    kind, digest, check, size, first = (np.concatenate(x) for x in zip(*out, strict=True))
+    order = np.argsort(doc[first] * 3 + kind, kind="stable")
+    kind, digest, check, size, first = (x[order] for x in (kind, digest, check, size, first))
+    group = doc[first] * 3 + kind
+    return Units(doc[first], kind, np.arange(len(kind)) - np.searchsorted(group, group), digest, check, size, first, start - begin[doc], end - begin[doc], word_of)
+
+
+def _slices(texts: list[bytes | None]):
+    """(first, end) of runs of texts of bounded size; one long text is a run of its own."""
+    at = 0
+    while at < len(texts):
+        to, held = at, 0
+        while to < len(texts) and (to == at or held + len(texts[to] or b"") < SLICE):
+            held += len(texts[to] or b"")
+            to += 1
+        yield at, to
+        at = to
+
+
+def _rows(line_words: int):
+    """Units that may be removed: lines that are too short to go are left out."""
+
+    def run(batches):
+        for batch in batches:
+            docs, tags = (batch.column(k).to_numpy(zero_copy_only=False) for k in (0, 2))
+            texts = words.text_bytes(batch.column(1))
+            for a, b in _slices(texts):
+                u = units(texts[a:b])
+                keep = np.flatnonzero((u.kind > 0) | (u.size >= line_words))
+                row = u.doc[keep] + a
+                columns = (docs[row], tags[row], u.digest[keep].view(np.int64), u.check[keep].astype(np.int32), 3 * u.place[keep] + u.kind[keep])
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["doc_id", "tag", "digest", "check", "place"])
+
+    return run
+
+
+def removed_spans(texts: list[bytes], again: list[list[int]], line_words: int, run_words: int) -> list[list[tuple[int, int]]]:
+    """Byte spans to cut from each text, given the places of its units that stand earlier elsewhere."""
+    u = units(texts)
+    begin = np.searchsorted(u.doc * 3 + u.kind, np.arange(3 * len(texts) + 1))
+    spot = np.concatenate([np.asarray(p, np.int64) for p in again]) if again else np.zeros(0, np.int64)
+    of = np.repeat(np.arange(len(texts)), [len(p) for p in again])
+    flag = np.zeros(len(u.kind), bool)
+    group = 3 * of + spot % 3
+    spot = spot // 3 + begin[group]
+    flag[spot[spot < begin[group + 1]]] = True
+    out = []
+    for d, text in enumerate(texts):
+        line, piece, window = (slice(begin[3 * d + k], begin[3 * d + k + 1]) for k in range(3))
+        base, gone = u.first[d], []
+        # whole lines go with the line break before or after them
+        for k in (np.flatnonzero(flag[line] & (u.size[line] >= line_words)) + line.start).tolist():
+            gone.append((int(u.start[u.word[k]]), int(u.end[u.word[k] + u.size[k] - 1])))
+        drawn = flag[window]
+        if drawn.any() or int(u.size[piece][flag[piece]].sum()) >= run_words:
+            again_word = np.repeat(flag[piece], u.size[piece])
+            if drawn.any():
+                # windows overlap: the words of a kept one stay, if its later copies stand in the same text
+                digest, word = u.digest[window], u.word[window] - base
+                first = ~drawn & np.isin(digest, digest[drawn])
+                kept_word = np.zeros(len(again_word), bool)
+                for mask, which in ((kept_word, first), (again_word, drawn)):
+                    for k in word[which].tolist():
+                        mask[k : k + WINDOW] = True
+                again_word &= ~kept_word
+            edge = np.flatnonzero(np.diff(np.concatenate(([0], again_word.view(np.int8), [0]))))
+            for a, b in zip(edge[0::2].tolist(), edge[1::2].tolist(), strict=True):
+                if b - a >= run_words:
+                    gone.append((int(u.start[base + a]), int(u.end[base + b - 1])))
+        out.append(_merged(text, gone) if gone else [])
+    return out
+
+
+def _merged(text: bytes, gone: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Spans put together where only blanks lie between, with the blanks and line breaks that would be left over."""
     merged: list[list[int]] = []
     for a, b in sorted(gone):
         if merged and (a <= merged[-1][1] or not text[merged[-1][1] : a].strip()):
@@ -154,17 +205,18 @@ def _cut(line_words: int, run_words: int):
         for batch in batches:
             n, names = batch.num_columns, batch.schema.names
             texts, again = words.text_bytes(batch.column(n - 2)), batch.column(n - 1).to_pylist()
-            new, spans = [], []
-            for text, places in zip(texts, again, strict=True):
-                cut = removed_spans(text, places, line_words, run_words) if text and places else []
-                spans.append([{"start": a, "end": b} for a, b in cut])
-                if cut:
-                    keep, at = [], 0
-                    for a, b in cut:
-                        keep.append(text[at:a])
-                        at = b
-                    text = b"".join([*keep, text[at:]])
-                new.append(None if text is None else text.decode("utf-8", "replace"))
+            new, spans = list(texts), [[] for _ in texts]
+            some = [k for k in range(len(texts)) if texts[k] and again[k]]
+            for a, b in _slices([texts[k] for k in some]):
+                part = some[a:b]
+                for k, cut in zip(part, removed_spans([texts[k] for k in part], [again[k] for k in part], line_words, run_words), strict=True):
+                    if cut:
+                        text, keep, at = texts[k], [], 0
+                        for x, y in cut:
+                            keep.append(text[at:x])
+                            at = y
+                        new[k], spans[k] = b"".join([*keep, text[at:]]), [{"start": x, "end": y} for x, y in cut]
+            new = [None if x is None else x.decode("utf-8", "replace") for x in new]
             kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
             yield pa.RecordBatch.from_arrays([*batch.columns[: n - 2], pa.array(new, pa.string()), pa.array(spans, kind)], [*names[: n - 2], "text", "spans"])
 
@@ -180,7 +232,7 @@ def dedup_units(docs: DataFrame, line_words: int = LINE_WORDS, run_words: int =
     base = docs.select(docs[quoted(id_col)].cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("tag")).where("doc_id is not null and text <> ''")
 
     def found() -> DataFrame:
-        return base.mapInArrow(_rows, "doc_id long, tag long, digest long, check int, place long")
+        return base.mapInArrow(_rows(line_words), "doc_id long, tag long, digest long, check int, place long")
 
     first = F.min(F.struct("doc_id", "tag", "place"))
     kept = found().groupBy("digest", "check").agg(first.alias("first"), F.count("*").alias("n")).where("n > 1")

@@ -443,10 +443,11 @@ def test_substring(spark):
 
 
 def _digests(text):
-    """The units of a text in plain Python: kind, digest, check, first byte, end byte, words, first word."""
+    """Kind, digest and check of the units of one text alone."""
     from cloneprint.llm import substring_dedup as S
 
-    return [c.tolist() for c in S.units(text.encode())]
+    u = S.units([text.encode()])
+    return u.kind.tolist(), u.digest.tolist(), u.check.tolist()
 
 
 def test_substring_ids_with_several_texts_and_any_columns(spark):
@@ -495,7 +496,7 @@ def test_substring_whole_operator_against_plain(spark):
     got = {q["doc_id"]: q for q in S.dedup_units(spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string").repartition(6)).collect()}
     removed = 0
     for d, text in enumerate(docs):
-        want = S.removed_spans(text.encode(), sorted(places[d]), S.LINE_WORDS, S.RUN_WORDS) if places[d] else []
+        want = S.removed_spans([text.encode()], [sorted(places[d])], S.LINE_WORDS, S.RUN_WORDS)[0] if places[d] else []
         assert [(s["start"], s["end"]) for s in got[d]["removed"]] == want
         removed += len(want)
     assert removed > 50
@@ -517,12 +518,25 @@ def test_substring_passages_of_51_words(spark):
     assert all(len(x) <= 86 for x in w[1:1200:2])  # at least 25 of the 111 words
 
 
+def test_substring_units_of_a_text_do_not_depend_on_its_neighbours():
+    from cloneprint.llm import substring_dedup as S
+
+    r = random.Random(2)
+    texts = [("\n" if r.random() < 0.3 else " ").join(prose(r.randint(0, 120)).split()).encode() for _ in range(60)] + [b"", b"\n", b" \n\n x"]
+    every = S.units(texts)
+    for d, text in enumerate(texts):
+        alone, mine = S.units([text]), every.doc == d
+        for name in ("kind", "place", "digest", "check", "size"):
+            assert (getattr(alone, name) == getattr(every, name)[mine]).all()
+        assert (alone.start == every.start[every.first[d] : every.first[d + 1]]).all() and (alone.word == every.word[mine] - every.first[d]).all()
+
+
 def test_substring_periodic_text():
     from cloneprint.llm import substring_dedup as S
 
     text = b"la " * 200
-    places = 3 * np.arange(1, int((S.units(text)[0] == 2).sum())) + 2
-    ((a, b),) = S.removed_spans(text, places.tolist(), 10, 25)
+    places = 3 * np.arange(1, int((S.units([text]).kind == 2).sum())) + 2
+    (((a, b),),) = S.removed_spans([text], [places.tolist()], 10, 25)
     assert (text[:a] + text[b:]).split() == [b"la"] * 51  # the first window, and what no drawn window reaches
 
 
