@@ -8,11 +8,16 @@ from statistics import NormalDist
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from ..functions import complexity as C
 from ..functions import text as T
+from ..plans.groups import by_group
 from ..plans.store import Store
 
+#: edges and nodes of one component that a task may hold at once; larger components go by rounds of joins
+LOCAL_ROWS = 2_000_000
+
 # Words that mark classes which only carry structure.
 STRUCTURAL = ("factory", "adaptor", "adapter", "convertor", "converter", "builder", "proxy", "wrapper", "facade", "decorator", "visitor", "listener", "exception")
 
@@ -62,15 +67,56 @@ def drop_supporting(classes: DataFrame, functions: DataFrame, key: str, path: st
     return kept, every.groupBy("rule").agg(F.count("*").alias("n_left"))
 
 
-def pagerank(edges: DataFrame, damping: float = 0.85, iterations: int = 20, tolerance: float | None = None, nodes: DataFrame | None = None) -> DataFrame:
+def _rank_component(damping: float, iterations: int, tolerance: float | None):
+    def run(rows):
+        """Rows (component, src, dst) of one component, nodes without an edge as dst alone."""
+        import numpy as np
+
+        names = sorted({r[1] for r in rows if r[1] is not None} | {r[2] for r in rows})
+        at = {name: k for k, name in enumerate(names)}
+        pairs = np.array([(at[r[1]], at[r[2]]) for r in rows if r[1] is not None], np.int64).reshape(-1, 2)
+        src, dst = pairs[:, 0], pairs[:, 1]
+        n = len(names)
+        out = np.bincount(src, minlength=n)
+        rank = np.full(n, 1.0 / n)
+        for _ in range(iterations):
+            got = np.bincount(dst, rank[src] / out[src], minlength=n)
+            new = (1 - damping) / n + damping * (got + rank[out == 0].sum() / n)
+            change, rank = np.abs(new - rank).max(), new
+            if tolerance is not None and change <= tolerance:
+                break
+        return [(rows[0][0], name, float(r)) for name, r in zip(names, rank.tolist(), strict=True)]
+
+    return run
+
+
+def pagerank(edges: DataFrame, damping: float = 0.85, iterations: int = 20, tolerance: float | None = None, nodes: DataFrame | None = None, local_rows: int = LOCAL_ROWS) -> DataFrame:
     """component, node, rank for all components at once; edges: component, src (used), dst (using).
 
-    A node that nothing uses passes its rank evenly to its component. Without ``tolerance`` the rounds are fixed.
+    A node that nothing uses passes its rank evenly to its component. Without ``tolerance`` the rounds are fixed. Components of at most ``local_rows`` edges
+    and nodes are ranked one by one in a single pass; larger ones by rounds of joins.
     """
     store = Store(edges.sparkSession, "rank")
-    edge = edges.select("component", "src", "dst").distinct()
+    edge = store.keep(edges.select("component", "src", "dst").distinct(), "edges")
+    rows = edge
+    if nodes is not None:
+        rows = rows.unionByName(nodes.select("component", F.lit(None).cast(edge.schema["src"].dataType).alias("src"), F.col("node").alias("dst")))
+        rows = store.keep(rows, "rows")
+    large = store.keep(rows.groupBy("component").agg(F.count("*").alias("n")).where(F.col("n") > local_rows).select("component"), "large")
+    several = not large.isEmpty()
+    small = rows.join(large, "component", "left_anti") if several else rows
+    kind = StructType([edge.schema["component"], StructField("node", edge.schema["dst"].dataType), StructField("rank", DoubleType())])
+    out = by_group(small, ["component"], _rank_component(damping, iterations, tolerance), kind)
+    if several:
+        more = None if nodes is None else nodes.join(large, "component", "left_semi")
+        out = out.unionByName(_rank_rounds(edge.join(large, "component", "left_semi"), damping, iterations, tolerance, more, store))
+    return out
+
+
+def _rank_rounds(edge: DataFrame, damping: float, iterations: int, tolerance: float | None, nodes: DataFrame | None, store: Store) -> DataFrame:
+    """The same by a join and two sums a round, whatever the size of a component."""
     degree = edge.groupBy("component", "src").agg(F.count("*").alias("out"))
-    edge = store.keep(edge.join(degree, ["component", "src"]), "edges")
+    edge = store.keep(edge.join(degree, ["component", "src"]), "weighted")
     seen = edge.select("component", F.col("src").alias("node")).unionByName(edge.select("component", F.col("dst").alias("node")))
     seen = (seen if nodes is None else seen.unionByName(nodes.select("component", "node"))).distinct()
     sizes = seen.groupBy("component").agg(F.count("*").alias("size"))

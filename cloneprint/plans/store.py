@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
@@ -20,11 +21,24 @@ def shared_root(spark: SparkSession) -> str:
     return shared_root.local
 
 
+def _delete(jvm, conf, path: str) -> None:
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(conf).delete(at, True)
+
+
+def _sweep(jvm, conf, path: str) -> None:
+    try:
+        _delete(jvm, conf, path)
+    except Exception:  # noqa: BLE001  the JVM may be gone before the driver's end; the cluster's own clean-up is left then
+        pass
+
+
 class Store:
-    """Keeps DataFrames as Parquet under a folder of its own, and drops them when nothing reads them any more."""
+    """Keeps DataFrames as Parquet under a folder of its own; what is not dropped before goes at the driver's end, as DataFrames that were returned still read it."""
 
     def __init__(self, spark: SparkSession, tag: str):
         self.spark, self.base = spark, f"{shared_root(spark)}/{tag}-{uuid.uuid4().hex}"
+        atexit.register(_sweep, spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration(), self.base)
 
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
@@ -34,7 +48,5 @@ class Store:
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
     def drop(self, *names: str) -> None:
-        jvm = self.spark.sparkContext._jvm
         for name in names:
-            at = jvm.org.apache.hadoop.fs.Path(self.path(name))
-            at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+            _delete(self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration(), self.path(name))

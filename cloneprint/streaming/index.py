@@ -25,9 +25,12 @@ def source(spark: SparkSession, path: str, files_per_batch: int | None = None) -
     return reader.parquet(path)
 
 
-def changes(stream: DataFrame, tag: str, mode: str = "update", change: Callable[[DataFrame], DataFrame] = lambda df: df) -> DataFrame:
-    """Runs a stream to its end; every micro-batch's output rows, with ``batch``. A batch that is tried again replaces its own files."""
-    store = Store(stream.sparkSession, tag)
+def changes(stream: DataFrame, tag: str, mode: str = "update", change: Callable[[DataFrame], DataFrame] = lambda df: df, store: Store | None = None) -> DataFrame:
+    """Runs a stream to its end; every micro-batch's output rows, with ``batch``. A batch that is tried again replaces its own files.
+
+    With the ``store`` of an earlier run it goes on from there, and gives the rows of both.
+    """
+    store = store or Store(stream.sparkSession, tag)
 
     def put(df: DataFrame, batch: int) -> None:
         change(df).withColumn("batch", F.lit(batch)).write.mode("overwrite").parquet(store.path(f"out/n={batch}"))
@@ -37,6 +40,21 @@ def changes(stream: DataFrame, tag: str, mode: str = "update", change: Callable[
     return stream.sparkSession.read.parquet(store.path("out/*"))
 
 
+def to_the_end(rows: DataFrame, last: DataFrame, time: str, tag: str, query: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Append-mode output of ``query`` over a stream ``rows``, closed by one more run that reads the row of ``last``.
+
+    A window that is still open when a stream ends is never put out in append mode. ``last`` (one row of the stream's columns, its time beyond
+    all others) comes in a source of its own, which stays empty until the first run has read everything; it then moves the watermark over every window.
+    """
+    spark = rows.sparkSession
+    store = Store(spark, tag)
+    last.limit(0).write.parquet(store.path("last"))
+    both = rows.unionByName(spark.readStream.schema(rows.schema).parquet(store.path("last")))
+    changes(query(both), tag, "append", store=store)
+    last.write.mode("append").parquet(store.path("last"))
+    return changes(query(both), tag, "append", store=store)
+
+
 def latest(rows: DataFrame, *keys: str) -> DataFrame:
     """The last state of each key."""
     values = [c for c in rows.columns if c not in (*keys, "batch")]

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import complexity as C
+from ..functions import hashing as H
+from ..functions import text as T
 from ..operators import baselines as B
+from ..operators import detect as D
 from ..operators import extract as E
 from ..operators import measures as M
 from ..operators import recognize as N
@@ -18,7 +23,7 @@ from . import sql as Q
 from .tables import table
 
 #: sentence length above which a unit is no trivial one, and the grid that accuracy is reported on
-MIN_CHARS, LENGTHS, THETAS = 20, (0, 10, 20, 30, 60), (0.05, 0.15, 0.25, 0.5, 0.9)
+MIN_CHARS, LENGTHS, THETAS = 20, (0, 10, 20, 30, 60), (0.05, 0.1, 0.15, 0.2, 0.25, 0.5, 0.9)
 
 
 def _lines(spark: SparkSession, d: str) -> DataFrame:
@@ -51,6 +56,16 @@ def linked(spark, d):
     return E.link(*_kept(spark, d))
 
 
+def linked_body(spark, d):
+    """One placeholder for a recursive function's body, whatever the number of its calls."""
+    return E.link(*_kept(spark, d), recursion="body")
+
+
+def print_all_roots(spark, d):
+    fns, calls_ = _kept(spark, d)
+    return E.class_print(E.link(fns, calls_), calls_, "all")
+
+
 def print_additive(spark, d):
     fns, calls_ = _kept(spark, d)
     return E.class_print(E.link(fns, calls_), calls_)
@@ -60,15 +75,13 @@ def print_mixed(spark, d):
     return E.mixed_print(_class_lines(spark, d))
 
 
-def _bag(spark, d):
-    """Additive prints without calls: one aggregate."""
-    from ..functions import hashing as H
-
-    return E.functions_of(_class_lines(spark, d)).groupBy("class_id").agg(H.total(F.col("own")).alias("print"))
-
-
 def collisions(spark, d):
-    return E.collision_audit(_bag(spark, d), print_mixed(spark, d))
+    """Documents beside themselves with their lines joined: the bag of labels is the same, the structure is not."""
+    docs = table(spark, d, "documents", "doc_id", "text")
+    joined = docs.select((-F.col("doc_id") - 1).alias("doc_id"), F.translate("text", "\n", " ").alias("text"))
+    lines = U.lines(docs.unionByName(joined), F.col("doc_id").alias("class_id"))
+    bag = E.functions_of(lines).groupBy("class_id").agg(H.total(F.col("own")).alias("print"))
+    return E.collision_audit(bag, E.mixed_print(lines))
 
 
 def print_shape(spark, d):
@@ -85,7 +98,7 @@ def trivial(spark, d):
 
 def empty(spark, d):
     docs = table(spark, d, "documents", "doc_id")
-    return R.drop_empty(docs, _lines(spark, d).where(F.length("line") > 200), "doc_id")
+    return R.drop_empty(docs, _lines(spark, d), "doc_id")
 
 
 def structural(spark, d):
@@ -200,7 +213,7 @@ def flagship(spark, d):
 
 def _doc_evidence(spark, d):
     index = R.build_index(_features(spark, d))
-    subject = E.additive_print(_lines(spark, d).where(F.length("line") > 100), "line", F.col("source").alias("subject"), F.col("doc_id").alias("class_id"))
+    subject = E.additive_print(_lines(spark, d).where(F.length("line") > MIN_CHARS), "line", F.col("source").alias("subject"), F.col("doc_id").alias("class_id"))
     return N.match(subject, index, exclude_self=True)
 
 
@@ -225,7 +238,10 @@ def reason(spark, d):
     comp = _component_prints(spark, d).distinct()
     evidence = _subject_prints(spark, d).join(comp, "print").select("subject", "component", "print")
     sizes = comp.groupBy("component").agg(F.count("*").alias("size"))
-    return N.reuse_reason(evidence, sizes, spark.createDataFrame([], "subject long, component long"))
+    # an item nobody released: the document that first holds it has no label
+    first = _truth(spark, d).groupBy("component").agg(F.min("subject").alias("doc_id"))
+    unpublished = first.join(table(spark, d, "labels", "doc_id"), "doc_id", "left_anti").select("component")
+    return N.reuse_reason(evidence, sizes, truth_licence(spark, d), unpublished)
 
 
 def top_evidence(spark, d):
@@ -242,7 +258,9 @@ def function_ratio_similar(spark, d):
 
 
 def theta_sweep(spark, d):
-    return B.theta_sweep(_subject_prints(spark, d, 0), _component_prints(spark, d, 0), list(THETAS)).groupBy("theta").agg(F.count("*").alias("n_pairs"))
+    """Accuracy at every threshold, without any filter of trivial units."""
+    found = B.theta_sweep(_subject_prints(spark, d, 0), _component_prints(spark, d, 0), list(THETAS))
+    return M.prf(found, _truth(spark, d), ["theta"], spark.createDataFrame([(x,) for x in THETAS], "theta double"))
 
 
 def function_db(spark, d):
@@ -250,8 +268,6 @@ def function_db(spark, d):
 
 
 def file_hash(spark, d):
-    from ..functions import text as T
-
     docs = table(spark, d, "documents", F.col("source").alias("subject"), "text").where("text <> ''").select("subject", F.md5(T.normalize(F.col("text"))).alias("hash"))
     return B.file_hash_match(docs, docs.withColumnRenamed("subject", "component")).where("subject < component")
 
@@ -277,12 +293,24 @@ def _truth(spark, d):
 
 
 def truth_path(spark, d):
-    pages = table(spark, d, "pages", "page_id", "url").select("page_id", U.path("url").alias("path"), U.host("url").alias("host"))
-    return G.path_evidence(pages, "path", F.element_at(F.split("host", "[.]"), -1)).select("page_id", "in_group", "vendor")
+    pages = table(spark, d, "pages", "page_id", "url").select("page_id", U.path("url").alias("path"), G.vendor(U.host("url")).alias("owner"))
+    return G.path_evidence(pages, "path", F.col("owner")).select("page_id", "owner", "in_group", "vendor")
+
+
+#: change notes of our own, as the documents hold none; negative ids
+NOTES = (
+    (-1, "This class is based on the work of the tide group."), (-2, "Copied from the lamp project, then changed."), (-3, "A modified version of the grid reader."),
+    (-4, "Written here from the start."), (-5, "copy from an old mail list"), (-6, "Forked from harbour."), (-7, "This package is based on the work done by the north team."), (-8, None),
+)
+
+
+def _noted(spark, d):
+    notes = spark.createDataFrame(list(NOTES), "doc_id long, text string")
+    return table(spark, d, "documents", "doc_id", "text").unionByName(notes)
 
 
 def truth_phrase(spark, d):
-    return G.phrase_evidence(table(spark, d, "documents", "doc_id", "text"), "doc_id", "text")
+    return G.phrase_evidence(_noted(spark, d), "doc_id", "text")
 
 
 def truth_licence(spark, d):
@@ -295,9 +323,17 @@ def truth_licence(spark, d):
     return G.licence_evidence(held.join(origin, "origin"))
 
 
+def licence_stripped(spark, d):
+    """Copies of licensed passages that say nothing of a licence, among the pairs that the prints found."""
+    evidence = flagship(spark, d).select("subject", F.col("subject").alias("class_id"), "component")
+    texts = table(spark, d, "documents", F.col("doc_id").alias("class_id"), "text")
+    first = _truth(spark, d).groupBy("component").agg(F.min("subject").alias("class_id"))
+    origin = first.join(texts, "class_id").select("component", "text")
+    return G.licence_stripped(evidence, texts, origin)
+
+
 def truth_author(spark, d):
-    name = lambda c: F.array_distinct(F.regexp_extract_all(c, F.lit(r"([\w.]+@[\w.]+)"), F.lit(1)))
-    docs = table(spark, d, "documents", F.col("doc_id").alias("subject"), name("text").alias("subject_authors")).where(F.size("subject_authors") > 0)
+    docs = table(spark, d, "documents", F.col("doc_id").alias("subject"), G.affiliations(F.col("text")).alias("subject_authors")).where(F.size("subject_authors") > 0)
     each = docs.select("subject", F.explode("subject_authors").alias("author"))
     first = each.groupBy("author").agg(F.min("subject").alias("component"))
     pairs = each.join(first, "author").where("subject <> component").select("subject", "component").distinct()
@@ -306,37 +342,130 @@ def truth_author(spark, d):
 
 
 def truth_union(spark, d):
-    return G.truth_from_rules(contains=_truth(spark, d), licence=truth_licence(spark, d), author=truth_author(spark, d))
+    """Pairs by any rule; a path or a phrase tells of a copy in a page or text, not of whom, so its component is the vendor's name or null."""
+    as_text = lambda df: df.select(F.col("subject").cast("string").alias("subject"), F.col("component").cast("string").alias("component"))
+    path = truth_path(spark, d).where("in_group or vendor").select(F.concat(F.lit("page "), "page_id").alias("subject"), F.col("owner").alias("component"))
+    phrase = truth_phrase(spark, d).select(F.col("doc_id").alias("subject"), F.col("phrase").alias("component"))
+    return G.truth_from_rules(contains=as_text(_truth(spark, d)), licence=as_text(truth_licence(spark, d)), author=as_text(truth_author(spark, d)), path=path, phrase=as_text(phrase))
+
+
+def curated(spark, d):
+    """Components of part names without platform variants; subjects are sources with enough good documents and no copied first document."""
+    part = table(spark, d, "part", "p_partkey", F.concat_ws("-", F.translate("p_name", " ", "-"), F.element_at(F.array(*[F.lit(x) for x in ("core", "win", "darwin-x64", "window", "linux", "wing", "arm64", "api")]), (F.col("p_size") % 8 + 1).cast("int"))).alias("artifact_id"))
+    return G.curate_components(part)
+
+
+def curated_subjects(spark, d):
+    docs = table(spark, d, "documents", "doc_id", "source", F.md5(T.normalize(F.col("text"))).alias("hash"))
+    first = docs.groupBy("hash").agg(F.min("doc_id").alias("first"))
+    labels = table(spark, d, "labels", "doc_id", "quality").groupBy("doc_id").agg(F.max("quality").alias("quality"))
+    own = docs.join(first, "hash").join(labels, "doc_id", "left")
+    per = own.groupBy("source").agg(F.coalesce(F.sum("quality"), F.lit(0)).alias("stars"), (F.count_if(F.col("doc_id") != F.col("first")) * 5 > F.count("*")).alias("is_fork"), (F.count("quality") > 0).alias("builds"))
+    return G.curate_subjects(per).select("source", "stars")
 
 
 def _grid(spark, d):
-    """Predictions of both methods under every filter: method, setting, subject, component."""
-    store, out = Store(spark, "grid"), None
-    for least in LENGTHS:
-        s = store.keep(_subject_prints(spark, d, least).select("subject", "print").distinct(), f"s{least}")
-        c = store.keep(_component_prints(spark, d, least).distinct(), f"c{least}")
-        ratio = store.keep(B.overlap_ratio(s, c, "component"), f"r{least}")
-        print_ = ratio.select(F.lit("class print").alias("method"), F.lit(f"length > {least}").alias("setting"), "subject", "component")
-        thetas = ratio.select("subject", "component", F.explode(F.filter(F.array(*[F.lit(t) for t in THETAS]), lambda t: F.col("ratio") >= t)).alias("t"))
-        rates = thetas.select(F.lit("function ratio").alias("method"), F.concat(F.lit(f"length > {least}, theta "), F.format_number("t", 2)).alias("setting"), "subject", "component")
-        out = print_.unionByName(rates) if out is None else out.unionByName(print_).unionByName(rates)
-    return out
+    """Predictions of both methods under every filter, from one match: method, setting, subject, component.
+
+    A print counts at a length if some unit of the subject and some unit of the component that have it are longer; so the longest of each is kept.
+    """
+    store = Store(spark, "grid")
+    longest = lambda df, side: df.groupBy(side, "print").agg(F.max("k").alias("k"))
+    s = longest(E.additive_print(_sentences(spark, d, -1), "sentence", F.col("doc_id").alias("subject"), F.length("sentence").alias("k")), "subject")
+    c = store.keep(longest(E.additive_print(_items(spark, d, -1), "sentence", F.col("item_id").alias("component"), F.length("sentence").alias("k")), "component"), "c")
+    over = lambda what: [F.count_if(F.col(what) > n).alias(f"n{n}") for n in LENGTHS]
+    sizes = c.groupBy("component").agg(*over("k")).select("component", F.array(*[f"n{n}" for n in LENGTHS]).alias("sizes"))
+    both = s.withColumnRenamed("k", "ks").join(c, "print").select("subject", "component", F.least("ks", "k").alias("k"))
+    shared = both.groupBy("subject", "component").agg(*over("k")).select("subject", "component", F.array(*[f"n{n}" for n in LENGTHS]).alias("shared"))
+    each = shared.join(sizes, "component").select("subject", "component", F.posexplode(F.arrays_zip("shared", "sizes")).alias("at", "v"))
+    each = each.where("v.shared > 0").withColumn("least", F.element_at(F.array(*[F.lit(n) for n in LENGTHS]), F.col("at") + 1))
+    each = store.keep(each.select("subject", "component", "least", F.round(F.col("v.shared") / F.col("v.sizes"), 6).alias("ratio")), "ratios")
+    setting = F.concat(F.lit("length > "), F.col("least").cast("string"))
+    prints = each.select(F.lit("class print").alias("method"), setting.alias("setting"), "subject", "component")
+    thetas = each.withColumn("t", F.explode(F.filter(F.array(*[F.lit(x) for x in THETAS]), lambda x: F.col("ratio") >= x)))
+    rates = thetas.select(F.lit("function ratio").alias("method"), F.concat(setting, F.lit(", theta "), F.format_number("t", 2)).alias("setting"), "subject", "component")
+    return prints.unionByName(rates)
+
+
+def _settings(spark):
+    rows = [("class print", f"length > {n}") for n in LENGTHS] + [("function ratio", f"length > {n}, theta {x:.2f}") for n in LENGTHS for x in THETAS] + [("linked class print", "full")]
+    return spark.createDataFrame(rows, "method string, setting string")
 
 
 def accuracy(spark, d):
-    return M.prf(_grid(spark, d), _truth(spark, d), ["method", "setting"])
+    linked_ = _variants(spark, d, "full").select(F.lit("linked class print").alias("method"), F.col("config").alias("setting"), "subject", "component")
+    return M.prf(_grid(spark, d).unionByName(linked_), _truth(spark, d), ["method", "setting"], _settings(spark))
+
+
+def accuracy_macro(spark, d):
+    return M.macro_prf(_grid(spark, d), _truth(spark, d), ["method", "setting"])
+
+
+#: the detector on passages: a line is a class, its sentences are functions; prose has a length in place of the complexity
+PASSAGE = D.DetectConfig(min_unit_chars=MIN_CHARS)
+VARIANTS = {
+    "full": PASSAGE, "no linking": replace(PASSAGE, linking=False), "no trivial filter": replace(PASSAGE, min_unit_chars=None, complexity_cut=None),
+    "no centrality": replace(PASSAGE, central_cut=None), "no origin": replace(PASSAGE, origin=False),
+}
+
+
+def _line_units(lines, key):
+    """Lines as classes, and their sentences as functions: class_id, pos, line."""
+    named = lines.select(F.concat_ws(":", key, "pos").alias("class_id"), "line")
+    return U.sentences(named, "class_id").withColumnsRenamed({"s_pos": "pos", "sentence": "line"})
+
+
+def _variants(spark, d, *names):
+    """Pairs that the detector finds under each of ``VARIANTS``, or those named: config, subject, component."""
+    store = Store(spark, "variants")
+    items = U.lines(table(spark, d, "benchmark", "item_id", "text"), "item_id")
+    subject, reference = _line_units(_lines(spark, d), "doc_id"), _line_units(items, "item_id")
+    name = lambda c: F.concat_ws(":", "class_id", c)
+    # a line of an item uses those whose first word it holds; items are released in the order of their ids
+    uses = E.call_edges(E.functions_of(items.withColumnRenamed("item_id", "class_id"))).where("caller <> callee")
+    uses = store.keep(uses.select(F.col("class_id").alias("component"), name("callee").alias("src"), name("caller").alias("dst")), "uses")
+    at = items.select(F.concat_ws(":", "item_id", "pos").alias("class_id"), F.col("item_id").alias("component"), F.col("item_id").alias("group_id"), F.col("item_id").alias("artifact_id"), F.col("pos").alias("version"), F.concat_ws("/", "item_id", F.regexp_extract("line", T.WORD, 1)).alias("path"), F.col("item_id").alias("released_at"))
+    made, out = {}, None
+    for label, config in VARIANTS.items():
+        if names and label not in names:
+            continue
+        kind = (config.linking, config.min_unit_chars)
+        if kind not in made:
+            one, two = (store.keep(D.class_prints(units, config), f"{side}-{len(made)}") for side, units in (("s", subject), ("r", reference)))
+            made[kind] = one.select(F.split("class_id", ":")[0].cast("long").alias("subject"), "class_id", "print"), two
+        prints, known = made[kind]
+        verdict = D.detect(prints, D.reference_index(known, at, uses, config), config)
+        part = verdict.select(F.lit(label).alias("config"), "subject", F.col("group_id").alias("component"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def detect_full(spark, d):
+    """The detector on documents: a document is a class, its lines are functions, its source is the group; sources that copied it from the first are found."""
+    store, config = Store(spark, "detect"), D.DetectConfig(exclude_self=True)
+    lines = _class_lines(spark, d)
+    prints = store.keep(D.class_prints(lines.select("class_id", "pos", "line"), config), "prints")
+    first = F.regexp_extract("text", T.WORD, 1)
+    path = table(spark, d, "documents", F.col("doc_id").alias("class_id"), F.col("source").alias("component"), F.concat_ws("/", "source", first).alias("path"))
+    classes = path.join(_released(spark, d).withColumnRenamed("doc_id", "class_id"), "class_id")
+    index = D.reference_index(prints, store.keep(classes, "classes"), store.keep(_uses_text(spark, d), "uses"), config)
+    subjects = prints.join(path.select("class_id", F.col("component").alias("owner")), "class_id").withColumn("subject", F.col("class_id"))
+    return D.detect(subjects, index, config)
 
 
 def ablation(spark, d):
-    """Units of another size, or no trivial-unit filter, in place of the sentence print."""
+    """The detector with one step left out at a time, and prints of units of another size."""
     store = Store(spark, "ablation")
-    sent = lambda least: _subject_prints(spark, d, least).join(_component_prints(spark, d, least), "print").select("subject", "component")
-    line = E.additive_print(_lines(spark, d), "line", F.col("doc_id").alias("subject")).join(E.additive_print(U.lines(table(spark, d, "benchmark", "item_id", "text"), "item_id"), "line", F.col("item_id").alias("component")), "print").select("subject", "component")
-    every = None
-    for name, df in (("sentence", sent(MIN_CHARS)), ("no trivial filter", sent(0)), ("line", line), ("first origin only", flagship(spark, d).select("subject", "component"))):
-        part = df.distinct().select(F.lit(name).alias("config"), "subject", "component")
-        every = part if every is None else every.unionByName(part)
-    return M.prf(store.keep(every, "all"), _truth(spark, d), ["config"])
+    sent = _subject_prints(spark, d).join(_component_prints(spark, d).distinct(), "print").select("subject", "component")
+    items = U.lines(table(spark, d, "benchmark", "item_id", "text"), "item_id")
+    line = E.additive_print(_lines(spark, d), "line", F.col("doc_id").alias("subject")).join(E.additive_print(items, "line", F.col("item_id").alias("component")), "print").select("subject", "component")
+    whole = lambda name, key, as_: table(spark, d, name, F.col(key).alias(as_), F.md5(T.normalize(F.lower("text"))).alias("hash")).where("hash is not null")
+    file = whole("documents", "doc_id", "subject").join(whole("benchmark", "item_id", "component"), "hash").select("subject", "component")
+    every = _variants(spark, d)
+    names = [*VARIANTS, "sentences", "sentences, first origin", "unlinked lines", "whole texts"]
+    for name, df in zip(names[len(VARIANTS) :], (sent, flagship(spark, d).select("subject", "component"), line, file), strict=True):
+        every = every.unionByName(df.distinct().select(F.lit(name).alias("config"), "subject", "component"))
+    return M.prf(store.keep(every, "all"), _truth(spark, d), ["config"], spark.createDataFrame([(n,) for n in names], "config string"))
 
 
 def size_profile(spark, d):
@@ -396,7 +525,7 @@ def stat_sample_size(spark, d):
 
 
 def stat_sample(spark, d):
-    return R.sample_exact(_lines(spark, d).select((F.col("doc_id") * 1000 + F.col("pos")).alias("id")), "id", R.sample_size(), 7)
+    return R.sample_exact(_lines(spark, d).select(F.concat_ws(":", "doc_id", "pos").alias("id")), "id", R.sample_size(), 7)
 
 
 def missing_source(spark, d):
@@ -405,16 +534,16 @@ def missing_source(spark, d):
 
 
 QUERIES = {
-    "extract_calls": calls, "extract_acyclic_calls": acyclic, "extract_linked": linked, "extract_print_additive": print_additive, "extract_print_mixed": print_mixed, "extract_print_shape": print_shape, "extract_collisions": collisions,
+    "extract_calls": calls, "extract_acyclic_calls": acyclic, "extract_linked": linked, "extract_linked_body": linked_body, "extract_print_all_roots": print_all_roots, "extract_print_additive": print_additive, "extract_print_mixed": print_mixed, "extract_print_shape": print_shape, "extract_collisions": collisions,
     "refine_complexity": _per_line(C.prose_complexity), "refine_complexity_linear": _per_line(lambda c: C.prose_complexity(c, "linear")), "refine_mi": _per_line(lambda c: C.maintainability(C.prose_complexity(c))),
     "refine_trivial": trivial, "refine_empty": empty, "refine_structural": structural, "refine_tests": tests, "refine_funnel": funnel,
     "refine_uses_text": _uses_text, "refine_uses_trade": _uses_trade, "refine_uses_links": _uses_links, "refine_pagerank_text": _ranked(_uses_text), "refine_pagerank_trade": _ranked(_uses_trade),
     "refine_percentile": percentile, "refine_central_half": central_half, "refine_cutoff_calibration": cutoff,
     "refine_merge_group": merge_group, "refine_origin_mono": _origin("mono"), "refine_origin_shuffled": _origin("shuffled"), "refine_origin_flip": origin_flip, "refine_missing_source": missing_source,
-    "detect_match": match, "detect_flagship": flagship, "detect_no_self": no_self, "detect_versions": versions, "detect_outdated": outdated, "detect_false_positives": false_positives, "detect_reuse_reason": reason, "detect_top_evidence": top_evidence,
+    "detect_match": match, "detect_flagship": flagship, "detect_full": detect_full, "detect_no_self": no_self, "detect_versions": versions, "detect_outdated": outdated, "detect_false_positives": false_positives, "detect_reuse_reason": reason, "detect_top_evidence": top_evidence,
     "base_function_ratio": function_ratio, "base_function_ratio_similar": function_ratio_similar, "base_theta_sweep": theta_sweep, "base_function_db": function_db, "base_file_hash": file_hash, "base_path": file_path, "base_manifest": manifest,
-    "truth_contains": _truth, "truth_path": truth_path, "truth_phrase": truth_phrase, "truth_licence": truth_licence, "truth_author": truth_author, "truth_union": truth_union,
-    "rq1_accuracy": accuracy, "rq1_ablation": ablation, "rq2_size_profile": size_profile, "rq3_prevalence": prevalence, "rq3_correlation": correlation, "rq3_improvement": improvement,
+    "truth_contains": _truth, "truth_path": truth_path, "truth_phrase": truth_phrase, "truth_licence": truth_licence, "truth_author": truth_author, "truth_union": truth_union, "truth_licence_stripped": licence_stripped, "truth_curated_components": curated, "truth_curated_subjects": curated_subjects,
+    "rq1_accuracy": accuracy, "rq1_accuracy_macro": accuracy_macro, "rq1_ablation": ablation, "rq2_size_profile": size_profile, "rq3_prevalence": prevalence, "rq3_correlation": correlation, "rq3_improvement": improvement,
     "rq3_improvement_trade": improvement_trade, "rq3_means_trade": means_trade, "rq3_correlation_trade": correlation_trade, "rq3_prevalence_trade": prevalence_trade, "stat_sample_size": stat_sample_size, "stat_sample": stat_sample,
 }
 
@@ -433,11 +562,13 @@ _PCT = f"with {_TR}, {Q.pagerank('uses_trade')}, pcts as (select component, node
 _SP = lambda least: f"s as (select distinct doc_id as subject, {Q.bag('s')} as print from sents where length(s) > {least}), c as (select distinct item_id as component, {Q.bag('s')} as print from b_sents where length(s) > {least})"
 _FLAG = f"{_SP(MIN_CHARS)}, idx as (select print, min(component) as component from c group by print), flag as (select subject, component, count(distinct print) as n_evidence from s join idx using (print) group by all)"
 _TRUTH = "truth as (select d.doc_id as subject, b.item_id as component from documents d join benchmark b on b.text <> '' and contains(d.text, b.text))"
-_DOC = f"{_FEAT('mono')}, origin as ({_ORIGIN.format('feats')}), subj as (select distinct source as subject, {Q.bag('lower(line)')} as print from lines where length(line) > 100), ev as (select s.subject, s.print, o.group_id from subj s join origin o using (print) where s.subject <> o.group_id)"
+_DOC = f"{_FEAT('mono')}, origin as ({_ORIGIN.format('feats')}), subj as (select distinct source as subject, {Q.bag('lower(line)')} as print from lines where length(line) > {MIN_CHARS}), ev as (select s.subject, s.print, o.group_id from subj s join origin o using (print) where s.subject <> o.group_id)"
 _VER = f"{_DOC}, sup as (select e.subject, e.group_id, f.artifact_id, f.doc_id as version, count(distinct e.print) as n_support from ev e join feats f on f.print = e.print and f.group_id = e.group_id group by all), vers as (select subject, group_id, artifact_id, version, n_support from sup qualify n_support = max(n_support) over (partition by subject, group_id))"
-_PRF = lambda key, src: f"select {key}, count(t.subject) as tp, count(*) - count(t.subject) as fp, any_value(z.n) - count(t.subject) as fn, round(count(t.subject) / count(*), 6) as precision, round(count(t.subject) / any_value(z.n), 6) as recall, round(2 * count(t.subject) / (count(*) + any_value(z.n)), 6) as f1 from {src} p left join truth t on t.subject = p.subject and t.component = p.component cross join (select count(*) as n from truth) z group by {key}"
+_PRF = lambda key, src, every: f"select {key}, count(t.subject) as tp, count(p.subject) - count(t.subject) as fp, any_value(z.n) - count(t.subject) as fn, round(count(t.subject) / nullif(count(p.subject), 0), 6) as precision, round(count(t.subject) / nullif(any_value(z.n), 0), 6) as recall, round(2 * count(t.subject) / nullif(count(p.subject) + any_value(z.n), 0), 6) as f1 from {every} left join (select distinct * from {src}) p using ({key}) left join truth t on t.subject = p.subject and t.component = p.component cross join (select count(*) as n from truth) z group by {key}"
+_NAMES = lambda rows, key: "(select * from (values " + ", ".join("(" + ", ".join(f"'{v}'" for v in r) + ")" for r in rows) + f") as names({key}))"
+_SETTINGS = _NAMES([("class print", f"length > {n}") for n in LENGTHS] + [("function ratio", f"length > {n}, theta {x:.2f}") for n in LENGTHS for x in THETAS] + [("linked class print", "full")], "method, setting")
 _GRID = " union all ".join(
-    f"select 'class print' as method, 'length > {n}' as setting, subject, component from rr where n = {n} union all select 'function ratio', 'length > {n}, theta {t:.2f}', subject, component from rr where n = {n} and ratio >= {t}" for n in LENGTHS for t in THETAS
+    [f"select 'class print' as method, 'length > {n}' as setting, subject, component from rr where n = {n}" for n in LENGTHS] + [f"select 'function ratio', 'length > {n}, theta {x:.2f}', subject, component from rr where n = {n} and ratio >= {x}" for n in LENGTHS for x in THETAS]
 )
 _GRID = f"grid as (select distinct * from ({_GRID}))"
 _RR = f"sl as (select doc_id as subject, {Q.bag('s')} as print, length(s) as k from sents), cl as (select item_id as component, {Q.bag('s')} as print, length(s) as k from b_sents), ns as (select unnest({list(LENGTHS)}) as n), sd as (select distinct n, subject, print from sl join ns on k > n), cd as (select distinct n, component, print from cl join ns on k > n), rr as (select sd.n, subject, component, round(count(*) / any_value(z.size), 6) as ratio from sd join cd on cd.n = sd.n and cd.print = sd.print join (select n as zn, component as zc, count(*) as size from cd group by all) z on z.zn = sd.n and z.zc = component group by sd.n, subject, component)"
@@ -447,25 +578,78 @@ _TS = "tt as (select distinct o_custkey as subject, p_brand as component, l_line
 _STRONG = "case when abs(r) < 0.3 then 'weak' when abs(r) <= 0.6 then 'moderate' when abs(r) >= 0.8 then 'strong' else 'unnamed' end as strength"
 _LIC = "regexp_matches(lower({}), 'licen[sc]e|copyright|all rights reserved')"
 _LICENCE = f"licence as (select distinct t.subject, t.component from truth t join (select component, min(subject) as origin from truth group by all) f using (component) join documents d on d.doc_id = t.subject join documents o on o.doc_id = f.origin where t.subject <> f.origin and {_LIC.format('o.text')} and not {_LIC.format('d.text')})"
-_AUTHOR = r"authors as (select distinct doc_id, unnest(regexp_extract_all(text, '[\w.]+@[\w.]+')) as author from documents), author as (select distinct a.doc_id as subject, f.component from authors a join (select author, min(doc_id) as component from authors group by all) f using (author) where a.doc_id <> f.component)"
+_AUTHOR = r"authors as (select distinct doc_id, unnest(regexp_extract_all(text, '[\w.]+@([\w.]+)', 1)) as author from documents), author as (select distinct a.doc_id as subject, f.component from authors a join (select author, min(doc_id) as component from authors group by all) f using (author) where a.doc_id <> f.component)"
 _NW = lambda x: f"list_filter(string_split(lower(regexp_replace(regexp_replace({x}, '([a-z0-9])([A-Z])', '\\1 \\2', 'g'), '[^A-Za-z0-9]+', ' ', 'g')), ' '), lambda w: w <> '')"
 _CX = Q.complexity("line")
 _PARTS = "list_filter(string_split_regex(regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1), '[/.]'), lambda p: p <> '')"
 _SHAPE = "case when regexp_matches(t, '^[0-9]+$') then 'NUM' when regexp_matches(t, '^[A-Z]') then 'CAP' when regexp_matches(t, '^\\w') then 'WORD' else t end"
 
+_NOTED = "noted as (select doc_id, text from documents union all select * from (values " + ", ".join(f"({k}, {'null' if v is None else chr(39) + v + chr(39)})" for k, v in NOTES) + ") n(doc_id, text))"
+_PHRASE = f"phrase as (select doc_id, phrase from (select doc_id, regexp_extract(lower(text), '({'|'.join(G.PHRASES)})', 1) as phrase from noted) where phrase <> '')"
+_PATH = """path as (select page_id, owner, contains(lower(path || '/'), lower('/' || replace(owner, '.', '/') || '/')) as in_group, len(list_intersect(string_split(lower(path), '/'), ['shared', 'ext', 'jre'])) > 0 as vendor
+from (select page_id, path, coalesce(hs[-3], hs[-2], host) as owner from (select page_id, regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1) as path, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) as host, string_split(regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1), '.') as hs from pages)))"""
+_UNPUBLISHED = "unpublished as (select component from (select component, min(subject) as origin from truth group by all) where origin not in (select doc_id from labels where doc_id is not null))"
+_STRUCT = lambda x: f"coalesce(list_contains({list(R.STRUCTURAL)}, {_NW(x)}[-1]), false)"
+_TEST = lambda x: f"len(list_filter(list_filter(string_split_regex({x}, '[/.]'), lambda p: p <> ''), lambda p: coalesce({_NW('p')}[1] in ('test', 'tests'), false) or coalesce({_NW('p')}[-1] in ('test', 'tests'), false))) > 0"
+_LAST = "string_split(path, '/')[-1]"
+_UNITS = lambda name, src: f"{name} as materialized (select * from (select doc_id || ':' || pos as doc_id, unnest(range(len(p))) as pos, lower(trim(unnest(p))) as line from (select doc_id, pos, string_split_regex(line, '{Q.END}') as p from {src})) where line <> '')"
+
+
+def _side(k: int, real: str, linking: bool, central: bool = True) -> str:
+    """Prints of both sides under one way of extracting, and the reference's central classes."""
+    return f"""{Q.detector(f's{k}_', 'su', real, linking)}, {Q.detector(f'r{k}_', 'ru', real, linking)},
+c{k} as materialized (select cls.component, cls.class_id as node from cls where class_id in (select doc_id from r{k}_prints) and not {_STRUCT(_LAST)} and not {_TEST('path')}),
+u{k} as (select component, src, dst from uses where src in (select node from c{k}) and dst in (select node from c{k})),
+{Q.pagerank(f'u{k}', nodes=f'c{k}', pre=f'k{k}')}, {Q.central(f'k{k}')}"""
+
+
+def _found(label: str, k: int, central: bool = True, origin: bool = True) -> str:
+    kept = f"k{k}central" if central else f"c{k}"
+    index = f"select p.print, c.component from r{k}_prints p join {kept} c on c.node = p.doc_id"
+    if origin:
+        index = f"select print, min(component) as component from ({index}) group by print"
+    return f"select distinct '{label}' as config, cast(split_part(s.doc_id, ':', 1) as bigint) as subject, i.component from s{k}_prints s join ({index}) i using (print)"
+
+
+_VARIANTS = f"""bl as materialized (select * from (select item_id as doc_id, unnest(string_split(text, chr(10))) as line, unnest(range(len(string_split(text, chr(10))))) as pos from benchmark) where line <> ''),
+{_UNITS('su', 'lines')}, {_UNITS('ru', 'bl')}, {Q.calls('b', 'bl')},
+uses as materialized (select doc_id as component, doc_id || ':' || callee as src, doc_id || ':' || caller as dst from bcalls where caller <> callee),
+cls as materialized (select doc_id || ':' || pos as class_id, doc_id as component, doc_id || '/' || regexp_extract(line, '{Q.WORD}') as path from bl),
+{_side(1, f'length(line) > {MIN_CHARS}', True)}, {_side(2, f'length(line) > {MIN_CHARS}', False)}, {_side(3, 'true', True)},
+variants as materialized ({_found('full', 1)} union all {_found('no linking', 2)} union all {_found('no trivial filter', 3)} union all {_found('no centrality', 1, central=False)} union all {_found('no origin', 1, origin=False)})"""
+_SR = f"with recursive {Q.LINES}, {Q.SENTENCES}, {Q.B_SENTENCES}"
+_WHOLE = lambda t: f"md5(regexp_replace(lower({t}.text), '\\s+', '', 'g'))"
+_ABLATION = f"""every as (select * from variants union all select distinct 'sentences' as config, subject, component from s join c using (print) union all select 'sentences, first origin', subject, component from flag
+ union all select 'unlinked lines', subject, component from ({_LINEPAIR}) union all select distinct 'whole texts', d.doc_id, b.item_id from documents d join benchmark b on {_WHOLE('d')} = {_WHOLE('b')})"""
+_ABLATED = _NAMES([(n,) for n in (*VARIANTS, "sentences", "sentences, first origin", "unlinked lines", "whole texts")], "config")
+_DETECT = f"""with recursive {_UT}, {Q.detector('d_', 'lines', f'round({Q.complexity("line")}, 6) >= 60')},
+cls as materialized (select d.doc_id, d.source as component, concat_ws('/', d.source, regexp_extract(d.text, '{Q.WORD}')) as path, r.released_at from documents d join released r using (doc_id) where d.doc_id in (select doc_id from d_prints)),
+c as materialized (select component, doc_id as node, released_at from cls where not {_STRUCT(_LAST)} and not {_TEST('path')}),
+u as materialized (select component, src, dst from uses_text where src in (select node from c) and dst in (select node from c)), {Q.pagerank('u', nodes='c', pre='k')}, {Q.central('k')},
+idx as (select print, arg_min(component, (first_at is null, first_at, component)) as group_id from (select p.print, c.component, min(c.released_at) as first_at from d_prints p join c on c.node = p.doc_id join kcentral z on z.node = c.node and z.component = c.component group by all) group by print)
+select p.doc_id as subject, i.group_id, count(distinct p.print) as n_evidence from d_prints p join documents d using (doc_id) join idx i using (print) where d.source <> i.group_id group by all"""
+
 ORACLE = {
+    "detect_full": _DETECT,
+    "extract_linked_body": f"{_X}, {Q.linked(recursion='body')} select doc_id as class_id, fn, linked from linked",
+    "extract_print_all_roots": f"{_X}, {Q.LINKED} select doc_id as class_id, {Q.CLASS_PRINT} as print from linked group by doc_id",
+    "truth_licence_stripped": f"{_S}, {_FLAG}, {_TRUTH} select distinct f.subject, f.component from flag f join (select component, min(subject) as origin from truth group by all) o using (component) join documents d on d.doc_id = f.subject join documents x on x.doc_id = o.origin where {_LIC.format('x.text')} and not {_LIC.format('d.text')}",
+    "truth_curated_components": f"select * from (select p_partkey, replace(p_name, ' ', '-') || '-' || ['core', 'win', 'darwin-x64', 'window', 'linux', 'wing', 'arm64', 'api'][p_size % 8 + 1] as artifact_id from part) where not regexp_matches(lower(artifact_id), '[-_.]({'|'.join(G.PLATFORMS)})([-_.]|$)')",
+    "truth_curated_subjects": f"with own as (select d.source, d.doc_id, l.quality, min(d.doc_id) over (partition by {Q.NORMAL('d.text')}) as first from documents d left join (select doc_id, max(quality) as quality from labels group by all) l using (doc_id)) select source, cast(coalesce(sum(quality), 0) as bigint) as stars from own group by source having coalesce(sum(quality), 0) >= 20 and count(quality) > 0 and not count(case when doc_id <> first then 1 end) * 5 > count(*)",
+    "rq1_accuracy_macro": f"""{_S}, {_TRUTH}, {_RR}, {_GRID}, sz as (select subject, count(*) as n_t from truth group by all), per as (select method, setting, g.subject, count(*) as n_p, count(t.subject) as hit, any_value(sz.n_t) as n_t from grid g left join truth t on t.subject = g.subject and t.component = g.component left join sz on sz.subject = g.subject group by all)
+select method, setting, round(avg(hit / n_p), 6) as precision, round(coalesce(sum(hit / n_t), 0) / (select count(*) from sz), 6) as recall, round(coalesce(sum(2 * hit / (n_p + n_t)), 0) / (select count(*) from sz), 6) as f1 from per group by method, setting""",
     "extract_calls": f"with recursive {Q.LINES}, {Q.CALLS} select doc_id as class_id, caller, callee, n from calls",
     "extract_acyclic_calls": f"{_X} select doc_id as class_id, caller, callee, n, status from acyclic",
     "extract_linked": f"{_X}, {Q.LINKED} select doc_id as class_id, fn, linked from linked",
     "extract_print_additive": f"{_X}, {Q.LINKED} select doc_id as class_id, {Q.mod('sum(cast(linked as hugeint) + ' + Q.h(chr(39) + 'FUNCTION' + chr(39)) + ') + ' + Q.h(chr(39) + 'CLASS' + chr(39)))} as print from linked l where not exists (select 1 from kept k where k.doc_id = l.doc_id and k.callee = l.fn) group by doc_id",
     "extract_print_mixed": f"{_L}, {_MIXED} select * from mixed",
     "extract_print_shape": f"{_L} select doc_id as class_id, pos, {Q.bag('line').replace('md5(t)', 'md5(' + _SHAPE + ')')} as print from lines",
-    "extract_collisions": f"{_L}, {_MIXED}, bags as (select doc_id as class_id, {Q.mod('sum(own)')} as print from (select doc_id, {Q.bag('lower(line)')} as own from lines) group by doc_id) select b.print, count(*) as n_classes, count(distinct m.print) as n_mixed from bags b join mixed m using (class_id) group by b.print having count(distinct m.print) > 1",
+    "extract_collisions": f"with lines as (select * from (select doc_id, unnest(string_split(text, chr(10))) as line from (select doc_id, text from documents union all select -doc_id - 1, replace(text, chr(10), ' ') from documents)) where line <> ''), {_MIXED}, bags as (select doc_id as class_id, {Q.mod('sum(own)')} as print from (select doc_id, {Q.bag('lower(line)')} as own from lines) group by doc_id) select b.print, count(*) as n_classes, count(distinct m.print) as n_mixed from bags b join mixed m using (class_id) group by b.print having count(distinct m.print) > 1",
     "refine_complexity": f"{_L} select doc_id, pos, round({_CX}, 6) as value from lines",
     "refine_complexity_linear": f"{_L} select doc_id, pos, round({Q.complexity('line', 'linear')}, 6) as value from lines",
     "refine_mi": f"{_L} select doc_id, pos, round(171.0 - {_CX}, 6) as value from lines",
     "refine_trivial": f"{_L} select doc_id, pos from lines where round({_CX}, 6) >= 60",
-    "refine_empty": f"{_L} select distinct doc_id from lines where length(line) > 200",
+    "refine_empty": f"{_L} select distinct doc_id from lines",
     "refine_structural": f"select p_partkey, coalesce(list_contains({list(R.STRUCTURAL)}, {_NW('p_name')}[-1]), false) as is_structural from part",
     "refine_tests": f"select page_id, len(list_filter({_PARTS}, lambda p: coalesce({_NW('p')}[1] in ('test', 'tests'), false) or coalesce({_NW('p')}[-1] in ('test', 'tests'), false))) > 0 as is_test, len(list_filter({_PARTS}, lambda p: regexp_matches(lower(p), '^test|tests?$'))) > 0 as is_test_literal from pages",
     "refine_funnel": f"{_L}, big as (select distinct doc_id from lines where round({_CX}, 6) >= 60) select '0 all' as rule, count(*) as n_left from documents union all select '1 empty', count(distinct doc_id) from lines union all select '2 trivial', count(*) from big union all select '3 structural', count(*) from big union all select '4 tests', count(*) from big",
@@ -488,7 +672,7 @@ ORACLE = {
     "detect_versions": f"with {_VER} select * from vers",
     "detect_outdated": f"with {_VER}, have as (select v.subject, v.group_id, v.artifact_id, max(r.released_at) as copied_at from vers v join released r on r.artifact_id = v.artifact_id and r.doc_id = v.version group by all), newest as (select artifact_id, max(released_at) as newest_at from released group by all) select subject, group_id, artifact_id, copied_at, newest_at, date_diff('day', cast(copied_at as date), cast(newest_at as date)) as days_behind from have join newest using (artifact_id) where newest_at > copied_at",
     "detect_false_positives": f"{_S}, {_FLAG} select distinct s.subject, s.subject as class_id, regexp_matches(lower(d.text), 'generated by|do not edit') as generated, regexp_matches(lower(d.text), 'https?://|stack ?overflow') as from_web from s join idx using (print) join documents d on d.doc_id = s.subject",
-    "detect_reuse_reason": f"{_S}, {_SP(MIN_CHARS)} select subject, component, share, case when share >= 1 then 'whole copy' else 'partial copy' end as reason from (select subject, component, round(count(distinct print) / any_value(size), 6) as share from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component)",
+    "detect_reuse_reason": f"{_S}, {_SP(MIN_CHARS)}, {_TRUTH}, {_LICENCE}, {_UNPUBLISHED} select p.subject, p.component, share, case when l.subject is not null then 'licence stripped' when u.component is not null then 'off repository' when share >= 1 then 'whole copy' else 'partial copy' end as reason from (select subject, component, round(count(distinct print) / any_value(size), 6) as share from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component) p left join licence l on l.subject = p.subject and l.component = p.component left join unpublished u on u.component = p.component",
     "detect_top_evidence": f"{_S}, {_FLAG} select subject, component, n_evidence from flag qualify row_number() over (partition by subject order by n_evidence desc, component) <= 1",
     "base_function_ratio": f"{_S}, {_SP(MIN_CHARS)} select subject, component, count(*) as shared, round(count(*) / any_value(size), 6) as ratio from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component having round(count(*) / any_value(size), 6) >= 0.15",
     "base_function_ratio_similar": rf"""{_S}, sw as (select doc_id as subject, regexp_extract_all(s, '{Q.WORD}') as w from sents where length(s) > {MIN_CHARS}), cw as (select item_id as component, regexp_extract_all(s, '{Q.WORD}') as w from b_sents where length(s) > {MIN_CHARS}),
@@ -496,19 +680,19 @@ sg as materialized (select distinct subject, {Q.grams('w')} as g from sw where l
 sp as (select g, unnest(g) as x from (select distinct g from sg)), cp as (select g, unnest(g) as x from (select distinct g from cg)),
 near as (select sp.g as a, cp.g as b from sp join cp using (x) group by sp.g, cp.g having round(count(*) / (len(sp.g) + len(cp.g) - count(*)), 6) >= 0.7)
 select subject, component, count(*) as shared, round(count(*) / any_value(size), 6) as ratio from (select distinct subject, component, cg.g from sg join near on a = sg.g join cg on cg.g = b) join (select component, count(*) as size from cg group by all) using (component) group by subject, component having round(count(*) / any_value(size), 6) >= 0.15""",
-    "base_theta_sweep": f"{_S}, {_SP(0)}, r as (select subject, component, round(count(*) / any_value(size), 6) as ratio from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component) select theta, count(*) as n_pairs from r join (select cast(unnest({list(THETAS)}) as double) as theta) on ratio >= theta group by theta",
+    "base_theta_sweep": f"{_S}, {_TRUTH}, {_SP(0)}, r as (select subject, component, round(count(*) / any_value(size), 6) as ratio from s join c using (print) join (select component, count(*) as size from c group by all) using (component) group by subject, component), ths as (select cast(unnest({list(THETAS)}) as double) as theta), found as (select theta, subject, component from r join ths on ratio >= theta) {_PRF('theta', 'found', 'ths')}",
     "base_function_db": f"{_S}, p as (select source as group_id, {Q.bag('s')} as print from sents where length(s) > {MIN_CHARS}) select print, count(distinct group_id) as n_groups, min(group_id) as group_id from p group by print",
     "base_file_hash": f"with f as (select distinct source, {Q.NORMAL('text')} as hash from documents where text <> '') select distinct a.source as subject, b.source as component from f a join f b using (hash) where a.source < b.source",
     "base_path": r"select suffix, count(*) as n_files, count(distinct host) as n_owners from (select regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) as host, coalesce(list_filter(string_split(lower(regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1)), '/'), lambda p: p <> '')[-1], '') as suffix from pages) where suffix <> '' group by suffix having count(distinct host) > 1",
     "base_manifest": "select * from (values (cast(1 as bigint), 'org.a', 'x', '1', false), (1, 'org.b', 'y', null, false), (2, null, null, null, true), (3, null, null, null, false)) t(subject, group_id, artifact_id, version, malformed)",
     "truth_contains": f"with {_TRUTH} select * from truth",
-    "truth_path": "select page_id, contains(lower(path || '/'), lower('/' || host || '/')) as in_group, len(list_intersect(string_split(lower(path), '/'), ['shared', 'ext', 'jre'])) > 0 as vendor from (select page_id, regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1) as path, string_split(regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1), '.')[-1] as host from pages)",
-    "truth_phrase": f"select doc_id, phrase from (select doc_id, regexp_extract(lower(text), '({'|'.join(G.PHRASES)})', 1) as phrase from documents) where phrase <> ''",
+    "truth_path": f"with {_PATH} select * from path",
+    "truth_phrase": f"with {_NOTED}, {_PHRASE} select * from phrase",
     "truth_licence": f"with {_TRUTH}, {_LICENCE} select * from licence",
     "truth_author": f"with {_AUTHOR} select * from author",
-    "truth_union": f"with {_TRUTH}, {_LICENCE}, {_AUTHOR} select subject, component, string_agg(rule, ',' order by rule) as rules from (select *, 'contains' as rule from truth union all select *, 'licence' from licence union all select *, 'author' from author) group by subject, component",
-    "rq1_accuracy": f"{_S}, {_TRUTH}, {_RR}, {_GRID} {_PRF('method, setting', 'grid')}",
-    "rq1_ablation": f"{_S}, {_TRUTH}, {_FLAG}, s0 as (select distinct doc_id as subject, {Q.bag('s')} as print from sents), c0 as (select distinct item_id as component, {Q.bag('s')} as print from b_sents), every as (select distinct 'sentence' as config, subject, component from s join c using (print) union all select distinct 'no trivial filter', subject, component from s0 join c0 using (print) union all select 'line', subject, component from ({_LINEPAIR}) union all select 'first origin only', subject, component from flag) {_PRF('config', 'every')}",
+    "truth_union": f"with {_TRUTH}, {_LICENCE}, {_AUTHOR}, {_NOTED}, {_PHRASE}, {_PATH} select subject, component, string_agg(rule, ',' order by rule) as rules from (select cast(subject as varchar) as subject, cast(component as varchar) as component, 'contains' as rule from truth union all select cast(subject as varchar), cast(component as varchar), 'licence' from licence union all select cast(subject as varchar), cast(component as varchar), 'author' from author union all select 'page ' || page_id, owner, 'path' from path where in_group or vendor union all select cast(doc_id as varchar), phrase, 'phrase' from phrase) group by subject, component",
+    "rq1_accuracy": f"{_SR}, {_TRUTH}, {_RR}, {_GRID}, {_VARIANTS}, preds as (select * from grid union all select 'linked class print', config, subject, component from variants where config = 'full') {_PRF('method, setting', 'preds', _SETTINGS)}",
+    "rq1_ablation": f"{_SR}, {_TRUTH}, {_FLAG}, {_VARIANTS}, {_ABLATION} {_PRF('config', 'every', _ABLATED)}",
     "rq2_size_profile": f"{_S}, w as (select d.doc_id, length(d.text) as size, cast(coalesce(k, 0) as double) as work from documents d left join (select doc_id, count(*) as k from sents group by all) using (doc_id)) select cast((size >= 100)::int + (size >= 1000)::int + (size >= 5000)::int + (size >= 20000)::int as int) as bucket, count(*) as n, round(avg(work), 4) as mean_work, round(var_samp(work), 4) as var_work from w group by 1",
     "rq3_prevalence": f"{_S}, {_FLAG} select count(*) as n_subjects, count(k) as n_with, cast(coalesce(sum(k), 0) as bigint) as n_cc, round(count(k) / count(*), 6) as share from documents left join (select subject as doc_id, count(distinct component) as k from flag group by all) using (doc_id)",
     "rq3_correlation": f"{_S}, {_FLAG}, b as (select cast(coalesce(k, 0) as double) as k, length(text) as size, coalesce(stars, 0) as stars from documents left join (select subject as doc_id, count(distinct component) as k from flag group by all) using (doc_id) left join (select doc_id, sum(quality) as stars from labels group by all) using (doc_id)) select attribute, r, {_STRONG} from (select 'stars' as attribute, round(corr(k, stars), 6) as r from b union all select 'size', round(corr(k, size), 6) from b)",
@@ -518,5 +702,5 @@ select subject, component, count(*) as shared, round(count(*) / any_value(size),
     "rq3_correlation_trade": f"with {_TS}, b as (select cast(coalesce(k, 0) as double) as k, c_acctbal as balance, coalesce(n_orders, 0) as n_orders from customer left join (select subject as c_custkey, count(distinct component) as k from cct group by all) using (c_custkey) left join (select o_custkey as c_custkey, count(*) as n_orders from orders group by all) using (c_custkey)) select attribute, r, {_STRONG} from (select 'balance' as attribute, round(corr(k, balance), 6) as r from b union all select 'n_orders', round(corr(k, n_orders), 6) from b)",
     "rq3_prevalence_trade": f"with {_TS} select count(*) as n_subjects, count(k) as n_with, cast(coalesce(sum(k), 0) as bigint) as n_cc, round(count(k) / count(*), 6) as share from customer left join (select subject as c_custkey, count(distinct component) as k from cct group by all) using (c_custkey)",
     "stat_sample_size": "select confidence, margin, cast(ceil(z * z * 0.25 / (margin * margin)) as bigint) as n from (values (cast(0.95 as double), cast(0.05 as double), cast(1.96 as double)), (0.99, 0.05, 2.58), (0.95, 0.03, 1.96)) t(confidence, margin, z)",
-    "stat_sample": f"{_L} select id from (select doc_id * 1000 + pos as id from lines) order by md5('7:' || id), id limit 385",
+    "stat_sample": f"{_L} select id from (select doc_id || ':' || pos as id from lines) order by md5('7:' || id), id limit 385",
 }

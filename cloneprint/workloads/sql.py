@@ -107,15 +107,26 @@ SHINGLED = shingled()
 PAIR = "cast(a // 4294967296 as bigint) as a_doc, cast(a % 4294967296 as int) as a_pos, cast(b // 4294967296 as bigint) as b_doc, cast(b % 4294967296 as int) as b_pos"
 
 
-def pagerank(edges: str, rounds: int = 20, d: float = 0.85, nodes: str = "") -> str:
-    """CTEs that end in ``r<rounds>`` (component, node, size, rank) from a CTE ``edges`` (component, src, dst), and one of more ``nodes``."""
-    out = f"""e as materialized (select component, src, dst, count(*) over (partition by component, src) as o from (select distinct component, src, dst from {edges})),
-nodes as materialized (select component, node, count(*) over (partition by component) as size from (select component, src as node from e union select component, dst from e{f" union select component, node from {nodes}" if nodes else ""})),
-users as materialized (select distinct component, src as node from e),
-r0 as materialized (select component, node, size, 1.0::double / size as rank from nodes)"""
+def calls(pre: str, lines: str) -> str:
+    """CTEs that end in ``<pre>calls`` of the units in the CTE ``lines`` (doc_id, pos, line)."""
+    return re.sub(r"\b(fns|named|uses|calls)\b", rf"{pre}\1", CALLS.replace("from lines", f"from {lines}"))
+
+
+def pagerank(edges: str, rounds: int = 20, d: float = 0.85, nodes: str = "", pre: str = "") -> str:
+    """CTEs that end in ``<pre>r<rounds>`` (component, node, size, rank) from a CTE ``edges`` (component, src, dst), and one of more ``nodes``."""
+    more = f" union select component, node from {nodes}" if nodes else ""
+    out = f"""{pre}e as materialized (select component, src, dst, count(*) over (partition by component, src) as o from (select distinct component, src, dst from {edges})),
+{pre}nodes as materialized (select component, node, count(*) over (partition by component) as size from (select component, src as node from {pre}e union select component, dst from {pre}e{more})),
+{pre}users as materialized (select distinct component, src as node from {pre}e),
+{pre}r0 as materialized (select component, node, size, 1.0::double / size as rank from {pre}nodes)"""
     for k in range(rounds):
         out += f""",
-l{k} as materialized (select r.component, sum(case when u.node is null then r.rank else 0 end) as loose from r{k} r left join users u using (component, node) group by all),
-g{k} as materialized (select e.component, e.dst as node, sum(r.rank / e.o) as got from e join r{k} r on r.component = e.component and r.node = e.src group by all),
-r{k + 1} as materialized (select n.component, n.node, n.size, {1 - d} / n.size + {d} * (coalesce(g.got, 0) + l.loose / n.size) as rank from nodes n left join g{k} g using (component, node) join l{k} l using (component))"""
+{pre}l{k} as materialized (select r.component, sum(case when u.node is null then r.rank else 0 end) as loose from {pre}r{k} r left join {pre}users u using (component, node) group by all),
+{pre}g{k} as materialized (select e.component, e.dst as node, sum(r.rank / e.o) as got from {pre}e e join {pre}r{k} r on r.component = e.component and r.node = e.src group by all),
+{pre}r{k + 1} as materialized (select n.component, n.node, n.size, {1 - d} / n.size + {d} * (coalesce(g.got, 0) + l.loose / n.size) as rank from {pre}nodes n left join {pre}g{k} g using (component, node) join {pre}l{k} l using (component))"""
     return out
+
+
+def central(pre: str, rounds: int = 20) -> str:
+    """The CTE ``<pre>central`` (component, node) of the more central half after ``pagerank``."""
+    return f"{pre}central as materialized (select component, node from (select component, node, percent_rank() over (partition by component order by round(rank, 12) desc) as pct from {pre}r{rounds}) where pct <= 0.5)"

@@ -37,12 +37,14 @@ def grouping_sets(spark, d):
 
 
 def set_ops(spark, d):
-    a = table(spark, d, "documents", F.col("doc_id").alias("k")).where("k % 3 = 0")
-    b = table(spark, d, "labels", F.col("doc_id").alias("k"))
-    parts = {"union": a.union(b).distinct(), "intersect": a.intersect(b), "except": a.exceptAll(b.distinct())}
+    """(customer, brand) pairs of open lines and of finished ones."""
+    from . import engine
+
+    a, b = (df.select("subject", "component") for df in engine._trade_sets(spark, d))
+    parts = {"union": a.union(b).distinct(), "intersect": a.intersect(b), "except": a.exceptAll(b)}
     out = None
     for name, df in parts.items():
-        row = df.agg(F.count("*").alias("n"), F.sum("k").alias("s")).select(F.lit(name).alias("op"), "n", "s")
+        row = df.agg(F.count("*").alias("n"), F.sum("subject").alias("s")).select(F.lit(name).alias("op"), "n", "s")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -95,7 +97,7 @@ ORACLE = {
     "rel_rollup": "select source, lang, count(*) as n, cast(sum(n_chars) as bigint) as chars from documents group by rollup (source, lang)",
     "rel_cube": "select lang, source, count(*) as n, max(n_chars) as longest from documents group by cube (lang, source)",
     "rel_grouping_sets": "select source, lang, count(*) as n, grouping(source, lang) as gid from documents group by grouping sets ((source), (lang), ())",
-    "rel_set_ops": "with a as (select doc_id as k from documents where doc_id % 3 = 0), b as (select doc_id as k from labels) select op, count(*) as n, cast(sum(k) as bigint) as s from (select 'union' as op, k from (select k from a union select k from b) union all select 'intersect', k from (select k from a intersect select k from b) union all select 'except', k from (select k from a except all select distinct k from b)) group by op",
+    "rel_set_ops": "with tt as (select distinct o_custkey as k, p_brand, l_linestatus as st from lineitem join part on p_partkey = l_partkey join orders on o_orderkey = l_orderkey), a as (select k, p_brand from tt where st = 'O'), b as (select k, p_brand from tt where st = 'F') select op, count(*) as n, cast(sum(k) as bigint) as s from (select 'union' as op, k from (select * from a union select * from b) union all select 'intersect', k from (select * from a intersect select * from b) union all select 'except', k from (select * from a except select * from b)) group by op",
     "rel_topk": "select *, row_number() over (partition by p_brand order by p_retailprice desc, p_partkey) as place from (select p_partkey, p_brand, p_retailprice from part) qualify place <= 3",
     "rel_window_frames": "select l_orderkey, l_linenumber, row_number() over w as rn, sum(l_quantity) over (w rows between 2 preceding and current row) as q3, lag(l_quantity) over w as prev, ntile(4) over w as quarter from lineitem window w as (partition by l_suppkey order by l_shipdate, l_orderkey, l_linenumber)",
     "rel_json": "select event_type, count(*) as n, count(case when json_valid(props) then 1 end) as n_json from events group by 1",

@@ -208,6 +208,75 @@ def test_measures(spark):
     assert list(names) == ["weak", "moderate", "unnamed", "strong"]
 
 
+def test_measures_of_silent_methods_and_means(spark):
+    pred = spark.createDataFrame([("m", 1, 1), ("m", 1, 2), ("m", 5, 1)], "method string, subject int, component int")
+    true = spark.createDataFrame([(1, 1), (2, 1), (2, 2)], "subject int, component int")
+    every = spark.createDataFrame([("m",), ("silent",)], "method string")
+    got = {r["method"]: (r["tp"], r["fp"], r["fn"], r["precision"], r["recall"]) for r in M.prf(pred, true, ["method"], every).collect()}
+    assert got == {"m": (1, 2, 2, round(1 / 3, 6), round(1 / 3, 6)), "silent": (0, 0, 3, None, 0.0)}
+    r = M.macro_prf(pred, true, ["method"]).first()
+    assert (r["precision"], r["recall"], r["f1"]) == (0.25, 0.5, round(2 / 3 / 2, 6))
+
+
+def test_code_normal_form_takes_what_opens_first(spark):
+    rows = [("a = \"http://x\"; b();",), ("a = \"http://x\"; c();",), ("/* \" */ f(); // \"",), ("f();",), ("g('\\'', \"//\"); // tail",), ("g(,);",)]
+    got = [r[0] for r in spark.createDataFrame(rows, "t string").select(T.normalize(F.col("t"), "java")).collect()]
+    assert got == ["a=;b();", "a=;c();", "f();", "f();", "g(,);", "g(,);"]
+
+
+def test_local_and_distributed_ways_agree(spark, monkeypatch):
+    """Loops, linking and ranks class by class, and by rounds of joins for classes too large for a task."""
+    rng = random.Random(9)
+    calls, fns = [], []
+    for c in range(6):
+        n = rng.randint(2, 9)
+        fns += [(c, f, rng.randint(1, 3), rng.randrange(1 << 59)) for f in range(n)]
+        calls += [(c, a, b, rng.randint(1, 3)) for a in range(n) for b in range(n) if rng.random() < 0.3]
+    fns = spark.createDataFrame(fns, "class_id int, fn int, loc int, own long")
+    calls = spark.createDataFrame(calls, "class_id int, caller int, callee int, n long")
+    edges_ = calls.select(F.col("class_id").alias("component"), F.col("caller").alias("src"), F.col("callee").alias("dst")).where("src <> dst")
+    nodes = fns.select(F.col("class_id").alias("component"), F.col("fn").alias("node"))
+
+    def run(local):
+        monkeypatch.setattr(E, "LOCAL_ROWS", local)
+        acyclic = E.break_cycles(calls, fns)
+        ranks = {(r["component"], r["node"]): round(r["rank"], 9) for r in R.pagerank(edges_, nodes=nodes, local_rows=local).collect()}
+        return sorted(map(tuple, acyclic.collect())), sorted(map(tuple, E.link(fns, acyclic).collect())), ranks
+
+    one, two = run(500_000), run(3)
+    assert one == two and any(r[4] == "cut" for r in one[0]) and len(one[1]) == fns.count()
+
+
+def test_detector_steps(spark):
+    """Copies are found for the group that released first; each step changes what it should."""
+    from dataclasses import replace
+
+    from cloneprint.operators import detect as D
+
+    body = ["alpha starts the beta call with gamma", "beta does something plain and long here", "gamma ends it all in one more line"]
+    texts = {"x1": body, "y1": body[::-1], "z1": [body[0], body[1], "other words stand in this last line"], "t1": body, "x2": ["short"], "x3": ["lonely function of a class that nobody uses"]}
+    units = spark.createDataFrame([(c, p, line) for c, lines in texts.items() for p, line in enumerate(lines)], "class_id string, pos int, line string")
+    config = D.DetectConfig(min_unit_chars=10)
+    prints = D.class_prints(units, config)
+    got = {r["class_id"]: r["print"] for r in prints.collect()}
+    assert got["x1"] == got["y1"] != got["z1"] and "x2" not in got
+    unlinked = {r["class_id"]: r["print"] for r in D.class_prints(units, replace(config, linking=False)).collect()}
+    assert unlinked["x1"] == unlinked["y1"] != got["x1"] and unlinked["x3"] == got["x3"]
+    meta = spark.createDataFrame([("x1", "X", "X", "X:a", "1", "X/Core", 5), ("y1", "Y", "Y", "Y:a", "1", "Y/Core", 3), ("t1", "T", "T", "T:a", "1", "T/CoreTest", 1), ("x3", "X", "X", "X:a", "1", "X/SoloFactory", 2)], "class_id string, component string, group_id string, artifact_id string, version string, path string, released_at int")
+    uses = spark.createDataFrame([], "component string, src string, dst string")
+    subject = prints.where("class_id in ('x1', 'z1', 'x3')").select(F.col("class_id").alias("subject"), "class_id", "print", F.lit("X").alias("owner"))
+
+    def verdict(c):
+        return {(r["subject"], r["group_id"]) for r in D.detect(subject, D.reference_index(prints, meta, uses, c), c).collect()}
+
+    assert verdict(config) == {("x1", "Y")}  # released before X; the test class and the factory are out
+    assert verdict(replace(config, tests=False)) == {("x1", "T")}
+    assert verdict(replace(config, structural=False)) == {("x1", "Y"), ("x3", "X")}
+    assert verdict(replace(config, structural=False, exclude_self=True)) == {("x1", "Y")}
+    assert verdict(replace(config, origin=False)) == {("x1", "Y"), ("x1", "X")}
+    assert {r["artifact_id"] for r in D.detect(subject, D.reference_index(prints, meta, uses, config), replace(config, level="artifact")).collect()} == {"Y:a"}
+
+
 def test_truth_rules(spark):
     pairs = spark.createDataFrame([(1, 1, "plain", "licence here"), (2, 1, "licence", "licence"), (3, 1, "plain", "plain"), (4, 1, "licence", "plain")], "subject int, component int, subject_text string, component_text string")
     assert [r["subject"] for r in Q.licence_evidence(pairs).collect()] == [1]
@@ -215,6 +284,10 @@ def test_truth_rules(spark):
     assert Q.author_evidence(authors).count() == 1
     comp = spark.createDataFrame([("lib",), ("lib-arm64",), ("lib_x86_64",)], "artifact_id string")
     assert [r[0] for r in Q.curate_components(comp).collect()] == ["lib"]
+    kept = spark.createDataFrame([("window-kit",), ("x-win",), ("x-darwin",), ("darwinian",)], "artifact_id string")
+    assert {r[0] for r in Q.curate_components(kept).collect()} == {"window-kit", "darwinian"}
+    notes = spark.createDataFrame([(1, "based on the work of X"), (2, "Copy from Y"), (3, "based on the work done by Z"), (4, "work")], "k int, t string")
+    assert {r["k"] for r in Q.phrase_evidence(notes, "k", "t").collect()} == {1, 2, 3}
     path = Q.path_evidence(spark.createDataFrame([("src/org/acme/A", "org.acme"), ("ext/B", "q.r")], "p string, g string"), "p", F.col("g"))
     assert [(r["in_group"], r["vendor"]) for r in path.collect()] == [(True, False), (False, True)]
 
@@ -231,17 +304,63 @@ def test_manifest_and_containment(spark):
 
 
 def test_similar_joins_agree(spark):
+    from cloneprint.plans.store import Store
+
     random.seed(5)
     base = [[f"w{random.randrange(12)}" for _ in range(14)] for _ in range(12)]
     rows = [(k * 10 + v, " ".join([*b[: v], "z", *b[v + 1 :]] if v else b)) for k, b in enumerate(base) for v in (0, 1, 12, 13)]
     sets = S.shingled(spark.createDataFrame([*rows, (999, rows[0][1]), (998, "a b"), (997, None)], "id long, t string"), "id", "t")
-    groups = S.classes(sets)
-    exact = {tuple(r) for r in S.index_join(groups).collect()}
-    assert exact and exact == {tuple(r) for r in S.prefix_join(groups).collect()}
-    assert len(exact & {tuple(r) for r in S.minhash_join(groups).collect()}) >= 0.95 * len(exact)
+    groups = S.classes(sets, Store(spark, "t"))
+    words = {k: t.split() for k, t in rows}
+    grams = {k: {tuple(w[i : i + 3]) for i in range(len(w) - 2)} for k, w in words.items()}
+    first = {}
+    for k in sorted(grams):
+        first.setdefault(frozenset(grams[k]), k)
+    reps = sorted(first.values())
+    want = {(a, b) for a in reps for b in reps if a < b and 10 * len(grams[a] & grams[b]) >= 7 * len(grams[a] | grams[b])}
+    for join in (S.index_join, S.prefix_join, lambda g: S.prefix_join(g, lengths=False)):
+        assert want and {(r["a"], r["b"]) for r in S.named(join(groups), groups).collect()} == want
+    assert len(want & {(r["a"], r["b"]) for r in S.named(S.minhash_join(groups), groups).collect()}) >= 0.95 * len(want)
     assert {r["id"]: r["n_links"] for r in S.unit_links(sets, groups, S.prefix_join(groups)).collect()}[999] >= 1
 
 
+def test_similar_clones_in_both_percentages(spark):
+    """Functions a1..a3 of a class call one another; a foreign class has look-alikes of two of them, another one of its owner the third."""
+    fns = spark.createDataFrame([(1, "A", 0, "p"), (1, "A", 1, "q"), (1, "A", 2, "r"), (2, "B", 0, "p2"), (2, "B", 1, "q2"), (3, "B", 0, "r2"), (4, "A", 0, "q2")], "class_id int, owner string, fn int, hash string")
+    calls = spark.createDataFrame([(1, 0, 1, 1), (1, 0, 2, 1)], "class_id int, caller int, callee int, n int")
+    near = [("p", "p2"), ("q", "q2"), ("r", "r2")]
+    near = spark.createDataFrame([(*x, 0.8) for x in near] + [(b, a, 0.8) for a, b in near] + [(h, h, 1.0) for x in near for h in x], "hash string, other string, sim double")
+    got = lambda scope: [(r["other"], r["n_callees"], r["n_cloned"]) for r in G.associated_pct(calls, fns, scope, near.select("hash", "other")).collect()]
+    assert (got("class"), got("project"), got("anywhere")) == ([(2, 2, 1)], [("B", 2, 2)], [(None, 2, 2)])
+    assert G.associated_pct(calls, fns).count() == 0
+    for variant, top in (("pairs", 4), ("functions", 4), ("matching", 4)):
+        (r,) = G.conjugate_pct_similar(fns, near, variant).collect()
+        assert (r["class_a"], r["class_b"], r["n_pairs"], r["n_conj"], r["pct"]) == (1, 2, 2, top, 0.8)
+
+
+def test_greedy_matching_is_half_of_the_best_at_least(spark):
+    rng = random.Random(4)
+    for _ in range(5):
+        sims = {(f"a{i}", f"b{j}"): rng.choice([0.7, 0.8, 0.9]) for i in range(6) for j in range(6) if rng.random() < 0.4}
+        fns = spark.createDataFrame([(1, "A", i, f"a{i}") for i in range(6)] + [(2, "B", j, f"b{j}") for j in range(6)], "class_id int, owner string, fn int, hash string")
+        near = spark.createDataFrame([(a, b, s) for (a, b), s in sims.items()], "hash string, other string, sim double")
+        match = {}
+
+        def grow(a, seen):
+            for x, b in sims:
+                if x == a and b not in seen:
+                    seen.add(b)
+                    if b not in match or grow(match[b], seen):
+                        match[b] = a
+                        return True
+            return False
+
+        best = sum(grow(f"a{i}", set()) for i in range(6))
+        rows = G.conjugate_pct_similar(fns, near, "matching").collect()
+        got = rows[0]["n_conj"] // 2 if rows else 0
+        assert best / 2 <= got <= best or best < 2
+
+
 def test_asof_and_range(spark):
     a = spark.createDataFrame([("k", 5, 1), ("k", 1, 2), ("m", 9, 3)], "key string, t int, id int")
     b = spark.createDataFrame([("k", 3, "x"), ("k", 5, "y")], "key string, s int, v string")
