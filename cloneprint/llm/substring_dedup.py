@@ -29,6 +29,7 @@ from .common import Scratch, quoted
 
 LINE_WORDS, RUN_WORDS, REACH = 10, 25, 4
 WINDOW, PASSAGE = 25, 51
+OFTEN = 10_000  # occurrences from which a unit may count as frequent
 SLICE = 1 << 21  # bytes of texts taken in one pass
 _SEED = np.uint64(0x2545F4914F6CDD1D)
 
@@ -236,8 +237,16 @@ def dedup_units(docs: DataFrame, line_words: int = LINE_WORDS, run_words: int =
 
     first = F.min(F.struct("doc_id", "tag", "place"))
     kept = found().groupBy("digest", "check").agg(first.alias("first"), F.count("*").alias("n")).where("n > 1")
-    kept = scratch.keep(kept.select("digest", "check", F.col("first.doc_id").alias("at_doc"), F.col("first.tag").alias("at_tag"), F.col("first.place").alias("at")), "kept")
-    later = found().join(kept, ["digest", "check"]).where("doc_id <> at_doc or tag <> at_tag or place <> at")
+    kept = scratch.keep(kept.select("digest", "check", F.col("first.doc_id").alias("at_doc"), F.col("first.tag").alias("at_tag"), F.col("first.place").alias("at"), "n"), "kept")
+    # units that a hundred-thousandth of all repeats or more fall on are at most 100,000, so they are broadcast; their occurrences then
+    # travel under keys of their own, and no task gathers those of one line
+    repeats = kept.agg(F.sum("n")).first()[0] or 0
+    often = kept.where(F.col("n") >= max(OFTEN, repeats // 100_000)).select("digest", "check", F.struct("at_doc", "at_tag", "at").alias("hot"))
+    spread = found().join(F.broadcast(often), ["digest", "check"], "left")
+    spread = spread.withColumn("digest", F.when(F.col("hot").isNotNull(), F.xxhash64("doc_id", "tag", "place")).otherwise(F.col("digest")))
+    rare = kept.select("digest", "check", F.struct("at_doc", "at_tag", "at").alias("cold"))
+    met = spread.join(rare, ["digest", "check"], "left").withColumn("kept", F.coalesce("hot", "cold"))
+    later = met.where("kept is not null").where("doc_id <> kept.at_doc or tag <> kept.at_tag or place <> kept.at")
     again = scratch.keep(later.groupBy("doc_id", "tag").agg(F.collect_set("place").alias("places")), "again")
     scratch.drop("kept")
     # the other columns travel in one struct, so that no name can clash
