@@ -296,13 +296,14 @@ def page_records(pages: DataFrame, scratch: Scratch, least: int = 0) -> DataFram
     payload = F.coalesce(F.encode(F.col("html").cast("string"), "UTF-8"), F.lit(b""))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("target_uri"), payload.alias("payload"))
     rows = rows.withColumn("same", F.sha2("payload", 256)).withColumn("size", F.octet_length("payload"))
-    first = rows.where(F.col("size") >= least).groupBy("same").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select("same", "first")
-    first = scratch.keep(first, "first")
+    # copies are found among narrow rows; payloads then meet their answer by page, a key that no group of copies makes hot
+    narrow = scratch.keep(rows.where(F.col("size") >= least).select("page_id", "same"), "digests")
+    first = narrow.groupBy("same").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null").select("same", "first")
+    again = scratch.keep(narrow.join(first, "same").where("page_id is null or page_id <> first").select(F.col("page_id").alias("page"), F.col("same").alias("digest"), "first").distinct(), "again")
     name = lambda c: F.concat(F.lit("<urn:page:"), F.coalesce(F.col(c).cast("string"), F.lit("none")), F.lit(">"))
-    again = F.coalesce((F.col("first") != F.col("page_id")) | F.col("page_id").isNull(), F.lit(False)) & F.col("first").isNotNull()
-    return rows.join(first, "same", "left").select(
-        name("page_id").alias("record_id"), F.when(again, "revisit").otherwise("response").alias("record_type"), "target_uri", F.when(again, name("first")).alias("refers_to"), "payload"
-    )
+    met = rows.join(again, rows["page_id"].eqNullSafe(again["page"]) & (rows["same"] == again["digest"]), "left")
+    found = F.col("first").isNotNull()
+    return met.select(name("page_id").alias("record_id"), F.when(found, "revisit").otherwise("response").alias("record_type"), "target_uri", F.when(found, name("first")).alias("refers_to"), "payload")
 
 
 def round_trip(pages: DataFrame, least: int = 0) -> DataFrame:
