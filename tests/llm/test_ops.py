@@ -467,10 +467,12 @@ def test_substring_ids_with_several_texts_and_any_columns(spark):
     assert all((r["_text"], r["tag"], r["a.b"]) == (0, 2, 7) for r in got)
 
 
-def test_substring_whole_operator_against_plain(spark):
-    """Group all units of all documents in a dictionary, keep the first, and cut by the same rule."""
+@pytest.mark.parametrize("often", [10_000, 4])
+def test_substring_whole_operator_against_plain(spark, monkeypatch, often):
+    """Group all units of all documents in a dictionary, keep the first, and cut by the same rule; with frequent units broadcast and without."""
     from cloneprint.llm import substring_dedup as S
 
+    monkeypatch.setattr(S, "OFTEN", often)
     r = random.Random(12)
     shared = [prose(n) for n in (11, 15, 26, 40, 55, 80)]
     docs = ["\n".join(" ".join([prose(r.randint(3, 20)), r.choice(shared)] if r.random() < 0.4 else [r.choice(shared)] if r.random() < 0.4 else [prose(r.randint(5, 30))]) for _ in range(r.randint(1, 6))) for _ in range(150)]
@@ -653,6 +655,10 @@ def test_warc(spark, tmp_path):
         b, r = (h or "").encode(), got[p]
         assert (r["payload_bytes"], r["payload_digest"]) == (len(b), base64.b32encode(hashlib.sha1(b).digest()).decode())
         assert (r["record_type"], r["refers_to"]) == (("response", None) if first[b] == p else ("revisit", first[b]))
+    # repeated rows, pages without an id
+    more = df.unionByName(df.where("page_id in (-4, 5)")).unionByName(spark.createDataFrame([(None, None, "<p>ä</p>", 1), (None, None, "only here", 1)], df.schema))
+    kinds = sorted((str(r["page_id"]), r["record_type"], r["refers_to"]) for r in W.round_trip(more).collect() if r["page_id"] in (None, -4, 5))
+    assert kinds == [("-4", "response", None)] * 2 + [("5", "revisit", -4)] * 2 + [("None", "response", None), ("None", "revisit", -4)]
     assert all(r["record_type"] == "response" for r in W.round_trip(df, least=100).where("payload_bytes < 100").collect())
     assert W.round_trip(empty(df)).count() == 0
     from cloneprint.llm.common import Scratch
