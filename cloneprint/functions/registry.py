@@ -7,6 +7,18 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
+from .hashing import MODULUS
+
+
+def commutative_print():
+    """Grouped aggregate: the sum of own hashes modulo the print's modulus, whatever the order."""
+
+    @F.pandas_udf("long")
+    def summed(own: pd.Series) -> int:
+        return int(sum(int(x) for x in own) % MODULUS)
+
+    return summed
+
 
 def register(spark: SparkSession) -> None:
     from ..sources import java
@@ -19,6 +31,7 @@ def register(spark: SparkSession) -> None:
         return body.map(lambda b: 1 + sum(t in java.BRANCH for _, t, _ in java.lex(b or ""))).astype("int32")
 
     spark.udf.register("cp_cyclomatic", cyclomatic)
+    spark.udf.register("cp_commutative_print", commutative_print())
 
     @udtf(returnType="class_name string, kind string, fn_name string, pos int, loc int, cc int, error string")
     class JavaUnits:

@@ -19,6 +19,7 @@ from ..operators import refine as R
 from ..operators import truth as G
 from ..operators import units as U
 from ..plans.store import Store
+from ..sources.index_store import load_index, write_index
 from . import sql as Q
 from .tables import table
 
@@ -278,14 +279,20 @@ def file_path(spark, d):
 
 
 MANIFESTS = (
-    (1, "<project><dependencies><dependency><groupId>org.a</groupId><artifactId>x</artifactId><version>1</version></dependency><dependency><groupId>org.b</groupId><artifactId>y</artifactId></dependency></dependencies></project>"),
-    (2, "<project><dependencies><dependency><groupId>org.c</groupId>"),
-    (3, "<project></project>"),
+    (-1, "<project><dependencies><dependency><groupId>org.a</groupId><artifactId>x</artifactId><version>1</version></dependency><dependency><groupId>org.b</groupId><artifactId>y</artifactId></dependency></dependencies></project>"),
+    (-2, "<project><dependencies><dependency><groupId>org.c</groupId>"),
+    (-3, "<project></project>"),
 )
 
 
 def manifest(spark, d):
-    return B.declared_from_manifest(spark.createDataFrame(list(MANIFESTS), "subject long, xml string"))
+    """A manifest per order, its lines as dependencies, beside broken and empty ones with negative ids."""
+    tag = lambda name, v: F.concat(F.lit(f"<{name}>"), v, F.lit(f"</{name}>"))
+    item = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_linenumber", "l_linestatus").join(table(spark, d, "part", F.col("p_partkey").alias("l_partkey"), "p_brand"), "l_partkey")
+    version = F.when(F.col("l_linestatus") == "F", tag("version", F.col("l_linenumber").cast("string"))).otherwise("")
+    one = tag("dependency", F.concat(tag("groupId", F.col("p_brand")), tag("artifactId", F.concat(F.lit("p"), "l_partkey")), version))
+    orders = item.groupBy(F.col("l_orderkey").alias("subject")).agg(F.concat(F.lit("<project><dependencies>"), F.array_join(F.collect_list(one), ""), F.lit("</dependencies></project>")).alias("xml"))
+    return B.declared_from_manifest(orders.unionByName(spark.createDataFrame(list(MANIFESTS), "subject long, xml string")))
 
 
 def _truth(spark, d):
@@ -448,7 +455,8 @@ def detect_full(spark, d):
     first = F.regexp_extract("text", T.WORD, 1)
     path = table(spark, d, "documents", F.col("doc_id").alias("class_id"), F.col("source").alias("component"), F.concat_ws("/", "source", first).alias("path"))
     classes = path.join(_released(spark, d).withColumnRenamed("doc_id", "class_id"), "class_id")
-    index = D.reference_index(prints, store.keep(classes, "classes"), store.keep(_uses_text(spark, d), "uses"), config)
+    write_index(D.reference_index(prints, store.keep(classes, "classes"), store.keep(_uses_text(spark, d), "uses"), config), store.path("index"), config)
+    index = load_index(spark, store.path("index"), config)
     subjects = prints.join(path.select("class_id", F.col("component").alias("owner")), "class_id").withColumn("subject", F.col("class_id"))
     return D.detect(subjects, index, config)
 
@@ -684,7 +692,7 @@ select subject, component, count(*) as shared, round(count(*) / any_value(size),
     "base_function_db": f"{_S}, p as (select source as group_id, {Q.bag('s')} as print from sents where length(s) > {MIN_CHARS}) select print, count(distinct group_id) as n_groups, min(group_id) as group_id from p group by print",
     "base_file_hash": f"with f as (select distinct source, {Q.NORMAL('text')} as hash from documents where text <> '') select distinct a.source as subject, b.source as component from f a join f b using (hash) where a.source < b.source",
     "base_path": r"select suffix, count(*) as n_files, count(distinct host) as n_owners from (select regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) as host, coalesce(list_filter(string_split(lower(regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1)), '/'), lambda p: p <> '')[-1], '') as suffix from pages) where suffix <> '' group by suffix having count(distinct host) > 1",
-    "base_manifest": "select * from (values (cast(1 as bigint), 'org.a', 'x', '1', false), (1, 'org.b', 'y', null, false), (2, null, null, null, true), (3, null, null, null, false)) t(subject, group_id, artifact_id, version, malformed)",
+    "base_manifest": "select l_orderkey as subject, p_brand as group_id, 'p' || l_partkey as artifact_id, case when l_linestatus = 'F' then cast(l_linenumber as varchar) end as version, false as malformed from lineitem join part on p_partkey = l_partkey union all select * from (values (-1, 'org.a', 'x', '1', false), (-1, 'org.b', 'y', null, false), (-2, null, null, null, true), (-3, null, null, null, false)) t(subject, group_id, artifact_id, version, malformed)",
     "truth_contains": f"with {_TRUTH} select * from truth",
     "truth_path": f"with {_PATH} select * from path",
     "truth_phrase": f"with {_NOTED}, {_PHRASE} select * from phrase",
