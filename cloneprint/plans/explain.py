@@ -32,7 +32,7 @@ def uses_python(df: DataFrame) -> bool:
 
 def _number(text: str) -> float:
     """A metric as the status store prints it: a count, or a total with a unit."""
-    last = text.strip().splitlines()[-1].split("(")[0].replace(",", "").split()
+    last = (text.strip().splitlines() or [""])[-1].split("(")[0].replace(",", "").split()
     scale = {"KiB": 2**10, "MiB": 2**20, "GiB": 2**30, "TiB": 2**40, "ms": 1e-3, "m": 60.0, "min": 60.0, "h": 3600.0}
     return float(last[0]) * scale.get(last[1] if len(last) > 1 else "", 1.0) if last and re.fullmatch(r"-?[\d.]+", last[0]) else 0.0
 

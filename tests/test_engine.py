@@ -388,6 +388,13 @@ def test_plans(spark):
     assert "CartesianProduct" not in explain.operators(df)
 
 
+def test_cost_counters(spark):
+    a = spark.range(2000).select((F.col("id") % 50).alias("k"), "id")
+    got = explain.counters(a.hint("merge").join(a.groupBy("k").agg(F.count("*").alias("n")), "k"))
+    assert got["shuffle_bytes"] > 0 and got["join_rows"] == 2000 and got["exchanges"] >= 1 and got["seconds"] > 0 and got["spill_bytes"] == 0
+    assert [explain._number(x) for x in ("1,234", "total (min, med, max (stageId: taskId))\n2.0 KiB (1.0, 1.0, 1.0)", "3.5 MiB", "")] == [1234, 2048, 3.5 * 2**20, 0]
+
+
 def test_index_store(spark, tmp_path):
     from cloneprint.sources import index_store as I
 
