@@ -792,6 +792,71 @@ def test_pipeline_small(spark):
     assert pieces.select("doc_id").distinct().count() == len(left)
 
 
+def test_pipeline_end_to_end_against_plain(spark):
+    """run() against plain Python versions of all five stages, one after another, on the smallest tables."""
+    import corpus_pipeline as P
+    from tokenizers import Tokenizer
+
+    from cloneprint.llm import decontaminate as D
+    from cloneprint.llm import encode
+    from cloneprint.llm import quality as Q
+    from cloneprint.llm import substring_dedup as S
+
+    docs = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
+    labels = sorted({(r["doc_id"], r["quality"]) for r in spark.read.parquet(f"{SF}/labels.parquet").collect() if r["quality"] in (0, 1) and r["doc_id"] in docs})
+    x, y = np.array([Q.statistics((docs[d] or "").encode()) for d, _ in labels]), np.array([q for _, q in labels])
+    order = np.lexsort((*x.T, y))
+    model = Q.Discriminant(x[order], y[order])
+    ids = sorted(docs)
+    scores = model.scores(np.array([Q.statistics((docs[d] or "").encode()) for d in ids]))
+    kept = [d for d, s in zip(ids, scores, strict=True) if s >= P.QUALITY_CUT]
+    sets = [shingles(docs[d]) for d in kept]
+    root = roots(len(kept), [(a, b) for a in range(len(kept)) for b in range(a) if sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b])])
+    kept = [d for k, d in enumerate(kept) if root[k] == k]
+    first, places = {}, defaultdict(list)
+    for d in kept:
+        kind, digest, check = _digests(docs[d] or "")
+        seen = defaultdict(int)
+        for k, h, c in zip(kind, digest, check, strict=True):
+            place = 3 * seen[k] + k
+            seen[k] += 1
+            if first.setdefault((h, c), (d, place)) != (d, place):
+                places[d].append(place)
+    # the first of a text's own places is by kind and number, not by the order of units
+    lowest = {}
+    for d in kept:
+        kind, digest, check = _digests(docs[d] or "")
+        seen = defaultdict(int)
+        for k, h, c in zip(kind, digest, check, strict=True):
+            lowest[h, c] = min(lowest.get((h, c), (d, 3 * seen[k] + k)), (d, 3 * seen[k] + k))
+            seen[k] += 1
+    assert lowest == first
+    left = {}
+    for d in kept:
+        raw = (docs[d] or "").encode()
+        spans = S.removed_spans([raw], [places[d]], S.LINE_WORDS, S.RUN_WORDS)[0] if raw and places[d] else []
+        out, at = b"", 0
+        for a, b in spans:
+            out, at = out + raw[at:a], b
+        text = (out + raw[at:]).decode()
+        if not spans or text.strip():
+            left[d] = text
+    code = lambda text: np.array([zlib.crc32(w.encode()) for w in re.findall(r"[a-z0-9\x80-\U0010ffff]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in text))], np.uint64)
+    items = [code(r["text"]) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect() if r["text"]]
+    clean = {d: t for d, t in left.items() if not any(len(i) and D.align(i, code(t))[0] >= D.CUT for i in items)}
+    lib = Tokenizer.from_file(encode.public_path())
+    want = set()
+    for d, t in clean.items():
+        got = np.append(lib.encode(t, add_special_tokens=False).ids, 0).astype("<u4")
+        want |= {(d, k, min(1024, len(got) - k), zlib.crc32(got[k : k + 1024].tobytes()), len(got)) for k in range(0, len(got), 1024)}
+    rows = P.run(spark, SF).collect()
+    assert {(r["doc_id"], r["start"], r["length"], r["ids_crc32"], r["doc_tokens"]) for r in rows} == want and len(rows) == len(want)
+    fill = defaultdict(list)
+    for r in rows:
+        fill[r["sequence_id"]].append((r["offset"], r["length"]))
+    assert all([a for a, _ in sorted(v)] == list(np.cumsum([0, *[n for _, n in sorted(v)]])[:-1]) and sum(n for _, n in v) <= 1024 for v in fill.values())
+
+
 def test_queries_registered():
     from cloneprint.llm.queries import QUERIES
 
