@@ -27,8 +27,9 @@ def reduced(total: Column) -> Column:
 
 
 def bag_hash(labels: Column, kind: str = "portable") -> Column:
-    """Sum of the labels' hashes: equal for equal bags of labels, in any order."""
-    return F.aggregate(labels, F.lit(0).cast("bigint"), lambda acc, x: added(acc, own_hash(x, kind)))
+    """Sum of the labels' hashes: equal for equal bags of labels, in any order; 0 for none."""
+    # never null, else a join on it would test it for null below the projection and so compute it twice
+    return F.coalesce(F.aggregate(labels, F.lit(0).cast("bigint"), lambda acc, x: added(acc, own_hash(x, kind))), F.lit(0).cast("bigint"))
 
 
 def added(a: Column, b: Column) -> Column:

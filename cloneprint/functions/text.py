@@ -43,6 +43,8 @@ def skeleton(token: Column, level: str = "exact") -> Column:
 
 def labels(text: Column, level: str = "exact") -> Column:
     """A text's label array."""
+    if level == "exact":  # lower-cased whole, not token by token
+        return tokens(F.lower(text))
     return F.transform(tokens(text), lambda t: skeleton(t, level))
 
 
