@@ -21,7 +21,7 @@ def norm(v):
     return v if v is None else str(v).replace("T", " ")
 
 
-@pytest.mark.parametrize("name", ["study_granularity", "study_conjugate_matching", "study_similar_pairs_prefix", "extract_linked", "extract_print_additive", "refine_origin_shuffled", "refine_percentile", "detect_flagship", "detect_versions", "detect_full", "rq1_accuracy", "rq1_ablation", "study_associated_similar", "study_conjugate_similar_functions", "study_minhash_recall", "java_detect", "truth_union", "rq3_improvement_trade", "truth_contains", "rel_asof", "stream_index", "stream_late", "stream_windows_session"])
+@pytest.mark.parametrize("name", ["study_granularity", "study_conjugate_matching", "study_similar_pairs_prefix", "extract_linked", "extract_print_additive", "refine_origin_shuffled", "refine_percentile", "detect_flagship", "detect_versions", "detect_full", "rq1_accuracy", "study_associated_similar", "study_minhash_recall", "java_detect", "truth_union", "rq3_improvement_trade", "truth_contains", "rel_asof", "stream_index", "stream_late", "stream_windows_session"])
 def test_sql_twin(spark, name):
     import duckdb
 
