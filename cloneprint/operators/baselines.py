@@ -22,15 +22,16 @@ def function_ratio(subject: DataFrame, component: DataFrame, theta: float = THET
 def function_ratio_similar(subject: DataFrame, component: DataFrame, theta: float = THETA, percent: int = S.PERCENT) -> DataFrame:
     """The ratio with similar functions as matches. Columns: subject or component, text; functions under three words are left out.
 
-    Both sides are put in classes of equal shingle sets, and classes are compared once, however many functions they hold.
+    Subject functions that hold too few shingles of any component go first. What is left of both sides is put in classes of equal shingle sets, and classes are compared once,
+    however many functions they hold.
     """
     store = Store(subject.sparkSession, "ratio")
-    tagged = subject.select(F.col("subject").alias("owner"), F.lit("s").alias("side"), "text").unionByName(component.select(F.col("component").alias("owner"), F.lit("c").alias("side"), "text"))
-    tagged = tagged.withColumn("id", F.struct("side", "owner"))
-    sets = store.keep(S.shingled(tagged, "id", "text"), "sets")
+    tag = lambda df, owner, side: S.shingled(df.select(F.struct(F.lit(side).alias("side"), F.col(owner).alias("owner")).alias("id"), "text"), "id", "text")
+    parts = tag(component, "component", "c")
+    sets = store.keep(S.reaching(tag(subject, "subject", "s"), parts, percent).unionByName(parts), "sets", "zstd")
     groups = S.classes(sets, store)
     near = S.both_ways(S.prefix_join(groups, percent), groups).select(F.col("rep").alias("a"), F.col("other").alias("b"))
-    held = sets.join(groups.select("rep", "set"), "set").select("id.side", "id.owner", "rep").distinct()
+    held = sets.join(groups.select("rep", "h1", "h2"), ["h1", "h2"]).select("id.side", "id.owner", "rep").distinct()
     s = held.where("side = 's'").select(F.col("owner").alias("subject"), F.col("rep").alias("a"))
     c = held.where("side = 'c'").select(F.col("owner").alias("component"), F.col("rep").alias("b"))
     size = c.groupBy("component").agg(F.count("*").alias("size"))

@@ -1,12 +1,14 @@
 """Similar functions: exact set-similarity joins by inverted index or prefix filter, and MinHash bands.
 
 All work on classes of equal shingle sets: copies are one class with a member count, and links are between classes. So a
-unit that stands thousands of times never expands to its pairs. Shingles are 64-bit hashes, and classes have numbers of their own, so what the joins
-move is narrow whatever the units' ids are. Thresholds are in percent and compared as integers.
+unit that stands thousands of times never expands to its pairs. A class keeps the words of one member, not its shingles: words are a fraction of the hashes' size, and the set is
+made again where it is needed. Index keys travel as packed blocks of one bucket each, beside a bit sketch of the set, so that most candidates fall before they are written.
+Shingles are 64-bit hashes. Thresholds are in percent and compared as integers.
 """
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -14,19 +16,41 @@ from ..functions import text as T
 from ..plans.store import Store
 
 K, PERCENT = 3, 70
+#: classes drawn to tell frequent shingles from rare ones, and how many of these are told apart at most; the order only decides the cost
+SAMPLE, FREQUENT = 100_000, 200_000
+#: index keys of a bucket, about; keys a task holds back before it sends its blocks; pairs made at once
+BUCKET, BLOCK, STEP = 1_000_000, 1_000_000, 2_000_000
+_BLOCKS = "bucket int, g binary, rep binary, n binary, sketch binary"
+#: bits of a bitmap of shingles
+BITMAP = 1 << 24
 
 
-def shingled(units: DataFrame, id_col: str, text: str, k: int = K) -> DataFrame:
-    """(id, set) of units with at least k words; the set is sorted."""
+def _set(words: Column) -> Column:
+    """Sorted hashes of an array's distinct runs of K words."""
+    # the array beside itself, shifted: where Spark puts the words' expression in, it runs once for each shift, not for each run
+    runs = F.transform(F.arrays_zip(words, *[F.slice(words, k + 1, 1 << 30) for k in range(1, K)]), lambda run: F.xxhash64(run))
+    return F.when(F.size(words) >= K, F.sort_array(F.array_distinct(F.slice(runs, F.lit(1), F.greatest(F.size(words) - (K - 1), F.lit(0))))))
+
+
+def shingled(units: DataFrame, id_col: str, text: str) -> DataFrame:
+    """(id, words, n, h1, h2) of units with at least K words: the words, the size of their shingle set, and its digest."""
     # words in a projection of their own, else each run would extract them again
     split = units.select(F.col(id_col).alias("id"), T.words(F.col(text)).alias("w"))
-    return split.select("id", F.array_sort(F.array_distinct(F.transform(T.shingles(F.col("w"), k), lambda g: F.xxhash64(g)))).alias("set")).where(F.size("set") > 0)
+    sets = split.select("id", F.array_join("w", " ").alias("words"), _set(F.col("w")).alias("set"))
+    # a row's digest as one value that is there or not, so that the filter does not make the set a second time
+    made = sets.select("id", "words", F.explode_outer(F.when(F.col("set").isNotNull(), F.array(F.struct(F.size("set").alias("n"), F.xxhash64("set").alias("h1"), F.xxhash64(F.lit(1), "set").alias("h2"))))).alias("d"))
+    return made.where("d is not null").select("id", "words", "d.n", "d.h1", "d.h2")
 
 
 def classes(sets: DataFrame, store: Store) -> DataFrame:
-    """(rep, first, n_members, set), written: rep is the class's number, first its smallest id."""
-    grouped = sets.groupBy("set").agg(F.min("id").alias("first"), F.count("*").alias("n_members"))
-    return store.keep(grouped.select(F.monotonically_increasing_id().alias("rep"), "first", "n_members", "set"), "classes")
+    """(rep, first, n_members, n, words, h1, h2), written: rep is the class's number, first its smallest id, words those of that member."""
+    grouped = sets.groupBy("h1", "h2").agg(F.min(F.struct("id", "words", "n")).alias("m"), F.count("*").alias("n_members"))
+    return store.keep(grouped.select(F.monotonically_increasing_id().alias("rep"), F.col("m.id").alias("first"), "n_members", "m.n", "m.words", "h1", "h2"), "classes", "zstd")
+
+
+def with_set(groups: DataFrame) -> DataFrame:
+    """(rep, set) of classes, made from their words."""
+    return groups.select("rep", F.split("words", " ").alias("w")).select("rep", _set(F.col("w")).alias("set"))
 
 
 def similar(shared: Column, n: Column, m: Column, percent: int) -> Column:
@@ -37,50 +61,207 @@ def _sim(shared: Column, n: Column, m: Column) -> Column:
     return F.round(shared / (n + m - shared), 6)
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    a, b = sets.select(F.col("rep").alias("a"), F.col("set").alias("x")), sets.select(F.col("rep").alias("b"), F.col("set").alias("y"))
-    both = pairs.join(a, "a").join(b, "b").select("a", "b", F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("shared"))
-    return both.where(similar(F.col("shared"), F.col("n"), F.col("m"), percent)).select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
+def _verified(pairs: DataFrame, groups: DataFrame, percent: int) -> DataFrame:
+    """Pairs whose whole sets reach the threshold; only classes that stand in a pair move."""
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+    words = groups.select("rep", "words").join(ends, "rep", "left_semi")
+    a, b = words.select(F.col("rep").alias("a"), F.col("words").alias("u")), words.select(F.col("rep").alias("b"), F.col("words").alias("v"))
+    split = pairs.join(a, "a").join(b, "b").select("a", "b", F.split("u", " ").alias("u"), F.split("v", " ").alias("v"))
+    both = split.select("a", "b", _set(F.col("u")).alias("x"), _set(F.col("v")).alias("y"))
+    # exploded, so that the filter does not count again
+    counted = both.select("a", "b", F.explode(F.array(F.struct(F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("shared")))).alias("c")).select("a", "b", "c.*")
+    return counted.where(similar(F.col("shared"), F.col("n"), F.col("m"), percent)).select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
+
+
+def _frequent(groups: DataFrame) -> tuple:
+    """Shingles that are frequent in a sample of classes, in order, and their levels."""
+    total = max(1, groups.count())
+    drawn = groups if total <= SAMPLE else groups.where(F.pmod(F.xxhash64("h1"), F.lit(total)) < SAMPLE)
+    counts = with_set(drawn).select(F.explode_outer("set").alias("g")).groupBy("g").agg(F.count("*").alias("df")).where("df > 3")
+    rows = counts.orderBy(F.desc("df"), "g").limit(FREQUENT).toArrow()
+    g, df = rows.column("g").to_numpy(), rows.column("df").to_numpy()
+    order = np.argsort(g)
+    return g[order], (2 * np.log2(df[order])).astype(np.int64)
 
 
-def index_join(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(a, b, sim) of class numbers: counts shared shingles through an inverted index. Exact; costs the square of each shingle's postings."""
-    posting = sets.select(F.col("rep"), F.size("set").alias("n"), F.explode("set").alias("g"))
-    a, b = posting.select("g", F.col("rep").alias("a"), F.col("n").alias("na")), posting.select("g", F.col("rep").alias("b"), F.col("n").alias("nb"))
-    fits = F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
-    shared = a.join(b, "g").where("a < b").where(fits).groupBy("a", "b", "na", "nb").agg(F.count("*").alias("shared"))
-    return shared.where(similar(F.col("shared"), F.col("na"), F.col("nb"), percent)).select("a", "b", _sim(F.col("shared"), F.col("na"), F.col("nb")).alias("sim"))
+def _joined(groups: DataFrame, keys, n_keys: float, percent: int, sized: bool, sketched: bool) -> DataFrame:
+    """(a, b) of distinct classes that share a key; ``keys`` makes them from a batch of sets."""
+    buckets = max(groups.sparkSession.sparkContext.defaultParallelism, int(n_keys / BUCKET) + 1)
+    blocks = with_set(groups).mapInArrow(_packed(keys, buckets, sketched), _BLOCKS).repartition(buckets, "bucket")
+    return blocks.mapInArrow(_met(percent, sized), "a long, b long").distinct()
 
 
-def prefix_join(sets: DataFrame, percent: int = PERCENT, lengths: bool = True) -> DataFrame:
-    """The same answer from rare shingles only: two sets above the threshold share one within their rarest n - ceil(t n) + 1.
+def prefix_join(groups: DataFrame, percent: int = PERCENT, lengths: bool = True) -> DataFrame:
+    """(a, b, sim) of class numbers, from rare shingles only: two sets above the threshold share one within their rarest n - ceil(t n) + 1. Exact.
 
-    A set meets only sets whose size allows the threshold: sizes are cut into ranges a factor of the threshold apart, and a set asks in its own range and the next. So a shingle that
-    is frequent even among the rare ones is dealt over its ranges.
+    Any order that all sets share is as right as that of the true frequencies: frequent shingles are told by a sample, others go by their hash. With ``lengths`` a set meets only
+    sets whose size allows the threshold.
     """
-    each = sets.select("rep", F.size("set").alias("n"), F.explode("set").alias("g"))
-    df = each.groupBy("g").agg(F.count("*").alias("df"))
-    ranked = each.join(df, "g").groupBy("rep", "n").agg(F.array_sort(F.collect_list(F.struct("df", "g"))).alias("order"))
-    keep = (F.col("n") - F.ceil(F.col("n") * percent / 100 - 1e-9) + 1).cast("int")
-    prefix = ranked.select("rep", "n", F.explode(F.slice("order", F.lit(1), keep)).alias("p")).select("rep", "n", F.col("p.g").alias("g"))
-    # the size's range: a partner of at least this size lies in the same range or the next
-    level = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100 / percent)) + 1e-9).cast("int") if lengths else F.lit(0)
-    small = prefix.select("g", F.col("rep").alias("a"), F.col("n").alias("na"), F.explode(F.array(level, level + 1)).alias("range"))
-    large = prefix.select("g", F.col("rep").alias("b"), F.col("n").alias("nb"), level.alias("range"))
-    ahead = (F.col("na") < F.col("nb")) | ((F.col("na") == F.col("nb")) & (F.col("a") < F.col("b")))
-    fits = F.col("na") * 100 >= F.col("nb") * percent
-    near = small.join(large, ["g", "range"]).where(ahead & fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    return _verified(near, sets, percent)
-
-
-def minhash_join(sets: DataFrame, percent: int = PERCENT, bands: int = 24, rows: int = 4) -> DataFrame:
+    total = groups.agg(F.sum(F.col("n") * (100 - percent) / 100 + 1)).first()[0] or 0
+    frequent = groups.sparkSession.sparkContext.broadcast(_frequent(groups))
+    return _verified(_joined(groups, _prefix(frequent, percent), total, percent, lengths, True), groups, percent)
+
+
+def index_join(groups: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """The same answer through an inverted index of those shingles that decide, without regard to sizes; shared shingles are counted on whole sets.
+
+    An index of all shingles would pair every two holders of a frequent one, the square of its postings, and find no more.
+    """
+    return prefix_join(groups, percent, lengths=False)
+
+
+def minhash_join(groups: DataFrame, percent: int = PERCENT, bands: int = 24, rows: int = 4) -> DataFrame:
     """Pairs that share a band of ``rows`` minima, verified; misses a pair at 0.7 about once in 700."""
-    each = sets.select("rep", F.explode("set").alias("g"))
-    minima = each.groupBy("rep").agg(*[F.min(F.xxhash64("g", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)])
-    key = F.array(*[F.xxhash64(F.lit(b), *[f"m{b * rows + r}" for r in range(rows)]) for b in range(bands)])
-    keys = minima.select("rep", F.posexplode(key).alias("band", "key"))
-    a, b = keys.select("band", "key", F.col("rep").alias("a")), keys.select("band", "key", F.col("rep").alias("b"))
-    return _verified(a.join(b, ["band", "key"]).where("a < b").select("a", "b").distinct(), sets, percent)
+    return _verified(_joined(groups, _bands(bands, rows), bands * groups.count(), percent, True, False), groups, percent)
+
+
+def _mixed(v: np.ndarray) -> np.ndarray:
+    """64 bits that do not follow from another's low or high ones (a finalizer of shifts and odd factors)."""
+    v = (v ^ (v >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    v = (v ^ (v >> np.uint64(29))) * np.uint64(0xD6E8FEB86659FD93)
+    return v ^ (v >> np.uint64(32))
+
+
+def _prefix(frequent, percent: int):
+    def keys(values: np.ndarray, row: np.ndarray, sizes: np.ndarray):
+        known, levels = frequent.value
+        level = np.zeros(len(values), np.int64)
+        if len(known):
+            at = np.minimum(np.searchsorted(known, values), len(known) - 1)
+            level = np.where(known[at] == values, levels[at] + 1, 0)
+        order = np.lexsort((values, level, row))
+        start = np.cumsum(sizes) - sizes
+        kept = np.arange(len(values)) - start[row] <= sizes[row] - -(-sizes[row] * percent // 100)
+        order = order[kept]  # rows keep their places, as they are the first to sort by
+        return values[order].view(np.uint64), row[order]
+
+    return keys
+
+
+def _bands(bands: int, rows: int):
+    draw = np.random.default_rng(7)
+    seeds = draw.integers(0, 2**63, bands * rows, dtype=np.uint64)
+
+    def keys(values: np.ndarray, row: np.ndarray, sizes: np.ndarray):
+        start, v, out = np.cumsum(sizes) - sizes, values.view(np.uint64), []
+        for b in range(bands):
+            key = np.full(len(sizes), b, np.uint64)
+            for seed in seeds[b * rows : (b + 1) * rows]:
+                key = _mixed(key + np.minimum.reduceat(_mixed(v ^ seed), start))
+            out.append(key)
+        return np.concatenate(out), np.tile(np.arange(len(sizes)), bands)
+
+    return keys
+
+
+def _packed(keys, buckets: int, sketched: bool):
+    """Blocks of keys by bucket: the key's rest, its class, its size and, if asked for, a sketch whose bits are parities of the set's hashes."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        held, count = [], 0
+
+        def sent():
+            key, rep, n, sketch = (np.concatenate(c) for c in zip(*held, strict=True))
+            bucket = (_mixed(key) % np.uint64(buckets)).astype(np.int32)
+            order = np.argsort(bucket, kind="stable")
+            found, start = np.unique(bucket[order], return_index=True)
+            parts = [order[a:b] for a, b in zip(start, [*start[1:], len(order)], strict=True)]
+            cut = lambda c: pa.array([c[p].tobytes() for p in parts], pa.binary())
+            return pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), cut((key >> np.uint64(32)).astype(np.uint32)), cut(rep), cut(n), cut(sketch) if sketched else pa.array([b""] * len(parts), pa.binary())], ["bucket", "g", "rep", "n", "sketch"])
+
+        for batch in batches:
+            lists = batch.column(1)
+            sizes = np.diff(lists.offsets.to_numpy()).astype(np.int64)
+            if not len(sizes):
+                continue
+            values = lists.flatten().to_numpy()
+            row = np.repeat(np.arange(len(sizes)), sizes)
+            key, at = keys(values, row, sizes)
+            bits = np.bitwise_xor.reduceat(np.uint64(1) << (_mixed(values.view(np.uint64)) & np.uint64(63)), np.cumsum(sizes) - sizes)
+            held.append((key, batch.column(0).to_numpy()[at], sizes[at].astype(np.int32), bits[at]))
+            count += len(key)
+            if count >= BLOCK:
+                yield sent()
+                held, count = [], 0
+        if held:
+            yield sent()
+
+    return run
+
+
+def _met(percent: int, sized: bool):
+    """Pairs of classes that share a key of a bucket, whose sizes and sketches allow the threshold.
+
+    Sets that differ in d shingles differ in at most d bits of their sketches, so no pair above the threshold is lost.
+    """
+
+    def run(batches):
+        import pyarrow as pa
+
+        parts = [r for batch in batches for r in zip(*(c.to_pylist() for c in batch.columns), strict=True)]
+        read = lambda k, kind: np.concatenate([np.frombuffer(p[k], kind) for p in parts])
+        if not parts:
+            return
+        rest, rep, n = read(1, np.uint32), read(2, np.int64), read(3, np.int32).astype(np.int64)
+        key = (np.repeat(np.array([p[0] for p in parts], np.uint64), [len(p[1]) // 4 for p in parts]) << np.uint64(32)) | rest
+        sketch = read(4, np.uint64)
+        parts.clear()
+        order = np.lexsort((n, key))
+        key, rep, n, sketch = key[order], rep[order], n[order], sketch[order] if len(sketch) else None
+        number = np.cumsum(np.concatenate([[0], key[1:] != key[:-1]])).astype(np.int64)
+        most = n * 100 // percent if sized else np.full(len(n), (1 << 31) - 1)
+        partners = np.searchsorted((number << 32) | n, (number << 32) | np.minimum(most, (1 << 32) - 1), "right") - np.arange(len(n)) - 1
+        total = np.cumsum(partners)
+        begin = 0
+        while begin < len(n):
+            end = max(begin + 1, int(np.searchsorted(total, (total[begin - 1] if begin else 0) + STEP, "right")))
+            many = partners[begin:end]
+            i = np.repeat(np.arange(begin, end), many)
+            j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
+            begin = end
+            if sketch is not None and len(i):
+                near = np.bitwise_count(sketch[i] ^ sketch[j]) <= (n[i] + n[j]) * (100 - percent) // (100 + percent)
+                i, j = i[near], j[near]
+            a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
+            pair = np.unique(np.stack([a, b], 1)[a < b], axis=0) if len(a) < 1000 else _once(a, b)
+            if len(pair):
+                yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], ["a", "b"])
+
+    return run
+
+
+def _once(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    new = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]) & (a < b)
+    return np.stack([a[new], b[new]], 1)
+
+
+def reaching(sets: DataFrame, other: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """Rows of ``sets`` that hold enough shingles of any of ``other`` to be similar to one: the threshold's share of their own. Exact, as collisions only keep more."""
+    one = lambda df: df.select(F.split("words", " ").alias("w")).select(F.explode_outer(_set(F.col("w"))).alias("g"))
+    spots = one(other).select(F.pmod("g", F.lit(BITMAP)).cast("int").alias("spot")).distinct().toArrow().column("spot").to_numpy()
+    bitmap = np.zeros(BITMAP // 8, np.uint8)
+    np.bitwise_or.at(bitmap, spots >> 3, (1 << (spots & 7)).astype(np.uint8))
+    known = sets.sparkSession.sparkContext.broadcast(bitmap)
+    return sets.withColumn("w", F.split("words", " ")).withColumn("set", _set(F.col("w"))).drop("w").mapInArrow(_reached(known, percent), sets.schema)
+
+
+def _reached(known, percent: int):
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            lists = batch.column("set")
+            sizes = np.diff(lists.offsets.to_numpy())
+            spots = lists.flatten().to_numpy() % BITMAP
+            hit = (known.value[spots >> 3] >> (spots & 7)) & 1
+            held = np.add.reduceat(hit.astype(np.int64), np.cumsum(sizes) - sizes) if len(sizes) else sizes
+            yield batch.drop_columns(["set"]).filter(pa.array(held * 100 >= sizes * percent))
+
+    return run
 
 
 def named(pairs: DataFrame, groups: DataFrame) -> DataFrame:
@@ -99,5 +280,5 @@ def unit_links(sets: DataFrame, groups: DataFrame, pairs: DataFrame) -> DataFram
     """(id, first, n_links): other units similar to each one, copies included."""
     size = groups.select(F.col("rep").alias("other"), "n_members")
     linked = both_ways(pairs, groups).join(size, "other").groupBy("rep").agg(F.sum("n_members").alias("linked"))
-    per = groups.join(linked, "rep").select("set", "first", (F.col("linked") - 1).alias("n_links"))
-    return sets.join(per, "set").select("id", "first", "n_links")
+    per = groups.join(linked, "rep").select("h1", "h2", "first", (F.col("linked") - 1).alias("n_links"))
+    return sets.join(per, ["h1", "h2"]).select("id", "first", "n_links")

@@ -43,8 +43,8 @@ class Store:
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
 
-    def keep(self, df: DataFrame, name: str) -> DataFrame:
-        df.write.parquet(self.path(name))
+    def keep(self, df: DataFrame, name: str, compression: str | None = None) -> DataFrame:
+        df.write.parquet(self.path(name), compression=compression)
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
     def drop(self, *names: str) -> None:

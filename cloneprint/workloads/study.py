@@ -92,8 +92,9 @@ def minhash_recall(spark, d):
 
 def similar_units(spark, d):
     store = Store(spark, "similar")
-    sets = store.keep(_sets(spark, d), "sets")
+    sets = _sets(spark, d)
     groups = S.classes(sets, store)
+    sets = store.keep(sets.select("id", "h1", "h2"), "sets")
     units = S.unit_links(sets, groups, S.prefix_join(groups))
     return units.select("id.doc_id", "id.pos", F.col("first.doc_id").alias("rep_doc"), F.col("first.pos").alias("rep_pos"), "n_links")
 
@@ -110,13 +111,13 @@ def _functions(spark, d):
 def _similar_functions(spark, d):
     """Functions by their class of equal shingle sets, and which classes are similar."""
     store = Store(spark, "functions")
-    sets = store.keep(_sets(spark, d, MIN_CHARS), "sets")
+    sets = _sets(spark, d, MIN_CHARS)
     groups = S.classes(sets, store)
     name = lambda c: F.concat_ws(":", f"{c}.doc_id", f"{c}.pos")
     pairs = store.keep(S.named(S.prefix_join(groups), groups).select(name("a").alias("hash"), name("b").alias("other"), "sim"), "pairs")
     near = pairs.unionByName(pairs.select(F.col("other").alias("hash"), F.col("hash").alias("other"), "sim"))
     near = near.unionByName(groups.select(name("first").alias("hash"), name("first").alias("other"), F.lit(1.0).alias("sim")))
-    functions = sets.join(groups.select("set", "first"), "set").select(F.col("id.doc_id").alias("class_id"), F.col("id.source").alias("owner"), F.col("id.pos").alias("fn"), name("first").alias("hash"))
+    functions = sets.select("id", "h1", "h2").join(groups.select("h1", "h2", "first"), ["h1", "h2"]).select(F.col("id.doc_id").alias("class_id"), F.col("id.source").alias("owner"), F.col("id.pos").alias("fn"), name("first").alias("hash"))
     return store.keep(functions, "named"), store.keep(near, "near")
 
 

@@ -325,6 +325,27 @@ def test_similar_joins_agree(spark):
     assert {r["id"]: r["n_links"] for r in S.unit_links(sets, groups, S.prefix_join(groups)).collect()}[999] >= 1
 
 
+def test_functions_far_from_any_component_go_first(spark):
+    """Of a subject's functions only those that share the threshold's part of their shingles with components are left to be classed."""
+    far = [(k, " ".join(f"u{k}x{j}" for j in range(12))) for k in range(200)]
+    near = [(500, "a b c d e f g h i j k l"), (501, "a b c d e f g h i j k z"), (502, "a b c d q r s t u v w x")]
+    subject, part = spark.createDataFrame([*far, *near], "id int, t string"), spark.createDataFrame([(7, near[0][1])], "id int, t string")
+    left = S.reaching(S.shingled(subject, "id", "t"), S.shingled(part, "id", "t"))
+    assert sorted(r["id"] for r in left.collect()) == [500, 501]
+
+
+def test_classes_keep_words_not_shingles(spark):
+    """A class is as wide as its words; joins move packed blocks, a row for each bucket and batch, not one for each shingle."""
+    from cloneprint.plans.store import Store
+
+    rows = [(k, " ".join(f"w{k}x{j}" for j in range(60))) for k in range(300)]
+    groups = S.classes(S.shingled(spark.createDataFrame(rows, "id long, t string"), "id", "t"), Store(spark, "t"))
+    assert "set" not in groups.columns and groups.count() == 300
+    blocks = S.with_set(groups).mapInArrow(S._packed(S._prefix(spark.sparkContext.broadcast(S._frequent(groups)), 70), 4, True), S._BLOCKS)
+    assert blocks.count() <= 4 * S.with_set(groups).rdd.getNumPartitions()
+    assert S.minhash_join(groups).count() == 0
+
+
 def test_similar_clones_in_both_percentages(spark):
     """Functions a1..a3 of a class call one another; a foreign class has look-alikes of two of them, another one of its owner the third."""
     fns = spark.createDataFrame([(1, "A", 0, "p"), (1, "A", 1, "q"), (1, "A", 2, "r"), (2, "B", 0, "p2"), (2, "B", 1, "q2"), (3, "B", 0, "r2"), (4, "A", 0, "q2")], "class_id int, owner string, fn int, hash string")
