@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..plans.groups import runs
+from ..plans.store import Store
 from . import units as U
 
+#: classes of a block; shared functions of class pairs that are looked at together
+CELL, STEP = 4000, 2_000_000
+
 
 def file_clones(docs: DataFrame, *keep: str, lang: str = "prose", text: str = "text") -> DataFrame:
     """Files with the hash of their normalised text, how many share it, and whether any other does."""
@@ -83,29 +89,88 @@ def pct_histogram(df: DataFrame, column: str = "pct", bins: int = 10) -> DataFra
 def conjugate_pct(functions: DataFrame, variant: str = "matching") -> DataFrame:
     """Conjugate clone percentage of class pairs (class_a < class_b) of different owners with exact function clones.
 
-    functions: class_id, owner, hash. Pairs are counted per shared hash, never listed: N is their number, and a pair has a
-    partner that differs on both sides if N exceeds the pairs that share one of its ends.
+    functions: class_id, owner, hash. A pair of classes counts if two of its clone pairs differ on both sides, which is so if the smaller counts of its shared hashes add up to
+    two or more; then every clone pair has such a partner. So classes with a single shared function are left out, the others meet block by block, and
+    only pairs that count leave a block: those of one frequent hash alone are never written.
     """
-    sizes = functions.groupBy("class_id").agg(F.count("*").alias("size"))
-    held = functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c"))
-    a = held.select("hash", F.col("class_id").alias("class_a"), F.col("owner").alias("owner_a"), F.col("c").alias("ca"))
-    b = held.select("hash", F.col("class_id").alias("class_b"), F.col("owner").alias("owner_b"), F.col("c").alias("cb"))
-    shared = a.join(b, "hash").where("class_a < class_b and owner_a <> owner_b")
-    by_pair = shared.groupBy("class_a", "class_b").agg(F.sum(F.col("ca") * F.col("cb")).alias("n_pairs"), F.sum(F.least("ca", "cb")).alias("m"), F.collect_list(F.struct("ca", "cb")).alias("parts"))
-    by_pair = by_pair.where("n_pairs > 1")
-    conj = F.filter("parts", lambda p: F.col("n_pairs") - p["ca"] - p["cb"] + 1 >= 1)
-    if variant == "pairs":
-        top = 2 * F.aggregate(conj, F.lit(0).cast("bigint"), lambda s, p: s + p["ca"] * p["cb"])
-    elif variant == "functions":
-        top = F.aggregate(conj, F.lit(0).cast("bigint"), lambda s, p: s + p["ca"] + p["cb"])
-    elif variant == "matching":
-        top = F.when(F.col("m") >= 2, 2 * F.col("m")).otherwise(F.lit(0).cast("bigint"))
-    else:
+    if variant not in ("pairs", "functions", "matching"):
         raise ValueError(f"no variant {variant!r}")
-    n = sizes.select(F.col("class_id").alias("class_a"), F.col("size").alias("n"))
-    m = sizes.select(F.col("class_id").alias("class_b"), F.col("size").alias("n_b"))
-    out = by_pair.withColumn("n_conj", top).where("n_conj > 0").join(n, "class_a").join(m, "class_b")
-    return out.select("class_a", "class_b", "n_pairs", "n_conj", F.round(F.col("n_conj") / (F.col("n") + F.col("n_b")), 6).alias("pct"))
+    store = Store(functions.sparkSession, "conjugate")
+    held = store.keep(functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c")), "held")
+    shared = held.groupBy("hash").agg(F.min("owner").alias("lo"), F.max("owner").alias("hi")).where("lo <> hi").select("hash", F.monotonically_increasing_id().alias("h"))
+    shared = store.keep(shared, "shared")
+    sizes = held.groupBy("class_id").agg(F.sum("c").alias("size"))
+    rows = held.where("owner is not null").join(shared, "hash").groupBy("class_id").agg(F.collect_list(F.struct("h", "c", "owner")).alias("e"), F.collect_set("owner").alias("owners"), F.sum("c").alias("all")).where("all > 1")
+    entry = F.transform("e", lambda x: F.struct(x["h"].alias("h"), x["c"].alias("c"), (F.array_position("owners", x["owner"]) - 1).alias("o")))
+    rows = store.keep(rows.join(sizes, "class_id").select("class_id", "owners", "size", entry.alias("e")), "rows")
+    blocks = max(1, -(-rows.count() // CELL))
+    own = F.pmod(F.xxhash64("class_id"), F.lit(blocks)).cast("int")
+    spread = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    cells = spread.withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other"), "right": F.col("own") > F.col("other")}).select("x", "y", "right", "class_id", "owners", "size", "e")
+    kind = lambda c: functions.schema[c].dataType.simpleString()
+    n_cells = blocks * (blocks + 1) // 2
+    dealt = cells.repartition(max(functions.sparkSession.sparkContext.defaultParallelism, n_cells), "x", "y").sortWithinPartitions("x", "y")
+    return dealt.mapInArrow(_conjugate(variant), f"class_a {kind('class_id')}, class_b {kind('class_id')}, n_pairs long, n_conj long, pct double")
+
+
+def _conjugate(variant: str):
+    """Pairs of a cell's two sides (of one side with itself on the diagonal), a few rows of the left side at a time."""
+
+    def cell(table):
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        rank = np.empty(len(table), np.int64)
+        rank[:] = pc.rank(table.column("class_id"), tiebreaker="dense").to_numpy()
+        owners, lists = table.column("owners").combine_chunks(), table.column("e").combine_chunks()
+        entries, row = lists.flatten(), np.repeat(np.arange(len(table)), np.diff(lists.offsets.to_numpy()))
+        hashes, counts, place = (entries.field(k).to_numpy() for k in ("h", "c", "o"))
+        owner = pc.rank(owners.flatten(), tiebreaker="dense").to_numpy().astype(np.int64)[(owners.offsets.to_numpy()[:-1] - owners.offsets.to_numpy()[0])[row] + place]
+        size, right = table.column("size").to_numpy(), table.column("right").to_numpy(zero_copy_only=False)
+        whole = table.column("x")[0].as_py() == table.column("y")[0].as_py()
+        side = np.ones(len(row), bool) if whole else right[row]
+        order = np.argsort(hashes[side], kind="stable")
+        rh, rr, rc, ro = hashes[side][order], row[side][order], counts[side][order], owner[side][order]
+        left = np.arange(len(row)) if whole else np.flatnonzero(~side)
+        lo, hi = np.searchsorted(rh, hashes[left], "left"), np.searchsorted(rh, hashes[left], "right")
+        total = np.cumsum(hi - lo)
+        # a row of the left side is not cut, as its sums are made at once
+        ends = np.append(np.flatnonzero(np.diff(row[left])) + 1, len(left))
+        begin = 0
+        while begin < len(left):
+            fit = np.searchsorted(total, (total[begin - 1] if begin else 0) + STEP, "right")
+            end = int(ends[min(max(np.searchsorted(ends, fit, "right") - 1, np.searchsorted(ends, begin, "right")), len(ends) - 1)])
+            many = (hi - lo)[begin:end]
+            i = np.repeat(left[begin:end], many)
+            j = np.repeat(lo[begin:end], many) + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
+            begin = end
+            a, b, ca, cb = row[i], rr[j], counts[i], rc[j]
+            fits = owner[i] != ro[j]
+            fits &= (rank[a] < rank[b]) if whole else (rank[a] != rank[b])
+            a, b, ca, cb = a[fits], b[fits], ca[fits], cb[fits]
+            if not len(a):
+                continue
+            order = np.argsort(a * len(table) + b, kind="stable")
+            a, b, ca, cb = a[order], b[order], ca[order], cb[order]
+            at = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
+            add = lambda v: np.add.reduceat(v, at)  # noqa: B023, E731
+            pairs, least = add(ca * cb), add(np.minimum(ca, cb))
+            top = 2 * pairs if variant == "pairs" else add(ca + cb) if variant == "functions" else 2 * least
+            keep = least >= 2
+            if keep.any():
+                a, b = a[at][keep], b[at][keep]
+                a, b = np.where(rank[a] < rank[b], a, b), np.where(rank[a] < rank[b], b, a)
+                yield pa.table({"class_a": table.column("class_id").take(pa.array(a)), "class_b": table.column("class_id").take(pa.array(b)), "n_pairs": pairs[keep], "n_conj": top[keep], "part": top[keep] / (size[a] + size[b])})
+
+    def run(batches):
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        for table in runs(batches, ("x", "y")):
+            for out in cell(table):
+                yield from out.drop_columns(["part"]).append_column("pct", pc.round(out.column("part"), 6, "half_towards_infinity")).combine_chunks().to_batches()
+
+    return run
 
 
 def _similar_pairs(functions: DataFrame, near: DataFrame) -> DataFrame:

@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable
+from itertools import pairwise
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql.pandas.types import to_arrow_schema
@@ -42,6 +44,24 @@ def by_group(df: DataFrame, keys: list[str], run: Callable[[list[tuple]], Iterab
     return df.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(stream, schema)
 
 
+def runs(batches: Iterable[pa.RecordBatch], keys: tuple[str, ...]) -> Iterable[pa.Table]:
+    """A table for each run of rows with equal integer keys, of batches that come sorted by them."""
+    held: list = []
+    last = None
+    for batch in batches:
+        values = np.stack([batch.column(k).to_numpy() for k in keys], 1)
+        starts = [0, *(np.flatnonzero((values[1:] != values[:-1]).any(1)) + 1), len(values)] if len(values) else []
+        for a, b in pairwise(starts):
+            now = tuple(values[a])
+            if held and now != last:
+                yield pa.Table.from_batches(held)
+                held = []
+            held.append(batch.slice(a, b - a))
+            last = now
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def strongly_connected(edges: Iterable[tuple]) -> dict:
     """node -> number of its strongly connected set, for nodes of edges (a, b)."""
     graph: dict = {}

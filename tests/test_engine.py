@@ -325,6 +325,31 @@ def test_similar_joins_agree(spark):
     assert {r["id"]: r["n_links"] for r in S.unit_links(sets, groups, S.prefix_join(groups)).collect()}[999] >= 1
 
 
+@pytest.mark.parametrize("cell", [4000, 7])
+def test_conjugate_by_blocks_equals_pairs_of_pairs(spark, monkeypatch, cell):
+    """Against plain lists of clone pairs; blocks leave out pairs of classes that share one function."""
+    monkeypatch.setattr(G, "CELL", cell)
+    monkeypatch.setattr(G, "STEP", 50)
+    rng = random.Random(8)
+    rows = [(k, "ABC"[k % 3], f, rng.choice(["hot", *(f"h{x}" for x in range(12))])) for k in range(30) for f in range(rng.randrange(1, 6))]
+    rows += [(k, None, 9, "hot") for k in (1, 2)]
+    fns = spark.createDataFrame(rows, "class_id int, owner string, fn int, hash string")
+    by: dict = {}
+    for c, o, f, h in rows:
+        by.setdefault(c, []).append((o, (f, o), h))
+    want = {}
+    for a in by:
+        for b in by:
+            pairs = [((x[1], n), (y[1], m)) for n, x in enumerate(by[a]) for m, y in enumerate(by[b]) if x[2] == y[2] and None not in (x[0], y[0]) and x[0] != y[0]] if a < b else []
+            conj = [p for p in pairs if any(p[0] != q[0] and p[1] != q[1] for q in pairs)]
+            if conj:
+                want[a, b] = (len(pairs), 2 * len(conj))
+    got = {(r["class_a"], r["class_b"]): (r["n_pairs"], r["n_conj"]) for r in G.conjugate_pct(fns, "pairs").collect()}
+    assert want and got == want
+    plan = G.conjugate_pct(fns, "matching")._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan  # class pairs meet within blocks, not in a join of all their shared functions
+
+
 def test_functions_far_from_any_component_go_first(spark):
     """Of a subject's functions only those that share the threshold's part of their shingles with components are left to be classed."""
     far = [(k, " ".join(f"u{k}x{j}" for j in range(12))) for k in range(200)]
