@@ -175,6 +175,12 @@ def test_pagerank_mass_and_symmetry(spark):
     assert R.sample_size() == 385
 
 
+def test_sample_sizes_of_groups(spark):
+    units = spark.createDataFrame([("a", k % 2 == 0) for k in range(10)] + [("b", True)], "source string, hit boolean")
+    got = {(r["source"], r["margin"]): (r["n_units"], r["share"], r["n"]) for r in R.sample_sizes(units, "source", F.col("hit"), [(0.95, 0.05), (0.95, 0.03)]).collect()}
+    assert got == {("a", 0.05): (10, 0.5, R.sample_size()), ("a", 0.03): (10, 0.5, R.sample_size(0.95, 0.03)), ("b", 0.05): (1, 1.0, 0), ("b", 0.03): (1, 1.0, 0)}
+
+
 def test_origin_ties_nulls_and_flip(spark):
     rows = [("A", "a", 1, 7, "2020-01-01", False), ("B", "b", 1, 7, "2020-02-01", True), ("A", "a", 2, 7, "2020-03-01", True), ("C", "c", 1, 9, None, True), ("B", "b", 2, 9, None, True), ("A", "a", 3, 8, "2020-01-01", True), ("B", "b", 3, 8, "2020-01-01", True)]
     f = spark.createDataFrame(rows, "group_id string, artifact_id string, version int, print int, released_at string, has_source boolean")
