@@ -2,7 +2,8 @@
 
 All work on classes of equal shingle sets: copies are one class with a member count, and links are between classes. So a
 unit that stands thousands of times never expands to its pairs. A class keeps the words of one member, not its shingles: words are a fraction of the hashes' size, and the set is
-made again where it is needed. Index keys travel as packed blocks of one bucket each, beside a bit sketch of the set, so that most candidates fall before they are written.
+made again where it is needed. Index keys of one class alone are told by a bitmap and do not travel; others go as packed blocks of one bucket each, beside a bit sketch of the set,
+so that most candidates fall before they are written.
 Shingles are 64-bit hashes. Thresholds are in percent and compared as integers.
 """
 
@@ -13,6 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..plans.groups import runs
 from ..plans.store import Store
 
 K, PERCENT = 3, 70
@@ -20,6 +22,11 @@ K, PERCENT = 3, 70
 SAMPLE, FREQUENT = 100_000, 200_000
 #: index keys of a bucket, about; keys a task holds back before it sends its blocks; pairs made at once
 BUCKET, BLOCK, STEP = 1_000_000, 1_000_000, 2_000_000
+#: pairs of a cell, about; words of 64 bits of a sketch; bits of the bitmap of keys, as a power of two at most, and how many slices it is made in
+CELL, WORDS, SPOTS, SLICES = 20_000, 4, 28, 64
+#: fewer keys go without the bitmap
+FEW = 1_000_000
+_KEYS = "rep long, n int, sketch binary, keys binary"
 _BLOCKS = "bucket int, g binary, rep binary, n binary, sketch binary"
 #: bits of a bitmap of shingles
 BITMAP = 1 << 24
@@ -61,16 +68,70 @@ def _sim(shared: Column, n: Column, m: Column) -> Column:
     return F.round(shared / (n + m - shared), 6)
 
 
-def _verified(pairs: DataFrame, groups: DataFrame, percent: int) -> DataFrame:
-    """Pairs whose whole sets reach the threshold; only classes that stand in a pair move."""
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
-    words = groups.select("rep", "words").join(ends, "rep", "left_semi")
-    a, b = words.select(F.col("rep").alias("a"), F.col("words").alias("u")), words.select(F.col("rep").alias("b"), F.col("words").alias("v"))
-    split = pairs.join(a, "a").join(b, "b").select("a", "b", F.split("u", " ").alias("u"), F.split("v", " ").alias("v"))
-    both = split.select("a", "b", _set(F.col("u")).alias("x"), _set(F.col("v")).alias("y"))
-    # exploded, so that the filter does not count again
-    counted = both.select("a", "b", F.explode(F.array(F.struct(F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("shared")))).alias("c")).select("a", "b", "c.*")
-    return counted.where(similar(F.col("shared"), F.col("n"), F.col("m"), percent)).select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
+def _verified(pairs: DataFrame, groups: DataFrame, percent: int, store: Store) -> DataFrame:
+    """Pairs whose whole sets reach the threshold.
+
+    Classes are dealt to sides and pairs to the cells of two sides. A class's words go once to each cell where it has a pair, however many it has there.
+    """
+    pairs = store.keep(pairs, "pairs")
+    store.drop("keys")
+    cells = max(2 * groups.sparkSession.sparkContext.defaultParallelism, pairs.count() // CELL)
+    sides = int(np.ceil(np.sqrt(2 * cells)))
+    side = lambda c: F.pmod(F.xxhash64(c), F.lit(sides)).cast("int")
+    # a cell goes by its sides in order, so that both halves of the square are used as one
+    x, y = side("a"), side("b")
+    placed = pairs.select("a", "b", F.least(x, y).alias("x"), F.greatest(x, y).alias("y"))
+    ends = placed.select("x", "y", F.explode(F.array("a", "b")).alias("rep")).distinct()
+    texts = groups.select("rep", "words").join(ends, "rep").select("x", "y", F.col("rep").alias("a"), F.lit(None).cast("long").alias("b"), "words")
+    rows = texts.unionByName(placed.withColumn("words", F.lit(None).cast("string")))
+    counted = rows.repartition(cells, "x", "y").sortWithinPartitions("x", "y").mapInArrow(_counted(percent), "a long, b long, n long, m long, shared long")
+    return counted.select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
+
+
+def _counted(percent: int):
+    """Shared runs of words of a cell's pairs, by the words themselves; rows without b hold a class's words."""
+
+    def cell(table):
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        texts, pairs = table.filter(pc.is_null(table.column("b"))), table.filter(pc.is_valid(table.column("b")))
+        reps = texts.column("a").to_numpy()
+        order = np.argsort(reps)
+        lists = pc.split_pattern(texts.column("words").combine_chunks().cast(pa.large_string()), " ")
+        words = pc.dictionary_encode(lists.flatten())
+        code, many = words.indices.to_numpy().astype(np.int64), len(words.dictionary)
+        count = np.diff(lists.offsets.to_numpy())
+        row = np.repeat(np.arange(len(count)), count)
+        run = code
+        for k in range(1, K):
+            run = np.unique(run[:-1] * many + code[k:], return_inverse=True)[1].astype(np.int64)
+        kinds = int(run.max()) + 1
+        held = np.unique((row[: len(run)] * kinds + run)[row[: len(run)] == row[K - 1 :]])
+        size = np.bincount(held // kinds, minlength=len(count))
+        start = np.cumsum(size) - size
+        a, b = (order[np.searchsorted(reps, pairs.column(c).to_numpy(), sorter=order)] for c in "ab")
+        less, more = np.where(size[a] <= size[b], a, b), np.where(size[a] <= size[b], b, a)
+        total = np.cumsum(size[less])
+        begin, shared = 0, np.zeros(len(a), np.int64)
+        while begin < len(a):
+            end = max(begin + 1, int(np.searchsorted(total, (total[begin - 1] if begin else 0) + STEP, "right")))
+            n = size[less[begin:end]]
+            at = np.repeat(start[less[begin:end]] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+            wanted = held[at] % kinds + np.repeat(more[begin:end], n) * kinds
+            hit = held[np.minimum(np.searchsorted(held, wanted), len(held) - 1)] == wanted
+            shared[begin:end] = np.add.reduceat(hit.astype(np.int64), np.cumsum(n) - n)
+            begin = end
+        n, m = size[a], size[b]
+        kept = shared * 100 >= (n + m - shared) * percent
+        out = pairs.select(["a", "b"]).filter(pa.array(kept))
+        return out.append_column("n", pa.array(n[kept])).append_column("m", pa.array(m[kept])).append_column("shared", pa.array(shared[kept]))
+
+    def run(batches):
+        for table in runs(batches, ("x", "y")):
+            yield from cell(table).combine_chunks().to_batches()
+
+    return run
 
 
 def _frequent(groups: DataFrame) -> tuple:
@@ -84,11 +145,83 @@ def _frequent(groups: DataFrame) -> tuple:
     return g[order], (2 * np.log2(df[order])).astype(np.int64)
 
 
-def _joined(groups: DataFrame, keys, n_keys: float, percent: int, sized: bool, sketched: bool) -> DataFrame:
-    """(a, b) of distinct classes that share a key; ``keys`` makes them from a batch of sets."""
-    buckets = max(groups.sparkSession.sparkContext.defaultParallelism, int(n_keys / BUCKET) + 1)
-    blocks = with_set(groups).mapInArrow(_packed(keys, buckets, sketched), _BLOCKS).repartition(buckets, "bucket")
-    return blocks.mapInArrow(_met(percent, sized), "a long, b long").distinct()
+def _joined(groups: DataFrame, keys, n_keys: float, percent: int, sized: bool, sketched: bool, store: Store) -> DataFrame:
+    """(a, b) of distinct classes that share a key; ``keys`` makes them from a batch of sets. Of many keys, those of one class alone do not move."""
+    spark = groups.sparkSession
+    buckets = max(spark.sparkContext.defaultParallelism, int(n_keys / BUCKET) + 1)
+    if n_keys < FEW:
+        blocks = with_set(groups).mapInArrow(_packed(keys, buckets, sketched), _BLOCKS)
+    else:
+        keyed = store.keep(with_set(groups).mapInArrow(_keyed(keys, sketched), _KEYS), "keys")
+        blocks = keyed.mapInArrow(_dealt(spark.sparkContext.broadcast(_twice(keyed, n_keys)), buckets), _BLOCKS)
+    return blocks.repartition(buckets, "bucket").mapInArrow(_met(percent, sized), "a long, b long").distinct()
+
+
+def _twice(keyed: DataFrame, n_keys: float) -> np.ndarray:
+    """A bitmap of keys that two classes hold, and of some others that fall on the same bit as another one."""
+    power = int(np.clip(np.ceil(np.log2(4 * n_keys + 1)), 16, SPOTS))
+    parts = keyed.mapInArrow(_spots(power), "slice int, wide boolean, steps binary").repartition(SLICES, "slice").mapInArrow(_full(power), "slice int, bits binary").toArrow()
+    out = np.zeros((SLICES, (1 << power) // SLICES // 8), np.uint8)
+    for k, bits in zip(parts.column("slice").to_pylist(), parts.column("bits"), strict=True):
+        out[k] = np.frombuffer(bits.as_buffer(), np.uint8)
+    return out.reshape(-1)
+
+
+def _spot(key: np.ndarray, power: int) -> np.ndarray:
+    return (_mixed(key ^ np.uint64(0x5851F42D4C957F2D)) >> np.uint64(64 - power)).astype(np.int64)
+
+
+def _spots(power: int):
+    """Sorted spots of a task's keys by slice, as steps from one to the next."""
+    per = (1 << power) // SLICES
+
+    def run(batches):
+        import pyarrow as pa
+
+        held, count = [], 0
+
+        def sent():
+            spots = np.sort(_spot(np.concatenate(held), power))
+            cuts = np.searchsorted(spots, np.arange(SLICES + 1) * per)
+            out = []
+            for k in range(SLICES):
+                steps = np.diff(spots[cuts[k] : cuts[k + 1]], prepend=k * per)
+                wide = bool(len(steps)) and int(steps.max()) > 0xFFFF
+                out.append((k, wide, steps.astype(np.uint32 if wide else np.uint16).tobytes()))
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.bool_(), pa.binary()), strict=True)], ["slice", "wide", "steps"])
+
+        for batch in batches:
+            for keys in batch.column("keys").to_pylist():
+                held.append(np.frombuffer(keys, np.uint64))
+                count += len(held[-1])
+            if count >= BLOCK:
+                yield sent()
+                held, count = [], 0
+        if held:
+            yield sent()
+
+    return run
+
+
+def _full(power: int):
+    per = (1 << power) // SLICES
+
+    def run(batches):
+        import pyarrow as pa
+
+        # of each slice, the spots seen so far and those seen again
+        seen: dict = {}
+        for batch in batches:
+            for k, wide, steps in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at = np.cumsum(np.frombuffer(steps, np.uint32 if wide else np.uint16).astype(np.int64))
+                once, again = seen.setdefault(k, (np.zeros(per, bool), np.zeros(per, bool)))
+                again[at[1:][at[1:] == at[:-1]]] = True
+                again[at[once[at]]] = True
+                once[at] = True
+        for k, (_, again) in seen.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([np.packbits(again, bitorder="little").tobytes()], pa.binary())], ["slice", "bits"])
+
+    return run
 
 
 def prefix_join(groups: DataFrame, percent: int = PERCENT, lengths: bool = True) -> DataFrame:
@@ -98,8 +231,8 @@ def prefix_join(groups: DataFrame, percent: int = PERCENT, lengths: bool = True)
     sets whose size allows the threshold.
     """
     total = groups.agg(F.sum(F.col("n") * (100 - percent) / 100 + 1)).first()[0] or 0
-    frequent = groups.sparkSession.sparkContext.broadcast(_frequent(groups))
-    return _verified(_joined(groups, _prefix(frequent, percent), total, percent, lengths, True), groups, percent)
+    frequent, store = groups.sparkSession.sparkContext.broadcast(_frequent(groups)), Store(groups.sparkSession, "join")
+    return _verified(_joined(groups, _prefix(frequent, percent), float(total), percent, lengths, True, store), groups, percent, store)
 
 
 def index_join(groups: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -112,7 +245,8 @@ def index_join(groups: DataFrame, percent: int = PERCENT) -> DataFrame:
 
 def minhash_join(groups: DataFrame, percent: int = PERCENT, bands: int = 24, rows: int = 4) -> DataFrame:
     """Pairs that share a band of ``rows`` minima, verified; misses a pair at 0.7 about once in 700."""
-    return _verified(_joined(groups, _bands(bands, rows), bands * groups.count(), percent, True, False), groups, percent)
+    store = Store(groups.sparkSession, "join")
+    return _verified(_joined(groups, _bands(bands, rows), bands * groups.count(), percent, True, True, store), groups, percent, store)
 
 
 def _mixed(v: np.ndarray) -> np.ndarray:
@@ -154,12 +288,46 @@ def _bands(bands: int, rows: int):
     return keys
 
 
+def _keyed(keys, sketched: bool):
+    """Of each class its keys, its size and, if asked for, a sketch whose bits are parities of the set's hashes."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            lists = batch.column(1)
+            sizes = np.diff(lists.offsets.to_numpy()).astype(np.int64)
+            if not len(sizes):
+                continue
+            values = lists.flatten().to_numpy()
+            row = np.repeat(np.arange(len(sizes)), sizes)
+            key, at = keys(values, row, sizes)
+            order = np.argsort(at, kind="stable")
+            key, many = key[order], np.bincount(at, minlength=len(sizes))
+            ends = np.cumsum(many)
+            mixed = _mixed(values.view(np.uint64)) & np.uint64(64 * WORDS - 1)
+            sketch = np.stack([np.bitwise_xor.reduceat(np.where(mixed >> np.uint64(6) == w, np.uint64(1) << (mixed & np.uint64(63)), np.uint64(0)), np.cumsum(sizes) - sizes) for w in range(WORDS)], 1)
+            cut = [key[e - m : e].tobytes() for e, m in zip(ends, many, strict=True)]
+            bits = [r.tobytes() for r in sketch] if sketched else [b""] * len(sizes)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes.astype(np.int32)), pa.array(bits, pa.binary()), pa.array(cut, pa.binary())], ["rep", "n", "sketch", "keys"])
+
+    return run
+
+
 def _packed(keys, buckets: int, sketched: bool):
-    """Blocks of keys by bucket: the key's rest, its class, its size and, if asked for, a sketch whose bits are parities of the set's hashes."""
+    """Blocks of all keys."""
+    made, dealt = _keyed(keys, sketched), _dealt(None, buckets)
+    return lambda batches: dealt(made(batches))
+
+
+def _dealt(twice, buckets: int):
+    """Blocks of keys by bucket: the key's rest, its class, its size and sketch. With a bitmap, of those keys that two classes may hold."""
 
     def run(batches):
         import pyarrow as pa
 
+        known = twice.value if twice else None
+        power = int(len(known) * 8).bit_length() - 1 if twice else 0
         held, count = [], 0
 
         def sent():
@@ -169,19 +337,22 @@ def _packed(keys, buckets: int, sketched: bool):
             found, start = np.unique(bucket[order], return_index=True)
             parts = [order[a:b] for a, b in zip(start, [*start[1:], len(order)], strict=True)]
             cut = lambda c: pa.array([c[p].tobytes() for p in parts], pa.binary())
-            return pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), cut((key >> np.uint64(32)).astype(np.uint32)), cut(rep), cut(n), cut(sketch) if sketched else pa.array([b""] * len(parts), pa.binary())], ["bucket", "g", "rep", "n", "sketch"])
+            return pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), cut((key >> np.uint64(32)).astype(np.uint32)), cut(rep), cut(n), cut(sketch)], ["bucket", "g", "rep", "n", "sketch"])
 
         for batch in batches:
-            lists = batch.column(1)
-            sizes = np.diff(lists.offsets.to_numpy()).astype(np.int64)
-            if not len(sizes):
+            lists = batch.column("keys").to_pylist()
+            many = np.array([len(k) // 8 for k in lists], np.int64)
+            key = np.frombuffer(b"".join(lists), np.uint64)
+            kept = np.ones(len(key), bool)
+            if twice:
+                spot = _spot(key, power)
+                kept = (known[spot >> 3] >> (spot & 7).astype(np.uint8)) & 1 == 1
+            at = np.repeat(np.arange(len(many)), many)[kept]
+            if not len(at):
                 continue
-            values = lists.flatten().to_numpy()
-            row = np.repeat(np.arange(len(sizes)), sizes)
-            key, at = keys(values, row, sizes)
-            bits = np.bitwise_xor.reduceat(np.uint64(1) << (_mixed(values.view(np.uint64)) & np.uint64(63)), np.cumsum(sizes) - sizes)
-            held.append((key, batch.column(0).to_numpy()[at], sizes[at].astype(np.int32), bits[at]))
-            count += len(key)
+            bits = np.frombuffer(b"".join(batch.column("sketch").to_pylist()), np.uint64).reshape(len(many), -1)
+            held.append((key[kept], batch.column("rep").to_numpy()[at], batch.column("n").to_numpy()[at], bits[at]))
+            count += len(at)
             if count >= BLOCK:
                 yield sent()
                 held, count = [], 0
@@ -206,10 +377,10 @@ def _met(percent: int, sized: bool):
             return
         rest, rep, n = read(1, np.uint32), read(2, np.int64), read(3, np.int32).astype(np.int64)
         key = (np.repeat(np.array([p[0] for p in parts], np.uint64), [len(p[1]) // 4 for p in parts]) << np.uint64(32)) | rest
-        sketch = read(4, np.uint64)
+        sketch = read(4, np.uint64).reshape(len(key), -1)
         parts.clear()
         order = np.lexsort((n, key))
-        key, rep, n, sketch = key[order], rep[order], n[order], sketch[order] if len(sketch) else None
+        key, rep, n, sketch = key[order], rep[order], n[order], sketch[order]
         number = np.cumsum(np.concatenate([[0], key[1:] != key[:-1]])).astype(np.int64)
         most = n * 100 // percent if sized else np.full(len(n), (1 << 31) - 1)
         partners = np.searchsorted((number << 32) | n, (number << 32) | np.minimum(most, (1 << 32) - 1), "right") - np.arange(len(n)) - 1
@@ -221,8 +392,11 @@ def _met(percent: int, sized: bool):
             i = np.repeat(np.arange(begin, end), many)
             j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
             begin = end
-            if sketch is not None and len(i):
-                near = np.bitwise_count(sketch[i] ^ sketch[j]) <= (n[i] + n[j]) * (100 - percent) // (100 + percent)
+            for w in range(sketch.shape[1]):
+                part = np.bitwise_count(sketch[i, w] ^ sketch[j, w]).astype(np.int64)
+                apart = part if not w else apart + part
+            if sketch.shape[1]:
+                near = apart <= (n[i] + n[j]) * (100 - percent) // (100 + percent)
                 i, j = i[near], j[near]
             a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
             pair = np.unique(np.stack([a, b], 1)[a < b], axis=0) if len(a) < 1000 else _once(a, b)

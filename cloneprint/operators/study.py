@@ -99,18 +99,65 @@ def conjugate_pct(functions: DataFrame, variant: str = "matching") -> DataFrame:
     held = store.keep(functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c")), "held")
     shared = held.groupBy("hash").agg(F.min("owner").alias("lo"), F.max("owner").alias("hi")).where("lo <> hi").select("hash", F.monotonically_increasing_id().alias("h"))
     shared = store.keep(shared, "shared")
-    sizes = held.groupBy("class_id").agg(F.sum("c").alias("size"))
-    rows = held.where("owner is not null").join(shared, "hash").groupBy("class_id").agg(F.collect_list(F.struct("h", "c", "owner")).alias("e"), F.collect_set("owner").alias("owners"), F.sum("c").alias("all")).where("all > 1")
-    entry = F.transform("e", lambda x: F.struct(x["h"].alias("h"), x["c"].alias("c"), (F.array_position("owners", x["owner"]) - 1).alias("o")))
-    rows = store.keep(rows.join(sizes, "class_id").select("class_id", "owners", "size", entry.alias("e")), "rows")
+    rows = store.keep(_rows(held, shared), "rows")
     blocks = max(1, -(-rows.count() // CELL))
     own = F.pmod(F.xxhash64("class_id"), F.lit(blocks)).cast("int")
-    spread = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    cells = spread.withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other"), "right": F.col("own") > F.col("other")}).select("x", "y", "right", "class_id", "owners", "size", "e")
     kind = lambda c: functions.schema[c].dataType.simpleString()
-    n_cells = blocks * (blocks + 1) // 2
-    dealt = cells.repartition(max(functions.sparkSession.sparkContext.defaultParallelism, n_cells), "x", "y").sortWithinPartitions("x", "y")
-    return dealt.mapInArrow(_conjugate(variant), f"class_a {kind('class_id')}, class_b {kind('class_id')}, n_pairs long, n_conj long, pct double")
+    return _dealt(_cells(rows, own, blocks), blocks).mapInArrow(_conjugate(variant), f"class_a {kind('class_id')}, class_b {kind('class_id')}, n_pairs long, n_conj long, pct double")
+
+
+def _rows(held: DataFrame, numbers: DataFrame) -> DataFrame:
+    """(class_id, owners, size, e) of classes with two functions or more among the numbered hashes (hash, h); e: h, count, place in owners."""
+    sizes = held.groupBy("class_id").agg(F.sum("c").alias("size"))
+    rows = held.where("owner is not null").join(numbers, "hash").groupBy("class_id").agg(F.collect_list(F.struct("h", "c", "owner")).alias("e"), F.collect_set("owner").alias("owners"), F.sum("c").alias("all")).where("all > 1")
+    entry = F.transform("e", lambda x: F.struct(x["h"].alias("h"), x["c"].alias("c"), (F.array_position("owners", x["owner"]) - 1).alias("o")))
+    return rows.join(sizes, "class_id").select("class_id", "owners", "size", entry.alias("e"))
+
+
+def _cells(rows: DataFrame, own, blocks: int) -> DataFrame:
+    """Rows once for each cell of their block and another one."""
+    spread = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    return spread.withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other"), "right": F.col("own") > F.col("other")}).select("x", "y", "right", "class_id", "owners", "size", "e")
+
+
+def _dealt(cells: DataFrame, blocks: int) -> DataFrame:
+    return cells.repartition(max(cells.sparkSession.sparkContext.defaultParallelism, blocks * (blocks + 1) // 2), "x", "y").sortWithinPartitions("x", "y")
+
+
+def _sides(table):
+    """Of a cell: its rows' rank and size; its entries' row, hash, count, owner, whether they are on the right; and which are on the left (on the diagonal, all are on both)."""
+    import pyarrow.compute as pc
+
+    rank = np.empty(len(table), np.int64)
+    rank[:] = pc.rank(table.column("class_id"), tiebreaker="dense").to_numpy()
+    owners, lists = table.column("owners").combine_chunks(), table.column("e").combine_chunks()
+    entries, row = lists.flatten(), np.repeat(np.arange(len(table)), np.diff(lists.offsets.to_numpy()))
+    hashes, counts, place = (entries.field(k).to_numpy() for k in ("h", "c", "o"))
+    owner = pc.rank(owners.flatten(), tiebreaker="dense").to_numpy().astype(np.int64)[(owners.offsets.to_numpy()[:-1] - owners.offsets.to_numpy()[0])[row] + place]
+    size, right = table.column("size").to_numpy(), table.column("right").to_numpy(zero_copy_only=False).astype(bool)
+    whole = table.column("x")[0].as_py() == table.column("y")[0].as_py()
+    side = np.ones(len(row), bool) if whole else right[row]
+    return rank, size, row, hashes, counts, owner, side, np.arange(len(row)) if whole else np.flatnonzero(~side)
+
+
+def _steps(row: np.ndarray, lo: np.ndarray, hi: np.ndarray):
+    """(k, j): each place k beside its range of places j, a few rows at a time; a row is not cut, as its sums are made at once."""
+    many, ends = hi - lo, np.append(np.flatnonzero(np.diff(row)) + 1, len(row))
+    total, begin = np.cumsum(many), 0
+    while begin < len(row):
+        fit = np.searchsorted(total, (total[begin - 1] if begin else 0) + STEP, "right")
+        end = int(ends[min(max(np.searchsorted(ends, fit, "right") - 1, np.searchsorted(ends, begin, "right")), len(ends) - 1)])
+        n = many[begin:end]
+        yield np.repeat(np.arange(begin, end), n), np.repeat(lo[begin:end] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        begin = end
+
+
+def _several(a: np.ndarray, b: np.ndarray, weight: np.ndarray, rows: int) -> np.ndarray:
+    """Which places belong to pairs (a, b) whose weights add up to two or more; all of them where counting them would take more room than they do."""
+    if not len(a) or (span := int(a.max() - a.min() + 1) * rows) > 16 * len(a):
+        return np.ones(len(a), bool)
+    key = (a - a.min()) * rows + b
+    return np.bincount(key, weight, span)[key] >= 2
 
 
 def _conjugate(variant: str):
@@ -120,34 +167,19 @@ def _conjugate(variant: str):
         import pyarrow as pa
         import pyarrow.compute as pc
 
-        rank = np.empty(len(table), np.int64)
-        rank[:] = pc.rank(table.column("class_id"), tiebreaker="dense").to_numpy()
-        owners, lists = table.column("owners").combine_chunks(), table.column("e").combine_chunks()
-        entries, row = lists.flatten(), np.repeat(np.arange(len(table)), np.diff(lists.offsets.to_numpy()))
-        hashes, counts, place = (entries.field(k).to_numpy() for k in ("h", "c", "o"))
-        owner = pc.rank(owners.flatten(), tiebreaker="dense").to_numpy().astype(np.int64)[(owners.offsets.to_numpy()[:-1] - owners.offsets.to_numpy()[0])[row] + place]
-        size, right = table.column("size").to_numpy(), table.column("right").to_numpy(zero_copy_only=False)
-        whole = table.column("x")[0].as_py() == table.column("y")[0].as_py()
-        side = np.ones(len(row), bool) if whole else right[row]
+        rank, size, row, hashes, counts, owner, side, left = _sides(table)
+        whole = len(left) == len(row)
         order = np.argsort(hashes[side], kind="stable")
         rh, rr, rc, ro = hashes[side][order], row[side][order], counts[side][order], owner[side][order]
-        left = np.arange(len(row)) if whole else np.flatnonzero(~side)
         lo, hi = np.searchsorted(rh, hashes[left], "left"), np.searchsorted(rh, hashes[left], "right")
-        total = np.cumsum(hi - lo)
-        # a row of the left side is not cut, as its sums are made at once
-        ends = np.append(np.flatnonzero(np.diff(row[left])) + 1, len(left))
-        begin = 0
-        while begin < len(left):
-            fit = np.searchsorted(total, (total[begin - 1] if begin else 0) + STEP, "right")
-            end = int(ends[min(max(np.searchsorted(ends, fit, "right") - 1, np.searchsorted(ends, begin, "right")), len(ends) - 1)])
-            many = (hi - lo)[begin:end]
-            i = np.repeat(left[begin:end], many)
-            j = np.repeat(lo[begin:end], many) + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
-            begin = end
+        for k, j in _steps(row[left], lo, hi):
+            i = left[k]
             a, b, ca, cb = row[i], rr[j], counts[i], rc[j]
             fits = owner[i] != ro[j]
             fits &= (rank[a] < rank[b]) if whole else (rank[a] != rank[b])
             a, b, ca, cb = a[fits], b[fits], ca[fits], cb[fits]
+            fits = _several(a, b, np.minimum(ca, cb), len(table))
+            a, b, ca, cb = a[fits], b[fits], ca[fits], cb[fits]
             if not len(a):
                 continue
             order = np.argsort(a * len(table) + b, kind="stable")
@@ -173,63 +205,129 @@ def _conjugate(variant: str):
     return run
 
 
-def _similar_pairs(functions: DataFrame, near: DataFrame) -> DataFrame:
-    """Similar hashes of class pairs of different owners: class_a < class_b, ha, hb, how often each has them, and sim."""
-    held = functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c"))
-    a = held.select(F.col("class_id").alias("class_a"), F.col("owner").alias("owner_a"), F.col("hash").alias("ha"), F.col("c").alias("ca"))
-    b = held.select(F.col("class_id").alias("class_b"), F.col("owner").alias("owner_b"), F.col("hash").alias("hb"), F.col("c").alias("cb"))
-    pair = near.select(F.col("hash").alias("ha"), F.col("other").alias("hb"), *[c for c in ("sim",) if c in near.columns])
-    return a.join(pair, "ha").join(b, "hb").where("class_a < class_b and owner_a <> owner_b")
-
-
-def _with_sizes(per: DataFrame, functions: DataFrame) -> DataFrame:
-    sizes = functions.groupBy("class_id").agg(F.count("*").alias("size"))
-    n, m = sizes.select(F.col("class_id").alias("class_a"), F.col("size").alias("n")), sizes.select(F.col("class_id").alias("class_b"), F.col("size").alias("n_b"))
-    out = per.where("n_conj > 0").join(n, "class_a").join(m, "class_b")
-    return out.select("class_a", "class_b", "n_pairs", "n_conj", F.round(F.col("n_conj") / (F.col("n") + F.col("n_b")), 6).alias("pct"))
-
-
 def conjugate_pct_similar(functions: DataFrame, near: DataFrame, variant: str = "functions") -> DataFrame:
     """The same percentage when clones are similar hashes: near (hash, other, both ways, each beside itself; for ``matching`` also sim).
 
     Similar hashes are not transitive, so a pair's ends are counted apart: a pair has a partner on both sides if all pairs outnumber those at either end.
-    ``matching`` takes pairs one to one in the order of their similarity, at least half of the best matching; it gathers one class pair at a time.
+    ``matching`` takes pairs one to one in the order of their similarity, at least half of the best matching. Classes meet block by block, beside those similar hashes that
+    both sides hold; class pairs with a single pair of clones are never written.
     """
-    shared = _similar_pairs(functions, near)
-    if variant == "matching":
-        parts = shared.select("class_a", "class_b", "ha", "hb", "ca", "cb", "sim")
-        per = parts.groupBy("class_a", "class_b").applyInArrow(_greedy, f"class_a {parts.schema['class_a'].dataType.simpleString()}, class_b {parts.schema['class_b'].dataType.simpleString()}, n_pairs long, n_conj long")
-        return _with_sizes(per, functions)
-    by = ("class_a", "class_b")
-    total = shared.groupBy(*by).agg(F.sum(F.col("ca") * F.col("cb")).alias("n_pairs")).where("n_pairs > 1")
-    at_a = shared.groupBy(*by, "ha").agg(F.sum("cb").alias("na"))
-    at_b = shared.groupBy(*by, "hb").agg(F.sum("ca").alias("nb"))
-    conj = shared.join(total, list(by)).join(at_a, [*by, "ha"]).join(at_b, [*by, "hb"]).where("n_pairs - na - nb + 1 >= 1")
-    if variant == "pairs":
-        per = conj.groupBy(*by).agg(F.first("n_pairs").alias("n_pairs"), (2 * F.sum(F.col("ca") * F.col("cb"))).alias("n_conj"))
-    elif variant == "functions":
-        side = lambda h, c: conj.select(*by, "n_pairs", F.lit(h).alias("side"), F.col(h).alias("h"), F.col(c).alias("c")).distinct()
-        per = side("ha", "ca").unionByName(side("hb", "cb")).groupBy(*by).agg(F.first("n_pairs").alias("n_pairs"), F.sum("c").alias("n_conj"))
-    else:
+    if variant not in ("pairs", "functions", "matching"):
         raise ValueError(f"no variant {variant!r}")
-    return _with_sizes(per, functions)
+    store = Store(functions.sparkSession, "conjugate")
+    held = store.keep(functions.groupBy("class_id", "owner", "hash").agg(F.count("*").alias("c")), "held")
+    ends = held.groupBy("hash").agg(F.min("owner").alias("lo"), F.max("owner").alias("hi"))
+    links = near.join(ends, "hash").join(ends.select(F.col("hash").alias("other"), F.col("lo").alias("lo_b"), F.col("hi").alias("hi_b")), "other")
+    sim = F.col("sim") if "sim" in near.columns else F.lit(1.0)
+    links = store.keep(links.where(F.least("lo", "lo_b") != F.greatest("hi", "hi_b")).select("hash", "other", sim.alias("sim")).distinct(), "links")
+    # numbers in the order of the hashes, by which equal similarities are taken
+    numbers = store.keep(links.select("hash").union(links.select("other")).distinct().orderBy("hash").select("hash", F.monotonically_increasing_id().alias("h")), "numbers")
+    rows = store.keep(_rows(held, numbers), "rows")
+    blocks = max(1, -(-rows.count() // CELL))
+    own = F.pmod(F.xxhash64("class_id"), F.lit(blocks)).cast("int")
+    places = rows.select(own.alias("x"), F.explode("e.h").alias("ha")).distinct()
+    pairs = links.join(numbers.withColumnRenamed("h", "ha"), "hash").select("other", "ha", "sim").join(numbers.select(F.col("hash").alias("other"), F.col("h").alias("hb")), "other")
+    pairs = pairs.select("ha", "hb", "sim").join(places, "ha").join(places.select(F.col("x").alias("y"), F.col("ha").alias("hb")), "hb").where("x <= y")
+    cells = _cells(rows, own, blocks).unionByName(pairs.select("x", "y", "ha", "hb", "sim"), allowMissingColumns=True)
+    kind = lambda c: functions.schema[c].dataType.simpleString()
+    out = _dealt(cells, blocks).mapInArrow(_conjugate_similar(variant), f"class_a {kind('class_id')}, class_b {kind('class_id')}, n_pairs long, n_conj long, size long")
+    return out.select("class_a", "class_b", "n_pairs", "n_conj", F.round(F.col("n_conj") / F.col("size"), 6).alias("pct"))
 
 
-def _greedy(table):
-    """One-to-one pairs of a class pair, most similar first; equal hashes of a side are as many functions as they count."""
-    import pyarrow as pa
+def _conjugate_similar(variant: str):
+    def cell(table):
+        import pyarrow as pa
+        import pyarrow.compute as pc
 
-    rows = sorted(table.to_pylist(), key=lambda r: (-r["sim"], r["ha"], r["hb"]))
+        links, table = table.filter(pc.is_valid(table.column("ha"))), table.filter(pc.is_null(table.column("ha")))
+        if not len(links) or not len(table):
+            return
+        rank, size, row, hashes, counts, owner, side, left = _sides(table)
+        kinds, hashes = np.unique(hashes, return_inverse=True)
+        la, lb = (np.searchsorted(kinds, links.column(c).to_numpy()) for c in ("ha", "hb"))
+        order = np.argsort(la, kind="stable")
+        la, lb, ls = la[order], lb[order], links.column("sim").to_numpy()[order]
+        right = np.flatnonzero(side)
+        right = right[np.argsort(hashes[right], kind="stable")]
+        # entries of the left side beside each hash that is similar to theirs
+        at, many = np.searchsorted(la, hashes[left], "left"), np.searchsorted(la, hashes[left], "right")
+        many = many - at
+        e, k = np.repeat(left, many), np.repeat(at - (np.cumsum(many) - many), many) + np.arange(many.sum())
+        if not len(e):
+            return
+        to, sim = lb[k], ls[k]
+        whole = len(left) == len(row)
+        for k, j in _steps(row[e], np.searchsorted(hashes[right], to, "left"), np.searchsorted(hashes[right], to, "right")):
+            i, j = e[k], right[j]
+            fits = owner[i] != owner[j]
+            fits &= (rank[row[i]] < rank[row[j]]) if whole else (rank[row[i]] != rank[row[j]])
+            i, j, s = i[fits], j[fits], sim[k[fits]]
+            fits = _several(row[i], row[j], counts[i] * counts[j], len(table))
+            i, j, s = i[fits], j[fits], s[fits]
+            if not len(i):
+                continue
+            turned = rank[row[i]] > rank[row[j]]
+            i, j = np.where(turned, j, i), np.where(turned, i, j)
+            order = np.argsort(row[i] * len(table) + row[j], kind="stable")
+            i, j, s = i[order], j[order], s[order]
+            a, b, ha, hb, ca, cb = row[i], row[j], hashes[i], hashes[j], counts[i], counts[j]
+            new = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+            p, a, b = np.cumsum(new) - 1, a[new], b[new]
+            pairs, conj = _tops(variant, p, ha, hb, ca, cb, s, len(kinds))
+            keep = conj > 0
+            if keep.any():
+                a, b = a[keep], b[keep]
+                yield pa.table({"class_a": table.column("class_id").take(pa.array(a)), "class_b": table.column("class_id").take(pa.array(b)), "n_pairs": pairs[keep], "n_conj": conj[keep], "size": size[a] + size[b]})
+
+    def run(batches):
+        for table in runs(batches, ("x", "y")):
+            for out in cell(table):
+                yield from out.combine_chunks().to_batches()
+
+    return run
+
+
+def _tops(variant: str, p, ha, hb, ca, cb, sim, kinds: int) -> tuple:
+    """Pairs and conjugate ones of each class pair p, whose rows lie side by side."""
+    add = lambda where, v: np.bincount(where, v, int(p[-1]) + 1).astype(np.int64)
+    total = add(p, ca * cb)
+    at = [np.unique(p * kinds + h, return_inverse=True)[1] for h in (ha, hb)]
+    if variant == "matching":
+        # where no function is in two pairs, all are taken
+        matched, several = add(p, np.minimum(ca, cb)), np.zeros(len(total), bool)
+        for side in at:
+            several[p[np.bincount(side)[side] > 1]] = True
+        starts = np.searchsorted(p, np.arange(len(total) + 1))
+        for k in np.flatnonzero(several):
+            cut = slice(starts[k], starts[k + 1])
+            matched[k] = _greedy(*(v[cut].tolist() for v in (sim, ha, hb, ca, cb)))
+        return total, np.where(matched > 1, 2 * matched, 0)
+    others = total[p] - np.bincount(at[0], cb)[at[0]].astype(np.int64) - np.bincount(at[1], ca)[at[1]].astype(np.int64) + 1
+    kept = others >= 1
+    if variant == "pairs":
+        return total, 2 * add(p[kept], (ca * cb)[kept])
+    out = np.zeros(len(total), np.int64)
+    for side, c in zip(at, (ca, cb), strict=True):
+        # a hash that a class holds under two owners counts once for each number of them
+        side, c, q = side[kept], c[kept], p[kept]
+        order = np.lexsort((c, side))
+        side, c, q = side[order], c[order], q[order]
+        new = np.ones(len(q), bool)
+        new[1:] = (side[1:] != side[:-1]) | (c[1:] != c[:-1])
+        out += add(q[new], c[new])
+    return total, out
+
+
+def _greedy(sim: list, ha: list, hb: list, ca: list, cb: list) -> int:
+    """One-to-one pairs of a class pair, most similar first; equal hashes of a side are as many functions as they count."""
     left: dict = {}
     matched = 0
-    for r in rows:
-        a, b = left.setdefault(("a", r["ha"]), r["ca"]), left.setdefault(("b", r["hb"]), r["cb"])
+    for _, x, y, n, m in sorted(zip([-s for s in sim], ha, hb, ca, cb, strict=True)):
+        a, b = left.setdefault(("a", x), n), left.setdefault(("b", y), m)
         take = min(a, b)
-        left["a", r["ha"]], left["b", r["hb"]] = a - take, b - take
+        left["a", x], left["b", y] = a - take, b - take
         matched += take
-    n = sum(r["ca"] * r["cb"] for r in rows)
-    out = {"class_a": table.column("class_a")[:1], "class_b": table.column("class_b")[:1], "n_pairs": pa.array([n], pa.int64()), "n_conj": pa.array([2 * matched if matched > 1 else 0], pa.int64())}
-    return pa.table(out)
+    return matched
 
 
 def overlap_ratio(subject: DataFrame, component: DataFrame, denominator: str = "component") -> DataFrame:
