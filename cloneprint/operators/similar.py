@@ -24,6 +24,8 @@ SAMPLE, FREQUENT = 100_000, 200_000
 BUCKET, BLOCK, STEP = 1_000_000, 1_000_000, 2_000_000
 #: pairs of a cell, about; words of 64 bits of a sketch; bits of the bitmap of keys, as a power of two at most, and how many slices it is made in
 CELL, WORDS, SPOTS, SLICES = 20_000, 4, 28, 64
+#: remainders by which classes without a pair are told; it bounds what is broadcast
+REMAINDERS = 1 << 20
 #: fewer keys go without the bitmap
 FEW = 1_000_000
 _KEYS = "rep long, n int, sketch binary, keys binary"
@@ -82,7 +84,10 @@ def _verified(pairs: DataFrame, groups: DataFrame, percent: int, store: Store) -
     x, y = side("a"), side("b")
     placed = pairs.select("a", "b", F.least(x, y).alias("x"), F.greatest(x, y).alias("y"))
     ends = placed.select("x", "y", F.explode(F.array("a", "b")).alias("rep")).distinct()
-    texts = groups.select("rep", "words").join(ends, "rep").select("x", "y", F.col("rep").alias("a"), F.lit(None).cast("long").alias("b"), "words")
+    # most classes are in no pair: a bounded number of remainders tells nearly all of them before their words move
+    spot = F.pmod(F.xxhash64("rep"), F.lit(REMAINDERS))
+    among = groups.select("rep", "words", spot.alias("spot")).join(F.broadcast(ends.select(spot.alias("spot")).distinct()), "spot", "left_semi")
+    texts = among.join(ends, "rep").select("x", "y", F.col("rep").alias("a"), F.lit(None).cast("long").alias("b"), "words")
     rows = texts.unionByName(placed.withColumn("words", F.lit(None).cast("string")))
     counted = rows.repartition(cells, "x", "y").sortWithinPartitions("x", "y").mapInArrow(_counted(percent), "a long, b long, n long, m long, shared long")
     return counted.select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))

@@ -92,9 +92,8 @@ def minhash_recall(spark, d):
 
 def similar_units(spark, d):
     store = Store(spark, "similar")
-    sets = _sets(spark, d)
+    sets = store.keep(_sets(spark, d), "sets", "zstd")
     groups = S.classes(sets, store)
-    sets = store.keep(sets.select("id", "h1", "h2"), "sets")
     units = S.unit_links(sets, groups, S.prefix_join(groups))
     return units.select("id.doc_id", "id.pos", F.col("first.doc_id").alias("rep_doc"), F.col("first.pos").alias("rep_pos"), "n_links")
 
@@ -111,7 +110,8 @@ def _functions(spark, d):
 def _similar_functions(spark, d):
     """Functions by their class of equal shingle sets, and which classes are similar."""
     store = Store(spark, "functions")
-    sets = _sets(spark, d, MIN_CHARS)
+    # made once, as shingling costs more than what is written
+    sets = store.keep(_sets(spark, d, MIN_CHARS), "sets", "zstd")
     groups = S.classes(sets, store)
     name = lambda c: F.concat_ws(":", f"{c}.doc_id", f"{c}.pos")
     pairs = store.keep(S.named(S.prefix_join(groups), groups).select(name("a").alias("hash"), name("b").alias("other"), "sim"), "pairs")
