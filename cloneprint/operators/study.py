@@ -11,8 +11,8 @@ from ..plans.groups import runs
 from ..plans.store import Store
 from . import units as U
 
-#: classes of a block; shared functions of class pairs that are looked at together
-CELL, STEP = 4000, 2_000_000
+#: classes of a block; shared functions of class pairs that are looked at together, which bounds a worker's memory: two of them stand beside an executor's heap
+CELL, STEP = 4000, 500_000
 
 
 def file_clones(docs: DataFrame, *keep: str, lang: str = "prose", text: str = "text") -> DataFrame:

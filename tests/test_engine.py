@@ -535,3 +535,18 @@ def test_conjugate_similar_by_blocks_equals_pairs_of_pairs(spark, monkeypatch, c
     for variant, expected in want.items():
         got = {(r["class_a"], r["class_b"]): (r["n_pairs"], r["n_conj"], r["pct"]) for r in G.conjugate_pct_similar(fns, links, variant).collect()}
         assert expected and {k: v for k, v in got.items() if variant != "matching" or not set(k) & several} == expected
+
+
+def test_step_of_class_pairs_stays_small():
+    import tracemalloc
+
+    import numpy as np
+
+    # the widest range of pairs that is still counted: 16 for each place of a step
+    n = G.STEP
+    a, b = np.arange(n) % 1600, np.arange(n) % (n // 100)
+    tracemalloc.start()
+    G._several(a, b, np.ones(n), n // 100)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150e6
