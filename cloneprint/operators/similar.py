@@ -54,7 +54,17 @@ def shingled(units: DataFrame, id_col: str, text: str) -> DataFrame:
 def classes(sets: DataFrame, store: Store) -> DataFrame:
     """(rep, first, n_members, n, words, h1, h2), written: rep is the class's number, first its smallest id, words those of that member."""
     grouped = sets.groupBy("h1", "h2").agg(F.min(F.struct("id", "words", "n")).alias("m"), F.count("*").alias("n_members"))
-    return store.keep(grouped.select(F.monotonically_increasing_id().alias("rep"), F.col("m.id").alias("first"), "n_members", "m.n", "m.words", "h1", "h2"), "classes", "zstd")
+    groups = store.keep(grouped.select(F.monotonically_increasing_id().alias("rep"), F.col("m.id").alias("first"), "n_members", "m.n", "m.words", "h1", "h2"), "classes", "zstd")
+    store.free()
+    return groups
+
+
+def classes_of(sets: DataFrame, store: Store) -> tuple[DataFrame, DataFrame]:
+    """(id, h1, h2) of all units and their classes, both written; the words stay with the classes alone."""
+    kept = store.keep(sets, "sets", "zstd")
+    groups, members = classes(kept, store), store.keep(kept.select("id", "h1", "h2"), "members", "zstd")
+    store.drop("sets")
+    return members, groups
 
 
 def with_set(groups: DataFrame) -> DataFrame:
@@ -78,6 +88,8 @@ def _verified(pairs: DataFrame, groups: DataFrame, percent: int, store: Store) -
     pairs = store.keep(pairs, "pairs")
     store.drop("keys")
     cells = max(2 * groups.sparkSession.sparkContext.defaultParallelism, pairs.count() // CELL)
+    # not before another job, as Spark holds on to its last one
+    store.free()
     sides = int(np.ceil(np.sqrt(2 * cells)))
     side = lambda c: F.pmod(F.xxhash64(c), F.lit(sides)).cast("int")
     # a cell goes by its sides in order, so that both halves of the square are used as one
@@ -158,7 +170,9 @@ def _joined(groups: DataFrame, keys, n_keys: float, percent: int, sized: bool, s
         blocks = with_set(groups).mapInArrow(_packed(keys, buckets, sketched), _BLOCKS)
     else:
         keyed = store.keep(with_set(groups).mapInArrow(_keyed(keys, sketched), _KEYS), "keys")
-        blocks = keyed.mapInArrow(_dealt(spark.sparkContext.broadcast(_twice(keyed, n_keys)), buckets), _BLOCKS)
+        twice = spark.sparkContext.broadcast(_twice(keyed, n_keys))
+        store.free()
+        blocks = keyed.mapInArrow(_dealt(twice, buckets), _BLOCKS)
     return blocks.repartition(buckets, "bucket").mapInArrow(_met(percent, sized), "a long, b long").distinct()
 
 

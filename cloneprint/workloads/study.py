@@ -84,7 +84,10 @@ def minhash_recall(spark, d):
     """One row: pairs of the exact join, false ones of the banded join, and whether it finds 95 in 100."""
     store = Store(spark, "recall")
     groups = S.classes(_sets(spark, d), store)
-    exact, found = store.keep(S.prefix_join(groups), "exact"), store.keep(S.minhash_join(groups), "found")
+    exact = store.keep(S.prefix_join(groups), "exact")
+    store.free()
+    found = store.keep(S.minhash_join(groups), "found")
+    store.free()
     both = exact.select("a", "b", F.lit(1).alias("e")).join(found.select("a", "b", F.lit(1).alias("f")), ["a", "b"], "full")
     counts = both.agg(F.count("e").alias("n_exact"), (F.count("*") - F.count("e")).alias("n_false"), F.count_if(F.col("e").isNotNull() & F.col("f").isNotNull()).alias("hit"))
     return counts.select("n_exact", "n_false", (F.col("hit") * 100 >= F.col("n_exact") * 95).alias("enough"))
@@ -92,8 +95,7 @@ def minhash_recall(spark, d):
 
 def similar_units(spark, d):
     store = Store(spark, "similar")
-    sets = store.keep(_sets(spark, d), "sets", "zstd")
-    groups = S.classes(sets, store)
+    sets, groups = S.classes_of(_sets(spark, d), store)
     units = S.unit_links(sets, groups, S.prefix_join(groups))
     return units.select("id.doc_id", "id.pos", F.col("first.doc_id").alias("rep_doc"), F.col("first.pos").alias("rep_pos"), "n_links")
 
@@ -111,14 +113,16 @@ def _similar_functions(spark, d):
     """Functions by their class of equal shingle sets, and which classes are similar."""
     store = Store(spark, "functions")
     # made once, as shingling costs more than what is written
-    sets = store.keep(_sets(spark, d, MIN_CHARS), "sets", "zstd")
-    groups = S.classes(sets, store)
+    sets, groups = S.classes_of(_sets(spark, d, MIN_CHARS), store)
     name = lambda c: F.concat_ws(":", f"{c}.doc_id", f"{c}.pos")
     pairs = store.keep(S.named(S.prefix_join(groups), groups).select(name("a").alias("hash"), name("b").alias("other"), "sim"), "pairs")
     near = pairs.unionByName(pairs.select(F.col("other").alias("hash"), F.col("hash").alias("other"), "sim"))
     near = near.unionByName(groups.select(name("first").alias("hash"), name("first").alias("other"), F.lit(1.0).alias("sim")))
     functions = sets.select("id", "h1", "h2").join(groups.select("h1", "h2", "first"), ["h1", "h2"]).select(F.col("id.doc_id").alias("class_id"), F.col("id.source").alias("owner"), F.col("id.pos").alias("fn"), name("first").alias("hash"))
-    return store.keep(functions, "named"), store.keep(near, "near")
+    functions, near = store.keep(functions, "named"), store.keep(near, "near")
+    store.drop("members", "classes", "pairs")
+    store.free()
+    return functions, near
 
 
 def _calls(spark, d):

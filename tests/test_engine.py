@@ -537,6 +537,18 @@ def test_conjugate_similar_by_blocks_equals_pairs_of_pairs(spark, monkeypatch, c
         assert expected and {k: v for k, v in got.items() if variant != "matching" or not set(k) & several} == expected
 
 
+def test_members_keep_no_words(spark):
+    from pathlib import Path
+
+    from cloneprint.plans.store import Store
+
+    store = Store(spark, "narrow")
+    rows = [(1, "one two three four five"), (2, "one two three four five"), (3, "six seven eight nine")]
+    members, groups = S.classes_of(S.shingled(spark.createDataFrame(rows, "id long, t string"), "id", "t"), store)
+    assert members.columns == ["id", "h1", "h2"] and members.count() == 3 and groups.count() == 2
+    assert {p.name for p in Path(store.base.removeprefix("file://")).iterdir()} == {"classes", "members"}
+
+
 def test_step_of_class_pairs_stays_small():
     import tracemalloc
 
