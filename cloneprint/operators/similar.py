@@ -9,6 +9,8 @@ Shingles are 64-bit hashes. Thresholds are in percent and compared as integers.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -22,6 +24,8 @@ K, PERCENT = 3, 70
 SAMPLE, FREQUENT = 100_000, 200_000
 #: index keys of a bucket, about; keys a task holds back before it sends its blocks; pairs made at once
 BUCKET, BLOCK, STEP = 1_000_000, 1_000_000, 2_000_000
+#: keys meet in rounds, each with a share of the buckets, so that few blocks are on disk at once: keys of a round at least, and rounds at most, as each reads all keys
+ROUND, ROUNDS = 8_000_000, 4
 #: pairs of a cell, about; words of 64 bits of a sketch; bits of the bitmap of keys, as a power of two at most, and how many slices it is made in
 CELL, WORDS, SPOTS, SLICES = 20_000, 4, 28, 64
 #: remainders by which classes without a pair are told; it bounds what is broadcast
@@ -86,9 +90,8 @@ def _verified(pairs: DataFrame, groups: DataFrame, percent: int, store: Store) -
     Classes are dealt to sides and pairs to the cells of two sides. A class's words go once to each cell where it has a pair, however many it has there.
     """
     pairs = store.keep(pairs, "pairs")
-    store.drop("keys")
+    store.drop(*[f"met{k}" for k in range(ROUNDS)])
     cells = max(2 * groups.sparkSession.sparkContext.defaultParallelism, pairs.count() // CELL)
-    # not before another job, as Spark holds on to its last one
     store.free()
     sides = int(np.ceil(np.sqrt(2 * cells)))
     side = lambda c: F.pmod(F.xxhash64(c), F.lit(sides)).cast("int")
@@ -102,7 +105,11 @@ def _verified(pairs: DataFrame, groups: DataFrame, percent: int, store: Store) -
     texts = among.join(ends, "rep").select("x", "y", F.col("rep").alias("a"), F.lit(None).cast("long").alias("b"), "words")
     rows = texts.unionByName(placed.withColumn("words", F.lit(None).cast("string")))
     counted = rows.repartition(cells, "x", "y").sortWithinPartitions("x", "y").mapInArrow(_counted(percent), "a long, b long, n long, m long, shared long")
-    return counted.select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim"))
+    # written, so that what comes after neither counts again nor waits for these shuffle files to go
+    out = store.keep(counted.select("a", "b", _sim(F.col("shared"), F.col("n"), F.col("m")).alias("sim")), "similar")
+    store.drop("pairs")
+    store.free()
+    return out
 
 
 def _counted(percent: int):
@@ -163,17 +170,28 @@ def _frequent(groups: DataFrame) -> tuple:
 
 
 def _joined(groups: DataFrame, keys, n_keys: float, percent: int, sized: bool, sketched: bool, store: Store) -> DataFrame:
-    """(a, b) of distinct classes that share a key; ``keys`` makes them from a batch of sets. Of many keys, those of one class alone do not move."""
+    """(a, b) of distinct classes that share a key; ``keys`` makes them from a batch of sets. Of many keys, those of one class alone do not move, and the others meet in rounds."""
     spark = groups.sparkSession
+    # what the classes were made from
+    store.free()
     buckets = max(spark.sparkContext.defaultParallelism, int(n_keys / BUCKET) + 1)
     if n_keys < FEW:
         blocks = with_set(groups).mapInArrow(_packed(keys, buckets, sketched), _BLOCKS)
-    else:
-        keyed = store.keep(with_set(groups).mapInArrow(_keyed(keys, sketched), _KEYS), "keys")
-        twice = spark.sparkContext.broadcast(_twice(keyed, n_keys))
+        return blocks.repartition(buckets, "bucket").mapInArrow(_met(percent, sized), "a long, b long").distinct()
+    keyed = store.keep(with_set(groups).mapInArrow(_keyed(keys, sketched), _KEYS), "keys")
+    twice = spark.sparkContext.broadcast(_twice(keyed, n_keys))
+    store.free()
+    rounds = int(np.clip(n_keys // ROUND, 1, ROUNDS))
+    # a round has few buckets, which more partitions hold apart
+    parts = buckets if rounds == 1 else max(spark.sparkContext.defaultParallelism, 2 * -(-buckets // rounds))
+    met = []
+    for k in range(rounds):
+        blocks = keyed.mapInArrow(_dealt(twice, buckets, k, rounds), _BLOCKS)
+        met.append(store.keep(blocks.repartition(parts, "bucket").mapInArrow(_met(percent, sized), "a long, b long").distinct(), f"met{k}"))
         store.free()
-        blocks = keyed.mapInArrow(_dealt(twice, buckets), _BLOCKS)
-    return blocks.repartition(buckets, "bucket").mapInArrow(_met(percent, sized), "a long, b long").distinct()
+    store.drop("keys")
+    # a pair may have met in several rounds
+    return met[0] if rounds == 1 else reduce(DataFrame.unionByName, met).distinct()
 
 
 def _twice(keyed: DataFrame, n_keys: float) -> np.ndarray:
@@ -339,8 +357,8 @@ def _packed(keys, buckets: int, sketched: bool):
     return lambda batches: dealt(made(batches))
 
 
-def _dealt(twice, buckets: int):
-    """Blocks of keys by bucket: the key's rest, its class, its size and sketch. With a bitmap, of those keys that two classes may hold."""
+def _dealt(twice, buckets: int, part: int = 0, rounds: int = 1):
+    """Blocks of keys by bucket: the key's rest, its class, its size and sketch. With a bitmap, of those keys that two classes may hold; of several rounds, one's buckets."""
 
     def run(batches):
         import pyarrow as pa
@@ -366,6 +384,8 @@ def _dealt(twice, buckets: int):
             if twice:
                 spot = _spot(key, power)
                 kept = (known[spot >> 3] >> (spot & 7).astype(np.uint8)) & 1 == 1
+            if rounds > 1:
+                kept &= _mixed(key) % np.uint64(buckets) % np.uint64(rounds) == part
             at = np.repeat(np.arange(len(many)), many)[kept]
             if not len(at):
                 continue

@@ -50,6 +50,8 @@ class Store:
 
     def free(self) -> None:
         """Spark deletes the shuffle files that no DataFrame needs any more; without this they stay until the driver's memory happens to run short."""
+        # Spark holds on to its last query until another one ends
+        self.spark.range(1).collect()
         gc.collect()
         self.spark.sparkContext._jvm.System.gc()
 

@@ -494,6 +494,41 @@ def test_similar_join_by_bitmap_and_cells(spark, monkeypatch, step):
     assert sum(len(r["g"]) // 4 for r in blocks.collect()) < 0.7 * sum(len(r["keys"]) // 8 for r in keyed.collect())
 
 
+def test_similar_join_in_rounds_leaves_no_shuffle_files(spark, monkeypatch):
+    import time
+    from pathlib import Path
+
+    from cloneprint.plans.store import Store
+
+    folders = [Path(f.getPath()) for f in spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirs()]
+    shuffled = lambda: {f for folder in folders for f in folder.rglob("shuffle_*.data")}
+    before, left, keep = shuffled(), {}, Store.keep
+
+    def watched(self, df, name, *more):
+        for _ in range(50):  # they go a little later
+            left[name] = len((shuffled() - before) & (of_classes if name == "keys" else shuffled()))
+            if not left[name]:
+                break
+            time.sleep(0.1)
+        return keep(self, df, name, *more)
+
+    near = [(k, " ".join(f"w{k}" if p == k % 30 else f"c{p}" for p in range(60))) for k in range(40)]
+    rows = [*near, *[(100 + k, " ".join(f"o{k // 2}x{p}" for p in range(20 + k % 2))) for k in range(40)]]
+    sets = {i: {tuple(t.split()[k : k + 3]) for k in range(len(t.split()) - 2)} for i, t in rows}
+    want = {(a, b): round(len(sets[a] & sets[b]) / len(sets[a] | sets[b]), 6) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) * 100 >= len(sets[a] | sets[b]) * 70}
+    groups = S.classes(S.shingled(spark.createDataFrame(rows, "id long, t string"), "id", "t"), Store(spark, "t"))
+    of_classes = shuffled() - before
+    assert of_classes
+    monkeypatch.setattr(Store, "keep", watched)
+    monkeypatch.setattr(S, "FEW", 0)
+    monkeypatch.setattr(S, "ROUND", 100)
+    for join in (S.prefix_join, S.index_join, S.minhash_join):
+        left.clear()
+        found = {(r["a"], r["b"]): r["sim"] for r in S.named(join(groups), groups).collect()}
+        assert found == want if join is not S.minhash_join else found.items() <= want.items()
+        assert {k: left[k] for k in ("keys", "met1", "met3", "pairs")} == dict.fromkeys(("keys", "met1", "met3", "pairs"), 0)
+
+
 @pytest.mark.parametrize("cell", [3, 4000])
 def test_conjugate_similar_by_blocks_equals_pairs_of_pairs(spark, monkeypatch, cell):
     import random
