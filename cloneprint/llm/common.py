@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
+import os
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +15,10 @@ from pyspark.sql import functions as F
 from ..plans.store import Store
 
 
+#: bytes of its own that a worker may keep between tasks
+LITTLE = 96 << 20
+
+
 class Scratch(Store):
     """A store whose tables are compressed more, and which can bound the rows of an Arrow batch while it writes wide rows."""
 
@@ -25,6 +34,30 @@ class Scratch(Store):
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
 
+def give_back() -> None:
+    """Free memory goes back to the system, as far as the allocators let it; a process that holds little is left alone."""
+    with contextlib.suppress(OSError), open("/proc/self/statm") as f:
+        _, resident, shared, *_ = map(int, f.read().split())
+        if (resident - shared) * os.sysconf("SC_PAGE_SIZE") < LITTLE:
+            return
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library has it
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def lean(run):
+    """``run`` for Spark's Python workers. They stay for tasks of later stages, some of them idle; without this each keeps what its largest task took."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return wrapped
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
@@ -80,7 +113,7 @@ def connected_components(edges: DataFrame, scratch: Scratch, name: str = "cc", r
     still mean one component, but one component may keep several labels.
     """
     spark = edges.sparkSession
-    star = scratch.keep(edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).mapInArrow(local_forest, "a long, b long"), f"{name}-e")
+    star = scratch.keep(edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).mapInArrow(lean(local_forest), "a long, b long"), f"{name}-e")
     both = star.unionByName(star.select(F.col("b").alias("a"), F.col("a").alias("b")))
     # `down` keeps one row a node: a first guess from its own edges
     labels = scratch.keep(both.groupBy(F.col("a").alias("node")).agg(F.least(F.col("node"), F.min("b")).alias("label")), f"{name}-0")

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words
+from .common import lean
 
 SEED_WORDS, CUT, SLICE_CHARS = 2, 0.4, 16_000_000
 MATCH, MISMATCH, GAP = 2, -1, -1
@@ -161,6 +162,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, cut: float = CUT) -> Dat
     for k in range(slices):  # one slice unless the benchmark is very large
         part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k).orderBy("item_id", "text").collect()
         seeds = spark.sparkContext.broadcast(Seeds([(r["item_id"], r["text"].encode()) for r in part], cut))
-        found = base.mapInArrow(_aligned(seeds, cut), "doc_id long, item_id long, score double, start long, end long")
+        found = base.mapInArrow(lean(_aligned(seeds, cut)), "doc_id long, item_id long, score double, start long, end long")
         out = found if out is None else out.unionByName(found)
     return out

@@ -237,6 +237,11 @@ def encoder(path: str) -> Encoder:
     return _loaded[path]
 
 
+def forget() -> None:
+    """The worker goes on without an encoder; the next task that needs one loads it again."""
+    _loaded.clear()
+
+
 def public_path(name: str = "byte_bpe_50k.json") -> str:
     import public_tokenizers
 

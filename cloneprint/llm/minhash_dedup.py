@@ -124,7 +124,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     scratch = common.Scratch(spark, "minhash")
     text = F.col(text_col).cast("string")
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("th"))
-    sketched = base.mapInArrow(_sketches, "doc_id long, th long, n long, fx long, fy long, regs binary")
+    sketched = base.mapInArrow(common.lean(_sketches), "doc_id long, th long, n long, fx long, fy long, regs binary")
     sketch = scratch.keep(sketched.withColumn("row", F.monotonically_increasing_id()), "sketch", batch=2000)
 
     # classes of equal sets; an id may have several texts, so a class goes by the number of one of its rows
@@ -147,7 +147,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, id_col: str = "doc_id",
     from_large = member.where(F.col("size") > SMALL).where("rep <> leader").groupBy("rep").agg(few.alias("few")).select(F.col("rep").alias("a"), F.explode("few.leader").alias("b"))
     pairs = member.where(F.col("size") <= SMALL).where("rep <> leader").select(F.col("rep").alias("a"), F.col("leader").alias("b")).union(from_large).distinct()
     sized = _with_registers(scratch.keep(pairs, "pairs"), reps, percent)
-    likely = scratch.keep(sized.mapInArrow(_promising(percent), "a long, b long, est double"), "likely", batch=4000)
+    likely = scratch.keep(sized.mapInArrow(common.lean(_promising(percent)), "a long, b long, est double"), "likely", batch=4000)
     wanted = likely.select(F.col("a").alias("rep")).union(likely.select("b")).union(member.where("size > 2").select("rep")).distinct()
     wanted = classes.select("rep", F.col("first").alias("doc_id"), "th").join(wanted, "rep", "left_semi")
     sets = scratch.keep(_shingle_sets(base, wanted), "sets", batch=2000)
@@ -203,7 +203,7 @@ def _shingle_sets(base: DataFrame, wanted: DataFrame) -> DataFrame:
 
     Where the join splits a hot id, a set may come once from each part; links are made distinct after.
     """
-    return base.join(wanted.hint("merge"), ["doc_id", "th"]).select("rep", "text").mapInArrow(_sets, "id long, items binary")
+    return base.join(wanted.hint("merge"), ["doc_id", "th"]).select("rep", "text").mapInArrow(common.lean(_sets), "id long, items binary")
 
 
 _BLOCK = "key long, first long, ids binary, labels binary, sizes binary, regs binary, items binary"
@@ -303,9 +303,9 @@ def _against_large(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: Da
     tables = []
     for name, rows in (("inside", inside), ("outside", outside)):
         full = rows.join(whole, "rep").select("key", "rep", "label", "n", "regs", "items")
-        tables.append(scratch.keep(full.mapInArrow(_blocks, _BLOCK), name, batch=256))
+        tables.append(scratch.keep(full.mapInArrow(common.lean(_blocks), _BLOCK), name, batch=256))
     pairs = _side(tables[1], "p").join(_side(tables[0], "q"), "key").drop("key")
-    return pairs.mapInArrow(_reaches_large(percent), "a long, b long")
+    return pairs.mapInArrow(common.lean(_reaches_large(percent)), "a long, b long")
 
 
 def _among_small(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: DataFrame, likely: DataFrame, percent: int, scratch: common.Scratch) -> DataFrame:
@@ -316,16 +316,16 @@ def _among_small(open_: DataFrame, large: DataFrame, reps: DataFrame, sets: Data
     part = F.pmod(F.xxhash64("rep"), F.ceil(F.col("members") / BLOCK)).alias("part")
     full = rest.join(split, "key").select("key", "rep", "label", part).join(reps, "rep").select("key", "rep", "label", "n", "regs", F.lit(None).cast("binary").alias("items"), "part")
     blocks = full.repartition("key", "part").sortWithinPartitions("key", "part", "rep").drop("part")
-    blocks = scratch.keep(blocks.mapInArrow(_blocks, _BLOCK), "small", batch=1000)
+    blocks = scratch.keep(blocks.mapInArrow(common.lean(_blocks), _BLOCK), "small", batch=1000)
     pairs = _side(blocks, "p").join(_side(blocks, "q"), "key").where("p_first <= q_first").drop("key", "p_items", "q_items")
-    near = _once(pairs.mapInArrow(_promising_blocks(percent), "a long, b long"))
+    near = _once(pairs.mapInArrow(common.lean(_promising_blocks(percent)), "a long, b long"))
     near = scratch.keep(near.join(_once(likely), ["a", "b"], "left_anti"), "near", batch=64)
     return _confirm(near, sets, percent)
 
 
 def _confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     one, two = sets.select(F.col("id").alias("a"), F.col("items").alias("x")), sets.select(F.col("id").alias("b"), F.col("items").alias("y"))
-    return pairs.select("a", "b").join(one, "a").join(two, "b").select("a", "b", "x", "y").mapInArrow(_confirmed(percent), "a long, b long").distinct()
+    return pairs.select("a", "b").join(one, "a").join(two, "b").select("a", "b", "x", "y").mapInArrow(common.lean(_confirmed(percent)), "a long, b long").distinct()
 
 
 def _apart(pairs: DataFrame, label: DataFrame) -> DataFrame:

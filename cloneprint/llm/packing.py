@@ -22,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
-from .encode import encoder
+from .common import Scratch, lean
+from .encode import encoder, forget
 
 WINDOW, END = 1024, 0
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, part long, rank long"
@@ -102,18 +102,21 @@ def _pieces(path: str, window: int, end: int):
         from pyspark import TaskContext
 
         part, seen, enc = TaskContext.get().partitionId(), Counter(), encoder(path)
-        for batch in batches:
-            ids = batch.column(0).to_pylist()
-            for at in range(0, len(ids), 256):
-                rows = []
-                for doc, got in zip(ids[at : at + 256], enc.ids([t or "" for t in batch.column(1)[at : at + 256].to_pylist()]), strict=True):
-                    got += tail
-                    n = len(got) // 4
-                    for k in range(0, n, window):
-                        length = min(window, n - k)
-                        rows.append((doc, k, length, zlib.crc32(got[4 * k : 4 * (k + length)]), n, part, seen[length]))
-                        seen[length] += 1
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], [f.split()[0] for f in PIECES.split(", ")])
+        try:
+            for batch in batches:
+                ids = batch.column(0).to_pylist()
+                for at in range(0, len(ids), 256):
+                    rows = []
+                    for doc, got in zip(ids[at : at + 256], enc.ids([t or "" for t in batch.column(1)[at : at + 256].to_pylist()]), strict=True):
+                        got += tail
+                        n = len(got) // 4
+                        for k in range(0, n, window):
+                            length = min(window, n - k)
+                            rows.append((doc, k, length, zlib.crc32(got[4 * k : 4 * (k + length)]), n, part, seen[length]))
+                            seen[length] += 1
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], [f.split()[0] for f in PIECES.split(", ")])
+        finally:
+            forget()
 
     return run
 
@@ -122,7 +125,7 @@ def pack(docs: DataFrame, tokenizer: str, window: int = WINDOW, end: int = END,
     """A row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     spark, scratch = docs.sparkSession, Scratch(docs.sparkSession, "packing")
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    pieces = scratch.keep(base.mapInArrow(_pieces(tokenizer, window, end), PIECES), "pieces")
+    pieces = scratch.keep(base.mapInArrow(lean(_pieces(tokenizer, window, end)), PIECES), "pieces")
     # where each partition's pieces of a length begin among all of that length
     counts = pieces.groupBy("length", "part").agg(F.count("*").alias("n"))
     begin = F.expr("sum(n) over (partition by length order by part rows between unbounded preceding and current row) - n").alias("begin")

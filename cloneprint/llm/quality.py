@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import quoted
+from .common import lean, quoted
 from .words import text_bytes, word_hashes
 
 FIT_ROWS = 8_000  # labelled rows that the model is fitted on, at most
@@ -112,7 +112,7 @@ def fit(docs: DataFrame, labels: DataFrame, held_out: Column | None = None, labe
     if n > 2 * rows:  # by a share first, so that few rows meet in the task that puts them in order
         known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < int((1 << 40) * min(1.0, 1.5 * rows / n)))
     drawn = F.broadcast(known.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(rows))  # bounded by `rows`
-    measured = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(drawn, "doc_id").select("doc_id", "y", "text").mapInArrow(_measure, "doc_id long, y int, x array<double>")
+    measured = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(drawn, "doc_id").select("doc_id", "y", "text").mapInArrow(lean(_measure), "doc_id long, y int, x array<double>")
     # repeated rows count once; an id with many texts cannot exceed the bound
     got = measured.distinct().orderBy(F.xxhash64("doc_id"), F.xxhash64("x"), "y").limit(rows).select("y", "x").toPandas()
     x = np.array(got["x"].tolist(), float).reshape(-1, len(STATISTICS))
@@ -132,7 +132,7 @@ def _scored(model: Discriminant):
 def score(docs: DataFrame, model: Discriminant, keep: list[str], score_col: str = "score") -> DataFrame:
     """The columns of ``keep`` with the score of each whole text; they travel in one struct, so that no name can clash."""
     chosen = docs.select(F.struct(*[F.col(quoted(c)) for c in keep]).alias("kept"), F.col("text").cast("string").alias("text"))
-    scored = chosen.mapInArrow(_scored(model), StructType([chosen.schema["kept"], StructField("score", DoubleType())]))
+    scored = chosen.mapInArrow(lean(_scored(model)), StructType([chosen.schema["kept"], StructField("score", DoubleType())]))
     return scored.select(*[F.col("kept")[c].alias(c) for c in keep if c != score_col], F.col("score").alias(score_col))
 
 

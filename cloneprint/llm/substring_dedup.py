@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
 
 from . import words
-from .common import Scratch, quoted
+from .common import Scratch, lean, quoted
 
 LINE_WORDS, RUN_WORDS, REACH = 10, 25, 4
 WINDOW, PASSAGE = 25, 51
@@ -233,7 +233,7 @@ def dedup_units(docs: DataFrame, line_words: int = LINE_WORDS, run_words: int =
     base = docs.select(docs[quoted(id_col)].cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("tag")).where("doc_id is not null and text <> ''")
 
     def found() -> DataFrame:
-        return base.mapInArrow(_rows(line_words), "doc_id long, tag long, digest long, check int, place long")
+        return base.mapInArrow(lean(_rows(line_words)), "doc_id long, tag long, digest long, check int, place long")
 
     first = F.min(F.struct("doc_id", "tag", "place"))
     kept = found().groupBy("digest", "check").agg(first.alias("first"), F.count("*").alias("n")).where("n > 1")
@@ -254,5 +254,5 @@ def dedup_units(docs: DataFrame, line_words: int = LINE_WORDS, run_words: int =
     whole = docs.select(F.struct(*others).alias("others"), F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).cast("string").alias("text"))
     joined = whole.withColumn("tag", F.xxhash64("text")).join(again, ["doc_id", "tag"], "left").select("others", "text", "places")
     span = StructType([StructField("start", LongType()), StructField("end", LongType())])
-    cut = joined.mapInArrow(_cut(line_words, run_words), StructType([joined.schema["others"], StructField("text", StringType()), StructField("spans", ArrayType(span))]))
+    cut = joined.mapInArrow(lean(_cut(line_words, run_words)), StructType([joined.schema["others"], StructField("text", StringType()), StructField("spans", ArrayType(span))]))
     return cut.select(*[F.col("text").alias(c) if c == text_col else F.col("others")[c].alias(c) for c in named], F.col("spans").alias(spans_col))

@@ -171,6 +171,35 @@ def test_token_ids_of_texts_without_a_place_to_cut():
     assert encode.encoder(path).ids(texts) == want
 
 
+def test_workers_hold_no_encoder_and_no_free_memory(spark):
+    from cloneprint.llm import common, encode, packing
+
+    packing.pack(spark.createDataFrame([(k, f"word {k}") for k in range(40)], "doc_id long, text string").repartition(4), encode.public_path()).collect()
+
+    def left(batches):
+        import pyarrow as pa
+
+        from cloneprint.llm import encode as e
+
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([len(e._loaded)] * batch.num_rows, pa.int64())], ["n"])
+
+    assert {r["n"] for r in spark.range(64).repartition(8).mapInArrow(left, "n long").collect()} == {0}
+
+    def resident():
+        with open("/proc/self/statm") as f:
+            return int(f.read().split()[1]) * 4096
+
+    def run(batches):
+        held = [bytes(50_000) for _ in range(10_000)]
+        yield from batches
+        yield resident()
+        del held
+
+    (large,) = common.lean(run)([])
+    assert resident() < large - 300_000_000
+
+
 @pytest.mark.parametrize("bits", [1, 5, 16, 17, 31])
 def test_bit_packing(bits, tmp_path):
     from cloneprint.llm import token_ids as T
